@@ -158,3 +158,43 @@ def grams(hashed: np.ndarray, before: np.ndarray, n: int) -> tuple[np.ndarray, n
 def binary_array(data: np.ndarray, offsets: np.ndarray) -> pa.Array:
     """A binary column whose rows are the byte ranges of `data` between neighbouring offsets."""
     return pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(offsets) - 1, [None, pa.py_buffer(np.ascontiguousarray(offsets, np.int64)), pa.py_buffer(np.ascontiguousarray(data).view(np.uint8))]).cast(pa.binary())
+
+
+class HashIndex:
+    """Numbers 0, 1, ... for 64-bit hashes (0 stands for 1): open addressing, probed for whole arrays at once."""
+
+    def __init__(self, capacity: int):
+        self.capacity = capacity
+        self.keys = np.zeros(1 << (4 * capacity - 1).bit_length(), np.uint64)
+        self.place = np.zeros(len(self.keys), np.int32)
+        self.size = 0
+
+    def find(self, hashed: np.ndarray) -> np.ndarray:
+        """The numbers of the hashes, -1 for those that aren't in."""
+        mask = np.uint64(len(self.keys) - 1)
+        hashed = np.maximum(hashed, np.uint64(1))
+        slot = hashed & mask
+        key = self.keys[slot]
+        out = np.where(key == hashed, self.place[slot], -1).astype(np.int64)
+        left = np.flatnonzero((key != hashed) & (key != 0))
+        slot = (slot[left] + np.uint64(1)) & mask
+        while len(left):
+            key = self.keys[slot]
+            hit = key == hashed[left]
+            out[left[hit]] = self.place[slot[hit]]
+            go = ~hit & (key != 0)
+            left, slot = left[go], (slot[go] + np.uint64(1)) & mask
+        return out
+
+    def add(self, hashed: np.ndarray) -> None:
+        """Appends distinct hashes that aren't in, in their order."""
+        number, mask = np.arange(self.size, self.size + len(hashed)), np.uint64(len(self.keys) - 1)
+        self.size += len(hashed)
+        left = np.maximum(hashed, np.uint64(1))
+        slot = left & mask
+        while len(left):
+            free = self.keys[slot] == 0
+            self.keys[slot[free]] = left[free]
+            won = free & (self.keys[slot] == left)
+            self.place[slot[won]] = number[won]
+            left, number, slot = left[~won], number[~won], (slot[~won] + np.uint64(1)) & mask

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from radarlake.llm import packing, pii, token_orc, warc
+from radarlake.llm import flac, language, packing, pii, token_orc, warc
 from radarlake.llm.common import documents
 
 
@@ -15,10 +15,18 @@ def vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_flac(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return flac.round_trip(documents(spark, sf_dir))
+
+
 def op2_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digest(documents(spark, sf_dir))
 
 
+def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language.classify(documents(spark, sf_dir), vocabulary("piece_bpe_32k.model"))
+
+
 def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.round_trip(documents(spark, sf_dir, "pages"), least=0)
 
@@ -31,4 +39,4 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir), vocabulary("byte_bpe_50k.json"), 0)
 
 
-QUERIES = {f.__name__: f for f in (op2_pii, op4_warc, op6_orc_tokens, op8_packing)}
+QUERIES = {f.__name__: f for f in (op1_flac, op2_pii, op3_language, op4_warc, op6_orc_tokens, op8_packing)}

@@ -16,7 +16,7 @@ from functools import lru_cache
 
 import numpy as np
 
-from radarlake.llm.common import prefix_hashes, span_hashes
+from radarlake.llm.common import HashIndex, prefix_hashes, span_hashes
 
 #: Distinct pre-tokens that a worker keeps before it starts anew.
 CACHE_SIZE = 1 << 20
@@ -50,9 +50,7 @@ class Encoder:
         self._clear()
 
     def _clear(self) -> None:
-        self.keys = np.zeros(4 * CACHE_SIZE, np.uint64)
-        self.place = np.zeros(4 * CACHE_SIZE, np.int32)
-        self.size = 0
+        self.index = HashIndex(CACHE_SIZE)
         self.first = np.zeros(CACHE_SIZE + 1, np.int64)
         self.pool = np.zeros(1 << 16, np.uint32)
 
@@ -60,36 +58,15 @@ class Encoder:
         """The library's ids of one text."""
         return np.array(self.library.encode(text, add_special_tokens=False).ids, np.uint32)
 
-    def _find(self, hashed: np.ndarray) -> np.ndarray:
-        """Numbers of the known pre-tokens, -1 for others: open addressing, probed for all at once."""
-        mask = np.uint64(len(self.keys) - 1)
-        out = np.full(len(hashed), -1, np.int64)
-        left, slot = np.arange(len(hashed)), hashed & mask
-        while len(left):
-            key = self.keys[slot]
-            hit = key == hashed[left]
-            out[left[hit]] = self.place[slot[hit]]
-            go = ~hit & (key != 0)
-            left, slot = left[go], (slot[go] + np.uint64(1)) & mask
-        return out
-
     def _add(self, hashed: np.ndarray, tokens: list[bytes]) -> None:
-        signs, tokenize = self.signs, self.model.tokenize
+        signs, tokenize, size = self.signs, self.model.tokenize, self.index.size
         ids = [[x.id for x in tokenize(token.decode("latin-1").translate(signs))] for token in tokens]
-        first = self.first[self.size] + np.cumsum([len(x) for x in ids])
+        first = self.first[size] + np.cumsum([len(x) for x in ids])
         while first[-1] > len(self.pool):
             self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
-        self.pool[self.first[self.size] : first[-1]] = [i for x in ids for i in x]
-        self.first[self.size + 1 : self.size + 1 + len(ids)] = first
-        number, mask = np.arange(self.size, self.size + len(ids)), np.uint64(len(self.keys) - 1)
-        self.size += len(ids)
-        left, slot = hashed, hashed & mask
-        while len(left):
-            free = self.keys[slot] == 0
-            self.keys[slot[free]] = left[free]
-            won = free & (self.keys[slot] == left)
-            self.place[slot[won]] = number[won]
-            left, number, slot = left[~won], number[~won], (slot[~won] + np.uint64(1)) & mask
+        self.pool[self.first[size] : first[-1]] = [i for x in ids for i in x]
+        self.first[size + 1 : size + 1 + len(ids)] = first
+        self.index.add(hashed)
 
     def _cut(self, code: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Starts and ends of the pre-tokens of Latin-1 texts."""
@@ -135,11 +112,11 @@ class Encoder:
         if self.lower:
             code = _LOWER[code]
         a, b = self._cut(code, at)
-        hashed = span_hashes(prefix_hashes(code), a, b) | np.uint64(1)
-        found = self._find(hashed)
+        hashed = span_hashes(prefix_hashes(code), a, b)
+        found = self.index.find(hashed)
         if (found < 0).any():
             new, where = np.unique(hashed[found < 0], return_index=True)
-            if self.size + len(new) > CACHE_SIZE:
+            if self.index.size + len(new) > CACHE_SIZE:
                 self._clear()
                 new, where = np.unique(hashed, return_index=True)
                 lost = np.arange(len(hashed))
@@ -149,7 +126,7 @@ class Encoder:
                 return self._pieces([self.whole(bytes(data[x:y]).decode()) for x, y in zip(offsets[:-1], offsets[1:], strict=True)])
             raw = code.tobytes()
             self._add(new, [raw[a[i] : b[i]] for i in lost[where].tolist()])
-            found = self._find(hashed)
+            found = self.index.find(hashed)
         length = self.first[found + 1] - self.first[found]
         total = np.concatenate([[0], np.cumsum(length)])
         ids = self.pool[np.arange(total[-1]) + np.repeat(self.first[found] - total[:-1], length)]
