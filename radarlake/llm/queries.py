@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from radarlake.llm import flac, language, packing, pii, token_orc, warc
+from radarlake.llm import decontaminate, flac, language, near_dup, packing, pii, token_orc, warc
 from radarlake.llm.common import documents
 
 
@@ -35,8 +35,16 @@ def op6_orc_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_orc.round_trip(documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), 2)
 
 
+def op7_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.groups(documents(spark, sf_dir), n=3, percent=85)
+
+
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(documents(spark, sf_dir), vocabulary("byte_bpe_50k.json"), 0)
 
 
-QUERIES = {f.__name__: f for f in (op1_flac, op2_pii, op3_language, op4_warc, op6_orc_tokens, op8_packing)}
+def op9_spaced_seeds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.find(documents(spark, sf_dir), documents(spark, sf_dir, "benchmark"))
+
+
+QUERIES = {f.__name__: f for f in (op1_flac, op2_pii, op3_language, op4_warc, op6_orc_tokens, op7_minhash, op8_packing, op9_spaced_seeds)}
