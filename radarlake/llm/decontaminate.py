@@ -29,7 +29,7 @@ MASKS = ("11111", "1101011", "110010011", "1010100101001")
 OVERLAP = 0.8
 #: Bytes of test texts that one pass sends to the workers.
 BLOCK_BYTES = 16 << 20
-SCHEMA = "doc_id long, item_id long, n_matched long, n_item long, at long, overlap double"
+SCHEMA = "doc_id long, item_id long, n_matched long, n_item long, place long, overlap double"
 
 
 def _masks(n: int, masks: tuple[str, ...]) -> list[tuple[int, ...]]:
@@ -111,7 +111,7 @@ def _search(shared, overlap: float):
             if hits:
                 r, i, n, size, at = (np.array(x) for x in zip(*hits, strict=True))
                 doc = rows.column(rows.schema.get_field_index("doc_id")).take(pa.array(r))
-                yield pa.RecordBatch.from_arrays([doc, pa.array(items.ids[i]), pa.array(n), pa.array(size), pa.array(at), pa.array(n / size)], names=["doc_id", "item_id", "n_matched", "n_item", "at", "overlap"])
+                yield pa.RecordBatch.from_arrays([doc, pa.array(items.ids[i]), pa.array(n), pa.array(size), pa.array(at), pa.array(n / size)], names=["doc_id", "item_id", "n_matched", "n_item", "place", "overlap"])
 
     return run
 

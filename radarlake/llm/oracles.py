@@ -65,8 +65,8 @@ def near_duplicates(n: int, percent: int, table: str = "documents") -> str:
 WITH RECURSIVE w AS (SELECT doc_id, {words} AS w FROM {table}),
 sets AS (SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < {n} THEN [array_to_string(w, ' ')] ELSE list_distinct([array_to_string(w[i:i+{n - 1}], ' ') FOR i IN range(1, len(w) - {n - 2})]) END AS s FROM w),
 one AS (SELECT doc_id, unnest(s) AS x FROM sets),
-pairs AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS both FROM one a JOIN one b ON a.x = b.x AND a.doc_id <> b.doc_id GROUP BY ALL),
-links AS (SELECT a, b FROM pairs JOIN sets x ON x.doc_id = a JOIN sets y ON y.doc_id = b WHERE 100 * both >= {percent} * (len(x.s) + len(y.s) - both)),
+pairs AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS common FROM one a JOIN one b ON a.x = b.x AND a.doc_id <> b.doc_id GROUP BY ALL),
+links AS (SELECT a, b FROM pairs JOIN sets x ON x.doc_id = a JOIN sets y ON y.doc_id = b WHERE 100 * common >= {percent} * (len(x.s) + len(y.s) - common)),
 reach AS (SELECT doc_id AS id, doc_id AS far FROM {table} UNION SELECT r.id, l.b FROM reach r JOIN links l ON l.a = r.far)
 SELECT s.doc_id, CAST(len(s.s) AS BIGINT) AS n_shingles, c.component AS component_id, s.doc_id = c.component AS kept
 FROM sets s JOIN (SELECT id, min(far) AS component FROM reach GROUP BY id) c ON c.id = s.doc_id"""
@@ -77,9 +77,9 @@ def passages(overlap: float = 0.8, table: str = "documents") -> str:
     tokens = lambda t, k: f"SELECT {k}, unnest(w) AS w, unnest(range(len(w))) AS i, len(w) AS n FROM (SELECT {k}, {_WORDS.format(_LOWER.format('text'))} AS w FROM {t})"
     return f"""
 WITH d AS ({tokens(table, 'doc_id')}), b AS ({tokens('benchmark', 'item_id')}),
-lays AS (SELECT doc_id, item_id, d.i - b.i AS at, b.n AS n_item, count(*) AS n_matched FROM d JOIN b ON d.w = b.w GROUP BY ALL HAVING count(*) >= {overlap} * b.n),
-best AS (SELECT *, row_number() OVER (PARTITION BY doc_id, item_id ORDER BY n_matched DESC, at) AS r FROM lays)
-SELECT doc_id, item_id, n_matched, CAST(n_item AS BIGINT) AS n_item, CAST(at AS BIGINT) AS at, n_matched / n_item AS overlap FROM best WHERE r = 1"""
+lays AS (SELECT doc_id, item_id, d.i - b.i AS place, b.n AS n_item, count(*) AS n_matched FROM d JOIN b ON d.w = b.w GROUP BY ALL HAVING count(*) >= {overlap} * b.n),
+best AS (SELECT *, row_number() OVER (PARTITION BY doc_id, item_id ORDER BY n_matched DESC, place) AS r FROM lays)
+SELECT doc_id, item_id, n_matched, CAST(n_item AS BIGINT) AS n_item, CAST(place AS BIGINT) AS place, n_matched / n_item AS overlap FROM best WHERE r = 1"""
 
 
 _REPEATS = """

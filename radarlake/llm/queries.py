@@ -28,7 +28,7 @@ def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return warc.round_trip(documents(spark, sf_dir, "pages"), least=0)
+    return warc.round_trip(documents(spark, sf_dir, "pages"), least=0).drop("record_id", "chunks")
 
 
 def op6_orc_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
