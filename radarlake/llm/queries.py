@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from radarlake.llm import decontaminate, flac, language, near_dup, packing, pii, token_orc, warc
+from radarlake.llm import decontaminate, flac, language, near_dup, ngram, packing, pii, token_orc, warc
 from radarlake.llm.common import documents
 
 
@@ -47,4 +47,8 @@ def op9_spaced_seeds(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.find(documents(spark, sf_dir), documents(spark, sf_dir, "benchmark"))
 
 
-QUERIES = {f.__name__: f for f in (op1_flac, op2_pii, op3_language, op4_warc, op6_orc_tokens, op7_minhash, op8_packing, op9_spaced_seeds)}
+def op10_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram.fit_and_score(documents(spark, sf_dir))
+
+
+QUERIES = {f.__name__: f for f in (op1_flac, op2_pii, op3_language, op4_warc, op6_orc_tokens, op7_minhash, op8_packing, op9_spaced_seeds, op10_kneser_ney)}
