@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from radarlake.llm import decontaminate, flac, language, near_dup, ngram, packing, pii, token_orc, warc
+from radarlake.llm import decontaminate, flac, language, near_dup, ngram, packing, pii, suffixes, token_orc, warc
 from radarlake.llm.common import documents
 
 
@@ -31,6 +31,10 @@ def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.round_trip(documents(spark, sf_dir, "pages"), least=0).drop("record_id", "chunks")
 
 
+def op5_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixes.remove_repeats(documents(spark, sf_dir))
+
+
 def op6_orc_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_orc.round_trip(documents(spark, sf_dir), vocabulary("word_bpe_49k.json"), 2)
 
@@ -51,4 +55,4 @@ def op10_kneser_ney(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram.fit_and_score(documents(spark, sf_dir))
 
 
-QUERIES = {f.__name__: f for f in (op1_flac, op2_pii, op3_language, op4_warc, op6_orc_tokens, op7_minhash, op8_packing, op9_spaced_seeds, op10_kneser_ney)}
+QUERIES = {f.__name__: f for f in (op1_flac, op2_pii, op3_language, op4_warc, op5_suffix_dedup, op6_orc_tokens, op7_minhash, op8_packing, op9_spaced_seeds, op10_kneser_ney)}
