@@ -3,13 +3,14 @@
 Two permutations of 32-bit positions give all coordinates of a signature: the first
 places a shingle, the second is read at that place shifted by 1, 2, ..., K. Documents
 with equal shingle sets share one representative. Representatives that share a band
-are candidates; first each is held against the smallest id of its bucket, then those
-that this did not link are held against the other members of their buckets, unless the
-signatures rule the pair out (six standard deviations below the threshold). Every link
-is confirmed on the full shingle sets, and the components of the links are the groups.
+are candidates; first each is held against the smallest id of its bucket, then against the
+most similar member of another component, then against all members of other components
+that a wide signature does not rule out (six standard deviations below the threshold).
+Every link is confirmed on the full shingle sets, and the components of the links are
+the groups.
 
-Buckets never become all pairs: linked members need no further check among each other,
-and the rest of a bucket is compared in blocks.
+Buckets never become all pairs: pairs within a component need no further check, buckets
+with the same members count once, and the rest of a bucket is compared in blocks.
 
 Null and empty texts, and texts without words, have the empty set and stand alone; with
 fewer words than a shingle has, the whole text is one shingle; rows that repeat a doc_id
@@ -28,8 +29,10 @@ from pyspark.sql import functions as F
 from radarlake.llm.common import chunks, grams, mix, partitions, scratch, word_hashes
 
 BANDS, ROWS = 32, 5
-#: Members of a bucket that one task compares with the rest of it.
-BLOCK = 2048
+#: Coordinates of the signatures that decide which of the last pairs are read in full.
+WIDE = 640
+#: Members of a bucket in one block; a group compares two blocks.
+BLOCK = 4096
 
 
 def _mix32(x: np.ndarray) -> np.ndarray:
@@ -77,14 +80,14 @@ def _sign(n: int, bands: int, rows: int):
             for k, seed in enumerate((0x243F6A8885A308D3, 0x13198A2E03707344)):
                 if len(full):
                     prints[full, k] = np.add.reduceat(mix(sets ^ np.uint64(seed)), at[full])
-            signed = signatures(sets, at, bands * rows)
+            signed = signatures(sets, at, bands * rows or rows)
             band = np.zeros((len(size), bands), np.uint64)
             for j in range(bands):
                 h = np.full(len(size), np.uint64(j + 1), np.uint64)
                 for k in range(rows):
                     h = mix(h * np.uint64(0x9FB21C651E98DF25) + signed[:, j * rows + k].astype(np.uint64))
                 band[:, j] = h
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, band.size + 1, bands), pa.int32()), pa.array(band.reshape(-1).view(np.int64)))
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(len(size) + 1) * bands, pa.int32()), pa.array(band.reshape(-1).view(np.int64)))
             yield pa.RecordBatch.from_arrays(
                 [
                     b.column(b.schema.get_field_index("doc_id")), pa.array(size), pa.array(prints[:, 0].view(np.int64)), pa.array(prints[:, 1].view(np.int64)), lists,
@@ -132,62 +135,95 @@ def confirm(pairs: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFram
     return pairs.join(one, "a").join(two, "b").select("a", "b", "text_a", "text_b").mapInArrow(_confirm(n, percent), "a long, b long")
 
 
-def _rest(least: int):
-    """Pairs of a bucket's block (bucket, block): own unlinked members against all members."""
+def _rest(least: int, best: bool):
+    """Pairs of a bucket's blocks (bucket, i, j): own members of block i against members of block j in other components.
+
+    With `best`, each own member's most similar one; else all that `least` admits, in
+    the smallest bucket that both share.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        open_key, held = None, []
+        open_key, own, members = None, [], []
 
         def pairs() -> pa.RecordBatch | None:
-            docs = np.array([h[0] for h in held], np.int64)
-            own, linked = np.array([h[1] for h in held]), np.array([h[2] for h in held])
-            sketch = np.frombuffer(b"".join(h[3] for h in held), np.uint8).reshape(len(held), -1)
+            if not own or not members:
+                return None
+            doc, component = np.array([m[0] for m in members], np.int64), np.array([m[1] for m in members], np.int64)
+            sketch = np.frombuffer(b"".join(m[2] for m in members), np.uint8).reshape(len(members), -1)
+            bands = None if best else np.array([m[3] for m in members], np.int64)
             a, b = [], []
-            for i in np.flatnonzero(own).tolist():
-                alike = (sketch == sketch[i]).sum(1) >= least
-                # two unlinked members meet once, at the larger id
-                met = docs[alike & (linked | (docs < docs[i]))]
-                a += [np.full(len(met), docs[i])]
-                b += [met]
-            a, b = (np.concatenate([np.zeros(0, np.int64), *x]) for x in (a, b))
-            return pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], names=["a", "b"]) if len(a) else None
+            for d, c, x, mine in own:
+                alike = (sketch == np.frombuffer(x, np.uint8)).sum(1)
+                alike[component == c] = 0
+                met = np.flatnonzero(alike >= least)
+                if best and len(met):
+                    met = met[[np.lexsort((doc[met], -alike[met]))[0]]]
+                elif len(met):
+                    # the smallest shared bucket stands for all with its members, too
+                    shared = np.where(bands[met] == np.array(mine), mine, np.iinfo(np.int64).max).min(1)
+                    met = met[shared == open_key[0]]
+                a.append(np.full(len(met), d))
+                b.append(doc[met])
+            a, b = np.concatenate(a), np.concatenate(b)
+            both = np.unique(np.stack([np.maximum(a, b), np.minimum(a, b)], 1), axis=0)
+            return pa.RecordBatch.from_arrays([pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy())], names=["a", "b"]) if len(both) else None
 
         for batch in batches:
             get = lambda c: batch.column(batch.schema.get_field_index(c)).to_pylist()  # noqa: E731, B023
-            for bucket, block, doc, own, linked, sketch in zip(*map(get, ("bucket", "block", "doc_id", "own", "linked", "sketch")), strict=True):
-                if (bucket, block) != open_key:
-                    if held and (made := pairs()) is not None:
+            for bucket, i, j, is_own, *x in zip(*map(get, ("bucket", "i", "j", "own", "doc_id", "component", "sketch", "bands")), strict=True):
+                if (bucket, i, j) != open_key:
+                    if (made := pairs()) is not None:
                         yield made
-                    open_key, held = (bucket, block), []
-                held.append((doc, own, linked, sketch))
-        if held and (made := pairs()) is not None:
+                    open_key, own, members = (bucket, i, j), [], []
+                (own if is_own else members).append(x)
+        if (made := pairs()) is not None:
             yield made
 
     return run
 
 
+def _open_pairs(places: DataFrame, sketches: DataFrame, found: DataFrame, size: int, percent: int, best: bool) -> DataFrame:
+    """Pairs to confirm between components that share a bucket: (bucket, doc_id, n) against (doc_id, sketch, bands)."""
+    spark = places.sparkSession
+    labelled = places.join(found, places["doc_id"] == found["id"], "left").select("bucket", "n", "doc_id", F.coalesce("component", "doc_id").alias("component"))
+    main = labelled.groupBy("bucket", "component").agg(F.count("*").alias("k")).groupBy("bucket").agg(F.max_by("component", F.struct("k", "component")).alias("main"), F.count("*").alias("parts"))
+    open_ = labelled.join(main.filter("parts > 1"), "bucket").join(sketches, "doc_id")
+    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
+    home = F.pmod(F.xxhash64("doc_id"), blocks).cast("int")
+    rows = open_.select("bucket", "doc_id", "component", "sketch", "bands", (F.col("component") != F.col("main")).alias("apart"), home.alias("home"), F.sequence(F.lit(0), blocks - 1).alias("all"))
+    own = rows.filter("apart").select("bucket", F.col("home").alias("i"), F.explode("all").alias("j"), F.lit(True).alias("own"), "doc_id", "component", "sketch", "bands")
+    members = rows.select("bucket", F.explode("all").alias("i"), F.col("home").alias("j"), F.lit(False).alias("own"), "doc_id", "component", "sketch", "bands")
+    share = percent / 100
+    least = int(share * size - 6 * (share * (1 - share) * size) ** 0.5)
+    dealt = own.unionByName(members).repartition(partitions(spark), "bucket", "i", "j").sortWithinPartitions("bucket", "i", "j")
+    return dealt.mapInArrow(_rest(least, best), "a long, b long").distinct()
+
+
 def links(signed: DataFrame, docs: DataFrame, n: int, percent: int, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """Confirmed links (a > b) that connect all documents of `signed` (distinct sets) whose sets reach the threshold."""
-    spark = signed.sparkSession
+    """Confirmed links (a > b) that connect all documents of `signed` (distinct sets) whose sets reach the threshold.
+
+    First the stars of the buckets; then, for members outside the bucket's main component,
+    the most similar member of another one; then all pairs of different components that a
+    wide signature does not rule out. A pair within a component needs no check.
+    """
     members = signed.select("doc_id", F.explode("bands").alias("bucket"))
-    leaders = members.groupBy("bucket").agg(F.min("doc_id").alias("leader"), F.count("*").alias("n")).filter("n > 1")
-    # one row per member of a bucket of several
-    places = stored(members.join(leaders, "bucket"), "buckets")
+    # buckets with the same members count once
+    seen = [F.bit_xor(F.xxhash64("doc_id", F.lit(k))).alias(f"x{k}") for k in range(2)]
+    buckets = members.groupBy("bucket").agg(F.min("doc_id").alias("leader"), F.count("*").alias("n"), *seen).filter("n > 1")
+    buckets = buckets.groupBy("leader", "n", "x0", "x1").agg(F.min("bucket").alias("bucket")).select("bucket", "leader", "n")
+    places = stored(members.join(buckets, "bucket"), "buckets")
     stars = places.filter("doc_id > leader").select(F.col("doc_id").alias("a"), F.col("leader").alias("b")).distinct()
     first = stored(confirm(stars, docs, n, percent), "links")
-    linked = first.select(F.col("a").alias("doc_id"), F.col("b").alias("leader"), F.lit(True).alias("linked"))
     # buckets of two are settled by now
-    open_ = places.filter("n > 2 and doc_id > leader").join(linked, ["doc_id", "leader"], "left").select("bucket", "doc_id", F.coalesce("linked", F.lit(False)).alias("linked"))
-    unlinked = open_.filter("not linked").groupBy("bucket").agg(F.count("*").alias("u"))
-    sketched = open_.join(unlinked, "bucket").join(signed.select("doc_id", "sketch"), "doc_id")
-    blocks = F.ceil(F.col("u") / BLOCK).cast("int")
-    dealt = sketched.withColumn("home", F.pmod(F.xxhash64("doc_id"), blocks).cast("int")).withColumn("block", F.explode(F.sequence(F.lit(0), blocks - 1)))
-    dealt = dealt.select("bucket", "block", "doc_id", (~F.col("linked") & (F.col("home") == F.col("block"))).alias("own"), "linked", "sketch")
-    size, share = bands * rows, percent / 100
-    least = int(share * size - 6 * (share * (1 - share) * size) ** 0.5)
-    grouped = dealt.repartition(partitions(spark), "bucket", "block").sortWithinPartitions("bucket", "block")
-    more = grouped.mapInArrow(_rest(least), "a long, b long").distinct()
-    return first.unionByName(confirm(more, docs, n, percent))
+    places = places.filter("n > 2").drop("leader")
+    near = _open_pairs(places, signed.select("doc_id", "sketch", F.lit(None).cast("array<long>").alias("bands")), components(first), bands * rows, percent, True)
+    second = stored(first.unionByName(confirm(near, docs, n, percent)), "links")
+    found = components(second)
+    labelled = places.join(found, places["doc_id"] == found["id"], "left").select("bucket", "doc_id", F.coalesce("component", "doc_id").alias("component"))
+    open_ = labelled.join(labelled.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi"), "bucket").select("doc_id").distinct()
+    wide = docs.select("doc_id", "text").join(open_, "doc_id").mapInArrow(_sign(n, 0, WIDE), "doc_id long, n_shingles long, print_a long, print_b long, bands array<long>, sketch binary")
+    wide = wide.select("doc_id", "sketch").join(signed.select("doc_id", "bands"), "doc_id")
+    return second.unionByName(confirm(_open_pairs(places, wide, found, WIDE, percent, False), docs, n, percent))
 
 
 def stored(df: DataFrame, name: str) -> DataFrame:

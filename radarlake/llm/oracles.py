@@ -83,16 +83,15 @@ SELECT doc_id, item_id, n_matched, CAST(n_item AS BIGINT) AS n_item, CAST(place
 
 
 _REPEATS = """
-WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
-starts AS (SELECT doc_id, unnest(range(0, greatest(length(h) // 2 - 49, 0))) AS i, h FROM d),
-windows AS (SELECT doc_id, i, min(doc_id) OVER (PARTITION BY substr(h, 2 * i + 1, 100)) < doc_id AS hit FROM starts),
-bytes AS (SELECT doc_id, unnest(range(0, length(h) // 2)) AS i, h FROM d),
-marked AS (
-  SELECT b.doc_id, b.i, substr(h, 2 * b.i + 1, 2) AS x, coalesce(max(CAST(w.hit AS INT)) OVER (PARTITION BY b.doc_id ORDER BY b.i ROWS BETWEEN 49 PRECEDING AND CURRENT ROW), 0) = 1 AS gone
-  FROM bytes b LEFT JOIN windows w ON w.doc_id = b.doc_id AND w.i = b.i),
+WITH d AS (SELECT doc_id, regexp_extract_all(hex(encode(coalesce(text, ''))), '..') AS x FROM documents),
+bytes AS (SELECT doc_id, unnest(x) AS x, unnest(range(len(x))) AS i, len(x) AS n FROM d),
+starts AS (SELECT doc_id, i, n, x, string_agg(x, '') OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN CURRENT ROW AND 49 FOLLOWING) AS w FROM bytes),
+firsts AS (SELECT w, min(doc_id) AS first FROM starts WHERE i + 50 <= n GROUP BY w HAVING count(*) > 1),
+hits AS (SELECT s.doc_id, s.i, s.x, CASE WHEN f.first < s.doc_id AND s.i + 50 <= s.n THEN 1 ELSE 0 END AS hit FROM starts s LEFT JOIN firsts f ON f.w = s.w),
+marked AS (SELECT doc_id, i, x, max(hit) OVER (PARTITION BY doc_id ORDER BY i ROWS BETWEEN 49 PRECEDING AND CURRENT ROW) = 1 AS gone FROM hits),
 runs AS (SELECT *, gone AND NOT coalesce(lag(gone) OVER (PARTITION BY doc_id ORDER BY i), false) AS opens FROM marked),
 summed AS (SELECT doc_id, count(*) FILTER (gone) AS n_removed, count(*) FILTER (opens) AS n_spans, coalesce(string_agg(x, '' ORDER BY i) FILTER (NOT gone), '') AS kept FROM runs GROUP BY doc_id)
-SELECT d.doc_id, CAST(length(h) // 2 AS BIGINT) AS n_bytes, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans, sha256(unhex(coalesce(kept, ''))) AS kept_sha256
+SELECT d.doc_id, CAST(len(x) AS BIGINT) AS n_bytes, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans, sha256(unhex(coalesce(kept, ''))) AS kept_sha256
 FROM d LEFT JOIN summed USING (doc_id)"""
 
 SQL: dict[str, str] = {
