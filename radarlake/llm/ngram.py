@@ -32,7 +32,7 @@ from radarlake.llm.packed import map_file, merge, pack, planes, put_file, range_
 #: The hash of the end token; words hash to it no more often than to each other.
 END = np.uint64(0x5DEECE66D1234567)
 #: Distinct keys that a task gathers before it sends them.
-HELD = 3 << 20
+HELD = 1 << 20
 
 
 def tokens(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -66,7 +66,7 @@ def _gather(count, bucket):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, counts, held = [], [], 0
-        for _, data, offsets in chunks(batches, "text"):
+        for _, data, offsets in chunks(batches, "text", 1 << 20):
             k, c = count(data, offsets)
             keys.append(k)
             counts.append(c)
@@ -328,7 +328,7 @@ def _score(model: Model):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = Words(model.path, model.buckets, model.first)
         n, v = model.total, model.size
-        for rows, data, offsets in chunks(batches, "text"):
+        for rows, data, offsets in chunks(batches, "text", 1 << 20):
             context, number, first = _pairs(words, data, offsets)
             ids, where = np.unique(number, return_inverse=True)
             count = words.count(ids)[where]
