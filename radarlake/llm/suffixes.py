@@ -41,7 +41,7 @@ ANCHOR = 18
 #: One document in so many is looked at for common anchors; in at least so many of them; the share of documents that makes an anchor common.
 SAMPLE, COMMON_LEAST, COMMON_SHARE = 64, 16, 1e-4
 #: Anchors, or bytes of segments, that a task gathers before it sends them.
-HELD = 3 << 20
+HELD = 1 << 20
 
 
 class Segments:
@@ -206,7 +206,7 @@ def _send_anchors(buckets: int, length: int):
             docs.clear()
             return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), pa.binary(), pa.binary()), strict=True)], names=["bucket", "kind", "keys", "docs"])
 
-        for rows, data, offsets in chunks(batches, "text"):
+        for rows, data, offsets in chunks(batches, "text", 1 << 20):
             found = Segments(data, offsets, length)
             if not len(found.row):
                 continue
@@ -294,7 +294,7 @@ def _send_segments(buckets: int, length: int, shared):
                 known.append((key, doc))
             return 16
 
-        for rows, data, offsets in chunks(batches, "text"):
+        for rows, data, offsets in chunks(batches, "text", 1 << 20):
             told = rows.column(rows.schema.get_field_index("told"))
             copy = rows.column(rows.schema.get_field_index("copy")).to_pylist()
             ids = rows.column(rows.schema.get_field_index("doc_id")).to_pylist()
@@ -315,7 +315,7 @@ def _send_segments(buckets: int, length: int, shared):
                     _, start, key = found.singles(hot)
                     for k, s in zip(key.tolist(), start.tolist(), strict=True):
                         size += add(k, ids[i], -1, 0, raw[s : s + length])
-            if size > 16 * HELD:
+            if size > 8 * HELD:
                 yield from flush()
                 size = 0
         if held or known:
@@ -409,7 +409,7 @@ def _meet_segments(length: int):
 def _drop(length: int, shared, with_text: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common = shared.value
-        for rows, data, offsets in chunks(batches, "text"):
+        for rows, data, offsets in chunks(batches, "text", 1 << 20):
             told = rows.column(rows.schema.get_field_index("told"))
             copy = rows.column(rows.schema.get_field_index("copy")).to_pylist()
             found = Segments(data, offsets, length)
@@ -469,7 +469,7 @@ def _common(docs: DataFrame, length: int) -> HashIndex:
     """Anchors that a sample finds in many documents: at most a document's anchors over the share."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, data, offsets in chunks(batches, "text"):
+        for _, data, offsets in chunks(batches, "text", 1 << 20):
             found = Segments(data, offsets, length)
             if len(found.row):
                 pair = np.unique(mix(found.anchor ^ mix(found.row.astype(np.uint64))), return_index=True)[1]
