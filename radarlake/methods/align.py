@@ -9,6 +9,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from radarlake.methods.geo import bound
+
 Point = tuple[Column, Column, Column, Column]  # x, y, u, v
 FIELDS = ("a11", "a12", "tx", "a21", "a22", "ty")
 
@@ -27,11 +29,19 @@ def _solved(n: Column, sx: Column, sy: Column, su: Column, sv: Column, xx: Colum
 
 def fit(points: list[Point]) -> Column:
     """Least squares over three, four or more corners of a row; three are met exactly."""
-    n = F.lit(float(len(points)))
-    total = lambda f: sum((f(p) for p in points[1:]), f(points[0]))
-    sx, sy, su, sv = (total(lambda p, k=k: p[k]) for k in range(4))
-    about = lambda i, j: total(lambda p: (p[i] - (sx, sy, su, sv)[i] / n) * (p[j] - (sx, sy, su, sv)[j] / n))
-    return _solved(n, sx, sy, su, sv, about(0, 0), about(1, 1), about(0, 1), about(0, 2), about(1, 2), about(0, 3), about(1, 3))
+    n = len(points)
+    named = {f"{k}{i}": c for i, p in enumerate(points) for k, c in zip("xyuv", p, strict=True)}
+
+    def centred(p: Column) -> Column:
+        total = lambda f: sum((f(i) for i in range(1, n)), f(0))
+        return bound({f"s{k}": total(lambda i, k=k: p[f"{k}{i}"]) for k in "xyuv"}, lambda s: products(p, s, total))
+
+    def products(p: Column, s: Column, total) -> Column:
+        about = lambda a, b: total(lambda i: (p[f"{a}{i}"] - s[f"s{a}"] / n) * (p[f"{b}{i}"] - s[f"s{b}"] / n))
+        pairs = ("xx", "yy", "xy", "xu", "yu", "xv", "yv")
+        return bound({k: about(*k) for k in pairs}, lambda q: _solved(F.lit(float(n)), *(s[f"s{k}"] for k in "xyuv"), *(q[k] for k in pairs)))
+
+    return bound(named, centred)
 
 
 def fit_points(df: DataFrame, keys: list[str], x: str = "x", y: str = "y", u: str = "u", v: str = "v") -> DataFrame:
