@@ -212,6 +212,8 @@ def links(signed: DataFrame, docs: DataFrame, n: int, percent: int, bands: int =
     buckets = members.groupBy("bucket").agg(F.min("doc_id").alias("leader"), F.count("*").alias("n"), *seen).filter("n > 1")
     buckets = buckets.groupBy("leader", "n", "x0", "x1").agg(F.min("bucket").alias("bucket")).select("bucket", "leader", "n")
     places = stored(members.join(buckets, "bucket"), "buckets")
+    # the texts that any check may need, dealt out once
+    docs = stored(docs.select("doc_id", "text").join(places.select("doc_id").distinct(), "doc_id", "left_semi"), "texts")
     stars = places.filter("doc_id > leader").select(F.col("doc_id").alias("a"), F.col("leader").alias("b")).distinct()
     first = stored(confirm(stars, docs, n, percent), "links")
     # buckets of two are settled by now
@@ -230,7 +232,7 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     """The rows written to the shared folder and read again: cuts the lineage and survives lost executors."""
     spark: SparkSession = df.sparkSession
     path = scratch(spark, name)
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
