@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from radarlake.llm.common import chunks, mix, partitions, scratch, word_hashes
-from radarlake.llm.packed import map_file, merge, pack, planes, put_file, range_bucket, search, unpack, unplanes
+from radarlake.llm.packed import map_file, merge, pack, planes, put_file, range_bucket, search, unpack, unplanes, values
 
 #: The hash of the end token; words hash to it no more often than to each other.
 END = np.uint64(0x5DEECE66D1234567)
@@ -91,8 +91,7 @@ def _reduce(finish):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         here, keys, counts = None, [], []
         for batch in batches:
-            get = lambda n: batch.column(batch.schema.get_field_index(n)).to_pylist()  # noqa: E731, B023
-            for b, k, c in zip(get("bucket"), get("keys"), get("counts"), strict=True):
+            for b, k, c in values(batch, "bucket", "keys", "counts"):
                 if b != here:
                     if here is not None:
                         yield finish(here, *merge(keys, counts))
@@ -204,14 +203,21 @@ def _write_pairs(path: str, ranges: list[int]):
         put_file(f"{path}/pair-counts-{bucket}", np.minimum(counts, 255).astype(np.uint8))
         large = np.flatnonzero(counts >= 255)
         put_file(f"{path}/pair-large-{bucket}", np.stack([large, counts[large]]).astype("<i8"))
-        context, word = (keys // np.uint64(size)).astype(np.int64), (keys % np.uint64(size)).astype(np.int64)
-        known = np.stack([counts, counts == 1, counts == 2, counts > 2, np.zeros_like(counts)], 1).astype(np.int64)
-        ids, sums = merge([context.astype(np.uint64), word.astype(np.uint64)], [known, np.repeat([[0, 0, 0, 0, 1]], len(word), 0)])
-        part = np.searchsorted(ranges[:-1], ids.astype(np.int64), "right") - 1
-        edge = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]])) if len(part) else np.zeros(0, np.int64)
-        ends = np.append(edge[1:], len(part))
-        rows = [(int(part[x]), pack(ids[x:y]), planes(sums[x:y].T.reshape(-1))) for x, y in zip(edge.tolist(), ends.tolist(), strict=True)]
-        rows.append((-1, pack(ids[:0]), planes(np.array([(counts == k).sum() for k in range(1, 5)]))))
+        rows = []
+
+        def tell(ids: np.ndarray, sums: list[np.ndarray]) -> None:
+            part = np.searchsorted(ranges[:-1], ids, "right") - 1
+            edge = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]])) if len(part) else np.zeros(0, np.int64)
+            for x, y in zip(edge.tolist(), np.append(edge[1:], len(part)).tolist(), strict=True):
+                rows.append((int(part[x]), pack(ids[x:y]), planes(np.concatenate([s[x:y] for s in sums]))))
+
+        # pairs stand by context
+        context = (keys // np.uint64(size)).astype(np.int64)
+        first = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(keys) else np.zeros(0, np.int64)
+        seen = [counts, counts == 1, counts == 2, counts > 2]
+        tell(context[first], [np.add.reduceat(x, first, dtype=np.int64) for x in seen] if len(keys) else [counts] * 4)
+        tell(*(lambda ids, n: (ids, [n]))(*np.unique((keys % np.uint64(size)).astype(np.int64), return_counts=True)))
+        rows.append((-1, pack(keys[:0]), planes(np.array([(counts == k).sum() for k in range(1, 5)]))))
         return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int32(), pa.binary(), pa.binary()), strict=True)], names=["bucket", "keys", "counts"])
 
     return finish
@@ -227,14 +233,17 @@ def _write_contexts(path: str, ranges: list[int]):
             return pa.RecordBatch.from_arrays([pa.array([int((n == k).sum()) for k in range(1, 5)], pa.int64()), pa.array([int(n.sum()), int((n > 2).sum()), 0, 0], pa.int64()), pa.array([0, 1, 2, 3], pa.int32())], names=["seen", "more", "k"])
 
         for batch in batches:
-            get = lambda n: batch.column(batch.schema.get_field_index(n)).to_pylist()  # noqa: E731, B023
-            for b, k, c in zip(get("bucket"), get("keys"), get("counts"), strict=True):
+            for b, k, c in values(batch, "bucket", "keys", "counts"):
                 if b != here:
                     if here is not None:
                         yield close()
                     # the start of a text has a place after the last word
                     here, sums = b, np.zeros((ranges[b + 1] - ranges[b] + (b == len(ranges) - 2), 5), np.int64)
-                sums[unpack(k).astype(np.int64) - ranges[b]] += unplanes(c).reshape(5, -1).T
+                at, told = unpack(k).astype(np.int64) - ranges[b], unplanes(c)
+                if len(told) == len(at):  # followers
+                    sums[at, 4] += told
+                else:
+                    sums[at, :4] += told.reshape(4, -1).T
         if here is not None:
             yield close()
 

@@ -35,6 +35,16 @@ def unplanes(raw: bytes) -> np.ndarray:
     return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(8, -1).T).view("<i8").reshape(-1).astype(np.int64)
 
 
+def values(batch, *names: str):
+    """Rows of the named columns of a record batch; binary values are views of the batch's memory."""
+    import pyarrow as pa
+
+    columns = [batch.column(batch.schema.get_field_index(n)) for n in names]
+    binary = [pa.types.is_binary(c.type) for c in columns]
+    for i in range(batch.num_rows):
+        yield tuple(memoryview(c[i].as_buffer()) if b else c[i].as_py() for c, b in zip(columns, binary, strict=True))
+
+
 def merge(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     """Sorted distinct keys and their summed counts (rows of counts for two axes)."""
     if not keys:
