@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 
 from radarlake.llm.common import HashIndex, chunks, mix, partitions, prefix_hashes, span_hashes
 from radarlake.llm.common import _powers as powers
-from radarlake.llm.packed import pack, planes, unpack, unplanes
+from radarlake.llm.packed import pack, planes, unpack, unplanes, values
 
 LENGTH = 50
 ANCHOR = 18
@@ -242,8 +242,7 @@ def _meet_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         return _by_doc(k[tell], d[tell]) if tell.any() else None
 
     for batch in batches:
-        get = lambda n: batch.column(batch.schema.get_field_index(n)).to_pylist()  # noqa: E731, B023
-        for b, kind, k, d in zip(get("bucket"), get("kind"), get("keys"), get("docs"), strict=True):
+        for b, kind, k, d in values(batch, "bucket", "kind", "keys", "docs"):
             if b != here:
                 if (made := meet()) is not None:
                     yield made
@@ -386,8 +385,7 @@ def _meet_segments(length: int):
             return _marks(*found) if len(found[0]) else None
 
         for batch in batches:
-            get = lambda n: batch.column(batch.schema.get_field_index(n)).to_pylist()  # noqa: E731, B023
-            for b, kind, *x in zip(*map(get, ("bucket", "kind", "text", "sizes", "places", "docs")), strict=True):
+            for b, kind, *x in values(batch, "bucket", "kind", "text", "sizes", "places", "docs"):
                 if b != here:
                     if (made := meet()) is not None:
                         yield made
