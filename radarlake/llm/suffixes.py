@@ -42,6 +42,8 @@ ANCHOR = 18
 SAMPLE, COMMON_LEAST, COMMON_SHARE = 64, 16, 1e-4
 #: Anchors, or bytes of segments, that a task gathers before it sends them.
 HELD = 1 << 20
+#: Strings that one suffix sort holds, about; buckets for each partition.
+SORTED, BUCKETS = 1 << 17, 8
 
 
 class Segments:
@@ -357,7 +359,14 @@ def meet_segments(text: np.ndarray, sizes: np.ndarray, places: np.ndarray, docs:
     same[1:] = anchor[1:] == anchor[:-1]
     same[:-1] |= same[1:]
     one, anchor = one[same], anchor[same]
-    if len(one):
+    # whole anchors in turn, so that a sort holds about SORTED strings, or one anchor's
+    n = sizes[one] - length + 1
+    first = np.flatnonzero(np.concatenate([[True], anchor[1:] != anchor[:-1]])) if len(one) else np.zeros(0, np.int64)
+    turn = (np.concatenate([[0], np.cumsum(n)])[first] // SORTED) if len(one) else first
+    cuts = [*first[np.flatnonzero(np.concatenate([[True], turn[1:] != turn[:-1]]))].tolist(), len(one)] if len(one) else [0]
+    everything, anchors = one, anchor
+    for x, y in zip(cuts[:-1], cuts[1:], strict=True):
+        one, anchor = everything[x:y], anchors[x:y]
         n = sizes[one] - length + 1
         owner = np.repeat(np.arange(len(one)), n)
         bit = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
@@ -486,10 +495,11 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, with_text: bool = Fals
     if not ANCHOR < length <= ANCHOR + 62:
         raise ValueError(f"the length must be over {ANCHOR} and at most {ANCHOR + 62}")
     spark = docs.sparkSession
-    buckets = partitions(spark)
+    parts = partitions(spark)
+    buckets = BUCKETS * parts
     texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     shared = spark.sparkContext.broadcast(_common(texts, length))
-    deal = lambda df: df.repartition(buckets, "bucket").sortWithinPartitions("bucket")
+    deal = lambda df: df.repartition(parts, "bucket").sortWithinPartitions("bucket")
 
     prints = texts.select("doc_id", F.sha2("text", 256).alias("print"))
     first = prints.groupBy("print").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).filter("n > 1").drop("n")
