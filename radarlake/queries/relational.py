@@ -216,22 +216,23 @@ def op_agg_salted(spark, sf):
     return one.groupBy("k").agg(F.sum("n").alias("n"), _R(F.sum("q"), 2).alias("q"))
 
 
-_ORDERS = Window.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
+def _orders():
+    return Window.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
 
 
 @query("SELECT o_orderkey, CAST(row_number() OVER w AS INT) AS rn, CAST(rank() OVER w AS INT) AS rk, round(percent_rank() OVER w, 6) AS pr, CAST(ntile(4) OVER w AS INT) AS nt FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey)")
 def op_win_rank(spark, sf):
-    return _t(spark, sf, "orders").select("o_orderkey", F.row_number().over(_ORDERS).alias("rn"), F.rank().over(_ORDERS).alias("rk"), _R(F.percent_rank().over(_ORDERS), 6).alias("pr"), F.ntile(4).over(_ORDERS).alias("nt"))
+    return _t(spark, sf, "orders").select("o_orderkey", F.row_number().over(_orders()).alias("rn"), F.rank().over(_orders()).alias("rk"), _R(F.percent_rank().over(_orders()), 6).alias("pr"), F.ntile(4).over(_orders()).alias("nt"))
 
 
 @query("SELECT o_orderkey, lag(o_orderkey) OVER w AS before, lead(o_orderkey) OVER w AS after FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey)")
 def op_win_analytic(spark, sf):
-    return _t(spark, sf, "orders").select("o_orderkey", F.lag("o_orderkey").over(_ORDERS).alias("before"), F.lead("o_orderkey").over(_ORDERS).alias("after"))
+    return _t(spark, sf, "orders").select("o_orderkey", F.lag("o_orderkey").over(_orders()).alias("before"), F.lead("o_orderkey").over(_orders()).alias("after"))
 
 
 @query("SELECT o_orderkey, round(avg(o_totalprice) OVER (w ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING), 4) AS moving FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey)")
 def op_win_rows(spark, sf):
-    return _t(spark, sf, "orders").select("o_orderkey", _R(F.avg("o_totalprice").over(_ORDERS.rowsBetween(-1, 1))).alias("moving"))
+    return _t(spark, sf, "orders").select("o_orderkey", _R(F.avg("o_totalprice").over(_orders().rowsBetween(-1, 1))).alias("moving"))
 
 
 @query("SELECT user_id, count(*) AS sessions FROM (SELECT user_id, ts, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS p FROM events) WHERE p IS NULL OR ts > p + INTERVAL 30 MINUTE GROUP BY 1")
