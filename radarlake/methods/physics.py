@@ -50,3 +50,34 @@ def lee(cells: DataFrame, half: int, looks: float) -> DataFrame:
     n = _neighbours(cells, half)
     w = F.greatest(F.lit(0.0), 1 - F.col("mean") * F.col("mean") / looks / F.col("var"))
     return n.withColumn("filtered", F.when(F.col("var") == 0, F.col("mean")).otherwise(F.col("mean") + w * (F.col("i") - F.col("mean"))))
+
+
+def subapertures(cells: DataFrame, scenes: DataFrame, parts: int = 3, axis: int = 0) -> DataFrame:
+    """Images (scene_id, part, r, c, re, im) of neighbouring parts of an axis' centred spectrum; they add up to the image, and so do their energies."""
+    import numpy as np
+    import pyarrow as pa
+
+    def run(t: pa.Table) -> pa.Table:
+        n, m = t["n_rows"][0].as_py(), t["n_cols"][0].as_py()
+        x = np.zeros((n, m), complex)
+        x[t["r"].to_numpy(), t["c"].to_numpy()] = t["re"].to_numpy() + 1j * t["im"].to_numpy()
+        spectrum = np.fft.fftshift(np.fft.fft(x, axis=axis), axes=axis)
+        out = []
+        for k, bins in enumerate(np.array_split(np.arange(x.shape[axis]), parts)):
+            kept = np.zeros_like(spectrum)
+            at = (bins, slice(None)) if axis == 0 else (slice(None), bins)
+            kept[at] = spectrum[at]
+            y = np.fft.ifft(np.fft.ifftshift(kept, axes=axis), axis=axis)
+            i, j = np.divmod(np.arange(y.size), m)
+            out.append(pa.table({"scene_id": pa.array([t["scene_id"][0].as_py()] * y.size, t["scene_id"].type), "part": np.full(y.size, k, np.int32), "r": i.astype(np.int32), "c": j.astype(np.int32), "re": y.real.reshape(-1), "im": y.imag.reshape(-1)}))
+        return pa.concat_tables(out)
+
+    kind = dict(cells.dtypes)["scene_id"]
+    joined = cells.join(F.broadcast(scenes.select("scene_id", "n_rows", "n_cols")), "scene_id")
+    return joined.groupBy("scene_id").applyInArrow(run, f"scene_id {kind}, part int, r int, c int, re double, im double")
+
+
+def diversity(parts: DataFrame) -> DataFrame:
+    """Variation of the amplitude over the sub-apertures of each cell, averaged by scene."""
+    a = parts.withColumn("a", F.sqrt(intensity())).groupBy("scene_id", "r", "c").agg(F.try_divide(F.stddev_pop("a"), F.avg("a")).alias("cv"))
+    return a.groupBy("scene_id").agg(F.avg("cv").alias("cv"))

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from radarlake.methods import evaluate, physics
 from radarlake.registry import query
-from radarlake.standins import scene_cells, table, vec_patches, with_views
+from radarlake.standins import scene_cells, scenes, table, vec_patches, with_views
 
 _R = lambda c, n=6: (F.round(c, n) + 0.0)
 _I = ", i AS (SELECT *, re * re + im * im AS i FROM cells)"
@@ -80,3 +80,20 @@ def e_rouge(spark, sf):
     nxt = c.filter("role = 'assistant'").select("conv_id", (F.col("turn") - 1).alias("turn"), F.col("text").alias("candidate"))
     pairs = c.filter("role = 'user'").select("conv_id", "turn", F.col("text").alias("reference")).join(nxt, ["conv_id", "turn"])
     return evaluate.rouge_l(pairs).select("conv_id", "turn", "rouge_l")
+
+
+@query(with_views("cells", " SELECT scene_id, r, c, round(re, 4) + 0.0 AS re, round(im, 4) + 0.0 AS im FROM cells"))
+def m10_subap_sum(spark, sf):
+    """The sub-apertures of a scene, added up: the scene."""
+    p = physics.subapertures(scene_cells(spark, sf), scenes(spark)).groupBy("scene_id", "r", "c").agg(F.sum("re").alias("re"), F.sum("im").alias("im"))
+    return p.filter(F.hypot("re", "im") > 1e-6).select("scene_id", "r", "c", _R("re", 4).alias("re"), _R("im", 4).alias("im"))
+
+
+@query()
+def m10_subap(spark, sf):
+    return physics.subapertures(scene_cells(spark, sf), scenes(spark))
+
+
+@query()
+def m10_diversity(spark, sf):
+    return physics.diversity(physics.subapertures(scene_cells(spark, sf), scenes(spark)))
