@@ -119,7 +119,7 @@ _SIZES = ", s AS (SELECT scene_id, CAST(1000 + scene_id % 3000 AS INT) AS rows,
 
 
 def _sized(spark, sf):
-    return acquisitions(spark, sf).filter("scene_id % 10 = 0").select("scene_id", (F.lit(1000) + F.col("scene_id") % 3000).cast("int").alias("m_rows"), (F.lit(1000) + F.col("scene_id") * 7 % 2500).cast("int").alias("m_cols"))
+    return acquisitions(spark, sf).select("scene_id", (F.lit(1000) + F.col("scene_id") % 3000).cast("int").alias("m_rows"), (F.lit(1000) + F.col("scene_id") * 7 % 2500).cast("int").alias("m_cols"))
 
 
 def _index(name: str, edge: str, axis: str):

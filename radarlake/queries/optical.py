@@ -30,7 +30,7 @@ def m5_tile(spark, sf):
 
 
 def _covers(spark, sf):
-    at = acquisitions(spark, sf).filter("scene_id % 20 = 0")
+    at = acquisitions(spark, sf)
     box = at.select("scene_id", (F.col("lat0") + 0.01).alias("south"), (F.col("lat0") + 0.06).alias("north"), (F.col("lon0") - 0.02).alias("west"), (F.col("lon0") + 0.03).alias("east"))
     wrapped = box.withColumn("west", F.when(F.col("west") < -180, F.col("west") + 360).otherwise(F.col("west")))
     return pairing.tile_cover(wrapped, 12)
@@ -144,11 +144,11 @@ def a6_residual(spark, sf):
 
 
 def _mapped(spark, sf):
-    """40 tiles with a map that turns, shrinks and shifts by the tile's number."""
+    """All tiles with a map that turns, shrinks and shifts by the tile's number."""
     t = F.col("tile_id")
     values = ((0.8 + t % 5 * 0.05), (t % 3 * 0.1), (t % 4 * 0.3), -(t % 3 * 0.1), (0.9 - t % 2 * 0.1), (t % 7 * 0.2))
-    some = optical_tiles(spark, sf).select("tile_id").distinct().filter("tile_id < 40").withColumn("key", F.col("tile_id"))
-    return align.map_pixels(some.withColumn("map", F.struct(*(v.cast("double").alias(k) for k, v in zip(_MAPS, values, strict=True)))), 8)
+    every = optical_tiles(spark, sf).select("tile_id").distinct().withColumn("key", F.col("tile_id"))
+    return align.map_pixels(every.withColumn("map", F.struct(*(v.cast("double").alias(k) for k, v in zip(_MAPS, values, strict=True)))), 8)
 
 
 _MAPPED = ", m AS (SELECT t AS tile_id, CAST(x AS INT) AS x, CAST(y AS INT) AS y, (0.8e0 + t % 5 * 0.05e0) * x + (t % 3 * 0.1e0) * y + t % 4 * 0.3e0 AS pu, -(t % 3 * 0.1e0) * x + (0.9e0 - t % 2 * 0.1e0) * y + t % 7 * 0.2e0 AS pv FROM range(40) tt(t), range(8) tx(x), range(8) ty(y)), i AS (SELECT *, pu BETWEEN 0 AND 7 AND pv BETWEEN 0 AND 7 AS inside FROM m)"
