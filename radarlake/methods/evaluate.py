@@ -4,22 +4,59 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
-def dot(a: Column, b: Column) -> Column:
-    return F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, v: s + v)
+#: Vectors of a block of queries and of the corpus, and queries that are scored at once.
+QUERY_BLOCK, CORPUS_BLOCK, AT_ONCE = 1024, 32_768, 64
 
 
-def retrieval(queries: DataFrame, corpus: DataFrame, k: int) -> DataFrame:
+def _best(k: int, own: bool):
+    """The k best of a corpus block for each query of a query block."""
+
+    def run(q: pa.Table, c: pa.Table) -> pa.Table:
+        flat = lambda t, n: np.concatenate([x.flatten().to_numpy(zero_copy_only=False) for x in t[n].chunks]).astype(np.float64).reshape(t.num_rows, -1)
+        rows, cols, scores = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)]
+        if q.num_rows and c.num_rows:
+            a, b = flat(q, "asked"), flat(c, "held")
+            asked, ids = q["query"].to_numpy(), c["hit"].to_numpy()
+            for low in range(0, len(a), AT_ONCE):
+                s = a[low : low + AT_ONCE] @ b.T
+                if not own:
+                    s[asked[low : low + AT_ONCE, None] == ids[None, :]] = -np.inf
+                r = np.round(s, 9)
+                least = np.partition(r, max(len(b) - k, 0), axis=1)[:, max(len(b) - k, 0)]
+                for i in range(len(r)):
+                    at = np.flatnonzero((r[i] >= least[i]) & (r[i] > -np.inf))
+                    at = at[np.lexsort((ids[at], -r[i, at]))[:k]]
+                    rows.append(np.full(len(at), low + i))
+                    cols.append(at)
+                    scores.append(s[i, at])
+        x, y = np.concatenate(rows), np.concatenate(cols)
+        found = [*(q[n].take(x) for n in ("query", "query_label")), *(c[n].take(y) for n in ("hit", "hit_label")), pa.array(np.concatenate(scores))]
+        return pa.table(found, names=["query", "query_label", "hit", "hit_label", "score"])
+
+    return run
+
+
+def retrieval(queries: DataFrame, corpus: DataFrame, k: int, own: bool = True) -> DataFrame:
     """The k best vectors of the corpus for each query by inner product; scores equal to nine digits tie by id.
 
-    The stated query set goes to all tasks; a task keeps its best k of each query before the exchange.
+    Each block of queries meets each block of the corpus in a task of its own, which keeps its best k of
+    each query before the exchange. A query's own row is a hit like any other, or none if `own` is false.
     """
-    q = queries.select(F.col("vec_id").alias("query"), F.col("label").alias("query_label"), F.col("embedding").alias("_q"))
-    s = corpus.crossJoin(F.broadcast(q)).select("query", "query_label", F.col("vec_id").alias("hit"), F.col("label").alias("hit_label"), dot(F.col("_q"), F.col("embedding")).alias("score"))
+    blocks = lambda df, size: -(-df.count() // size) or 1
+    nq, nc = blocks(queries, QUERY_BLOCK), blocks(corpus, CORPUS_BLOCK)
+    dealt = lambda n: F.pmod(F.xxhash64("vec_id"), F.lit(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    q = queries.select(F.col("vec_id").alias("query"), F.col("label").alias("query_label"), F.col("embedding").alias("asked"), dealt(nq).alias("_q"), every(nc).alias("_c"))
+    c = corpus.select(F.col("vec_id").alias("hit"), F.col("label").alias("hit_label"), F.col("embedding").alias("held"), dealt(nc).alias("_c"), every(nq).alias("_q"))
+    kind = dict(corpus.dtypes)
+    schema = ", ".join(f"{n} {kind[t]}" for n, t in (("query", "vec_id"), ("query_label", "label"), ("hit", "vec_id"), ("hit_label", "label"))) + ", score double"
+    s = q.groupBy("_q", "_c").cogroup(c.groupBy("_q", "_c")).applyInArrow(_best(k, own), schema)
     order = Window.partitionBy("query").orderBy(F.desc(F.round("score", 9)), "hit")
     return s.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k)
 

@@ -52,3 +52,30 @@ def test_cover_holds_all_scenes(spark, sf):
     assert {r[0] for r in cover.select("scene_id").distinct().collect()} == {r[0] for r in orders.select("o_orderkey").collect()}
     requests = registry.queries()["m5_requests"](spark, sf)
     assert requests.agg({"patches": "sum"}).first()[0] == cover.count()
+
+
+_CORPUS = (" WHERE vec_id % 10 <> 0", "")
+
+
+def test_retrieval_searches_all_rows(spark, sf):
+    _against_twin(spark, sf, "e_retrieval", _CORPUS)
+
+
+def test_recall_leaves_out_only_the_own_row(spark, sf):
+    _against_twin(spark, sf, "e_recall", _CORPUS, ("FROM q, c)", "FROM q, c WHERE q.vec_id <> c.vec_id)"))
+
+
+def test_retrieval_in_blocks(spark, sf, monkeypatch):
+    """More blocks, the same hits; one vector held by many ids goes to the smallest ids."""
+    from radarlake.methods import evaluate
+
+    def hits():
+        rows = [(i, i % 3, [1.0, 0.0] if i % 4 else [0.0, float(i)]) for i in range(60)]
+        e = spark.createDataFrame(rows, "vec_id long, label int, embedding array<float>")
+        return sorted(tuple(r) for r in evaluate.retrieval(e.filter("vec_id % 10 = 1"), e, 5).select("query", "hit", "rank").collect())
+
+    one = hits()
+    monkeypatch.setattr(evaluate, "QUERY_BLOCK", 2)
+    monkeypatch.setattr(evaluate, "CORPUS_BLOCK", 7)
+    assert hits() == one
+    assert [h for q, h, _ in one if q == 1] == [1, 2, 3, 5, 6]
