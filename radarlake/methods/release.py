@@ -84,6 +84,17 @@ def shards(df: DataFrame, max_bytes: int, per_chunk: int = 16, size: str = "byte
     return placed.withColumn("chunk", chunk).withColumn("path", path).drop("_in", "_off", "_part")
 
 
+def shuffled(df: DataFrame, seed: int, key_: str = "key") -> DataFrame:
+    """The place, from 1, of each sample in its split in the order of a seeded hash: ranks in ranges of the hash, moved by the ranges before."""
+    ranged = df.withColumn("_h", F.md5(F.concat(F.lit(str(seed)), key_))).withColumn("_part", F.concat("split", F.substring("_h", 1, 3)))
+    local = ranged.withColumn("_in", F.row_number().over(Window.partitionBy("_part").orderBy("_h", key_)))
+    totals = ranged.groupBy("split", "_part").agg(F.count("*").alias("_t"))
+    # at most 4096 rows a split
+    before = Window.partitionBy("split").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = totals.select("_part", F.coalesce(F.sum("_t").over(before), F.lit(0)).alias("_off"))
+    return local.join(F.broadcast(offsets), "_part").withColumn("place", F.col("_in") + F.col("_off")).drop("_h", "_part", "_in", "_off")
+
+
 def license_filter(df: DataFrame, component: str = "component") -> DataFrame:
     """Rows of components that may be passed on, with their credit."""
     policy = df.sparkSession.createDataFrame(LICENCES, "component string, redistributable boolean, attribution string").filter("redistributable")

@@ -79,6 +79,7 @@ def op_url(spark, sf):
 
 @query("SELECT doc_id, w AS word, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, ' ')) AS w FROM documents WHERE doc_id < 100) GROUP BY ALL HAVING count(*) > 3")
 def op_map(spark, sf):
-    d = table(spark, sf, "documents").filter("doc_id < 100").select("doc_id", F.explode(F.split("text", " ")).alias("word")).groupBy("doc_id", "word").agg(F.count("*").alias("n"))
+    # texts move once; both aggregates then stay in the document's partition
+    d = table(spark, sf, "documents").select("doc_id", "text").repartition("doc_id").select("doc_id", F.explode(F.split("text", " ")).alias("word")).groupBy("doc_id", "word").agg(F.count("*").alias("n"))
     m = d.groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("word", "n"))).alias("m"))
     return m.select("doc_id", F.explode(F.map_filter("m", lambda k, v: v > 3)).alias("word", "n"))

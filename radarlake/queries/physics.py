@@ -14,7 +14,7 @@ _I = ", i AS (SELECT *, re * re + im * im AS i FROM cells)"
 
 @query(with_views("patches", "SELECT patch_id, r, c, round(sqrt(re * re + im * im), 6) AS amplitude, round(re * re + im * im, 8) AS intensity, round(10 * log10(re * re + im * im), 5) AS db, round(atan2(im, re), 6) + 0.0 AS phase FROM patches WHERE patch_id < 100"))
 def m10_repr(spark, sf):
-    p = vec_patches(spark, sf).filter("patch_id < 100")
+    p = vec_patches(spark, sf)
     kinds = {"amplitude": 6, "intensity": 8, "db": 5, "phase": 6}
     return p.select("patch_id", "r", "c", *(_R(physics.represent(k), n).alias(k) for k, n in kinds.items()))
 

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from radarlake.methods import release
@@ -77,8 +76,7 @@ def m8_meta_json(spark, sf):
 
 @query(f"WITH {_DOCS}, r AS (SELECT key, row_number() OVER (PARTITION BY split ORDER BY md5('7' || key)) AS place, split FROM d) SELECT key, split, CAST(place AS INT) AS place FROM r WHERE place <= 50")
 def m8_shuffle(spark, sf):
-    order = Window.partitionBy("split").orderBy(F.md5(F.concat(F.lit("7"), "key")))
-    return _doc_samples(spark, sf).withColumn("place", F.row_number().over(order)).filter("place <= 50").select("key", "split", "place")
+    return release.shuffled(_doc_samples(spark, sf).select("key", "split"), 7).select("key", "split", "place")
 
 
 _MEMBERS = "m AS (SELECT doc_id, component, CASE component WHEN 'radar' THEN n_chars * 8 WHEN 'metadata' THEN 512 WHEN 'captions' THEN n_chars ELSE n_chars * 3 END AS bytes FROM documents, (VALUES ('radar'), ('metadata'), ('captions'), ('optical')) t(component))"

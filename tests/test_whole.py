@@ -79,3 +79,8 @@ def test_retrieval_in_blocks(spark, sf, monkeypatch):
     monkeypatch.setattr(evaluate, "CORPUS_BLOCK", 7)
     assert hits() == one
     assert [h for q, h, _ in one if q == 1] == [1, 2, 3, 5, 6]
+
+
+@pytest.mark.parametrize(("name", "cut"), [("m10_repr", " WHERE patch_id < 100"), ("op_map", " WHERE doc_id < 100"), ("m8_shuffle", " WHERE place <= 50")])
+def test_no_first_ids_only(spark, sf, name, cut):
+    _against_twin(spark, sf, name, (cut, ""))
