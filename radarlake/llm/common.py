@@ -7,6 +7,8 @@ session names in ``spark.checkpoint.dir`` and go when the driver ends.
 from __future__ import annotations
 
 import atexit
+import hashlib
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -14,7 +16,8 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Text bytes that one numpy step works on; a longer document is a chunk of its own.
 CHUNK_BYTES = 1 << 21
@@ -26,6 +29,8 @@ def scratch(spark: SparkSession, name: str) -> str:
     """A new path in the shared folder, deleted when the driver's process ends."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = f"file://{tempfile.mkdtemp(prefix='radarlake-')}"
         spark.conf.set("spark.checkpoint.dir", base)
     path = f"{base.rstrip('/')}/radarlake/{name}-{uuid.uuid4().hex}"
@@ -33,6 +38,21 @@ def scratch(spark: SparkSession, name: str) -> str:
     return path
 
 
+def stored(df: DataFrame, name: str) -> DataFrame:
+    """The rows written to the shared folder and read again: cuts the lineage and survives lost executors."""
+    path = scratch(df.sparkSession, name)
+    df.write.option("compression", "zstd").parquet(path)
+    read = df.sparkSession.read.schema(df.schema).parquet(path)
+    read.stored_at = path
+    return read
+
+
+def release(*done: DataFrame) -> None:
+    """Deletes tables of `stored` that nothing will read again."""
+    for df in done:
+        _delete(df.sparkSession, df.stored_at)
+
+
 def _delete(spark: SparkSession, path: str) -> None:
     jvm = spark.sparkContext._jvm
     if jvm is None or spark.sparkContext._jsc is None:
@@ -48,6 +68,22 @@ def documents(spark: SparkSession, sf_dir: str, name: str = "documents") -> Data
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def unused(df: DataFrame, *names: str) -> list[str]:
+    """The names, each with underscores before it until no column of `df` has it (in any case)."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name = f"_{name}"
+        out.append(name)
+    return out
+
+
+def named(df: DataFrame) -> list[Column]:
+    """All columns of `df` by their names, signs in them included."""
+    return [F.col(f"`{c.replace('`', '``')}`") for c in df.columns]
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
@@ -99,7 +135,7 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 def prefix_hashes(data: np.ndarray) -> np.ndarray:
-    """Prefix polynomial hashes modulo 2**64 of a byte string; entry i covers the first i bytes."""
+    """Prefix polynomial hashes modulo 2**64 of a byte string; entry i covers the first i bytes. Equal ones need a look at the bytes."""
     power, _ = _powers(len(data))
     out = np.zeros(len(data) + 1, np.uint64)
     terms = data.astype(np.uint64)
@@ -137,11 +173,58 @@ def words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return start, end, row, low
 
 
+#: Two primes under 2**31 and a base for each; words of over LONG_WORD bytes go by a digest.
+_PRIMES, _BASES = (2147483647, 2147483629), (1015568748, 461845907)
+LONG_WORD = 1 << 16
+
+
+def _residues(k: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of a base and of its inverse modulo a prime, for the positions of a block."""
+    if f"residues {k}" not in _tables:
+        p, n = _PRIMES[k], CHUNK_BYTES + LONG_WORD + 1
+        for name, base in ((f"residues {k}", _BASES[k]), (f"inverse residues {k}", pow(_BASES[k], -1, p))):
+            out, done = np.ones(n, np.uint64), 1
+            while done < n:
+                step = min(done, n - done)
+                out[done : done + step] = out[:step] * np.uint64(pow(base, done, p)) % np.uint64(p)
+                done += step
+            _tables[name] = out
+    return _tables[f"residues {k}"], _tables[f"inverse residues {k}"]
+
+
+def string_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """64-bit hashes of the byte strings [start, end), starts rising, the same wherever a string stands.
+
+    Prefix polynomials modulo two primes, block by block of CHUNK_BYTES; a string of over
+    LONG_WORD bytes is hashed by a digest. The modulus isn't a power of two, for which
+    short strings of equal hashes are known to any base.
+    """
+    out = np.zeros(len(start), np.uint64)
+    size = end - start
+    small = np.flatnonzero(size <= LONG_WORD)
+    block = start[small] // CHUNK_BYTES
+    edges = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]])) if len(small) else small
+    for a, b in zip(edges, np.append(edges[1:], len(small)), strict=True):
+        mine = small[a:b]
+        first, last = int(start[mine[0]]), int(end[mine].max())
+        terms = data[first:last].astype(np.uint64) + np.uint64(1)
+        parts = []
+        for k, p in enumerate(np.array(_PRIMES, np.uint64)):
+            power, inverse = _residues(k)
+            prefix = np.zeros(last - first + 1, np.uint64)
+            # below 2**9 * 2**31 * 2**22, so nothing is lost
+            np.cumsum(terms * power[: last - first], out=prefix[1:])
+            parts.append((prefix[end[mine] - first] - prefix[start[mine] - first]) % p * inverse[start[mine] - first] % p)
+        out[mine] = mix((parts[0] << np.uint64(32)) + parts[1] + mix(size[mine].astype(np.uint64)))
+    for i in np.flatnonzero(size > LONG_WORD).tolist():
+        out[i] = int.from_bytes(hashlib.blake2b(data[start[i] : end[i]].tobytes(), digest_size=8).digest(), "little")
+    return out
+
+
 def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """64-bit hashes of the lower-cased words of a chunk and the number of words before each row (one more than rows)."""
     start, end, row, low = words(data, offsets)
-    hashed = span_hashes(prefix_hashes(low), start, end) if len(start) else np.zeros(0, np.uint64)
-    return hashed, np.searchsorted(row, np.arange(len(offsets)), "left")
+    return string_hashes(low, start, end), np.searchsorted(row, np.arange(len(offsets)), "left")
 
 
 def grams(hashed: np.ndarray, before: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:

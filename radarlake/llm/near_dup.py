@@ -1,20 +1,25 @@
 """Near duplicates by circulant MinHash, banding, exact Jaccard and connected components.
 
 Two permutations of 32-bit positions give all coordinates of a signature: the first
-places a shingle, the second is read at that place shifted by 1, 2, ..., K. Documents
-with equal shingle sets share one representative. Representatives that share a band
-are candidates; first each is held against the smallest id of its bucket, then against the
-most similar member of another component, then against all members of other components
-that a wide signature does not rule out (six standard deviations below the threshold).
-Every link is confirmed on the full shingle sets, and the components of the links are
-the groups.
+places a shingle, the second is read at that place shifted by 1, 2, ..., K. Equal shingle
+sets are one node. Nodes that share a band are candidates:
 
-Buckets never become all pairs: pairs within a component need no further check, buckets
-with the same members count once, and the rest of a bucket is compared in blocks.
+1. each is held against the first node of its bucket (stars), and components are taken;
+2. buckets that still hold several components drop, by their signatures, the members that
+   resemble no member of another component (six standard deviations below the threshold);
+3. what is left of a bucket meets in blocks with its full texts, members outside the
+   bucket's main component against all, and each block returns links between components
+   only, as many as a spanning forest has.
+
+Every link is confirmed on the full shingle sets, and the components of the links are the
+groups. No step returns more rows than it has members, apart from the blocks of a bucket
+that more than BLOCK members outside its main component share.
 
 Null and empty texts, and texts without words, have the empty set and stand alone; with
-fewer words than a shingle has, the whole text is one shingle; rows that repeat a doc_id
-count as one document each with the same id.
+fewer words than a shingle has, the whole text is one shingle. Rows that repeat a doc_id
+are documents of their own with that id, equal ones and different ones alike. A null
+doc_id takes part; as `component_id` it counts after all others, and a group of such rows
+alone has a null one.
 """
 
 from __future__ import annotations
@@ -23,16 +28,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from radarlake.llm.common import chunks, grams, mix, partitions, scratch, word_hashes
+from radarlake.llm.common import chunks, grams, mix, named, partitions, release, stored, unused, word_hashes
 
 BANDS, ROWS = 32, 5
-#: Coordinates of the signatures that decide which of the last pairs are read in full.
-WIDE = 640
 #: Members of a bucket in one block; a group compares two blocks.
-BLOCK = 4096
+BLOCK = 2048
+#: Members that one leader's text is read for at once.
+STAR = 1024
 
 
 def _mix32(x: np.ndarray) -> np.ndarray:
@@ -80,7 +85,7 @@ def _sign(n: int, bands: int, rows: int):
             for k, seed in enumerate((0x243F6A8885A308D3, 0x13198A2E03707344)):
                 if len(full):
                     prints[full, k] = np.add.reduceat(mix(sets ^ np.uint64(seed)), at[full])
-            signed = signatures(sets, at, bands * rows or rows)
+            signed = signatures(sets, at, bands * rows)
             band = np.zeros((len(size), bands), np.uint64)
             for j in range(bands):
                 h = np.full(len(size), np.uint64(j + 1), np.uint64)
@@ -90,157 +95,216 @@ def _sign(n: int, bands: int, rows: int):
             lists = pa.ListArray.from_arrays(pa.array(np.arange(len(size) + 1) * bands, pa.int32()), pa.array(band.reshape(-1).view(np.int64)))
             yield pa.RecordBatch.from_arrays(
                 [
-                    b.column(b.schema.get_field_index("doc_id")), pa.array(size), pa.array(prints[:, 0].view(np.int64)), pa.array(prints[:, 1].view(np.int64)), lists,
+                    *(b.column(b.schema.get_field_index(c)) for c in ("doc_id", "row_a", "row_b")),
+                    pa.array(size), pa.array(prints[:, 0].view(np.int64)), pa.array(prints[:, 1].view(np.int64)), lists,
                     pa.array([x.tobytes() for x in signed.astype(np.uint8)], pa.binary()),
                 ],
-                names=["doc_id", "n_shingles", "print_a", "print_b", "bands", "sketch"],
+                names=["doc_id", "row_a", "row_b", "n_shingles", "print_a", "print_b", "bands", "sketch"],
             )
 
     return run
 
 
+def row_key() -> list[Column]:
+    """Two hashes of a row's id and text, which tell rows apart that share an id."""
+    return [F.xxhash64("doc_id", "text").alias("row_a"), F.xxhash64("text", F.lit(1), "doc_id").alias("row_b")]
+
+
 def sign(docs: DataFrame, n: int, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """Per document: set size, a 128-bit print of the set, band hashes, and a byte of each coordinate."""
-    return docs.select("doc_id", "text").mapInArrow(_sign(n, bands, rows), "doc_id long, n_shingles long, print_a long, print_b long, bands array<long>, sketch binary")
+    """Per document: the row's key, set size, a 128-bit print of the set, band hashes, and a byte of each coordinate."""
+    given = docs.select("doc_id", *row_key(), "text")
+    return given.mapInArrow(_sign(n, bands, rows), "doc_id long, row_a long, row_b long, n_shingles long, print_a long, print_b long, bands array<long>, sketch binary")
+
+
+def _common(one: np.ndarray, other: np.ndarray) -> int:
+    return len(np.intersect1d(one, other, assume_unique=True))
+
 
+def _stars(n: int, percent: int):
+    """Links (a, b) of members to their leader; a leader's row comes before its members' rows."""
 
-def _confirm(n: int, percent: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for rows, left, lo in chunks(batches, "text_a", 1 << 19):
-            a, at = shingle_sets(left, lo, n)
-            keep = []
-            other = rows.column(rows.schema.get_field_index("text_b"))
-            known: dict[str, np.ndarray] = {}
-            for i in range(rows.num_rows):
-                text = other[i].as_py() or ""
-                if text not in known:
-                    if len(known) > 64:
-                        known.clear()
-                    raw = text.encode()
-                    known[text] = shingle_sets(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]), n)[0]
-                x, y = a[at[i] : at[i + 1]], known[text]
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(both > 0 and 100 * both >= percent * (len(x) + len(y) - both))
-            if any(keep):
-                yield pa.RecordBatch.from_arrays([rows.column(rows.schema.get_field_index(c)).filter(pa.array(keep)) for c in ("a", "b")], names=["a", "b"])
+        led, leader = None, None
+        for rows, data, offsets in chunks(batches, "text", 1 << 19):
+            sets, at = shingle_sets(data, offsets, n)
+            key, node = (rows.column(rows.schema.get_field_index(c)).to_pylist() for c in ("leader", "node"))
+            a, b = [], []
+            for i, (k, m) in enumerate(zip(key, node, strict=True)):
+                mine = sets[at[i] : at[i + 1]]
+                if k == m:
+                    led, leader = k, mine.copy()
+                elif k == led:
+                    both = _common(mine, leader)
+                    if both and 100 * both >= percent * (len(mine) + len(leader) - both):
+                        a.append(m)
+                        b.append(k)
+            if a:
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
     return run
 
 
-def confirm(pairs: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
-    """The pairs (a, b) of document ids whose full shingle sets reach the threshold."""
-    texts = docs.select("doc_id", "text")
-    one = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a"))
-    two = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
-    return pairs.join(one, "a").join(two, "b").select("a", "b", "text_a", "text_b").mapInArrow(_confirm(n, percent), "a long, b long")
+def _sketched(least: int):
+    """Members (bucket, node) of open buckets that at least one member of another component resembles.
 
+    Blocks (bucket, i, j) as in `_exact`; what a block's members resemble is told for both sides.
+    """
 
-def _rest(least: int, best: bool):
-    """Pairs of a bucket's blocks (bucket, i, j): own members of block i against members of block j in other components.
+    def meet(bucket: int, node: np.ndarray, component: np.ndarray, own: np.ndarray, sketch: np.ndarray) -> pa.RecordBatch | None:
+        mine, rest = np.flatnonzero(own), np.flatnonzero(~own)
+        near = np.zeros(len(node), bool)
+        for i in mine.tolist():
+            met = ((sketch[rest] == sketch[i]).sum(1) >= least) & (component[rest] != component[i])
+            near[i] = met.any()
+            near[rest[met]] = True
+        found = np.unique(node[near])
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(found), bucket)), pa.array(found)], names=["bucket", "node"]) if len(found) else None
 
-    With `best`, each own member's most similar one; else all that `least` admits, in
-    the smallest bucket that both share.
-    """
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for key, parts in _blocks(batches, ("node", "component", "own", "sketch")):
+            node, component, own, sketch = (np.concatenate(x) for x in zip(*parts, strict=True))
+            if (made := meet(key[0], node, component, own, sketch)) is not None:
+                yield made
 
+    return run
+
+
+def _blocks(batches: Iterator[pa.RecordBatch], names: tuple[str, ...]):
+    """Rows of each (bucket, i, j) in turn: per batch the named columns as arrays, a sketch as a matrix."""
+    here, parts = None, []
+    for batch in batches:
+        get = lambda c: batch.column(batch.schema.get_field_index(c))  # noqa: E731, B023
+        keys = np.stack([get(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in ("bucket", "i", "j")], 1)
+        edge = np.flatnonzero(np.concatenate([[True], (keys[1:] != keys[:-1]).any(1)])) if len(keys) else np.zeros(0, np.int64)
+        for a, b in zip(edge.tolist(), [*edge[1:].tolist(), len(keys)], strict=False):
+            key = tuple(keys[a].tolist())
+            if key != here:
+                if parts:
+                    yield here, parts
+                here, parts = key, []
+            part = []
+            for c in names:
+                column = get(c).slice(a, b - a)
+                if pa.types.is_binary(column.type):
+                    part.append(np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(b - a, -1))
+                else:
+                    part.append(column.to_numpy(zero_copy_only=False))
+            parts.append(part)
+    if parts:
+        yield here, parts
+
+
+def spanning(sets: list[np.ndarray], node: np.ndarray, component: np.ndarray, own: np.ndarray, percent: int) -> tuple[list[int], list[int]]:
+    """Links between components that reach the threshold, of own members against the others; those that join nothing new are left out."""
+    rest = np.flatnonzero(~own)
+    size = np.array([len(sets[i]) for i in rest.tolist()], np.int64)
+    all_ = np.concatenate([np.zeros(0, np.uint64), *(sets[i] for i in rest.tolist())])
+    order = np.argsort(all_, kind="stable")
+    all_, holder = all_[order], np.repeat(np.arange(len(rest)), size)[order]
+    root = {c: c for c in component.tolist()}
+
+    def find(c: int) -> int:
+        while root[c] != c:
+            root[c] = c = root[root[c]]
+        return c
+
+    a, b = [], []
+    for i in np.flatnonzero(own).tolist():
+        lo, hi = np.searchsorted(all_, sets[i], "left"), np.searchsorted(all_, sets[i], "right")
+        k = hi - lo
+        met = holder[np.repeat(lo - (np.cumsum(k) - k), k) + np.arange(k.sum())]
+        both = np.bincount(met, minlength=len(rest))
+        for j in np.flatnonzero((both > 0) & (100 * both >= percent * (len(sets[i]) + size - both)) & (component[rest] != component[i])).tolist():
+            x, y = find(int(component[i])), find(int(component[rest[j]]))
+            if x != y:
+                root[max(x, y)] = min(x, y)
+                a.append(int(node[i]))
+                b.append(int(node[rest[j]]))
+    return a, b
+
+
+def _exact(n: int, percent: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        open_key, own, members = None, [], []
-
-        def pairs() -> pa.RecordBatch | None:
-            if not own or not members:
-                return None
-            doc, component = np.array([m[0] for m in members], np.int64), np.array([m[1] for m in members], np.int64)
-            sketch = np.frombuffer(b"".join(m[2] for m in members), np.uint8).reshape(len(members), -1)
-            bands = None if best else np.array([m[3] for m in members], np.int64)
-            a, b = [], []
-            for d, c, x, mine in own:
-                alike = (sketch == np.frombuffer(x, np.uint8)).sum(1)
-                alike[component == c] = 0
-                met = np.flatnonzero(alike >= least)
-                if best and len(met):
-                    met = met[[np.lexsort((doc[met], -alike[met]))[0]]]
-                elif len(met):
-                    # the smallest shared bucket stands for all with its members, too
-                    shared = np.where(bands[met] == np.array(mine), mine, np.iinfo(np.int64).max).min(1)
-                    met = met[shared == open_key[0]]
-                a.append(np.full(len(met), d))
-                b.append(doc[met])
-            a, b = np.concatenate(a), np.concatenate(b)
-            both = np.unique(np.stack([np.maximum(a, b), np.minimum(a, b)], 1), axis=0)
-            return pa.RecordBatch.from_arrays([pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy())], names=["a", "b"]) if len(both) else None
-
-        for batch in batches:
-            get = lambda c: batch.column(batch.schema.get_field_index(c)).to_pylist()  # noqa: E731, B023
-            for bucket, i, j, is_own, *x in zip(*map(get, ("bucket", "i", "j", "own", "doc_id", "component", "sketch", "bands")), strict=True):
-                if (bucket, i, j) != open_key:
-                    if (made := pairs()) is not None:
+        here, sets, fields = None, [], []
+
+        def meet() -> pa.RecordBatch | None:
+            a, b = spanning(sets, *(np.concatenate(x) for x in zip(*fields, strict=True)), percent) if fields else ([], [])
+            return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"]) if a else None
+
+        for rows, data, offsets in chunks(batches, "text", 1 << 19):
+            found, at = shingle_sets(data, offsets, n)
+            for key, parts in _blocks(iter([rows.append_column("nth", pa.array(np.arange(rows.num_rows)))]), ("node", "component", "own", "nth")):
+                if key != here:
+                    if (made := meet()) is not None:
                         yield made
-                    open_key, own, members = (bucket, i, j), [], []
-                (own if is_own else members).append(x)
-        if (made := pairs()) is not None:
+                    here, sets, fields = key, [], []
+                for *field, nth in parts:
+                    fields.append(field)
+                    sets += [found[at[i] : at[i + 1]].copy() for i in nth.tolist()]
+        if (made := meet()) is not None:
             yield made
 
     return run
 
 
-def _open_pairs(places: DataFrame, sketches: DataFrame, found: DataFrame, size: int, percent: int, best: bool) -> DataFrame:
-    """Pairs to confirm between components that share a bucket: (bucket, doc_id, n) against (doc_id, sketch, bands)."""
-    spark = places.sparkSession
-    labelled = places.join(found, places["doc_id"] == found["id"], "left").select("bucket", "n", "doc_id", F.coalesce("component", "doc_id").alias("component"))
-    main = labelled.groupBy("bucket", "component").agg(F.count("*").alias("k")).groupBy("bucket").agg(F.max_by("component", F.struct("k", "component")).alias("main"), F.count("*").alias("parts"))
-    open_ = labelled.join(main.filter("parts > 1"), "bucket").join(sketches, "doc_id")
-    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    home = F.pmod(F.xxhash64("doc_id"), blocks).cast("int")
-    rows = open_.select("bucket", "doc_id", "component", "sketch", "bands", (F.col("component") != F.col("main")).alias("apart"), home.alias("home"), F.sequence(F.lit(0), blocks - 1).alias("all"))
-    own = rows.filter("apart").select("bucket", F.col("home").alias("i"), F.explode("all").alias("j"), F.lit(True).alias("own"), "doc_id", "component", "sketch", "bands")
-    members = rows.select("bucket", F.explode("all").alias("i"), F.col("home").alias("j"), F.lit(False).alias("own"), "doc_id", "component", "sketch", "bands")
-    share = percent / 100
-    least = int(share * size - 6 * (share * (1 - share) * size) ** 0.5)
-    dealt = own.unionByName(members).repartition(partitions(spark), "bucket", "i", "j").sortWithinPartitions("bucket", "i", "j")
-    return dealt.mapInArrow(_rest(least, best), "a long, b long").distinct()
+def _labelled(places: DataFrame, found: DataFrame) -> DataFrame:
+    """(bucket, node, component, apart, blocks) of the buckets with several components; apart: outside the bucket's main one."""
+    labelled = places.join(found, places["node"] == found["id"], "left").select("bucket", "node", F.coalesce("component", "node").alias("component"))
+    parts = labelled.groupBy("bucket", "component").agg(F.count("*").alias("k"))
+    main = parts.groupBy("bucket").agg(F.max_by("component", F.struct("k", "component")).alias("main"), F.count("*").alias("parts"), F.sum("k").alias("n"), F.max("k").alias("most")).filter("parts > 1")
+    return labelled.join(main, "bucket").select("bucket", "node", "component", (F.col("component") != F.col("main")).alias("apart"), F.ceil((F.col("n") - F.col("most")) / BLOCK).cast("int").alias("i_blocks"), F.ceil(F.col("n") / BLOCK).cast("int").alias("j_blocks"))
 
 
-def links(signed: DataFrame, docs: DataFrame, n: int, percent: int, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """Confirmed links (a > b) that connect all documents of `signed` (distinct sets) whose sets reach the threshold.
+def _dealt(rows: DataFrame, *more: str) -> DataFrame:
+    """Members of open buckets by (bucket, i, j): those apart, as own, in block i against all members in block j."""
+    home = lambda n: F.pmod(F.xxhash64("node"), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    own = rows.filter("apart").select("bucket", home("i_blocks").alias("i"), every("j_blocks").alias("j"), F.lit(True).alias("own"), "node", "component", *more)
+    rest = rows.select("bucket", every("i_blocks").alias("i"), home("j_blocks").alias("j"), F.lit(False).alias("own"), "node", "component", *more)
+    return own.unionByName(rest).repartition(partitions(rows.sparkSession), "bucket", "i", "j").sortWithinPartitions("bucket", "i", "j")
 
-    First the stars of the buckets; then, for members outside the bucket's main component,
-    the most similar member of another one; then all pairs of different components that a
-    wide signature does not rule out. A pair within a component needs no check.
+
+def links(nodes: DataFrame, docs: DataFrame, n: int, percent: int, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+    """Confirmed links (a, b) that connect all nodes (node, row_a, row_b, bands, sketch) whose sets reach the threshold.
+
+    `docs` holds the texts of the nodes' rows. A pair within a component needs no check.
     """
-    members = signed.select("doc_id", F.explode("bands").alias("bucket"))
+    members = nodes.select("node", F.explode("bands").alias("bucket"))
     # buckets with the same members count once
-    seen = [F.bit_xor(F.xxhash64("doc_id", F.lit(k))).alias(f"x{k}") for k in range(2)]
-    buckets = members.groupBy("bucket").agg(F.min("doc_id").alias("leader"), F.count("*").alias("n"), *seen).filter("n > 1")
+    seen = [F.bit_xor(F.xxhash64("node", F.lit(k))).alias(f"x{k}") for k in range(2)]
+    buckets = members.groupBy("bucket").agg(F.min("node").alias("leader"), F.count("*").alias("n"), *seen).filter("n > 1")
     buckets = buckets.groupBy("leader", "n", "x0", "x1").agg(F.min("bucket").alias("bucket")).select("bucket", "leader", "n")
     places = stored(members.join(buckets, "bucket"), "buckets")
     # the texts that any check may need, dealt out once
-    docs = stored(docs.select("doc_id", "text").join(places.select("doc_id").distinct(), "doc_id", "left_semi"), "texts")
-    stars = places.filter("doc_id > leader").select(F.col("doc_id").alias("a"), F.col("leader").alias("b")).distinct()
-    first = stored(confirm(stars, docs, n, percent), "links")
+    wanted = nodes.join(places.select("node").distinct(), "node", "left_semi").select("node", "row_a", "row_b")
+    texts = stored(docs.select(*row_key(), "text").join(wanted, ["row_a", "row_b"]).select("node", "text").dropDuplicates(["node"]), "texts")
+    # a leader's text is read once for about STAR members, whatever the number of its buckets
+    led = places.filter("node > leader").groupBy("leader", "node").agg(F.max("n").alias("n"))
+    salts = F.ceil(F.max("n") / STAR).cast("int")
+    leaders = led.groupBy("leader").agg(salts.alias("salts"))
+    salted = led.join(leaders, "leader").select("leader", F.pmod(F.xxhash64("node"), F.col("salts")).cast("int").alias("salt"), "node")
+    heads = leaders.select("leader", F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.col("leader").alias("node"))
+    read = salted.unionByName(heads).join(texts, "node")
+    dealt = read.repartition(partitions(docs.sparkSession), "leader", "salt").sortWithinPartitions("leader", "salt", F.col("node") != F.col("leader"))
+    first = stored(dealt.select("leader", "node", "text").mapInArrow(_stars(n, percent), "a long, b long"), "links")
     # buckets of two are settled by now
-    places = places.filter("n > 2").drop("leader")
-    near = _open_pairs(places, signed.select("doc_id", "sketch", F.lit(None).cast("array<long>").alias("bands")), components(first), bands * rows, percent, True)
-    second = stored(first.unionByName(confirm(near, docs, n, percent)), "links")
-    found = components(second)
-    labelled = places.join(found, places["doc_id"] == found["id"], "left").select("bucket", "doc_id", F.coalesce("component", "doc_id").alias("component"))
-    open_ = labelled.join(labelled.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo < hi"), "bucket").select("doc_id").distinct()
-    wide = docs.select("doc_id", "text").join(open_, "doc_id").mapInArrow(_sign(n, 0, WIDE), "doc_id long, n_shingles long, print_a long, print_b long, bands array<long>, sketch binary")
-    wide = wide.select("doc_id", "sketch").join(signed.select("doc_id", "bands"), "doc_id")
-    return second.unionByName(confirm(_open_pairs(places, wide, found, WIDE, percent, False), docs, n, percent))
-
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """The rows written to the shared folder and read again: cuts the lineage and survives lost executors."""
-    spark: SparkSession = df.sparkSession
-    path = scratch(spark, name)
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    found = stored(components(first), "components")
+    share, size = percent / 100, bands * rows
+    least = int(share * size - 6 * (share * (1 - share) * size) ** 0.5)
+    open_ = stored(_labelled(places.filter("n > 2").select("bucket", "node"), found), "open")
+    sketched = _dealt(open_.join(nodes.select("node", "sketch"), "node"), "sketch").mapInArrow(_sketched(least), "bucket long, node long").distinct()
+    near = stored(_labelled(sketched, found), "near")
+    second = stored(_dealt(near.join(texts, "node"), "text").mapInArrow(_exact(n, percent), "a long, b long").distinct(), "links")
+    release(places, texts, open_, near, found)
+    return first.unionByName(second)
 
 
 def components(edges: DataFrame, rounds: int = 50) -> DataFrame:
     """(id, component): the smallest id reachable over undirected links (a, b), for each id that has a link.
 
     Large and small stars in turn: each step hangs neighbours on their smallest neighbour,
-    with sums before every exchange; ends when a round changes nothing.
+    with sums before every exchange; ends when a round changes nothing. Only the last
+    round's table is kept.
     """
     here = stored(edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "edges")
     state = None
@@ -251,7 +315,8 @@ def components(edges: DataFrame, rounds: int = 50) -> DataFrame:
         low = large.groupBy("a").agg(F.min("b").alias("low"))
         small = large.join(low, "a")
         hung = small.select(F.col("b").alias("a"), F.col("low").alias("b")).filter("a <> b").unionByName(low.select("a", F.col("low").alias("b"))).distinct()
-        here = stored(hung, "edges")
+        before, here = here, stored(hung, "edges")
+        release(before)
         now = here.agg(F.count("*").alias("n"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)")).alias("h")).first()
         if now == state:
             break
@@ -261,14 +326,31 @@ def components(edges: DataFrame, rounds: int = 50) -> DataFrame:
     return here.select(F.col("a").alias("id"), F.col("b").alias("component")).unionByName(here.select(F.col("b").alias("id"), F.col("b").alias("component")).distinct())
 
 
-def groups(docs: DataFrame, n: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """Per document (doc_id, text): n_shingles, component_id, kept."""
+def groups(docs: DataFrame, n: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, keys: bool = False) -> DataFrame:
+    """Per document (doc_id, text): n_shingles, component_id, kept; with `keys` also the row's key and whether it is the one row that stands for its group."""
     signed = stored(sign(docs, n, bands, rows), "signatures")
-    same = signed.filter("n_shingles > 0").groupBy("print_a", "print_b").agg(F.min("doc_id").alias("same_as"))
-    same = stored(same, "sets")
-    alone = signed.join(same.select(F.col("same_as").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    found = components(links(stored(alone, "alone"), docs, n, percent, bands, rows))
-    placed = same.join(found.select(F.col("id").alias("same_as"), "component"), "same_as", "left").select("print_a", "print_b", F.coalesce("component", "same_as").alias("component"))
-    out = signed.select("doc_id", "n_shingles", "print_a", "print_b").join(placed, ["print_a", "print_b"], "left")
-    component = F.when(F.col("n_shingles") > 0, F.col("component")).otherwise(F.col("doc_id"))
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), (F.col("doc_id") == component).alias("kept"))
+    who = F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "row_a", "row_b")
+    same = signed.filter("n_shingles > 0").groupBy("print_a", "print_b").agg(F.min(who).alias("first"), F.count("*").alias("n"))
+    same = stored(same.withColumn("node", F.monotonically_increasing_id()), "sets")
+    one = same.select("node", F.col("first.row_a").alias("row_a"), F.col("first.row_b").alias("row_b"))
+    nodes = stored(signed.select("row_a", "row_b", "bands", "sketch").join(one, ["row_a", "row_b"]).dropDuplicates(["node"]), "nodes")
+    found = components(links(nodes, docs, n, percent, bands, rows))
+    linked = found.join(same.select("node", "first"), F.col("id") == F.col("node")).select("node", "component", "first")
+    heads = linked.groupBy("component").agg(F.min("first").alias("head"))
+    linked = linked.join(heads, "component").select("node", "head")
+    # sets of one row without a link are their own group
+    placed = same.join(linked, "node", "left").filter("n > 1 or head is not null").select("print_a", "print_b", F.coalesce("head", "first").alias("head"))
+    out = signed.select("doc_id", "row_a", "row_b", "n_shingles", "print_a", "print_b").join(placed, ["print_a", "print_b"], "left")
+    # the empty set has no entry
+    component = F.when(F.col("head").isNull(), F.col("doc_id")).otherwise(F.col("head.doc_id"))
+    stands = F.col("head").isNull() | ((F.col("row_a") == F.col("head.row_a")) & (F.col("row_b") == F.col("head.row_b")))
+    more = ["row_a", "row_b", stands.alias("stands")] if keys else []
+    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"), *more)
+
+
+def keep_one(docs: DataFrame, n: int = 5, percent: int = 80) -> DataFrame:
+    """The rows of `docs` without near duplicates: of each group the row with the smallest id, and of equal rows one."""
+    keys = unused(docs, "row_a", "row_b")
+    found = groups(docs.select("doc_id", "text"), n, percent, keys=True).filter("stands").select("row_a", "row_b").distinct().toDF(*keys)
+    held = docs.select("*", *(c.alias(k) for c, k in zip(row_key(), keys, strict=True)))
+    return held.join(found, keys, "left_semi").dropDuplicates(keys).select(*named(docs))
