@@ -12,8 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from radarlake.llm import decontaminate, language, near_dup, packing, pii
-from radarlake.llm.common import documents
-from radarlake.llm.near_dup import stored
+from radarlake.llm.common import documents, stored
 from radarlake.llm.queries import vocabulary
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -28,9 +27,8 @@ def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def distinct_texts(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the smallest id of each group of near duplicates; rows that repeat an id keep one of them."""
-    kept = near_dup.groups(docs, n=5, percent=80).filter("kept").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi").select(docs.columns)
+    """Keeps of each group of near duplicates the row with the smallest id; equal rows keep one, different texts under one id are documents of their own, null ids too."""
+    return near_dup.keep_one(docs, n=5, percent=80)
 
 
 def decontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
