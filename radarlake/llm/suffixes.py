@@ -7,19 +7,24 @@ meets under an anchor:
 
 1. Tasks send the anchors of their documents; those that several documents hold are candidates.
 2. Documents send the bytes of their candidate segments. Equal segments keep the smallest
-   id; segments with one anchor that differ are suffix-sorted: prefix polynomial hashes
-   and binary search give common extensions, a mergesort compares by them, neighbours are
-   verified byte by byte, and each run of equal strings keeps its smallest id.
+   id; segments with one anchor that differ are suffix-sorted, to the right from the
+   anchor and, reversed, to the left: prefix polynomial hashes and binary search give
+   common extensions, a mergesort compares by them, and neighbours are verified byte by
+   byte. A string equals another where both extensions reach its ends, and each run of
+   equal strings keeps its smallest id.
 3. What was found goes back to the documents, which drop the covered bytes.
 
 Tasks sum up before each exchange, so a bucket gets a key from a task once. Anchors that
-a sample finds in more than a share of all documents send each string on its own, keyed
-by its whole bytes, so that no bucket gathers the surroundings of a common passage; their
-number is bounded by that share and goes to all workers. Equal documents are found by
-digest first and only the smallest id takes part.
-
-Null texts count as empty; a repeated doc_id is one document each, and neither counts as
-earlier than the other; texts shorter than `length` lose nothing.
+a sample finds in more than a share of all documents are left out: each of their strings
+goes by the hash of its own bytes, so that no bucket gathers the surroundings of a common
+passage. Their number is bounded by that share and goes to all workers. Hashes only
+propose: segments and strings that count as equal are compared by their bytes, in the
+task that sends them and where they meet. Equal documents are found by digest first and
+only the smallest id takes part.
+
+Null texts count as empty; rows that repeat a doc_id are documents of their own, and
+neither counts as earlier than the other; a row without a doc_id comes neither before nor
+after another and loses nothing; texts shorter than `length` lose nothing.
 """
 
 from __future__ import annotations
@@ -40,63 +45,117 @@ LENGTH = 50
 ANCHOR = 18
 #: One document in so many is looked at for common anchors; in at least so many of them; the share of documents that makes an anchor common.
 SAMPLE, COMMON_LEAST, COMMON_SHARE = 64, 16, 1e-4
-#: Anchors, or bytes of segments, that a task gathers before it sends them.
-HELD = 1 << 20
-#: Strings that one suffix sort holds, about; buckets for each partition.
-SORTED, BUCKETS = 1 << 17, 8
+#: Keys, or bytes of segments, that a task gathers before it sends them.
+HELD, HELD_BYTES = 1 << 20, 1 << 23
+#: Segments that one suffix sort holds, about; buckets for each partition.
+SORTED, BUCKETS = 1 << 15, 2
+#: Starts that one step looks at; a start's place in a step takes so many bits.
+STEP, PLACE_BITS = 1 << 20, 21
 
 
 class Segments:
-    """Segments of a chunk: row, first and last start (both in), anchor's place and hash."""
+    """Segments of a chunk by rising start: row, first and last start (both in), anchor's place in it, route and key.
+
+    The route is the anchor's hash and the key that of the whole bytes. A string with an
+    anchor in `common` is a segment of its own with place -1, and its key is its route.
+    """
 
-    def __init__(self, data: np.ndarray, offsets: np.ndarray, length: int = LENGTH):
-        self.data, self.length = data, length
-        self.prefix = prefix_hashes(data)
-        count = np.maximum(np.diff(offsets) - length + 1, 0)
-        starts = np.arange(count.sum()) + np.repeat(offsets[:-1] - (np.cumsum(count) - count), count)
+    def __init__(self, data: np.ndarray, offsets: np.ndarray, length: int = LENGTH, common: HashIndex | None = None):
+        found = [self._step(data, offsets, length, common, a) for a in range(0, max(len(data) - length + 1, 0), STEP)]
+        none = (np.zeros(0, np.int64),) * 4 + (np.zeros(0, np.uint64),) * 2
+        self.row, self.lo, self.hi, self.place, self.route, self.key = (np.concatenate(x) for x in zip(none, *found, strict=True))
+
+    @staticmethod
+    def _step(data, offsets, length, common, a):
+        b = min(a + STEP, len(data) - length + 1)
+        first = int(np.searchsorted(offsets, a, "right")) - 1
+        last = int(np.searchsorted(offsets, b, "left"))
+        edge = np.clip(offsets[first : last + 1], a, None)
+        span = np.diff(np.minimum(edge, b))
+        row = np.repeat(np.arange(first, first + len(span)), span)
+        starts = np.arange(b - a)
+        whole = starts + a + length <= offsets[row + 1]
+        starts, row = starts[whole], row[whole]
         if not len(starts):
-            self.row = self.lo = self.hi = self.place = np.zeros(0, np.int64)
-            self.anchor = np.zeros(0, np.uint64)
-            return
-        n = len(data) - ANCHOR + 1
-        x = span_hashes(self.prefix, np.arange(n), np.arange(n) + ANCHOR)
-        low, at = x, np.arange(n, dtype=np.int32)
+            return (starts, starts, starts, starts, np.zeros(0, np.uint64), np.zeros(0, np.uint64))
+        prefix = prefix_hashes(data[a : b + length - 1])
+        n = len(prefix) - ANCHOR
+        x = span_hashes(prefix, np.arange(n), np.arange(n) + ANCHOR)
+        # the smallest hash, leftmost of equals, as one number: its upper bits and the place
+        low = (x >> np.uint64(PLACE_BITS) << np.uint64(PLACE_BITS)) | np.arange(n, dtype=np.uint64)
         width, want = 1, length - ANCHOR + 1
         while width < want:
             step = min(width, want - width)
-            right = low[step:] < low[:-step]
-            at = np.where(right, at[step:], at[:-step])
-            low = np.where(right, low[step:], low[:-step])
+            low = np.minimum(low[:-step], low[step:])
             width += step
-        place = at[starts].astype(np.int64)
-        row = np.repeat(np.arange(len(count)), count)
-        first = np.flatnonzero(np.concatenate([[True], (place[1:] != place[:-1]) | (row[1:] != row[:-1])]))
-        self.row, self.place = row[first], place[first]
-        self.lo, self.hi = starts[first], starts[np.append(first[1:], len(starts)) - 1]
-        self.anchor = x[self.place]
-
-    def keys(self, which: np.ndarray) -> np.ndarray:
-        """Hashes of the whole bytes of segments, with the anchor's place in them."""
-        lo, end = self.lo[which], self.hi[which] + self.length
-        return mix(span_hashes(self.prefix, lo, end) + (self.place[which] - lo).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
-
-    def singles(self, which: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """The strings of segments one by one: segment, start, hash."""
-        n = self.hi[which] - self.lo[which] + 1
-        segment = np.repeat(which, n)
-        start = np.repeat(self.lo[which] - (np.cumsum(n) - n), n) + np.arange(n.sum())
-        return segment, start, mix(span_hashes(self.prefix, start, start + self.length) ^ np.uint64(0x5851F42D4C957F2D))
+        at = (low[starts] & np.uint64((1 << PLACE_BITS) - 1)).astype(np.int64)
+        begins = np.flatnonzero(np.concatenate([[True], (at[1:] != at[:-1]) | (row[1:] != row[:-1])]))
+        row, place, lo, hi = row[begins], at[begins], starts[begins], starts[np.append(begins[1:], len(starts)) - 1]
+        route = x[place]
+        place = place - lo
+        key = mix(span_hashes(prefix, lo, hi + length) + place.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+        if common is not None and common.size and (hot := common.find(route) >= 0).any():
+            n = (hi - lo + 1)[hot]
+            each = np.repeat(lo[hot] - (np.cumsum(n) - n), n) + np.arange(n.sum())
+            own = mix(span_hashes(prefix, each, each + length) ^ np.uint64(0x5851F42D4C957F2D))
+            parts = ((row, np.repeat(row[hot], n)), (lo, each), (hi, each), (place, np.full(len(each), -1)), (route, own), (key, own))
+            joined = [np.concatenate([old[~hot], new]) for old, new in parts]
+            order = np.argsort(joined[1], kind="stable")
+            row, lo, hi, place, route, key = (v[order] for v in joined)
+        return row, lo + a, hi + a, place, route, key
+
+
+def _gather(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """The places start, start + 1, ... of each range after each other."""
+    return np.repeat(start - (np.cumsum(size) - size), size) + np.arange(size.sum())
+
+
+def same_bytes(text: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether the bytes from a and from b agree over each size (over 0)."""
+    out = np.zeros(len(a), bool)
+    turn = np.cumsum(size) >> 21
+    edge = np.flatnonzero(np.concatenate([[True], turn[1:] != turn[:-1]])) if len(a) else np.zeros(0, np.int64)
+    for x, y in zip(edge.tolist(), [*edge[1:].tolist(), len(a)], strict=False):
+        n = size[x:y]
+        differ = text[_gather(a[x:y], n)] != text[_gather(b[x:y], n)]
+        out[x:y] = np.add.reduceat(differ, np.cumsum(n) - n) == 0
+    return out
+
+
+def equal_groups(text: np.ndarray, at: np.ndarray, size: np.ndarray, keys: np.ndarray, docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """An order by group and id, and where groups begin: equal keys whose bytes are equal, too."""
+    order = np.lexsort((docs, keys))
+    if not len(order):
+        return order, np.zeros(0, bool)
+    k = keys[order]
+    first = np.concatenate([[True], k[1:] != k[:-1]])
+    head = order[np.maximum.accumulate(np.where(first, np.arange(len(order)), 0))]
+    fits = size[order] == size[head]
+    fits[fits] = same_bytes(text, at[order[fits]], at[head[fits]], size[order[fits]])
+    if not fits.all():
+        # a hash lied: the bytes of the keys concerned decide
+        odd = np.isin(keys, np.unique(keys[order[~fits]]))
+        lied = np.flatnonzero(odd)
+        number: dict[bytes, int] = {}
+        sub = np.zeros(len(keys), np.int64)
+        sub[lied] = [number.setdefault(text[at[i] : at[i] + size[i]].tobytes(), len(number)) for i in lied.tolist()]
+        order = np.lexsort((docs, sub, keys))
+        k, s = keys[order], sub[order]
+        first = np.concatenate([[True], (k[1:] != k[:-1]) | (s[1:] != s[:-1])])
+    return order, first
 
 
 # --- the suffix sort --------------------------------------------------------------
 
 
-def common_extension(prefix: np.ndarray, a: np.ndarray, b: np.ndarray, limit: int) -> np.ndarray:
-    """Lengths, up to `limit`, for which the bytes from a and from b agree, by binary search on prefix hashes."""
+def common_extension(prefix: np.ndarray, a: np.ndarray, b: np.ndarray, limit: np.ndarray) -> np.ndarray:
+    """Lengths, up to each limit, for which the bytes from a and from b agree, by binary search on prefix hashes."""
     power, _ = powers(len(prefix))
     out = np.zeros(len(a), np.int64)
+    if not len(a):
+        return out
     pa_, pb, wa, wb = prefix[a], prefix[b], power[a], power[b]
-    step = 1 << (limit.bit_length() - 1)
+    step = 1 << (int(limit.max()).bit_length() - 1) if limit.max() else 0
     while step:
         more = out + step
         can = np.flatnonzero(more <= limit)
@@ -107,81 +166,97 @@ def common_extension(prefix: np.ndarray, a: np.ndarray, b: np.ndarray, limit: in
     return out
 
 
-def sort_suffixes(text: np.ndarray, starts: np.ndarray, group: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
-    """Order of the strings text[start : start + length] within each group, and whether each equals the one before it.
+def sort_suffixes(text: np.ndarray, starts: np.ndarray, size: np.ndarray, group: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Order of the strings text[start : start + size] within each group, and the bytes each shares with the one before it (0 for the first of a group).
 
-    `group` rises. A mergesort over all groups at once: a round merges neighbouring runs
-    by ranking each string in the other run, and comparisons take common extensions.
-    Equal neighbours are verified on their bytes; if a hash lied, bytes decide the order.
+    `group` rises; a string that begins another goes before it. A mergesort over all
+    groups at once: a round merges neighbouring runs by ranking each string in the other
+    run, and comparisons take common extensions. What neighbours share is verified on
+    their bytes; if a hash lied, bytes decide order and extensions.
     """
     n = len(starts)
+    order, share = np.arange(n), np.zeros(n, np.int64)
     if not n:
-        return np.zeros(0, np.int64), np.zeros(0, bool)
+        return order, share
     prefix = prefix_hashes(text)
     first = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
-    size = np.diff(np.append(first, n))
-    base, members = np.repeat(first, size), np.repeat(size, size)
+    many = np.diff(np.append(first, n))
+    base, members = np.repeat(first, many), np.repeat(many, many)
     local = np.arange(n) - base
-    order = np.arange(n)
     width = 1
-    while width < size.max():
-        run = local // width
+    while width < many.max():
+        live = np.flatnonzero(members > width)
+        where, its, most = local[live], base[live], members[live]
+        run = where // width
         other = run ^ 1
-        lo, hi = np.minimum(other * width, members), np.minimum((other + 1) * width, members)
+        lo, hi = np.minimum(other * width, most), np.minimum((other + 1) * width, most)
         left = (run & 1) == 0
         a, b = lo.copy(), hi.copy()
         open_ = np.flatnonzero(a < b)
         while len(open_):
             mid = (a[open_] + b[open_]) >> 1
-            x, y = starts[order[open_]], starts[order[base[open_] + mid]]
-            same = common_extension(prefix, x, y, length)
-            whole = same >= length
+            mine, its_ = order[live[open_]], order[its[open_] + mid]
+            x, y = starts[mine], starts[its_]
+            least = np.minimum(size[mine], size[its_])
+            same = common_extension(prefix, x, y, least)
+            whole = same >= least
             at = np.where(whole, 0, same)
             # a string of the left run goes before its equals of the right one
-            before = np.where(whole, ~left[open_], text[y + at] < text[x + at])
+            by_size = np.where(left[open_], size[its_] < size[mine], size[its_] <= size[mine])
+            before = np.where(whole, by_size, text[np.minimum(y + at, len(text) - 1)] < text[np.minimum(x + at, len(text) - 1)])
             a[open_[before]] = mid[before] + 1
             b[open_[~before]] = mid[~before]
             open_ = open_[a[open_] < b[open_]]
-        to = base + np.minimum(run, other) * width + (local - run * width) + (a - lo)
-        moved = np.empty_like(order)
-        moved[to] = order
+        to = its + np.minimum(run, other) * width + (where - run * width) + (a - lo)
+        moved = order.copy()
+        moved[to] = order[live]
         order = moved
         width *= 2
-    equal = np.zeros(n, bool)
     near = np.flatnonzero(local > 0)
-    claimed = near[common_extension(prefix, starts[order[near]], starts[order[near - 1]], length) >= length]
-    span = np.arange(length)
-    for k in range(0, len(claimed), 1 << 16):
-        c = claimed[k : k + (1 << 16)]
-        true = (text[starts[order[c]][:, None] + span] == text[starts[order[c - 1]][:, None] + span]).all(1)
-        if not true.all():
-            whole = np.ascontiguousarray(text[starts[:, None] + span])
-            order = np.lexsort((*whole.T[::-1], group))
-            equal[1:] = (whole[order[1:]] == whole[order[:-1]]).all(1) & (group[1:] == group[:-1])
-            return order, equal
-        equal[c] = True
-    return order, equal
+    x, y = starts[order[near]], starts[order[near - 1]]
+    least = np.minimum(size[order[near]], size[order[near - 1]])
+    share[near] = common_extension(prefix, x, y, least)
+    some = near[share[near] > 0]
+    if not same_bytes(text, starts[order[some]], starts[order[some - 1]], share[some]).all() or not _rising(text, starts, size, order, near, share):
+        raw = [text[s : s + k].tobytes() for s, k in zip(starts.tolist(), size.tolist(), strict=True)]
+        order = np.array(sorted(range(n), key=lambda i: (group[i], raw[i])), np.int64)
+        for i in near.tolist():
+            one, two = raw[order[i]], raw[order[i - 1]]
+            share[i] = next((k for k, (p, q) in enumerate(zip(one, two, strict=False)) if p != q), min(len(one), len(two)))
+    return order, share
+
+
+def _rising(text, starts, size, order, near, share) -> bool:
+    """Whether each string is at least the one before it, given the bytes they share."""
+    one, two, k = order[near], order[near - 1], share[near]
+    inside = (k < size[one]) & (k < size[two])
+    up = text[(starts[one] + k)[inside]] > text[(starts[two] + k)[inside]]
+    return bool(up.all() and (size[two][~inside] <= size[one][~inside]).all())
 
 
 # --- step 1: anchors that several documents hold ----------------------------------
 
 _SENT = "bucket int, kind int, keys binary, docs binary"
-_TOLD = "doc_id long, keys binary"
+_TOLD = "doc_id long, keys array<long>"
 
 
 def _split(bucket: np.ndarray) -> list[tuple[int, slice]]:
-    edge = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]])) if len(bucket) else np.zeros(0, np.int64)
+    if not len(bucket):
+        return []
+    edge = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]]))
     return [(int(bucket[x]), slice(int(x), int(y))) for x, y in zip(edge, np.append(edge[1:], len(bucket)), strict=True)]
 
 
-def _by_doc(keys: np.ndarray, docs: np.ndarray) -> pa.RecordBatch:
-    order = np.lexsort((keys, docs))
-    keys, docs = keys[order], docs[order]
-    parts = _split(docs)
-    return pa.RecordBatch.from_arrays([pa.array([d for d, _ in parts], pa.int64()), pa.array([pack(keys[s]) for _, s in parts], pa.binary())], names=["doc_id", "keys"])
+def _lists(docs: np.ndarray, **columns: np.ndarray) -> pa.RecordBatch:
+    """A row for each id with the lists of its values."""
+    order = np.argsort(docs, kind="stable")
+    docs = docs[order]
+    first = np.flatnonzero(np.concatenate([[True], docs[1:] != docs[:-1]])) if len(docs) else np.zeros(0, np.int64)
+    at = pa.array(np.append(first, len(docs)).astype(np.int32))
+    return pa.RecordBatch.from_arrays([pa.array(docs[first]), *(pa.ListArray.from_arrays(at, pa.array(v[order].view(np.int64))) for v in columns.values())], names=["doc_id", *columns])
 
 
-def _send_anchors(buckets: int, length: int):
+def _send_anchors(buckets: int, length: int, shared):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, docs, held = [], [], 0
 
@@ -189,35 +264,27 @@ def _send_anchors(buckets: int, length: int):
             k, d = np.concatenate(keys), np.concatenate(docs)
             order = np.lexsort((d, k))
             k, d = k[order], d[order]
+            new = np.concatenate([[True], (k[1:] != k[:-1]) | (d[1:] != d[:-1])])
+            k, d = k[new], d[new]
             first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
             times = np.diff(np.append(first, len(k)))
             rows = []
-            # a key goes to its bucket once, with the smallest id; those that meet here already are known
-            b = (k[first] >> np.uint64(40)).astype(np.int64) % buckets
-            by = np.argsort(b, kind="stable")
-            for bucket, s in _split(b[by]):
-                at = first[by[s]]
-                alone = times[by[s]] == 1
-                rows.append((bucket, 0, pack(k[at]), planes(np.where(alone, d[at], -1 - d[at]))))
-            many = np.repeat(times > 1, times)
-            k, d = k[many], d[many]
-            b = d % buckets
-            by = np.lexsort((k, b))
-            rows += [(bucket, 1, pack(k[by[s]]), planes(d[by[s]])) for bucket, s in _split(b[by])]
+            # a key goes to its bucket once, with the smallest id: 0 of one document here, 1 of several; 2 tells all of those
+            for kind, chosen in enumerate((first[times == 1], first[times > 1], np.flatnonzero(np.repeat(times > 1, times)))):
+                b = ((k[chosen] >> np.uint64(40)).astype(np.int64) if kind < 2 else np.abs(d[chosen])) % buckets
+                by = np.argsort(b, kind="stable")
+                rows += [(bucket, kind, pack(k[chosen[by[s]]]), planes(d[chosen[by[s]]])) for bucket, s in _split(b[by])]
             keys.clear()
             docs.clear()
             return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), pa.binary(), pa.binary()), strict=True)], names=["bucket", "kind", "keys", "docs"])
 
         for rows, data, offsets in chunks(batches, "text", 1 << 20):
-            found = Segments(data, offsets, length)
+            found = Segments(data, offsets, length, shared.value)
             if not len(found.row):
                 continue
             ids = rows.column(rows.schema.get_field_index("doc_id")).to_numpy(zero_copy_only=False)
-            order = np.lexsort((found.anchor, found.row))
-            k, r = found.anchor[order], found.row[order]
-            new = np.concatenate([[True], (k[1:] != k[:-1]) | (r[1:] != r[:-1])])
-            keys.append(k[new])
-            docs.append(ids[r[new]])
+            keys.append(found.route)
+            docs.append(ids[found.row])
             held += len(keys[-1])
             if held > HELD:
                 yield flush()
@@ -229,31 +296,32 @@ def _send_anchors(buckets: int, length: int):
 
 
 def _meet_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    keys, docs, here = [], [], None
+    keys, docs, asks, here = [], [], [], None
 
     def meet() -> pa.RecordBatch | None:
         if not keys:
             return None
-        k, d = np.concatenate(keys), np.concatenate(docs)
+        k, d, ask = np.concatenate(keys), np.concatenate(docs), np.concatenate(asks)
         order = np.argsort(k, kind="stable")
-        k, d = k[order], d[order]
+        k, d, ask = k[order], d[order], ask[order]
         same = np.zeros(len(k), bool)
         same[1:] = k[1:] == k[:-1]
         same[:-1] |= same[1:]
-        tell = same & (d >= 0)  # negative: known as met by its own task
-        return _by_doc(k[tell], d[tell]) if tell.any() else None
+        tell = same & ask
+        return _lists(d[tell], keys=k[tell]) if tell.any() else None
 
     for batch in batches:
         for b, kind, k, d in values(batch, "bucket", "kind", "keys", "docs"):
             if b != here:
                 if (made := meet()) is not None:
                     yield made
-                here, keys, docs = b, [], []
-            if kind:
-                yield _by_doc(unpack(k), unplanes(d))
+                here, keys, docs, asks = b, [], [], []
+            if kind == 2:
+                yield _lists(unplanes(d), keys=unpack(k))
             else:
                 keys.append(unpack(k))
                 docs.append(unplanes(d))
+                asks.append(np.full(len(keys[-1]), kind == 0))
     if (made := meet()) is not None:
         yield made
 
@@ -263,95 +331,89 @@ def _meet_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 _SEGMENT = "bucket int, kind int, text binary, sizes binary, places binary, docs binary"
 
 
+def _told(column: pa.Array, *fields: str) -> tuple[np.ndarray, list[np.ndarray]]:
+    """The row of each told value and the values, of a column of lists of lists (of structs of lists)."""
+    outer = column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
+    parts = column.flatten()
+    lists = [parts] if not fields else [parts.field(f) for f in fields]
+    inner = lists[0].value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    row = np.repeat(np.repeat(np.arange(len(outer)), outer), inner)
+    return row, [x.flatten().to_numpy(zero_copy_only=False) for x in lists]
+
+
+def _pairs(row: np.ndarray, key: np.ndarray) -> np.ndarray:
+    return mix(key ^ mix(row.astype(np.uint64) + np.uint64(1)))
+
+
 def _send_segments(buckets: int, length: int, shared):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        common = shared.value
-        held: dict[int, tuple[int, int, bytes]] = {}  # whole key: smallest id, anchor's place or -1, bytes
-        known: list[tuple[int, int]] = []  # ids whose string is held by a smaller one here: key, id
-        size = 0
-
-        def flush() -> Iterator[pa.RecordBatch]:
-            by: dict[int, list] = {}
-            for key, (doc, place, anchor, raw) in held.items():
-                by.setdefault((key if place < 0 else anchor) % buckets, []).append((doc, place, raw))
-            rows = [(b, 0, b"".join(x[2] for x in v), planes(np.array([len(x[2]) for x in v])), planes(np.array([x[1] for x in v])), planes(np.array([x[0] for x in v]))) for b, v in by.items()]
-            if known:
-                k, d = np.array([x[0] for x in known], np.uint64), np.array([x[1] for x in known], np.int64)
-                order = np.argsort(k)
-                rows.append((int(k[0] % np.uint64(buckets)), 1, pack(k[order]), b"", b"", planes(d[order])))
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.binary()), strict=True)], names=["bucket", "kind", "text", "sizes", "places", "docs"])
-            held.clear()
-            known.clear()
-
-        def add(key: int, doc: int, place: int, anchor: int, raw: bytes) -> int:
-            old = held.get(key)
-            if old is None:
-                held[key] = (doc, place, anchor, raw)
-                return len(raw) + 64
-            if doc < old[0]:
-                held[key] = (doc, place, anchor, raw)
-                known.append((key, old[0]))
-            elif doc > old[0]:
-                known.append((key, doc))
-            return 16
+        texts, fields, size = [], [], 0
+
+        def flush() -> pa.RecordBatch:
+            """A segment goes once, with its smallest id (kind 0); the other ids that hold it are known (kind 1)."""
+            text = np.concatenate(texts)
+            n, place, route, key, doc = (np.concatenate(x) for x in zip(*fields, strict=True))
+            at = np.cumsum(n) - n
+            order, first = equal_groups(text, at, n, key, doc)
+            heads = order[first]
+            lowest = doc[order[np.maximum.accumulate(np.where(first, np.arange(len(order)), 0))]]
+            later = order[doc[order] > lowest]
+            b = (route[heads] % np.uint64(buckets)).astype(np.int64)
+            by = np.argsort(b, kind="stable")
+            rows = []
+            for bucket, s in _split(b[by]):
+                x = heads[by[s]]
+                rows.append((bucket, 0, text[_gather(at[x], n[x])].tobytes(), planes(n[x]), planes(place[x]), planes(doc[x])))
+            if len(later):
+                x = later[np.lexsort((doc[later], key[later]))]
+                rows.append((int(key[x[0]] % np.uint64(buckets)), 1, pack(key[x]), b"", b"", planes(doc[x])))
+            texts.clear()
+            fields.clear()
+            return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), *[pa.binary()] * 4), strict=True)], names=["bucket", "kind", "text", "sizes", "places", "docs"])
 
         for rows, data, offsets in chunks(batches, "text", 1 << 20):
-            told = rows.column(rows.schema.get_field_index("told"))
-            copy = rows.column(rows.schema.get_field_index("copy")).to_pylist()
-            ids = rows.column(rows.schema.get_field_index("doc_id")).to_pylist()
-            found = Segments(data, offsets, length)
-            edges = np.searchsorted(found.row, np.arange(rows.num_rows + 1))
-            raw = data.tobytes()
-            for i in range(rows.num_rows):
-                if copy[i] or not told[i].is_valid or not len(told[i].values):
-                    continue
-                keys = np.concatenate([unpack(x.as_py()) for x in told[i].values])
-                mine = np.arange(edges[i], edges[i + 1])
-                mine = mine[np.isin(found.anchor[mine], keys)]
-                hot = common.find(found.anchor[mine]) >= 0
-                cool, hot = mine[~hot], mine[hot]
-                for key, lo, hi, place, anchor in zip(found.keys(cool).tolist(), found.lo[cool].tolist(), found.hi[cool].tolist(), found.place[cool].tolist(), found.anchor[cool].tolist(), strict=True):
-                    size += add(key, ids[i], place - lo, anchor, raw[lo : hi + length])
-                if len(hot):
-                    _, start, key = found.singles(hot)
-                    for k, s in zip(key.tolist(), start.tolist(), strict=True):
-                        size += add(k, ids[i], -1, 0, raw[s : s + length])
-            if size > 8 * HELD:
-                yield from flush()
+            row, (told,) = _told(rows.column(rows.schema.get_field_index("told")))
+            if not len(row):
+                continue
+            found = Segments(data, offsets, length, shared.value)
+            ids = rows.column(rows.schema.get_field_index("doc_id")).to_numpy(zero_copy_only=False)
+            asked = np.flatnonzero(np.isin(_pairs(found.row, found.route), _pairs(row, told.view(np.uint64))))
+            if not len(asked):
+                continue
+            # a document sends equal segments once
+            asked = asked[np.sort(np.unique(_pairs(found.row[asked], found.key[asked]), return_index=True)[1])]
+            n = found.hi[asked] - found.lo[asked] + length
+            texts.append(data[_gather(found.lo[asked], n)])
+            fields.append((n, found.place[asked], found.route[asked], found.key[asked], ids[found.row[asked]]))
+            size += int(n.sum()) + 40 * len(n)
+            if size > HELD_BYTES:
+                yield flush()
                 size = 0
-        if held or known:
-            yield from flush()
+        if size:
+            yield flush()
 
     return run
 
 
-_MARKS = "doc_id long, keys binary, marks binary"
+_MARKS = "doc_id long, keys array<long>, marks array<long>"
 _ALL = -1
 
 
-def _marks(keys: np.ndarray, docs: np.ndarray, marks: np.ndarray) -> pa.RecordBatch:
-    order = np.lexsort((keys, docs))
-    keys, docs, marks = keys[order], docs[order], marks[order]
-    parts = _split(docs)
-    return pa.RecordBatch.from_arrays([pa.array([d for d, _ in parts], pa.int64()), pa.array([pack(keys[s]) for _, s in parts], pa.binary()), pa.array([planes(marks[s]) for _, s in parts], pa.binary())], names=["doc_id", "keys", "marks"])
-
-
-def meet_segments(text: np.ndarray, sizes: np.ndarray, places: np.ndarray, docs: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def meet_segments(text: np.ndarray, size: np.ndarray, place: np.ndarray, docs: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Keys, ids and marks (a bit per start, or all) of segments whose strings a smaller id holds too."""
-    at = np.concatenate([[0], np.cumsum(sizes)])
+    at = np.cumsum(size) - size
     prefix = prefix_hashes(text)
-    single = places < 0
-    whole = span_hashes(prefix, at[:-1], at[1:])
-    keys = np.where(single, mix(whole ^ np.uint64(0x5851F42D4C957F2D)), mix(whole + np.maximum(places, 0).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)))
-    order = np.lexsort((docs, keys))
-    first = np.concatenate([[True], keys[order][1:] != keys[order][:-1]])
-    lowest = docs[order][np.maximum.accumulate(np.where(first, np.arange(len(order)), 0))]
+    single = place < 0
+    whole = span_hashes(prefix, at, at + size)
+    keys = np.where(single, mix(whole ^ np.uint64(0x5851F42D4C957F2D)), mix(whole + np.maximum(place, 0).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)))
+    order, first = equal_groups(text, at, size, keys, docs)
+    lowest = docs[order[np.maximum.accumulate(np.where(first, np.arange(len(order)), 0))]]
     later = order[docs[order] > lowest]
     out = [(keys[later], docs[later], np.full(len(later), _ALL, np.int64))]
     # one of each distinct segment; anchors with several of them are sorted
-    one = np.sort(order[first])
+    one = order[first]
     one = one[~single[one]]
-    begin = at[one] + places[one]
+    begin = at[one] + place[one]
     anchor = span_hashes(prefix, begin, begin + ANCHOR)
     by = np.argsort(anchor, kind="stable")
     one, anchor = one[by], anchor[by]
@@ -359,29 +421,52 @@ def meet_segments(text: np.ndarray, sizes: np.ndarray, places: np.ndarray, docs:
     same[1:] = anchor[1:] == anchor[:-1]
     same[:-1] |= same[1:]
     one, anchor = one[same], anchor[same]
-    # whole anchors in turn, so that a sort holds about SORTED strings, or one anchor's
-    n = sizes[one] - length + 1
-    first = np.flatnonzero(np.concatenate([[True], anchor[1:] != anchor[:-1]])) if len(one) else np.zeros(0, np.int64)
-    turn = (np.concatenate([[0], np.cumsum(n)])[first] // SORTED) if len(one) else first
-    cuts = [*first[np.flatnonzero(np.concatenate([[True], turn[1:] != turn[:-1]]))].tolist(), len(one)] if len(one) else [0]
-    everything, anchors = one, anchor
+    if not len(one):
+        return tuple(np.concatenate(x) for x in zip(*out, strict=True))
+    # whole anchors in turn, so that a sort holds about SORTED segments, or one anchor's
+    first = np.flatnonzero(np.concatenate([[True], anchor[1:] != anchor[:-1]]))
+    turn = first // SORTED
+    cuts = [*first[np.flatnonzero(np.concatenate([[True], turn[1:] != turn[:-1]]))].tolist(), len(one)]
     for x, y in zip(cuts[:-1], cuts[1:], strict=True):
-        one, anchor = everything[x:y], anchors[x:y]
-        n = sizes[one] - length + 1
-        owner = np.repeat(np.arange(len(one)), n)
-        bit = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-        group = np.cumsum(np.concatenate([[0], anchor[1:] != anchor[:-1]]))[owner]
-        sorted_, equal = sort_suffixes(text, at[one][owner] + bit, group, length)
-        runs = np.flatnonzero(~equal)
-        lowest = np.repeat(np.minimum.reduceat(docs[one][owner[sorted_]], runs), np.diff(np.append(runs, len(sorted_))))
-        hit = sorted_[lowest < docs[one][owner[sorted_]]]
-        marks = np.zeros(len(one), np.int64)
-        np.bitwise_or.at(marks, owner[hit], np.int64(1) << bit[hit])
+        mine = one[x:y]
+        n = size[mine]
+        packed = text[_gather(at[mine], n)]
+        group = np.cumsum(np.concatenate([[0], anchor[x + 1 : y] != anchor[x : y - 1]]))
+        marks = mark_repeats(packed, n, place[mine], docs[mine], group, length)
         some = np.flatnonzero(marks)
-        out.append((keys[one[some]], docs[one[some]], marks[some]))
+        out.append((keys[mine[some]], docs[mine[some]], marks[some]))
     return tuple(np.concatenate(x) for x in zip(*out, strict=True))
 
 
+def mark_repeats(text: np.ndarray, size: np.ndarray, place: np.ndarray, docs: np.ndarray, group: np.ndarray, length: int) -> np.ndarray:
+    """For segments by rising group, the starts (as bits) of the strings that a segment of the group with a smaller id holds at the same distance from the anchor."""
+    at = np.cumsum(size) - size
+    total = len(text)
+    right, shares = sort_suffixes(text, at + place, size - place, group)
+    # the bytes before the anchor, read backwards
+    left, before = sort_suffixes(text[::-1], total - at - place, place, group)
+    n = len(size)
+    marks = np.zeros(n, np.int64)
+    new = np.concatenate([[True], group[1:] != group[:-1]])
+    for j in range(length - ANCHOR + 1):
+        # strings that begin j bytes before the anchor
+        has = (place >= j) & (size - place >= length - j)
+        if not has.any():
+            continue
+        one, two = np.empty(n, np.int64), np.empty(n, np.int64)
+        one[right] = np.cumsum(new | (shares < length - j))
+        two[left] = np.cumsum(new | (before < j))
+        which = np.flatnonzero(has)
+        pair = one[which] * (n + 1) + two[which]
+        by = np.argsort(pair, kind="stable")
+        which, pair = which[by], pair[by]
+        first = np.flatnonzero(np.concatenate([[True], pair[1:] != pair[:-1]]))
+        lowest = np.repeat(np.minimum.reduceat(docs[which], first), np.diff(np.append(first, len(which))))
+        hit = which[docs[which] > lowest]
+        marks[hit] |= np.int64(1) << (place[hit] - j)
+    return marks
+
+
 def _meet_segments(length: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         here, rows = None, []
@@ -390,8 +475,8 @@ def _meet_segments(length: int):
             if not rows:
                 return None
             text = np.frombuffer(b"".join(r[0] for r in rows), np.uint8)
-            found = meet_segments(text, *(np.concatenate([unplanes(r[k]) for r in rows]) for k in (1, 2, 3)), length)
-            return _marks(*found) if len(found[0]) else None
+            keys, docs, marks = meet_segments(text, *(np.concatenate([unplanes(r[k]) for r in rows]) for k in (1, 2, 3)), length)
+            return _lists(docs, keys=keys, marks=marks) if len(keys) else None
 
         for batch in batches:
             for b, kind, *x in values(batch, "bucket", "kind", "text", "sizes", "places", "docs"):
@@ -401,7 +486,7 @@ def _meet_segments(length: int):
                     here, rows = b, []
                 if kind:
                     keys, docs = unpack(x[0]), unplanes(x[3])
-                    yield _marks(keys, docs, np.full(len(keys), _ALL, np.int64))
+                    yield _lists(docs, keys=keys, marks=np.full(len(keys), _ALL, np.int64))
                 else:
                     rows.append(x)
         if (made := meet()) is not None:
@@ -415,63 +500,46 @@ def _meet_segments(length: int):
 
 def _drop(length: int, shared, with_text: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        common = shared.value
         for rows, data, offsets in chunks(batches, "text", 1 << 20):
-            told = rows.column(rows.schema.get_field_index("told"))
-            copy = rows.column(rows.schema.get_field_index("copy")).to_pylist()
-            found = Segments(data, offsets, length)
-            edges = np.searchsorted(found.row, np.arange(rows.num_rows + 1))
-            removed, spans, digests, kept = [], [], [], []
-            for i in range(rows.num_rows):
-                here = data[offsets[i] : offsets[i + 1]]
-                gone = np.zeros(len(here) + 1, np.int64)
-                if copy[i]:
-                    if len(here) >= length:
-                        gone[0], gone[-1] = 1, -1
-                elif told[i].is_valid and len(told[i].values):
-                    keys = np.concatenate([unpack(x["keys"].as_py()) for x in told[i].values])
-                    marks = np.concatenate([unplanes(x["marks"].as_py()) for x in told[i].values])
-                    order = np.argsort(keys)
-                    keys, marks = keys[order], marks[order]
-                    mine = np.arange(edges[i], edges[i + 1])
-                    hot = common.find(found.anchor[mine]) >= 0
-                    cool, hot = mine[~hot], mine[hot]
-                    start = []
-                    mark = _look(keys, marks, found.keys(cool))
-                    hit = np.flatnonzero(mark)
-                    n = (found.hi - found.lo + 1)[cool[hit]]
-                    owner = np.repeat(np.arange(len(hit)), n)
-                    bit = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-                    on = mark[hit][owner] >> bit & 1 == 1
-                    start.append((found.lo[cool[hit]][owner] + bit)[on])
-                    if len(hot):
-                        _, single, key = found.singles(hot)
-                        start.append(single[_look(keys, marks, key) != 0])
-                    start = np.concatenate(start) - offsets[i]
-                    np.add.at(gone, start, 1)
-                    np.add.at(gone, start + length, -1)
-                cover = np.cumsum(gone[:-1]) > 0
-                removed.append(int(cover.sum()))
-                spans.append(int((cover & ~np.concatenate([[False], cover[:-1]])).sum()) if len(cover) else 0)
-                rest = here[~cover].tobytes()
-                digests.append(hashlib.sha256(rest).hexdigest())
-                kept.append(rest)
-            out = [rows.column(rows.schema.get_field_index("doc_id")), pa.array(np.diff(offsets)), pa.array(removed, pa.int64()), pa.array(spans, pa.int64()), pa.array(digests)]
-            yield pa.RecordBatch.from_arrays([*out, *([pa.array(kept, pa.binary())] if with_text else [])], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", *(["kept"] if with_text else [])])
+            gone = np.zeros(len(data) + 1, np.int32)
+            row, (keys, marks) = _told(rows.column(rows.schema.get_field_index("told")), "keys", "marks")
+            if len(row):
+                found = Segments(data, offsets, length, shared.value)
+                pair = _pairs(row, keys.view(np.uint64))
+                order = np.argsort(pair, kind="stable")
+                pair, marks = pair[order], marks[order]
+                first = np.flatnonzero(np.concatenate([[True], pair[1:] != pair[:-1]]))
+                pair, marks = pair[first], np.bitwise_or.reduceat(marks, first)
+                mine = _pairs(found.row, found.key)
+                spot = np.minimum(np.searchsorted(pair, mine), len(pair) - 1)
+                hit = np.flatnonzero(pair[spot] == mine)
+                n = found.hi[hit] - found.lo[hit] + 1
+                start = _gather(found.lo[hit], n)
+                bit = start - np.repeat(found.lo[hit], n)
+                start = start[np.repeat(marks[spot[hit]], n) >> bit & 1 == 1]
+                gone += np.bincount(start, minlength=len(gone)).astype(np.int32)
+                gone -= np.bincount(start + length, minlength=len(gone)).astype(np.int32)
+            copies = np.flatnonzero(rows.column(rows.schema.get_field_index("copy")).to_numpy(zero_copy_only=False).astype(bool) & (np.diff(offsets) >= length))
+            np.add.at(gone, offsets[copies], 1)
+            np.add.at(gone, offsets[copies + 1], -1)
+            cover = np.cumsum(gone[:-1]) > 0
+            opens = cover.copy()
+            opens[1:] &= ~cover[:-1]
+            heads = offsets[:-1][offsets[:-1] < len(data)]
+            opens[heads] = cover[heads]
+            sums = lambda x: np.diff(np.concatenate([[0], np.cumsum(x)])[offsets])
+            removed = sums(cover)
+            rest = np.ascontiguousarray(data[~cover])
+            ends = np.concatenate([[0], np.cumsum(np.diff(offsets) - removed)])
+            raw = memoryview(rest)
+            digests = [hashlib.sha256(raw[a:b]).hexdigest() for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
+            out = [rows.column(rows.schema.get_field_index("doc_id")), pa.array(np.diff(offsets)), pa.array(removed.astype(np.int64)), pa.array(sums(opens).astype(np.int64)), pa.array(digests, pa.string())]
+            kept = [pa.array([bytes(raw[a:b]) for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)], pa.binary())] if with_text else []
+            yield pa.RecordBatch.from_arrays([*out, *kept], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", *(["kept"] if with_text else [])])
 
     return run
 
 
-def _look(keys: np.ndarray, marks: np.ndarray, wanted: np.ndarray) -> np.ndarray:
-    """Marks of the wanted keys, 0 for those without; a key has one mark, or one that says all."""
-    out = np.zeros(len(wanted), np.int64)
-    if len(keys):
-        lo, hi = np.searchsorted(keys, wanted, "left"), np.searchsorted(keys, wanted, "right")
-        for k in np.flatnonzero(hi > lo).tolist():
-            out[k] = np.bitwise_or.reduce(marks[lo[k] : hi[k]])
-    return out
-
-
 def _common(docs: DataFrame, length: int) -> HashIndex:
     """Anchors that a sample finds in many documents: at most a document's anchors over the share."""
 
@@ -479,8 +547,8 @@ def _common(docs: DataFrame, length: int) -> HashIndex:
         for _, data, offsets in chunks(batches, "text", 1 << 20):
             found = Segments(data, offsets, length)
             if len(found.row):
-                pair = np.unique(mix(found.anchor ^ mix(found.row.astype(np.uint64))), return_index=True)[1]
-                yield pa.RecordBatch.from_arrays([pa.array(found.anchor[pair].view(np.int64))], names=["anchor"])
+                pair = np.unique(_pairs(found.row, found.route), return_index=True)[1]
+                yield pa.RecordBatch.from_arrays([pa.array(found.route[pair].view(np.int64))], names=["anchor"])
 
     sample = docs.filter(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLE)) == 0)
     least = max(COMMON_LEAST, int(sample.count() * COMMON_SHARE))
@@ -501,16 +569,17 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, with_text: bool = Fals
     shared = spark.sparkContext.broadcast(_common(texts, length))
     deal = lambda df: df.repartition(parts, "bucket").sortWithinPartitions("bucket")
 
-    prints = texts.select("doc_id", F.sha2("text", 256).alias("print"))
+    prints = texts.filter("doc_id is not null").select("doc_id", F.sha2("text", 256).alias("print"), F.xxhash64("text").alias("mark"))
     first = prints.groupBy("print").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).filter("n > 1").drop("n")
-    copies = prints.join(first, "print").filter("doc_id > first").select("doc_id", F.lit(True).alias("copy")).distinct()
+    copies = prints.join(first, "print").filter("doc_id > first").groupBy("doc_id").agg(F.collect_set("mark").alias("copies"))
+    known = texts.join(copies, "doc_id", "left").select("doc_id", "text", F.coalesce(F.array_contains("copies", F.xxhash64("text")), F.lit(False)).alias("copy"))
 
-    met = deal(texts.mapInArrow(_send_anchors(buckets, length), _SENT)).mapInArrow(_meet_anchors, _TOLD)
+    takes = known.filter("not copy and doc_id is not null")
+    met = deal(takes.select("doc_id", "text").mapInArrow(_send_anchors(buckets, length, shared), _SENT)).mapInArrow(_meet_anchors, _TOLD)
     told = met.groupBy("doc_id").agg(F.collect_list("keys").alias("told"))
-    asked = texts.join(told, "doc_id", "left").join(copies, "doc_id", "left").select("doc_id", "text", "told", F.coalesce("copy", F.lit(False)).alias("copy"))
-    sent = asked.mapInArrow(_send_segments(buckets, length, shared), _SEGMENT)
+    sent = takes.join(told, "doc_id").select("doc_id", "text", "told").mapInArrow(_send_segments(buckets, length, shared), _SEGMENT)
     marked = deal(sent).mapInArrow(_meet_segments(length), _MARKS)
     back = marked.groupBy("doc_id").agg(F.collect_list(F.struct("keys", "marks")).alias("told"))
-    final = texts.join(back, "doc_id", "left").join(copies, "doc_id", "left").select("doc_id", "text", "told", F.coalesce("copy", F.lit(False)).alias("copy"))
+    final = known.join(back, "doc_id", "left").select("doc_id", "text", "told", "copy")
     schema = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", kept binary" if with_text else "")
     return final.mapInArrow(_drop(length, shared, with_text), schema)

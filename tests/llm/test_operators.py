@@ -128,9 +128,56 @@ def test_repeats_against_brute_force(spark, monkeypatch, common):
 def test_suffix_sort():
     text = np.frombuffer(b"banana bandana banana!", np.uint8)
     starts = np.arange(len(text) - 6)
-    order, equal = suffixes.sort_suffixes(text, starts, np.zeros(len(starts), np.int64), 6)
+    order, share = suffixes.sort_suffixes(text, starts, np.full(len(starts), 6), np.zeros(len(starts), np.int64))
     strings = [bytes(text[s : s + 6]) for s in starts[order]]
-    assert strings == sorted(strings) and equal.tolist() == [False, *(a == b for a, b in zip(strings, strings[1:]))]
+    assert strings == sorted(strings) and (share >= 6).tolist() == [False, *(a == b for a, b in zip(strings, strings[1:]))]
+
+
+@pytest.mark.parametrize("lying", [False, True])
+def test_suffix_sort_of_unequal_sizes(monkeypatch, lying):
+    """Sizes, groups and shared bytes against sorted(); with a hash that calls all strings equal the bytes decide."""
+    if lying:
+        monkeypatch.setattr(suffixes, "common_extension", lambda prefix, a, b, limit: limit.copy())
+    rng = np.random.default_rng(1)
+    text = rng.choice(np.frombuffer(b"ab", np.uint8), 400)
+    starts, size = rng.integers(0, 380, 200), rng.integers(1, 20, 200)
+    group = np.sort(rng.integers(0, 9, 200))
+    order, share = suffixes.sort_suffixes(text, starts, size, group)
+    raw = [bytes(text[s : s + n]) for s, n in zip(starts, size)]
+    assert [(group[i], raw[i]) for i in order] == sorted(zip(group, raw))
+    for k in range(1, 200):
+        i, j = order[k], order[k - 1]
+        want = next((n for n, (p, q) in enumerate(zip(raw[i], raw[j])) if p != q), min(size[i], size[j])) if group[i] == group[j] else 0
+        assert share[k] == want
+
+
+def test_equal_keys_of_unequal_bytes():
+    text = np.frombuffer(b"abcabdabcxyabd", np.uint8)
+    at, size = np.array([0, 3, 6, 9, 11]), np.array([3, 3, 3, 2, 3])
+    order, first = suffixes.equal_groups(text, at, size, np.full(5, 7, np.uint64), np.array([4, 3, 2, 1, 0]))
+    groups = [sorted(x.tolist()) for x in np.split(order, np.flatnonzero(first)[1:])]
+    assert sorted(groups) == [[0, 2], [1, 4], [3]]
+
+
+def test_segments_do_not_depend_on_steps(monkeypatch):
+    rng = np.random.default_rng(2)
+    data = rng.choice(np.frombuffer(b"abc ", np.uint8), 3000)
+    offsets = np.array([0, 700, 700, 730, 2990, 3000])
+    def strings():
+        s = suffixes.Segments(data, offsets)
+        return {(r, x): bytes(data[lo + p : lo + p + 18]) for r, lo, hi, p in zip(s.row, s.lo, s.hi, s.place) for x in range(lo, hi + 1)}
+    whole = strings()
+    monkeypatch.setattr(suffixes, "STEP", 64)
+    assert strings() == whole and len(whole) == 651 + 2211
+
+
+def test_repeats_with_odd_ids(spark):
+    text = "a sentence that is longer than fifty bytes, so that it can be removed"
+    df = spark.createDataFrame([(-5, text), (3, "before " + text), (3, text), (7, text), (7, "nothing else"), (None, text), (None, None)], "doc_id long, text string")
+    got = sorted((r["doc_id"] is None, r["doc_id"] or 0, r["n_bytes"], r["n_removed"]) for r in rows(suffixes.remove_repeats(df)))
+    n = len(text)
+    assert got == [(False, -5, n, 0), (False, 3, n, n), (False, 3, n + 7, n), (False, 7, 12, 0), (False, 7, n, n), (True, 0, 0, 0), (True, 0, n, 0)]
+    assert suffixes.remove_repeats(df.limit(0)).count() == 0
 
 
 @pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
