@@ -4,12 +4,14 @@ A language is a distribution over the pieces of a fixed public vocabulary (byte
 strings, every single byte among them). The probability of a word, with a space in
 front, is the sum over all ways to cut it into pieces, by a forward pass over its
 bytes; expectation-maximisation with the backward pass fits the distributions. A
-text's score is the sum over its words, lower-cased (A-Z); words longer than 32 bytes
-count as runs of 32.
+text's score is the sum over its words, lower-cased (A-Z). All pieces take part, and
+words of any length: those of over SHORT bytes are summed in logarithms, with memory for
+as many positions as the longest piece has bytes when scored.
 
 Fitting takes at most about `per_language` documents of each language, chosen by a hash
 of their id; all else covers all rows. A null or empty text, or one without a letter,
-is `und` with score 0, and so is every text if there is nothing to learn from.
+is `und` with score 0, and so is every text if there is nothing to learn from. Null and
+repeated ids are rows like any other, and all columns of a table stay as they are.
 """
 
 from __future__ import annotations
@@ -22,125 +24,164 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from radarlake.llm.common import HashIndex, chunks, prefix_hashes, span_hashes, words
+from radarlake.llm.common import HashIndex, chunks, named, prefix_hashes, span_hashes, string_hashes, unused, words
 
 #: Documents of a language that fitting takes, about.
 PER_LANGUAGE = 1500
-LONGEST_PIECE, LONGEST_WORD = 8, 32
+#: Bytes of a word, with its space, up to which words of equal length are summed side by side.
+SHORT = 32
 ROUNDS, SMOOTHING = 3, 0.05
 CACHE = 1 << 19
 
 
+class Pieces:
+    """The vocabulary's pieces by hash, and the bytes of the longest; each single byte is one of them."""
+
+    def __init__(self, path: str):
+        import sentencepiece
+
+        model = sentencepiece.SentencePieceProcessor(model_file=path)
+        found = {bytes([b]) for b in range(256)}
+        for i in range(model.get_piece_size()):
+            if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i)):
+                found.add(model.id_to_piece(i).replace("▁", " ").encode().lower())
+        listed = sorted(found - {b""})
+        at = np.concatenate([[0], np.cumsum([len(p) for p in listed])])
+        self.longest = max(map(len, listed))
+        self.size = len(listed)
+        self.index = HashIndex(len(listed))
+        self.index.add(span_hashes(prefix_hashes(np.frombuffer(b"".join(listed), np.uint8)), at[:-1], at[1:]))
+
+    def edges(self, text: np.ndarray) -> list[tuple[int, int, np.ndarray, np.ndarray]]:
+        """For words of one length (a row of bytes each): (end, piece's length, words, pieces) by rising end."""
+        n, size = text.shape
+        prefix = prefix_hashes(np.ascontiguousarray(text).reshape(-1))
+        at = np.arange(n) * size
+        out = []
+        for e in range(1, size + 1):
+            for m in range(1, min(e, self.longest) + 1):
+                piece = self.index.find(span_hashes(prefix, at + e - m, at + e))
+                which = np.flatnonzero(piece >= 0)
+                if len(which):
+                    out.append((e, m, which, piece[which]))
+        return out
+
+    def ends(self, text: np.ndarray, block: int = 1 << 16) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """For a word of any length: each end, with the lengths and the numbers of the pieces that end there."""
+        for a in range(0, len(text), block):
+            low = max(a - self.longest + 1, 0)
+            part = text[low : a + block]
+            prefix = prefix_hashes(part)
+            end = np.arange(a - low + 1, len(part) + 1)
+            found = np.full((len(end), self.longest), -1, np.int64)
+            for m in range(1, self.longest + 1):
+                can = np.flatnonzero(end >= m)
+                found[can, m - 1] = self.index.find(span_hashes(prefix, end[can] - m, end[can]))
+            for k in range(len(end)):
+                m = np.flatnonzero(found[k] >= 0)
+                yield a + k + 1, m + 1, found[k, m]
+
+
 @lru_cache(maxsize=2)
-def pieces(path: str) -> HashIndex:
-    """An index of the vocabulary's pieces of up to LONGEST_PIECE bytes; each single byte is one of them."""
-    import sentencepiece
-
-    model = sentencepiece.SentencePieceProcessor(model_file=path)
-    found = {bytes([b]) for b in range(256)}
-    for i in range(model.get_piece_size()):
-        if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i)):
-            piece = model.id_to_piece(i).replace("▁", " ").encode()
-            if 0 < len(piece) <= LONGEST_PIECE:
-                found.add(piece.lower())
-    listed = sorted(found)
-    at = np.concatenate([[0], np.cumsum([len(p) for p in listed])])
-    index = HashIndex(len(listed))
-    index.add(span_hashes(prefix_hashes(np.frombuffer(b"".join(listed), np.uint8)), at[:-1], at[1:]))
-    return index
-
-
-def _spell(index: HashIndex, low: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For words with a space in front: lengths, and piece numbers by (end position, piece length, word), -1 for none.
-
-    Words stand in the order given; the first axis is the position after the piece.
-    """
-    size = end - start + 1
-    at = np.concatenate([[0], np.cumsum(size)])
-    text = np.full(int(at[-1]), 0x20, np.uint8)
-    inner = np.ones(len(text), bool)
-    inner[at[:-1]] = False
-    length = size - 1
-    text[inner] = low[np.repeat(start - (np.cumsum(length) - length), length) + np.arange(length.sum())]
-    prefix = prefix_hashes(text)
-    deep = int(size.max())
-    out = np.full((deep + 1, LONGEST_PIECE + 1, len(size)), -1, np.int32)
-    for e in range(1, deep + 1):
-        has = np.flatnonzero(size >= e)
-        for m in range(1, min(e, LONGEST_PIECE) + 1):
-            out[e, m, has] = index.find(span_hashes(prefix, at[has] + e - m, at[has] + e))
-    return size, out
-
-
-def _forward(p: np.ndarray, spelled: np.ndarray) -> np.ndarray:
-    """alpha[e]: probability of the first e bytes. `p` has a last entry 0 for no piece; more axes of p go last."""
-    deep, _, n = spelled.shape
-    alpha = np.zeros((deep, n, *p.shape[1:]))
+def pieces(path: str) -> Pieces:
+    return Pieces(path)
+
+
+def forward(p: np.ndarray, n: int, size: int, edges: list) -> np.ndarray:
+    """alpha[e]: probability of the first e bytes of each of n words; more axes of p (piece, ...) go last."""
+    alpha = np.zeros((size + 1, n, *p.shape[1:]))
     alpha[0] = 1
-    for e in range(1, deep):
-        for m in range(1, min(e, LONGEST_PIECE) + 1):
-            alpha[e] += alpha[e - m] * p[spelled[e, m]]
+    for e, m, which, piece in edges:
+        alpha[e][which] += alpha[e - m][which] * p[piece]
     return alpha
 
 
-def _expected(p: np.ndarray, size: np.ndarray, spelled: np.ndarray, weight: np.ndarray) -> np.ndarray:
+def expected(p: np.ndarray, n: int, size: int, edges: list, weight: np.ndarray) -> np.ndarray:
     """Expected uses of each piece over weighted words."""
-    alpha = _forward(p, spelled)
-    deep, _, n = spelled.shape
-    total = alpha[size, np.arange(n)]
-    beta = np.zeros((deep, n))
-    beta[size, np.arange(n)] = weight / total
+    alpha = forward(p, n, size, edges)
+    beta = np.zeros((size + 1, n))
+    beta[size] = weight / alpha[size]
     out = np.zeros(len(p))
-    for e in range(deep - 1, 0, -1):
-        for m in range(1, min(e, LONGEST_PIECE) + 1):
-            use = p[spelled[e, m]] * beta[e]
-            out += np.bincount(spelled[e, m] % len(p), use * alpha[e - m], len(p))
-            beta[e - m] += use
+    for e, m, which, piece in reversed(edges):
+        use = p[piece] * beta[e][which]
+        out += np.bincount(piece, use * alpha[e - m][which], len(p))
+        beta[e - m][which] += use
+    return out
+
+
+def _log_sum(x: np.ndarray) -> np.ndarray:
+    top = x.max(0)
+    return top + np.log(np.exp(x - top).sum(0))
+
+
+def forward_long(logs: np.ndarray, vocabulary: Pieces, text: np.ndarray) -> np.ndarray:
+    """Log probability of one word of any length, for each language (last axis of `logs`); holds the last positions alone."""
+    width = vocabulary.longest + 1
+    ring = np.zeros((width, *logs.shape[1:]))
+    for e, m, piece in vocabulary.ends(text):
+        ring[e % width] = _log_sum(ring[(e - m) % width] + logs[piece])
+    return ring[len(text) % width]
+
+
+def expected_long(logs: np.ndarray, vocabulary: Pieces, text: np.ndarray, weight: float) -> np.ndarray:
+    """Expected uses of each piece over one word of any length."""
+    steps = list(vocabulary.ends(text))
+    alpha, beta = np.zeros(len(text) + 1), np.full(len(text) + 1, -np.inf)
+    for e, m, piece in steps:
+        alpha[e] = _log_sum(alpha[e - m] + logs[piece])
+    beta[-1] = 0.0
+    out = np.zeros(len(logs))
+    for e, m, piece in reversed(steps):
+        use = logs[piece] + beta[e]
+        np.add.at(out, piece, weight * np.exp(use + alpha[e - m] - alpha[-1]))
+        beta[e - m] = np.logaddexp(beta[e - m], use)
     return out
 
 
-def _long_words(start: np.ndarray, end: np.ndarray, row: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """The same with words of more than LONGEST_WORD bytes as runs."""
-    n = -(-(end - start) // LONGEST_WORD)
-    if not len(n) or n.max() == 1:
-        return start, end, row
-    first = np.repeat(start, n) + (np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)) * LONGEST_WORD
-    return first, np.minimum(first + LONGEST_WORD, np.repeat(end, n)), np.repeat(row, n)
+def _spaced(low: np.ndarray, start: np.ndarray, size: int) -> np.ndarray:
+    """Words of one length, a space before each."""
+    out = np.full((len(start), size + 1), 0x20, np.uint8)
+    out[:, 1:] = low[start[:, None] + np.arange(size)]
+    return out
 
 
 def _fit(path: str):
     def run(key: tuple, table: pa.Table) -> pa.Table:
-        index = pieces(path)
-        counts: dict[int, int] = {}
-        where: dict[int, bytes] = {}
+        vocabulary = pieces(path)
+        counts: dict[bytes, int] = {}
         for _, data, offsets in chunks(table.to_batches(), "text"):
-            start, end, row, low = words(data, offsets)
-            start, end, _ = _long_words(start, end, row)
-            hashed, at, n = np.unique(span_hashes(prefix_hashes(low), start, end), return_index=True, return_counts=True)
+            start, end, _, low = words(data, offsets)
+            at, n = np.unique(string_hashes(low, start, end), return_index=True, return_counts=True)[1:]
             raw = low.tobytes()
-            for h, i, c in zip(hashed.tolist(), at.tolist(), n.tolist(), strict=True):
-                if h not in counts:
-                    where[h] = raw[start[i] : end[i]]
-                counts[h] = counts.get(h, 0) + c
-        listed = sorted(where, key=lambda h: (len(where[h]), h))
-        groups = []
-        for a in range(0, len(listed), 20_000):
-            part = listed[a : a + 20_000]
-            at = np.concatenate([[0], np.cumsum([len(where[h]) for h in part])])
-            text = np.frombuffer(b"".join(where[h] for h in part), np.uint8)
-            groups.append((*_spell(index, text, at[:-1], at[1:]), np.array([counts[h] for h in part], float)))
-        p = np.zeros(index.size + 1)
-        for _, spelled, weight in groups:
-            for e in range(spelled.shape[0]):
-                for m in range(1, spelled.shape[1]):
-                    p += np.bincount(spelled[e, m] % len(p), weight, len(p))
+            for i, c in zip(at.tolist(), n.tolist(), strict=True):
+                word = b" " + raw[start[i] : end[i]]
+                counts[word] = counts.get(word, 0) + c
+        by: dict[int, list[bytes]] = {}
+        for word in sorted(counts):
+            by.setdefault(len(word), []).append(word)
+        groups, long_ = [], []
+        for size, listed in sorted(by.items()):
+            if size > SHORT:
+                long_ += [(np.frombuffer(w, np.uint8), float(counts[w])) for w in listed]
+                continue
+            for a in range(0, len(listed), 20_000):
+                part = listed[a : a + 20_000]
+                edges = vocabulary.edges(np.frombuffer(b"".join(part), np.uint8).reshape(len(part), size))
+                groups.append((len(part), size, edges, np.array([counts[w] for w in part], float)))
+        p = np.zeros(vocabulary.size)
+        for _, _, edges, weight in groups:
+            for _, _, which, piece in edges:
+                p += np.bincount(piece, weight[which], len(p))
+        for text, weight in long_:
+            for _, _, piece in vocabulary.ends(text):
+                np.add.at(p, piece, weight)
         for step in range(ROUNDS + 1):
-            p[-1] = 0
-            p[:-1] = (p[:-1] + SMOOTHING) / (p[:-1].sum() + SMOOTHING * index.size)
+            p = (p + SMOOTHING) / (p.sum() + SMOOTHING * len(p))
             if step == ROUNDS:
                 break
-            p = sum((_expected(p, *g) for g in groups), np.zeros(len(p)))
-        return pa.table({"lang": [key[0].as_py()], "p": pa.array([p[:-1].tolist()], pa.list_(pa.float64()))})
+            logs = np.log(p)
+            p = sum((expected(p, *g) for g in groups), np.zeros(len(p))) + sum((expected_long(logs, vocabulary, *g) for g in long_), np.zeros(len(p)))
+        return pa.table({"lang": [key[0].as_py()], "p": pa.array([p.tolist()], pa.list_(pa.float64()))})
 
     return run
 
@@ -162,7 +203,8 @@ class Scorer:
 
     def __init__(self, path: str, model: dict[str, np.ndarray]):
         self.langs = list(model)
-        self.p = np.vstack([np.stack(list(model.values()), 1), np.zeros(len(model))])
+        self.p = np.stack(list(model.values()), 1)
+        self.logs = np.log(self.p)
         self.vocabulary = pieces(path)
         self._clear()
 
@@ -172,23 +214,26 @@ class Scorer:
 
     def words(self, low: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         out = np.empty((len(start), len(self.langs)), np.float32)
-        order = np.argsort(end - start, kind="stable")
-        for a in range(0, len(order), 4096):
-            part = order[a : a + 4096]
-            size, spelled = _spell(self.vocabulary, low, start[part], end[part])
-            alpha = _forward(self.p, spelled)
-            out[part] = np.log(alpha[size, np.arange(len(size))])
+        size = end - start
+        for n in np.unique(size).tolist():
+            same = np.flatnonzero(size == n)
+            if n + 1 > SHORT:
+                for i in same.tolist():
+                    out[i] = forward_long(self.logs, self.vocabulary, np.concatenate([np.array([0x20], np.uint8), low[start[i] : end[i]]]))
+                continue
+            for a in range(0, len(same), 4096):
+                part = same[a : a + 4096]
+                out[part] = np.log(forward(self.p, len(part), n + 1, self.vocabulary.edges(_spaced(low, start[part], n)))[n + 1])
         return out
 
     def rows(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Summed log probabilities (row, language) and words of each row."""
         start, end, row, low = words(data, offsets)
-        start, end, row = _long_words(start, end, row)
         n = np.bincount(row, minlength=len(offsets) - 1)
         out = np.zeros((len(n), len(self.langs)))
         if not len(start):
             return out, n
-        hashed = span_hashes(prefix_hashes(low), start, end)
+        hashed = string_hashes(low, start, end)
         for a in range(0, len(hashed), CACHE // 2):
             h, r = hashed[a : a + CACHE // 2], row[a : a + CACHE // 2]
             found = self.index.find(h)
@@ -211,41 +256,60 @@ class Scorer:
 _scorers: dict = {}
 
 
-def _predict(path: str, shared, keep: list[str]):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _predict(path: str, shared):
+    kind = pa.struct([("lang_pred", pa.string()), ("score", pa.float64())])
+
+    def run(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         key, model = shared.value
         if key not in _scorers:
             _scorers.clear()
             _scorers[key] = Scorer(path, model)
         scorer = _scorers[key]
         names = np.array([*scorer.langs, "und"], object)
-        for rows, data, offsets in chunks(batches, "text"):
-            total, n = scorer.rows(data, offsets)
-            letter = np.concatenate([[0], np.cumsum(((data | 0x20) >= 0x61) & ((data | 0x20) <= 0x7A) & (data < 0x80))])[offsets]
-            has = np.diff(letter) > 0
-            for i in np.flatnonzero(~has & (np.diff(offsets) > 0)).tolist():
-                has[i] = any(c.isalpha() for c in bytes(data[offsets[i] : offsets[i + 1]]).decode())
-            # the odds of a word of average length, sharpened by the square root of their number
-            odds = total / np.sqrt(np.maximum(n, 1))[:, None]
-            odds = np.exp(odds - odds.max(1, keepdims=True))
-            best = np.where(has, total.argmax(1), len(scorer.langs))
-            score = np.where(has, odds.max(1) / odds.sum(1), 0.0)
-            yield pa.RecordBatch.from_arrays([*(rows.column(rows.schema.get_field_index(c)) for c in keep), pa.array(names[best], pa.string()), pa.array(score)], names=[*keep, "lang_pred", "score"])
+        for text in texts:
+            told = [pa.array([], kind)]
+            for _, data, offsets in chunks(iter([pa.RecordBatch.from_arrays([text], names=["text"])]), "text"):
+                total, n = scorer.rows(data, offsets)
+                letter = np.concatenate([[0], np.cumsum(((data | 0x20) >= 0x61) & ((data | 0x20) <= 0x7A) & (data < 0x80))])[offsets]
+                has = np.diff(letter) > 0
+                for i in np.flatnonzero(~has & (np.diff(offsets) > 0)).tolist():
+                    has[i] = any(c.isalpha() for c in bytes(data[offsets[i] : offsets[i + 1]]).decode())
+                # the odds of a word of average length, sharpened by the square root of their number
+                odds = total / np.sqrt(np.maximum(n, 1))[:, None]
+                odds = np.exp(odds - odds.max(1, keepdims=True))
+                best = np.where(has, total.argmax(1), len(scorer.langs))
+                score = np.where(has, odds.max(1) / odds.sum(1), 0.0)
+                told.append(pa.StructArray.from_arrays([pa.array(names[best], pa.string()), pa.array(score)], fields=list(kind)))
+            yield pa.concat_arrays(told)
 
     return run
 
 
-def predict(docs: DataFrame, path: str, model: dict[str, np.ndarray], keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The columns `keep` with `lang_pred` and `score`, the share of the best language among the languages' odds."""
+def language(docs: DataFrame, path: str, model: dict[str, np.ndarray], text: str = "text") -> Column:
+    """A column (lang_pred, score) for `docs`: the best language of the text and its share among the languages' odds.
+
+    Only the text goes to Python; the other columns of a row wait where they are.
+    """
     if not model:
-        return docs.select(*keep, F.lit("und").alias("lang_pred"), F.lit(0.0).alias("score"))
+        return F.struct(F.lit("und").alias("lang_pred"), F.lit(0.0).alias("score"))
     import hashlib
 
     key = hashlib.sha256(b"".join(k.encode() + v.tobytes() for k, v in model.items())).hexdigest()
     shared = docs.sparkSession.sparkContext.broadcast((key, model))  # a vocabulary times the languages
-    kept = docs.select(*keep, *([] if "text" in keep else ["text"]))
-    schema = ", ".join(f"`{c}` {t}" for c, t in docs.select(*keep).dtypes)
-    return kept.mapInArrow(_predict(path, shared, list(keep)), f"{schema}, lang_pred string, score double")
+    return F.arrow_udf(_predict(path, shared), "lang_pred string, score double")(F.col(text))
+
+
+def predict(docs: DataFrame, path: str, model: dict[str, np.ndarray]) -> DataFrame:
+    """(doc_id, lang_pred, score) of each row."""
+    return docs.select("doc_id", language(docs, path, model).alias("told")).select("doc_id", "told.*")
+
+
+def keep(docs: DataFrame, path: str, least: float = 0.5) -> DataFrame:
+    """The rows with a language at `least` or more, fitted on the rows that aren't held out; their columns stay as they are."""
+    model = fit(docs.filter(~held_out(F.col("doc_id"))).select("doc_id", "text", "lang"), path)
+    (told,) = unused(docs, "told")
+    found = docs.select("*", language(docs, path, model).alias(told))
+    return found.filter((F.col(told)["lang_pred"] != "und") & (F.col(told)["score"] >= least)).select(*named(docs))
 
 
 def held_out(doc_id: Column) -> Column:
@@ -255,6 +319,6 @@ def held_out(doc_id: Column) -> Column:
 
 def classify(docs: DataFrame, path: str) -> DataFrame:
     """Learns from the documents that aren't held out and predicts all."""
-    flagged = docs.withColumn("held_out", held_out(F.col("doc_id")))
-    model = fit(flagged.filter("not held_out").select("doc_id", "text", "lang"), path)
-    return predict(flagged.select("doc_id", "held_out", "text"), path, model, ("doc_id", "held_out"))
+    given = docs.select("doc_id", "text", "lang")
+    model = fit(given.filter(~held_out(F.col("doc_id"))), path)
+    return given.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), language(given, path, model).alias("told")).select("doc_id", "held_out", "told.*")

@@ -77,11 +77,83 @@ def test_language(spark):
     assert {out[i]["lang_pred"] for i in (900, 901, 902)} == {"und"}
 
 
+def segmentations(word, p):
+    """Probability and expected uses of pieces (a dict) by listing every segmentation."""
+    total, uses = 0.0, Counter()
+    def cut(rest, pieces, q):
+        nonlocal total
+        if not rest:
+            total += q
+            for x in pieces:
+                uses[x] += q
+        for m in range(1, len(rest) + 1):
+            if rest[:m] in p:
+                cut(rest[m:], [*pieces, rest[:m]], q * p[rest[:m]])
+    cut(word, [], 1.0)
+    return total, {k: v / total for k, v in uses.items()}
+
+
 def test_forward_sums_all_segmentations():
-    p = np.array([0.5, 0.25, 0.125, 0.0])  # pieces "a", "b", "ab"
-    spelled = np.full((3, language.LONGEST_PIECE + 1, 1), -1, np.int32)
-    spelled[1, 1], spelled[2, 1], spelled[2, 2] = 0, 1, 2
-    assert np.isclose(language._forward(p, spelled)[2, 0], 0.5 * 0.25 + 0.125)
+    vocabulary = language.pieces(queries.vocabulary("piece_bpe_32k.model"))
+    assert vocabulary.longest > 8
+    rng = np.random.default_rng(3)
+    p = rng.random(vocabulary.size) + 1e-3
+    p /= p.sum()
+    number = lambda x: int(vocabulary.edges(np.frombuffer(x, np.uint8)[None, :])[-1][3][0])
+    words_ = [b" internationalization"[:16], b" responsibilities"[:16], " größe süd mann".encode()[:16]]
+    known = {}
+    for w in words_:
+        for i in range(16):
+            for j in range(i + 1, 17):
+                found = [x for x in vocabulary.edges(np.frombuffer(w[i:j], np.uint8)[None, :]) if x[0] == x[1] == j - i]
+                if found:
+                    known[w[i:j]] = p[found[0][3][0]]
+    text = np.frombuffer(b"".join(words_), np.uint8).reshape(3, 16)
+    edges = vocabulary.edges(text)
+    alpha = language.forward(p, 3, 16, edges)[16]
+    uses = language.expected(p, 3, 16, edges, np.array([1.0, 2.0, 3.0]))
+    want = np.zeros(len(p))
+    for k, w in enumerate(words_):
+        total, each = segmentations(w, known)
+        assert np.isclose(alpha[k], total)
+        assert np.allclose(np.exp(language.forward_long(np.log(p)[:, None], vocabulary, text[k])), total)
+        one = language.expected_long(np.log(p), vocabulary, text[k], k + 1.0)
+        for x, n in each.items():
+            want[number(x)] += n * (k + 1)
+            assert np.isclose(one[number(x)], n * (k + 1))
+    assert np.allclose(uses, want)
+
+
+def test_long_words_are_summed_whole():
+    """A word of any length: what ends at block borders and beyond the widest piece is as in the plain recursion."""
+    vocabulary = language.pieces(queries.vocabulary("piece_bpe_32k.model"))
+    text = np.frombuffer((" " + "donaudampfschifffahrt" * 12).encode(), np.uint8)
+    want = [(e, m.tolist(), x.tolist()) for e, m, x in vocabulary.ends(text)]
+    assert [(e, m.tolist(), x.tolist()) for e, m, x in vocabulary.ends(text, block=7)] == want and len(want) == len(text)
+    logs = np.log(np.full((vocabulary.size, 2), 1e-5))
+    plain = np.zeros((len(text) + 1, 2))
+    for e, m, x in want:
+        plain[e] = np.logaddexp.reduce(plain[e - np.array(m)] + logs[x], axis=0)
+    assert np.allclose(language.forward_long(logs, vocabulary, text), plain[-1])
+
+
+def test_language_of_odd_rows(spark, none):
+    path = queries.vocabulary("piece_bpe_32k.model")
+    assert language.classify(none, path).count() == 0 and language.keep(none, path).count() == 0
+    text = {"en": "the house and the garden of the king", "de": "das haus und der garten von dem könig"}
+    rows_ = [(i if i < 118 else None, text[k], k, "s", 0.25) for i, k in enumerate(list(text) * 60)] + [(5, text["de"] + " " + "wort" * 3000, None, "t", 0.5), (5, None, "de", None, None)]
+    df = spark.createDataFrame(rows_, "doc_id long, text string, lang string, lang_pred string, score double")
+    kept = language.keep(df, path)
+    assert kept.columns == df.columns
+    assert sorted(map(str, kept.collect())) == sorted(str(r) for r in df.collect() if r["text"])
+
+
+def test_language_held_out_accuracy(spark):
+    """On the given table, of languages it learned from other documents."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    told = language.classify(docs, queries.vocabulary("piece_bpe_32k.model")).join(docs.select("doc_id", "lang"), "doc_id")
+    n, right = told.filter("held_out and lang is not null and lang_pred <> 'und'").selectExpr("count(*)", "count_if(lang = lang_pred)").first()
+    assert n > 150 and right / n >= 0.97
 
 
 def test_warc_round_trip(spark):
