@@ -20,10 +20,7 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 def identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents without a language: no text, no letter, or no learned language above an even chance. The rest keep their columns."""
-    path = vocabulary("piece_bpe_32k.model")
-    model = language.fit(docs.filter(~language.held_out(F.col("doc_id"))), path)
-    told = language.predict(docs, path, model, tuple(docs.columns))
-    return told.filter("lang_pred <> 'und' and score >= 0.5").drop("lang_pred", "score")
+    return language.keep(docs, vocabulary("piece_bpe_32k.model"), least=0.5)
 
 
 def distinct_texts(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
