@@ -221,6 +221,23 @@ def string_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.nd
     return out
 
 
+def gather(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """The places start, start + 1, ... of each range after each other."""
+    return np.repeat(start - (np.cumsum(size) - size), size) + np.arange(size.sum())
+
+
+def same_bytes(one: np.ndarray, a: np.ndarray, other: np.ndarray, b: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether the bytes of `one` from each a and those of `other` from b agree over each size (over 0)."""
+    out = np.zeros(len(a), bool)
+    turn = np.cumsum(size) >> 21
+    edge = np.flatnonzero(np.concatenate([[True], turn[1:] != turn[:-1]])) if len(a) else np.zeros(0, np.int64)
+    for x, y in zip(edge.tolist(), [*edge[1:].tolist(), len(a)], strict=False):
+        n = size[x:y]
+        differ = one[gather(a[x:y], n)] != other[gather(b[x:y], n)]
+        out[x:y] = np.add.reduceat(differ, np.cumsum(n) - n) == 0
+    return out
+
+
 def word_hashes(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """64-bit hashes of the lower-cased words of a chunk and the number of words before each row (one more than rows)."""
     start, end, row, low = words(data, offsets)

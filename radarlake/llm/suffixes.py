@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from radarlake.llm.common import HashIndex, chunks, mix, partitions, prefix_hashes, span_hashes
+from radarlake.llm.common import HashIndex, chunks, gather, mix, partitions, prefix_hashes, same_bytes, span_hashes
 from radarlake.llm.common import _powers as powers
 from radarlake.llm.packed import pack, planes, unpack, unplanes, values
 
@@ -105,23 +105,6 @@ class Segments:
         return row, lo + a, hi + a, place, route, key
 
 
-def _gather(start: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """The places start, start + 1, ... of each range after each other."""
-    return np.repeat(start - (np.cumsum(size) - size), size) + np.arange(size.sum())
-
-
-def same_bytes(text: np.ndarray, a: np.ndarray, b: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """Whether the bytes from a and from b agree over each size (over 0)."""
-    out = np.zeros(len(a), bool)
-    turn = np.cumsum(size) >> 21
-    edge = np.flatnonzero(np.concatenate([[True], turn[1:] != turn[:-1]])) if len(a) else np.zeros(0, np.int64)
-    for x, y in zip(edge.tolist(), [*edge[1:].tolist(), len(a)], strict=False):
-        n = size[x:y]
-        differ = text[_gather(a[x:y], n)] != text[_gather(b[x:y], n)]
-        out[x:y] = np.add.reduceat(differ, np.cumsum(n) - n) == 0
-    return out
-
-
 def equal_groups(text: np.ndarray, at: np.ndarray, size: np.ndarray, keys: np.ndarray, docs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """An order by group and id, and where groups begin: equal keys whose bytes are equal, too."""
     order = np.lexsort((docs, keys))
@@ -131,7 +114,7 @@ def equal_groups(text: np.ndarray, at: np.ndarray, size: np.ndarray, keys: np.nd
     first = np.concatenate([[True], k[1:] != k[:-1]])
     head = order[np.maximum.accumulate(np.where(first, np.arange(len(order)), 0))]
     fits = size[order] == size[head]
-    fits[fits] = same_bytes(text, at[order[fits]], at[head[fits]], size[order[fits]])
+    fits[fits] = same_bytes(text, at[order[fits]], text, at[head[fits]], size[order[fits]])
     if not fits.all():
         # a hash lied: the bytes of the keys concerned decide
         odd = np.isin(keys, np.unique(keys[order[~fits]]))
@@ -217,7 +200,7 @@ def sort_suffixes(text: np.ndarray, starts: np.ndarray, size: np.ndarray, group:
     least = np.minimum(size[order[near]], size[order[near - 1]])
     share[near] = common_extension(prefix, x, y, least)
     some = near[share[near] > 0]
-    if not same_bytes(text, starts[order[some]], starts[order[some - 1]], share[some]).all() or not _rising(text, starts, size, order, near, share):
+    if not same_bytes(text, starts[order[some]], text, starts[order[some - 1]], share[some]).all() or not _rising(text, starts, size, order, near, share):
         raw = [text[s : s + k].tobytes() for s, k in zip(starts.tolist(), size.tolist(), strict=True)]
         order = np.array(sorted(range(n), key=lambda i: (group[i], raw[i])), np.int64)
         for i in near.tolist():
@@ -280,11 +263,12 @@ def _send_anchors(buckets: int, length: int, shared):
 
         for rows, data, offsets in chunks(batches, "text", 1 << 20):
             found = Segments(data, offsets, length, shared.value)
-            if not len(found.row):
+            ids = rows.column(rows.schema.get_field_index("doc_id"))
+            has = ids.is_valid().to_numpy(zero_copy_only=False)[found.row]
+            if not has.any():
                 continue
-            ids = rows.column(rows.schema.get_field_index("doc_id")).to_numpy(zero_copy_only=False)
-            keys.append(found.route)
-            docs.append(ids[found.row])
+            keys.append(found.route[has])
+            docs.append(ids.fill_null(0).to_numpy()[found.row[has]])
             held += len(keys[-1])
             if held > HELD:
                 yield flush()
@@ -363,7 +347,7 @@ def _send_segments(buckets: int, length: int, shared):
             rows = []
             for bucket, s in _split(b[by]):
                 x = heads[by[s]]
-                rows.append((bucket, 0, text[_gather(at[x], n[x])].tobytes(), planes(n[x]), planes(place[x]), planes(doc[x])))
+                rows.append((bucket, 0, text[gather(at[x], n[x])].tobytes(), planes(n[x]), planes(place[x]), planes(doc[x])))
             if len(later):
                 x = later[np.lexsort((doc[later], key[later]))]
                 rows.append((int(key[x[0]] % np.uint64(buckets)), 1, pack(key[x]), b"", b"", planes(doc[x])))
@@ -383,7 +367,7 @@ def _send_segments(buckets: int, length: int, shared):
             # a document sends equal segments once
             asked = asked[np.sort(np.unique(_pairs(found.row[asked], found.key[asked]), return_index=True)[1])]
             n = found.hi[asked] - found.lo[asked] + length
-            texts.append(data[_gather(found.lo[asked], n)])
+            texts.append(data[gather(found.lo[asked], n)])
             fields.append((n, found.place[asked], found.route[asked], found.key[asked], ids[found.row[asked]]))
             size += int(n.sum()) + 40 * len(n)
             if size > HELD_BYTES:
@@ -430,7 +414,7 @@ def meet_segments(text: np.ndarray, size: np.ndarray, place: np.ndarray, docs: n
     for x, y in zip(cuts[:-1], cuts[1:], strict=True):
         mine = one[x:y]
         n = size[mine]
-        packed = text[_gather(at[mine], n)]
+        packed = text[gather(at[mine], n)]
         group = np.cumsum(np.concatenate([[0], anchor[x + 1 : y] != anchor[x : y - 1]]))
         marks = mark_repeats(packed, n, place[mine], docs[mine], group, length)
         some = np.flatnonzero(marks)
@@ -514,7 +498,7 @@ def _drop(length: int, shared, with_text: bool):
                 spot = np.minimum(np.searchsorted(pair, mine), len(pair) - 1)
                 hit = np.flatnonzero(pair[spot] == mine)
                 n = found.hi[hit] - found.lo[hit] + 1
-                start = _gather(found.lo[hit], n)
+                start = gather(found.lo[hit], n)
                 bit = start - np.repeat(found.lo[hit], n)
                 start = start[np.repeat(marks[spot[hit]], n) >> bit & 1 == 1]
                 gone += np.bincount(start, minlength=len(gone)).astype(np.int32)
@@ -572,12 +556,13 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, with_text: bool = Fals
     prints = texts.filter("doc_id is not null").select("doc_id", F.sha2("text", 256).alias("print"), F.xxhash64("text").alias("mark"))
     first = prints.groupBy("print").agg(F.min("doc_id").alias("first"), F.count("*").alias("n")).filter("n > 1").drop("n")
     copies = prints.join(first, "print").filter("doc_id > first").groupBy("doc_id").agg(F.collect_set("mark").alias("copies"))
-    known = texts.join(copies, "doc_id", "left").select("doc_id", "text", F.coalesce(F.array_contains("copies", F.xxhash64("text")), F.lit(False)).alias("copy"))
+    # one exchange of the texts by id serves all three passes: left joins, and rows without an id are left out by the tasks
+    known = texts.repartition(parts, "doc_id").join(copies, "doc_id", "left").select("doc_id", "text", F.coalesce(F.array_contains("copies", F.xxhash64("text")), F.lit(False)).alias("copy"))
 
-    takes = known.filter("not copy and doc_id is not null")
+    takes = known.filter("not copy")
     met = deal(takes.select("doc_id", "text").mapInArrow(_send_anchors(buckets, length, shared), _SENT)).mapInArrow(_meet_anchors, _TOLD)
     told = met.groupBy("doc_id").agg(F.collect_list("keys").alias("told"))
-    sent = takes.join(told, "doc_id").select("doc_id", "text", "told").mapInArrow(_send_segments(buckets, length, shared), _SEGMENT)
+    sent = takes.join(told, "doc_id", "left").select("doc_id", "text", "told").mapInArrow(_send_segments(buckets, length, shared), _SEGMENT)
     marked = deal(sent).mapInArrow(_meet_segments(length), _MARKS)
     back = marked.groupBy("doc_id").agg(F.collect_list(F.struct("keys", "marks")).alias("told"))
     final = known.join(back, "doc_id", "left").select("doc_id", "text", "told", "copy")

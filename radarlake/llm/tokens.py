@@ -16,7 +16,7 @@ from functools import lru_cache
 
 import numpy as np
 
-from radarlake.llm.common import HashIndex, prefix_hashes, span_hashes
+from radarlake.llm.common import HashIndex, same_bytes, string_hashes
 
 #: Distinct pre-tokens that a worker keeps before it starts anew.
 CACHE_SIZE = 1 << 20
@@ -53,6 +53,8 @@ class Encoder:
         self.index = HashIndex(CACHE_SIZE)
         self.first = np.zeros(CACHE_SIZE + 1, np.int64)
         self.pool = np.zeros(1 << 16, np.uint32)
+        #: The bytes of the known pre-tokens, and where each begins.
+        self.raw, self.raw_first = np.zeros(1 << 16, np.uint8), np.zeros(CACHE_SIZE + 1, np.int64)
 
     def whole(self, text: str) -> np.ndarray:
         """The library's ids of one text."""
@@ -66,6 +68,12 @@ class Encoder:
             self.pool = np.concatenate([self.pool, np.zeros_like(self.pool)])
         self.pool[self.first[size] : first[-1]] = [i for x in ids for i in x]
         self.first[size + 1 : size + 1 + len(ids)] = first
+        raw = np.frombuffer(b"".join(tokens), np.uint8)
+        end = int(self.raw_first[size]) + len(raw)
+        while end > len(self.raw):
+            self.raw = np.concatenate([self.raw, np.zeros_like(self.raw)])
+        self.raw[end - len(raw) : end] = raw
+        self.raw_first[size + 1 : size + 1 + len(ids)] = self.raw_first[size] + np.cumsum([len(t) for t in tokens])
         self.index.add(hashed)
 
     def _cut(self, code: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -112,7 +120,7 @@ class Encoder:
         if self.lower:
             code = _LOWER[code]
         a, b = self._cut(code, at)
-        hashed = span_hashes(prefix_hashes(code), a, b)
+        hashed = string_hashes(code, a, b)
         found = self.index.find(hashed)
         if (found < 0).any():
             new, where = np.unique(hashed[found < 0], return_index=True)
@@ -127,6 +135,11 @@ class Encoder:
             raw = code.tobytes()
             self._add(new, [raw[a[i] : b[i]] for i in lost[where].tolist()])
             found = self.index.find(hashed)
+        size = b - a
+        known = self.raw_first[found + 1] - self.raw_first[found] == size
+        known[known] = same_bytes(code, a[known], self.raw, self.raw_first[found[known]], size[known])
+        if not known.all():
+            slow = np.union1d(slow, np.searchsorted(at, a[~known], "right") - 1)
         length = self.first[found + 1] - self.first[found]
         total = np.concatenate([[0], np.cumsum(length)])
         ids = self.pool[np.arange(total[-1]) + np.repeat(self.first[found] - total[:-1], length)]
