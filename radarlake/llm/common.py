@@ -7,6 +7,8 @@ session names in ``spark.checkpoint.dir`` and go when the driver ends.
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
 import hashlib
 import re
 import tempfile
@@ -111,6 +113,14 @@ def chunks(batches: Iterator[pa.RecordBatch], text: str, limit: int = CHUNK_BYTE
             b = max(a + 1, int(np.searchsorted(offsets, offsets[a] + limit, "right")) - 1)
             yield batch.slice(a, b - a), data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
             a = b
+    tidy()
+
+
+def tidy() -> None:
+    """Gives freed memory of the worker process back, which it would keep between tasks."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # another C library
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -125,7 +135,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     if len(_tables.get("power", ())) <= n:
-        m = max(n + 1, CHUNK_BYTES + (1 << 16))
+        m = 1 << max(16, n.bit_length())
         inverse = np.uint64(pow(int(_BASE), -1, 1 << 64))
         for name, base in (("power", _BASE), ("inverse", inverse)):
             x = np.full(m, base, np.uint64)
@@ -173,15 +183,15 @@ def words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return start, end, row, low
 
 
-#: Two primes under 2**31 and a base for each; words of over LONG_WORD bytes go by a digest.
+#: Two primes under 2**31 and a base for each; bytes hashed at once; strings of over LONG_STRING bytes go by a digest.
 _PRIMES, _BASES = (2147483647, 2147483629), (1015568748, 461845907)
-LONG_WORD = 1 << 16
+HASH_BLOCK, LONG_STRING = 1 << 18, 1 << 15
 
 
 def _residues(k: int) -> tuple[np.ndarray, np.ndarray]:
     """Powers of a base and of its inverse modulo a prime, for the positions of a block."""
     if f"residues {k}" not in _tables:
-        p, n = _PRIMES[k], CHUNK_BYTES + LONG_WORD + 1
+        p, n = _PRIMES[k], HASH_BLOCK + LONG_STRING + 1
         for name, base in ((f"residues {k}", _BASES[k]), (f"inverse residues {k}", pow(_BASES[k], -1, p))):
             out, done = np.ones(n, np.uint64), 1
             while done < n:
@@ -195,14 +205,14 @@ def _residues(k: int) -> tuple[np.ndarray, np.ndarray]:
 def string_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
     """64-bit hashes of the byte strings [start, end), starts rising, the same wherever a string stands.
 
-    Prefix polynomials modulo two primes, block by block of CHUNK_BYTES; a string of over
-    LONG_WORD bytes is hashed by a digest. The modulus isn't a power of two, for which
+    Prefix polynomials modulo two primes, block by block of HASH_BLOCK; a string of over
+    LONG_STRING bytes is hashed by a digest. The modulus isn't a power of two, for which
     short strings of equal hashes are known to any base.
     """
     out = np.zeros(len(start), np.uint64)
     size = end - start
-    small = np.flatnonzero(size <= LONG_WORD)
-    block = start[small] // CHUNK_BYTES
+    small = np.flatnonzero(size <= LONG_STRING)
+    block = start[small] // HASH_BLOCK
     edges = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]])) if len(small) else small
     for a, b in zip(edges, np.append(edges[1:], len(small)), strict=True):
         mine = small[a:b]
@@ -212,11 +222,11 @@ def string_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.nd
         for k, p in enumerate(np.array(_PRIMES, np.uint64)):
             power, inverse = _residues(k)
             prefix = np.zeros(last - first + 1, np.uint64)
-            # below 2**9 * 2**31 * 2**22, so nothing is lost
+            # below 2**9 * 2**31 * 2**19, so nothing is lost
             np.cumsum(terms * power[: last - first], out=prefix[1:])
             parts.append((prefix[end[mine] - first] - prefix[start[mine] - first]) % p * inverse[start[mine] - first] % p)
         out[mine] = mix((parts[0] << np.uint64(32)) + parts[1] + mix(size[mine].astype(np.uint64)))
-    for i in np.flatnonzero(size > LONG_WORD).tolist():
+    for i in np.flatnonzero(size > LONG_STRING).tolist():
         out[i] = int.from_bytes(hashlib.blake2b(data[start[i] : end[i]].tobytes(), digest_size=8).digest(), "little")
     return out
 

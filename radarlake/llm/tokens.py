@@ -19,7 +19,7 @@ import numpy as np
 from radarlake.llm.common import HashIndex, same_bytes, string_hashes
 
 #: Distinct pre-tokens that a worker keeps before it starts anew.
-CACHE_SIZE = 1 << 20
+CACHE_SIZE = 1 << 19
 _LETTER, _NUMBER, _SPACE, _OTHER = range(4)
 #: Signs of Latin-1 whose class the libraries may see in different ways, and the sign that opens special tokens.
 _ODD = [*range(0x1C, 0x20), 0x85]
