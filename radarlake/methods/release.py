@@ -105,13 +105,29 @@ def volume(df: DataFrame, component: str = "component", size: str = "bytes") ->
     return df.groupBy(component).agg(F.count("*").alias("members"), F.sum(size).alias("bytes"))
 
 
+#: Bytes of test texts whose runs are sent to all workers; a larger test set meets the texts in an exchange.
+SENT_BYTES = 16 << 20
+
+
 def contamination(train: DataFrame, test: DataFrame, n: int = 8, key_: str = "doc_id", item: str = "item_id") -> DataFrame:
-    """Pairs of texts and test items that share a run of n words."""
+    """Pairs of texts and test items that share a run of n words, and how many distinct ones.
+
+    A run goes by two 64-bit hashes of its words. Null and shorter texts have no run.
+    """
     from radarlake.methods.caption import tokens
+    from radarlake.methods.geo import bound
 
     def runs(df: DataFrame, k: str) -> DataFrame:
-        w = tokens(F.lower("text"))
-        made = F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.md5(F.array_join(F.slice(w, i, F.lit(n)), " ")))).otherwise(F.array().cast("array<string>"))
-        return df.select(k, F.explode(F.array_distinct(made)).alias("h"))
-
-    return runs(train, key_).join(runs(test, item), "h").groupBy(key_, item).agg(F.count("*").alias("shared"))
+        def hashed(s: Column) -> Column:
+            places = F.sequence(F.lit(1), F.size(s["w"]) - n + 1)
+            run = lambda i: bound({"r": F.slice(s["w"], i, F.lit(n))}, lambda q: F.struct(F.xxhash64(q["r"]).alias("a"), F.xxhash64(F.lit(1), q["r"]).alias("b")))
+            return F.when(F.size(s["w"]) >= n, F.transform(places, run))
+
+        # the words are split once, not at each place
+        made = bound({"w": tokens(F.lower("text"))}, hashed)
+        return df.select(k, F.explode(F.array_distinct(made)).alias("h")).select(k, "h.a", "h.b")
+
+    size = test.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("n")).first()["n"]
+    asked = runs(test, item)
+    met = runs(train, key_).join(F.broadcast(asked) if size <= SENT_BYTES else asked, ["a", "b"])
+    return met.groupBy(key_, item).agg(F.count("*").alias("shared"))
