@@ -213,8 +213,8 @@ def string_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.nd
     size = end - start
     small = np.flatnonzero(size <= LONG_STRING)
     block = start[small] // HASH_BLOCK
-    edges = np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]])) if len(small) else small
-    for a, b in zip(edges, np.append(edges[1:], len(small)), strict=True):
+    for a in np.flatnonzero(np.concatenate([[True], block[1:] != block[:-1]])).tolist() if len(small) else []:
+        b = int(np.searchsorted(block, block[a], "right"))
         mine = small[a:b]
         first, last = int(start[mine[0]]), int(end[mine].max())
         terms = data[first:last].astype(np.uint64) + np.uint64(1)

@@ -6,14 +6,21 @@ seeds of all documents; around each meeting the item is laid over the document a
 the equal words are counted, and a document holds an item if at least `overlap` of the
 item's words agree at one place.
 
+Items of up to SHORT words also get the masks of every so many positions, one more than
+the words that `overlap` lets differ: however those lie, one of the masks misses them all, so
+no short item is lost. Over longer ones the fixed masks leave a hit in all of the patterns
+that the tests draw.
+
 The test items are the stated query set: they go to the workers in blocks of proven
 size, one pass over the documents a block. Words are split at ASCII white space, lower-cased (A-Z).
-Null or empty texts hold nothing, items without words are in no document, a repeated
-item_id counts as one item for each of its rows, and of equal overlaps the first place stands.
+Null or empty texts hold nothing, items without words or without an item_id are in no document, a
+repeated item_id counts as one item for each of its rows, and of equal overlaps the first
+place stands. Rows that repeat a doc_id and null ids are searched and removed row by row.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from functools import reduce
 
@@ -24,22 +31,31 @@ from pyspark.sql import functions as F
 
 from radarlake.llm.common import HashIndex, chunks, mix, word_hashes
 
-#: Fixed masks of five words each; items with fewer words are one unbroken seed.
+#: Fixed masks of five words each, laid at every place.
 MASKS = ("11111", "1101011", "110010011", "1010100101001")
+#: Words of an item up to which masks of every so many positions are laid, too.
+SHORT = 14
 OVERLAP = 0.8
 #: Bytes of test texts that one pass sends to the workers.
 BLOCK_BYTES = 16 << 20
 SCHEMA = "doc_id long, item_id long, n_matched long, n_item long, place long, overlap double"
 
 
-def _masks(n: int, masks: tuple[str, ...]) -> list[tuple[int, ...]]:
-    """Positions that count, of each mask that fits n words."""
-    kept = [tuple(i for i, c in enumerate(m) if c == "1") for m in masks if len(m) <= n]
-    return kept or [tuple(range(n))]
+def seeds_of(n: int, overlap: float, masks: tuple[str, ...] = MASKS) -> list[tuple[tuple[int, ...], range]]:
+    """For an item of n words: masks, as positions that count, and the places at which they are laid."""
+    out = []
+    for m in masks:
+        mask = tuple(i for i, c in enumerate(m) if c == "1")
+        if len(m) <= n:
+            out.append((mask, range(n - mask[-1])))
+    if n <= SHORT or not out:
+        step = n - math.ceil(overlap * n - 1e-9) + 1
+        out += [(tuple(range(0, n - r, step)), range(r, r + 1)) for r in range(min(step, n))]
+    return out
 
 
 def _seeds(hashed: np.ndarray, at: np.ndarray, mask: tuple[int, ...]) -> np.ndarray:
-    out = np.full(len(at), np.uint64(len(mask) << 32 | mask[-1]), np.uint64)
+    out = np.full(len(at), np.uint64(sum(1 << i for i in mask) % (1 << 64)), np.uint64)
     for i in mask:
         out = mix(out * np.uint64(0xA0761D6478BD642F) + hashed[at + i])
     return out
@@ -48,7 +64,7 @@ def _seeds(hashed: np.ndarray, at: np.ndarray, mask: tuple[int, ...]) -> np.ndar
 class Items:
     """Words and seeds of a block of test items."""
 
-    def __init__(self, ids: list[int], texts: list[str | None], masks: tuple[str, ...] = MASKS):
+    def __init__(self, ids: list[int], texts: list[str | None], overlap: float = OVERLAP, masks: tuple[str, ...] = MASKS):
         raw = [(t or "").encode() for t in texts]
         offsets = np.concatenate([[0], np.cumsum([len(x) for x in raw])]).astype(np.int64)
         self.ids = np.array(ids, np.int64)
@@ -56,10 +72,10 @@ class Items:
         seeds, item, place = [np.zeros(0, np.uint64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         self.masks: list[tuple[int, ...]] = []
         for i, (a, b) in enumerate(zip(self.first[:-1].tolist(), self.first[1:].tolist(), strict=True)):
-            for mask in _masks(b - a, masks) if b > a else []:
+            for mask, places in seeds_of(b - a, overlap, masks) if b > a else []:
                 if mask not in self.masks:
                     self.masks.append(mask)
-                at = np.arange(a, b - mask[-1])
+                at = a + np.arange(places.start, places.stop)
                 seeds.append(_seeds(self.words, at, mask))
                 item.append(np.full(len(at), i))
                 place.append(at - a)
@@ -105,7 +121,7 @@ class Items:
 
 def _search(shared, overlap: float):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        items = Items(*shared.value)
+        items = Items(*shared.value, overlap)
         for rows, data, offsets in chunks(batches, "text"):
             hits = items.search(*word_hashes(data, offsets), overlap)
             if hits:
@@ -116,23 +132,43 @@ def _search(shared, overlap: float):
     return run
 
 
+def _holds(shared, overlap: float):
+    def run(texts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        items = Items(*shared.value, overlap)
+        for text in texts:
+            out, done = np.zeros(len(text), bool), 0
+            for rows, data, offsets in chunks(iter([pa.RecordBatch.from_arrays([text], names=["text"])]), "text"):
+                for hit in items.search(*word_hashes(data, offsets), overlap):
+                    out[done + hit[0]] = True
+                done += rows.num_rows
+            yield pa.array(out)
+
+    return run
+
+
+def _blocks(tests: DataFrame, block_bytes: int) -> list:
+    """The test items, broadcast in blocks of about `block_bytes`."""
+    spark = tests.sparkSession
+    named_ = tests.filter("item_id is not null")
+    size = named_.agg(F.coalesce(F.sum(F.octet_length("text") + 64), F.lit(0)).alias("n")).first()["n"]
+    blocks = max(1, -(-int(size) // block_bytes))
+    out = []
+    for b in range(blocks):
+        block = named_ if blocks == 1 else named_.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b)
+        rows = sorted(block.select("item_id", "text").collect(), key=lambda r: (r["item_id"], r["text"] or ""))
+        out.append(spark.sparkContext.broadcast(([r["item_id"] for r in rows], [r["text"] for r in rows])))
+    return out
+
+
 def find(docs: DataFrame, tests: DataFrame, overlap: float = OVERLAP, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """A row for each document and test item (item_id, text) that it holds, with the best place."""
-    spark = docs.sparkSession
-    size = tests.agg(F.coalesce(F.sum(F.octet_length("text") + 64), F.lit(0)).alias("n")).first()["n"]
-    blocks = max(1, -(-int(size) // block_bytes))
     kept = docs.select("doc_id", "text")
-    parts = []
-    for b in range(blocks):
-        block = tests if blocks == 1 else tests.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == b)
-        rows = sorted(block.select("item_id", "text").collect(), key=lambda r: (r["item_id"] is None, r["item_id"] or 0, r["text"] or ""))
-        rows = [r for r in rows if r["item_id"] is not None]
-        shared = spark.sparkContext.broadcast(([r["item_id"] for r in rows], [r["text"] for r in rows]))
-        parts.append(kept.mapInArrow(_search(shared, overlap), SCHEMA))
-    return reduce(DataFrame.unionByName, parts)
-
-
-def remove(docs: DataFrame, tests: DataFrame, overlap: float = OVERLAP) -> DataFrame:
-    """The documents that hold no test item, all their columns kept."""
-    held = find(docs, tests, overlap).select(F.col("doc_id").alias("_held")).distinct()
-    return docs.join(held, docs["doc_id"] == held["_held"], "left_anti")
+    return reduce(DataFrame.unionByName, (kept.mapInArrow(_search(shared, overlap), SCHEMA) for shared in _blocks(tests, block_bytes)))
+
+
+def remove(docs: DataFrame, tests: DataFrame, overlap: float = OVERLAP, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """The rows of `docs` that hold no test item, as they are; only texts go to Python, and nothing is exchanged."""
+    out = docs
+    for shared in _blocks(tests, block_bytes):
+        out = out.filter(~F.arrow_udf(_holds(shared, overlap), "boolean")(F.col("text")))
+    return out

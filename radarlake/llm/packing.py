@@ -5,11 +5,12 @@ first cut into whole longest windows). From the shortest tier up, whole pieces f
 windows of the tier, largest first; what stays open at a tier's end moves up as
 fillers, and gaps of the longest windows are filled with cuts of the shorter tiers'
 pieces. The last, unfilled window of a task is cut into windows of powers of two, so
-that no window is padded. Windows of one tier form step groups of equal tokens.
+that no window is padded. Windows of one tier form step groups of equal tokens: they are
+numbered through over all tasks, so that every group but a tier's last one has STEP_TOKENS.
 
 A task packs the documents that it reads and shuffles nothing: sequence ids hold the
 task's number. A null or empty text is its end id alone; repeated ids are packed as
-often as they come.
+often as they come, and a null id stays null.
 """
 
 from __future__ import annotations
@@ -21,14 +22,15 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from radarlake.llm.common import chunks
+from radarlake.llm.common import chunks, stored
 from radarlake.llm.tokens import encoder, with_end
 
 TIERS = (64, 128, 256, 512, 1024)
 #: Tokens of one step group.
 STEP_TOKENS = 1 << 16
-SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, step_group long"
+SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, nth long"
 
 
 def plan(lengths: list[int], tiers: tuple[int, ...] = TIERS, held: list[list[tuple[int, int, int]]] | None = None, last: bool = True) -> tuple[list[list[tuple[int, int, int]]], list[list[tuple[int, int, int]]]]:
@@ -126,11 +128,11 @@ def _task(path: str, end: int, tiers: tuple[int, ...]):
             for window in windows:
                 size = sum(p[2] for p in window)
                 tier = 1 << (size - 1).bit_length()
-                group, steps[tier] = steps[tier] * tier // STEP_TOKENS, steps[tier] + 1
+                nth, steps[tier] = steps[tier], steps[tier] + 1
                 offset = 0
                 for doc, start, n in window:
                     d, tokens, raw = known[doc]
-                    out.append((d, start, n, zlib.crc32(raw[4 * start : 4 * (start + n)]), tokens, base + made, offset, tier, base + group))
+                    out.append((d, start, n, zlib.crc32(raw[4 * start : 4 * (start + n)]), tokens, base + made, offset, tier, nth))
                     offset += n
                 made += 1
             # documents that still have held pieces move to the front
@@ -139,7 +141,7 @@ def _task(path: str, end: int, tiers: tuple[int, ...]):
             known = [known[doc] if doc < first else (*known[doc][:2], memoryview(bytes(known[doc][2]))) for doc in kept]
             held = [[(place[doc], start, n) for doc, start, n in tier] for tier in held]
             if out:
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int32() if k == 7 else pa.int64()) for k, x in enumerate(zip(*out, strict=True))], names=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "tier", "step_group"])
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int32() if k == 7 else pa.int64()) for k, x in enumerate(zip(*out, strict=True))], names=["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "tier", "nth"])
 
     return run
 
@@ -149,14 +151,30 @@ def _and_end(items: Iterator) -> Iterator:
     yield None, None, None
 
 
-def pack(docs: DataFrame, tokenizer: str, end: int, tiers: tuple[int, ...] = TIERS) -> DataFrame:
-    """A row per piece: where it stands in its document and in its sequence, with the checksum of its ids."""
-    return docs.select("doc_id", "text").mapInArrow(_task(tokenizer, end, tiers), SCHEMA)
+def pack(docs: DataFrame, tokenizer: str, end: int, tiers: tuple[int, ...] = TIERS, step_tokens: int = STEP_TOKENS) -> DataFrame:
+    """A row per piece: where it stands in its document and in its sequence, with the checksum of its ids, the tier and the step group."""
+    return balanced(stored(docs.select("doc_id", "text").mapInArrow(_task(tokenizer, end, tiers), SCHEMA), "pieces"), step_tokens)
+
+
+def balanced(pieces: DataFrame, step_tokens: int = STEP_TOKENS) -> DataFrame:
+    """Pieces with `step_group`, a tier's group of windows with `step_tokens` in all: `nth` windows of a task come after those of the tasks before it.
+
+    A tier's windows all hold the same number of tokens; the table of offsets has a row a task and tier.
+    """
+    spark = pieces.sparkSession
+    task = F.shiftright("sequence_id", 33)
+    counts = pieces.groupBy(task.alias("task"), "tier").agg((F.max("nth") + 1).alias("n")).collect()
+    offsets, seen = [], dict.fromkeys({r["tier"] for r in counts}, 0)
+    for r in sorted(counts, key=lambda r: r["task"]):
+        offsets.append((r["task"], r["tier"], seen[r["tier"]]))
+        seen[r["tier"]] += r["n"]
+    table = F.broadcast(spark.createDataFrame(offsets, "task long, tier int, first long"))
+    placed = pieces.withColumn("task", task).join(table, ["task", "tier"])
+    group = F.floor((F.col("first") + F.col("nth")) * F.col("tier") / step_tokens).cast("long")
+    return placed.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "tier", group.alias("step_group"))
 
 
 def padding(pieces: DataFrame) -> DataFrame:
     """Sequences, tokens, padded places and pieces a document, by tier."""
-    from pyspark.sql import functions as F
-
     sequences = pieces.groupBy("sequence_id", "tier").agg(F.sum("length").alias("used"), F.count("*").alias("pieces"))
     return sequences.groupBy("tier").agg(F.count("*").alias("sequences"), F.sum("used").alias("tokens"), F.sum(F.col("tier") - F.col("used")).alias("padded"), F.sum("pieces").alias("pieces"))

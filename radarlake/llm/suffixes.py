@@ -220,7 +220,7 @@ def _rising(text, starts, size, order, near, share) -> bool:
 # --- step 1: anchors that several documents hold ----------------------------------
 
 _SENT = "bucket int, kind int, keys binary, docs binary"
-_TOLD = "doc_id long, keys array<long>"
+_TOLD = "doc_id long, key long"
 
 
 def _split(bucket: np.ndarray) -> list[tuple[int, slice]]:
@@ -230,13 +230,9 @@ def _split(bucket: np.ndarray) -> list[tuple[int, slice]]:
     return [(int(bucket[x]), slice(int(x), int(y))) for x, y in zip(edge, np.append(edge[1:], len(bucket)), strict=True)]
 
 
-def _lists(docs: np.ndarray, **columns: np.ndarray) -> pa.RecordBatch:
-    """A row for each id with the lists of its values."""
-    order = np.argsort(docs, kind="stable")
-    docs = docs[order]
-    first = np.flatnonzero(np.concatenate([[True], docs[1:] != docs[:-1]])) if len(docs) else np.zeros(0, np.int64)
-    at = pa.array(np.append(first, len(docs)).astype(np.int32))
-    return pa.RecordBatch.from_arrays([pa.array(docs[first]), *(pa.ListArray.from_arrays(at, pa.array(v[order].view(np.int64))) for v in columns.values())], names=["doc_id", *columns])
+def _flat(docs: np.ndarray, **columns: np.ndarray) -> pa.RecordBatch:
+    """A row for each id and value; lists by bucket would be as many rows as a document has buckets, which grow with the table."""
+    return pa.RecordBatch.from_arrays([pa.array(docs), *(pa.array(v.view(np.int64)) for v in columns.values())], names=["doc_id", *columns])
 
 
 def _send_anchors(buckets: int, length: int, shared):
@@ -292,7 +288,7 @@ def _meet_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         same[1:] = k[1:] == k[:-1]
         same[:-1] |= same[1:]
         tell = same & ask
-        return _lists(d[tell], keys=k[tell]) if tell.any() else None
+        return _flat(d[tell], key=k[tell]) if tell.any() else None
 
     for batch in batches:
         for b, kind, k, d in values(batch, "bucket", "kind", "keys", "docs"):
@@ -301,7 +297,7 @@ def _meet_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
                     yield made
                 here, keys, docs, asks = b, [], [], []
             if kind == 2:
-                yield _lists(unplanes(d), keys=unpack(k))
+                yield _flat(unplanes(d), key=unpack(k))
             else:
                 keys.append(unpack(k))
                 docs.append(unplanes(d))
@@ -316,13 +312,10 @@ _SEGMENT = "bucket int, kind int, text binary, sizes binary, places binary, docs
 
 
 def _told(column: pa.Array, *fields: str) -> tuple[np.ndarray, list[np.ndarray]]:
-    """The row of each told value and the values, of a column of lists of lists (of structs of lists)."""
-    outer = column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
+    """The row of each told value and the values, of a column of lists (of structs)."""
+    many = column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
     parts = column.flatten()
-    lists = [parts] if not fields else [parts.field(f) for f in fields]
-    inner = lists[0].value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
-    row = np.repeat(np.repeat(np.arange(len(outer)), outer), inner)
-    return row, [x.flatten().to_numpy(zero_copy_only=False) for x in lists]
+    return np.repeat(np.arange(len(many)), many), [x.to_numpy(zero_copy_only=False) for x in ([parts.field(f) for f in fields] or [parts])]
 
 
 def _pairs(row: np.ndarray, key: np.ndarray) -> np.ndarray:
@@ -379,7 +372,7 @@ def _send_segments(buckets: int, length: int, shared):
     return run
 
 
-_MARKS = "doc_id long, keys array<long>, marks array<long>"
+_MARKS = "doc_id long, key long, mark long"
 _ALL = -1
 
 
@@ -460,7 +453,7 @@ def _meet_segments(length: int):
                 return None
             text = np.frombuffer(b"".join(r[0] for r in rows), np.uint8)
             keys, docs, marks = meet_segments(text, *(np.concatenate([unplanes(r[k]) for r in rows]) for k in (1, 2, 3)), length)
-            return _lists(docs, keys=keys, marks=marks) if len(keys) else None
+            return _flat(docs, key=keys, mark=marks) if len(keys) else None
 
         for batch in batches:
             for b, kind, *x in values(batch, "bucket", "kind", "text", "sizes", "places", "docs"):
@@ -470,7 +463,7 @@ def _meet_segments(length: int):
                     here, rows = b, []
                 if kind:
                     keys, docs = unpack(x[0]), unplanes(x[3])
-                    yield _lists(docs, keys=keys, marks=np.full(len(keys), _ALL, np.int64))
+                    yield _flat(docs, key=keys, mark=np.full(len(keys), _ALL, np.int64))
                 else:
                     rows.append(x)
         if (made := meet()) is not None:
@@ -486,7 +479,7 @@ def _drop(length: int, shared, with_text: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, data, offsets in chunks(batches, "text", 1 << 20):
             gone = np.zeros(len(data) + 1, np.int32)
-            row, (keys, marks) = _told(rows.column(rows.schema.get_field_index("told")), "keys", "marks")
+            row, (keys, marks) = _told(rows.column(rows.schema.get_field_index("told")), "key", "mark")
             if len(row):
                 found = Segments(data, offsets, length, shared.value)
                 pair = _pairs(row, keys.view(np.uint64))
@@ -561,10 +554,10 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, with_text: bool = Fals
 
     takes = known.filter("not copy")
     met = deal(takes.select("doc_id", "text").mapInArrow(_send_anchors(buckets, length, shared), _SENT)).mapInArrow(_meet_anchors, _TOLD)
-    told = met.groupBy("doc_id").agg(F.collect_list("keys").alias("told"))
+    told = met.groupBy("doc_id").agg(F.collect_list("key").alias("told"))
     sent = takes.join(told, "doc_id", "left").select("doc_id", "text", "told").mapInArrow(_send_segments(buckets, length, shared), _SEGMENT)
     marked = deal(sent).mapInArrow(_meet_segments(length), _MARKS)
-    back = marked.groupBy("doc_id").agg(F.collect_list(F.struct("keys", "marks")).alias("told"))
+    back = marked.groupBy("doc_id").agg(F.collect_list(F.struct("key", "mark")).alias("told"))
     final = known.join(back, "doc_id", "left").select("doc_id", "text", "told", "copy")
     schema = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", kept binary" if with_text else "")
     return final.mapInArrow(_drop(length, shared, with_text), schema)

@@ -7,7 +7,8 @@ never joins the chunks. Records of one chunk are read where they lie; only longe
 are dealt out by record id. `export` joins the stored bytes to archive files.
 
 Null payloads count as empty. Repeated page ids give repeated records. Ties of equal
-payloads go to the smallest page id.
+payloads go to the smallest page id; a page without an id is never the first one, and its
+record names no page.
 """
 
 from __future__ import annotations
@@ -32,18 +33,20 @@ def _digest(sha1: bytes) -> str:
     return base64.b32encode(sha1).decode()
 
 
-def _record_id(page: int, copy: int) -> str:
+def _record_id(page: int | None, copy: int) -> str:
     return f"urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'radarlake:page:{page}:{copy}')}"
 
 
-def _header(page: int, url: str | None, refers: int | None, digest: str, payload: int, record: str) -> tuple[bytes, bytes]:
+def _header(page: int | None, url: str | None, refers: int | None, digest: str, payload: int, record: str) -> tuple[bytes, bytes]:
     """The WARC header and the block's own header before the payload."""
     block = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {payload}\r\n\r\n".encode()
     kind = "response" if refers is None else "revisit"
     lines = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: <{record}>", "WARC-Date: 1970-01-01T00:00:00Z"]
     if url:
         lines.append("WARC-Target-URI: " + " ".join(url.split()))
-    lines += [f"WARC-Payload-Digest: sha1:{digest}", f"WARC-Page-ID: {page}", f"WARC-Payload-Length: {payload}"]
+    if page is not None:
+        lines.append(f"WARC-Page-ID: {page}")
+    lines += [f"WARC-Payload-Digest: sha1:{digest}", f"WARC-Payload-Length: {payload}"]
     if refers is not None:
         lines += [f"WARC-Refers-To: <{_record_id(refers, 0)}>", f"WARC-Refers-To-Page: {refers}", "WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"]
     length = len(block) + (payload if refers is None else 0)
@@ -98,12 +101,17 @@ def _serialise(chunk: int):
 
 
 def link(pages: DataFrame, least: int = 0, payload: str = "html") -> DataFrame:
-    """Pages (page_id, url, payload in UTF-8, first): `first` is the smallest page id of an equal payload of at least `least` bytes."""
+    """Pages (page_id, url, payload in UTF-8, first): `first` is the smallest page id of an equal payload of at least `least` bytes.
+
+    Digests are grouped without the payloads, which then move once, by page id and digest, so
+    that a payload that many pages share lies in no single task.
+    """
     kept = pages.select("page_id", F.col("url") if "url" in pages.columns else F.lit(None).cast("string").alias("url"), F.coalesce(F.col(payload).cast("binary"), F.lit(b"")).alias("payload"))
     keyed = kept.withColumn("sha1", F.unhex(F.sha1("payload"))).withColumn("n", F.octet_length("payload"))
-    # only digests that repeat matter: the smaller side is the groups, and a hot digest is one row of it
-    groups = keyed.filter(F.col("n") >= least).groupBy("sha1", "n").agg(F.min("page_id").alias("first"))
-    return keyed.join(groups, ["sha1", "n"], "left").select("page_id", "url", "payload", "first")
+    marks = keyed.select("page_id", "sha1", "n").filter(F.col("n") >= least)
+    groups = marks.groupBy("sha1", "n").agg(F.min("page_id").alias("first"), F.count("*").alias("pages")).filter("pages > 1")
+    told = marks.join(groups, ["sha1", "n"]).filter("not (page_id <=> first)").select("page_id", "sha1", "first").distinct().toDF("_page", "_sha1", "first")
+    return keyed.join(told, keyed["page_id"].eqNullSafe(told["_page"]) & (keyed["sha1"] == told["_sha1"]), "left").select("page_id", "url", "payload", "first")
 
 
 def write(linked: DataFrame, path: str, chunk: int = CHUNK) -> str:
@@ -154,7 +162,8 @@ class _Record:
         if response and (digest != _digest(self.sha1.digest()) or self.got != int(f["WARC-Payload-Length"])):
             raise ValueError(f"{self.record}: the payload differs from its header")
         refers = None if response else int(f["WARC-Refers-To-Page"])
-        return int(f["WARC-Page-ID"]), int(f["WARC-Payload-Length"]), digest, f["WARC-Type"], refers, self.record, self.chunks
+        page = f.get("WARC-Page-ID")
+        return None if page is None else int(page), int(f["WARC-Payload-Length"]), digest, f["WARC-Type"], refers, self.record, self.chunks
 
 
 def _parse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

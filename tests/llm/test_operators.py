@@ -2,6 +2,7 @@
 
 import base64
 import hashlib
+import itertools
 import math
 import zlib
 from collections import Counter
@@ -362,3 +363,58 @@ def test_pipeline_stages_keep_clean_documents(spark, sf):
     assert told.columns == docs.columns and told.count() >= 0.99 * docs.count()
     clean = p.redacted(spark, docs.limit(20), sf)
     assert clean.columns == docs.columns and clean.count() == 20
+
+
+@pytest.mark.parametrize("n", range(1, 41))
+def test_seeds_leave_a_hit_for_every_length(n):
+    """All ways, or many drawn ones, to replace as many words as the overlap allows: the item is found."""
+    allowed = n - math.ceil(0.8 * n - 1e-9)
+    words_ = [f"w{i}" for i in range(n)]
+    items = decontaminate.Items([7], [" ".join(words_)])
+    rng = np.random.default_rng(n)
+    if math.comb(n, allowed) <= 400:
+        ways = list(itertools.combinations(range(n), allowed))
+    else:
+        ways = [tuple(rng.choice(n, allowed, replace=False).tolist()) for _ in range(400)]
+    texts = [" ".join(["before"] + [f"x{i}" if i in way else w for i, w in enumerate(words_)] + ["after", "it"]).encode() for way in ways]
+    offsets = np.concatenate([[0], np.cumsum([len(t) for t in texts])])
+    found = items.search(*decontaminate.word_hashes(np.frombuffer(b"".join(texts), np.uint8), offsets), 0.8)
+    hits = {r: (size - n, place) for r, _, n, size, place in found}
+    exact = n <= decontaminate.SHORT
+    assert len(hits) == len(ways) if exact else len(hits) >= 0.995 * len(ways)
+    assert set(hits.values()) == {(allowed, 1)}
+
+
+def test_remove_is_row_by_row(spark, none):
+    item = "alpha beta gamma delta epsilon zeta eta theta iota kappa"
+    tests_ = spark.createDataFrame([(1, item), (2, None), (3, ""), (None, "clean words here"), (1, "mu nu xi")], "item_id long, text string")
+    rows_ = [(1, f"x {item} y", "a"), (1, "clean words here", "b"), (None, item, "c"), (None, None, "d"), (4, "", "e"), (5, "mu nu xi", "f"), (6, "mu nu", "g")]
+    df = spark.createDataFrame(rows_, "doc_id long, text string, overlap string")
+    assert sorted(r["overlap"] for r in decontaminate.remove(df, tests_).collect()) == ["b", "d", "e", "g"]
+    assert sorted(r["overlap"] for r in decontaminate.remove(df, tests_, block_bytes=80).collect()) == ["b", "d", "e", "g"]
+    assert decontaminate.remove(df, tests_).columns == df.columns and decontaminate.remove(none, tests_).count() == 0
+    assert decontaminate.find(df, tests_.limit(0)).count() == 0 and decontaminate.remove(df, tests_.limit(0)).count() == 7
+
+
+def test_warc_of_odd_pages(spark):
+    big = "z" * 5000 + "é"
+    rows_ = [(None, "u", "same"), (5, "u", "same"), (3, None, "same"), (3, "v", big), (9, "v", big), (9, "v", big), (None, "u", "only null"), (None, "u", "only null"), (2, "u", None)]
+    pages = spark.createDataFrame(rows_, "page_id long, url string, html string")
+    got = sorted((str(r["page_id"]), r["payload_bytes"], r["record_type"], r["refers_to"]) for r in rows(warc.round_trip(pages, chunk=700)))
+    assert got == sorted([("None", 4, "revisit", 3), ("5", 4, "revisit", 3), ("3", 4, "response", None), ("3", 5002, "response", None), ("9", 5002, "revisit", 3), ("9", 5002, "revisit", 3), ("None", 9, "response", None), ("None", 9, "response", None), ("2", 0, "response", None)])
+    assert warc.round_trip(pages.limit(0)).count() == 0
+
+
+def test_step_groups_are_balanced(spark):
+    """Every group of a tier but its last one has the same tokens, over all tasks."""
+    texts = ["word " * (1 + 37 * i % 400) for i in range(400)]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(5)
+    made = packing.pack(df, queries.vocabulary("byte_bpe_50k.json"), 0, step_tokens=2048)
+    sums = {}
+    for r in rows(made):
+        sums.setdefault(r["tier"], Counter())[r["step_group"]] += r["length"]
+    assert len(sums) > 1
+    for tier, groups in sums.items():
+        assert sorted(groups) == list(range(len(groups)))
+        assert all(groups[g] == 2048 for g in range(len(groups) - 1)) and 0 < groups[len(groups) - 1] <= 2048
+    assert packing.pack(df.limit(0), queries.vocabulary("byte_bpe_50k.json"), 0).count() == 0
