@@ -1,19 +1,23 @@
-"""Interpolated modified Kneser-Ney bigrams, counted in Spark, kept as sorted arrays that workers map.
-
-Fitting takes three exchanges of packed counts. Word hashes go to ranges of the hash
-space and give each word its number, its rank among all hashes. Pairs of numbers go to
-buckets by a hash of the pair, so that a frequent word is spread. What the buckets know
-of each context (total, and how many followers came once, twice, more) and of each
-follower (how many contexts it has) goes to ranges of numbers. Each step writes sorted
+"""Interpolated modified Kneser-Ney trigrams, counted in Spark, kept as sorted hash arrays that workers map.
+
+Fitting takes a few exchanges of packed counts. Word hashes go to ranges of the hash space
+and give each word its number, its rank among all hashes. Triples of numbers go to buckets
+by a hash of their last two words, so that a frequent word is spread and a bucket knows of
+each pair how often it came and how many words came before it. What the buckets know of
+each context (a word, by numbers of pairs) and of each follower goes to ranges of numbers,
+and what they know of contexts of two words with triples seen twice and more to the bucket
+of that pair; triples seen once follow from the pair's own count. Each step writes sorted
 arrays to the shared folder; the driver keeps sizes and counts of counts alone.
 
-Scoring maps those arrays. P(w | v) = (c(vw) - D(c(vw))) / c(v) + g(v) P(w), where P(w)
-does the same with numbers of contexts in place of counts, over a uniform share for all
-words and one unknown word; D are the three modified discounts of each level.
+Scoring maps those arrays. P(w | u v) = (c(uvw) - D(c(uvw))) / c(uv) + g(uv) P(w | v),
+where P(w | v) does the same with numbers of words before a pair in place of counts (a pair
+that opens a text keeps its count), over P(w) by numbers of contexts, over a uniform share
+for all words and one unknown word; D are the three modified discounts of each level. No
+count is cut off. Triples are told apart by 40 bits of a hash within a bucket, pairs exactly.
 
 Words are lower-cased (A-Z) and end at ASCII white space; each text, null and empty ones
-too, ends with one end token. Repeated rows count as often as they come. Without training
-texts every word is unknown.
+too, ends with one end token. Repeated rows count as often as they come, null ids as any
+other. Without training texts every word is unknown.
 """
 
 from __future__ import annotations
@@ -26,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from radarlake.llm.common import chunks, mix, partitions, scratch, word_hashes
+from radarlake.llm.common import chunks, mix, partitions, release, scratch, stored, word_hashes
 from radarlake.llm.packed import map_file, merge, pack, planes, put_file, range_bucket, search, unpack, unplanes, values
 
 #: The hash of the end token; words hash to it no more often than to each other.
@@ -143,30 +147,83 @@ def _word_counts(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.
     return np.unique(tokens(data, offsets)[0], return_counts=True)
 
 
-def _pairs(words: Words, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Numbers of the context and of the word at each token, and where rows start; the start of a text has the number after the last word's."""
+def _triples(words: Words, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Numbers of the second last word, the last word and the word at each token, and where rows start.
+
+    The start of a text has the number after the last word's; before the first token there is one more, for nothing.
+    """
     hashed, first = tokens(data, offsets)
     distinct, where = np.unique(hashed, return_inverse=True)
     number = words.number(distinct)[where]
-    context = np.concatenate([[0], number[:-1]])
-    context[first[:-1]] = words.first[-1]
-    return context, number, first
+    size = words.first[-1]
+    last = np.concatenate([[0], number[:-1]])
+    last[first[:-1]] = size
+    second = np.concatenate([[0], last[:-1]])
+    second[first[:-1]] = size + 1
+    return second, last, number, first
 
 
 def _key(context: np.ndarray, number: np.ndarray, size: int) -> np.ndarray:
-    return context.astype(np.uint64) * np.uint64(size) + number.astype(np.uint64)
+    return context.astype(np.uint64) * np.uint64(size + 2) + number.astype(np.uint64)
 
 
 def _pair_bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
     return (mix(keys + np.uint64(1)) % np.uint64(buckets)).astype(np.int64)
 
 
+def _triple_hash(pair: np.ndarray, before: np.ndarray) -> np.ndarray:
+    """40 bits for a pair and the word before it."""
+    return mix(pair * np.uint64(0xD6E8FEB86659FD93) + before.astype(np.uint64)) >> np.uint64(24)
+
+
+def _summed(pair: np.ndarray, before: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct triples by pair and word before, with summed counts."""
+    order = np.lexsort((before, pair))
+    pair, before, count = pair[order], before[order], count[order]
+    first = np.flatnonzero(np.concatenate([[True], (pair[1:] != pair[:-1]) | (before[1:] != before[:-1])])) if len(pair) else np.zeros(0, np.int64)
+    return pair[first], before[first], np.add.reduceat(count, first) if len(first) else count
+
+
+def _gather_triples(words: Words, buckets: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pairs, befores, held = [], [], 0
+        size = words.first[-1]
+
+        def flush() -> pa.RecordBatch:
+            pair = np.concatenate(pairs)
+            pair, before, count = _summed(pair, np.concatenate(befores), np.ones(len(pair), np.int64))
+            pairs.clear()
+            befores.clear()
+            b = _pair_bucket(pair, buckets)
+            order = np.argsort(b, kind="stable")
+            b, pair, before, count = b[order], pair[order], before[order], count[order]
+            edge = np.flatnonzero(np.concatenate([[True], b[1:] != b[:-1]]))
+            cuts = list(zip(edge.tolist(), [*edge[1:].tolist(), len(b)], strict=True))
+            return pa.RecordBatch.from_arrays(
+                [pa.array(b[edge], pa.int32()), pa.array([pack(pair[x:y]) for x, y in cuts], pa.binary()), pa.array([planes(np.concatenate([before[x:y], count[x:y]])) for x, y in cuts], pa.binary())],
+                names=["bucket", "keys", "counts"],
+            )
+
+        for _, data, offsets in chunks(batches, "text", 1 << 20):
+            second, last, number, _ = _triples(words, data, offsets)
+            pairs.append(_key(last, number, size))
+            befores.append(second)
+            held += len(second)
+            if held > HELD:
+                yield flush()
+                held = 0
+        if held:
+            yield flush()
+
+    return run
+
+
 class Model:
-    """What scoring needs: where the arrays lie, their sizes, and the discounts of both levels."""
+    """What scoring needs: where the arrays lie, their sizes, and the discounts of the three levels."""
 
-    def __init__(self, path: str, buckets: int, first: list[int], ranges: list[int], total: int, pair_discounts: list[float], word_discounts: list[float], followers: list[int]):
+    def __init__(self, path: str, buckets: int, first: list[int], ranges: list[int], total: int, triple_discounts: list[float], pair_discounts: list[float], word_discounts: list[float], followers: list[int]):
         self.path, self.buckets, self.first, self.ranges, self.total = path, buckets, first, ranges, total
-        self.pair_discounts, self.word_discounts = pair_discounts, word_discounts
+        self.triple_discounts, self.pair_discounts, self.word_discounts = triple_discounts, pair_discounts, word_discounts
         #: Distinct pairs, and words that follow one, two, more contexts.
         self.followers = followers
 
@@ -194,35 +251,121 @@ def _write_words(path: str):
     return finish
 
 
-def _write_pairs(path: str, ranges: list[int]):
-    """Stores a bucket's pairs and tells the contexts and followers what it knows of them."""
-    size = ranges[-1] + 1
+def _put_counts(path: str, counts: np.ndarray) -> None:
+    """Counts as bytes, and places and values of those from 255 on."""
+    put_file(path, np.minimum(counts, 255).astype(np.uint8))
+    large = np.flatnonzero(counts >= 255)
+    put_file(f"{path}-large", np.stack([large, counts[large]]).astype("<i8"))
 
-    def finish(bucket: int, keys: np.ndarray, counts: np.ndarray) -> pa.RecordBatch:
+
+def _get_counts(path: str, at: np.ndarray) -> np.ndarray:
+    """Counts at the given places, 0 for -1."""
+    found = np.where(at < 0, 0, map_file(path, "u1")[np.maximum(at, 0)]).astype(np.int64)
+    large = map_file(f"{path}-large", "<i8")
+    if len(large):
+        place, count = large[: len(large) // 2], large[len(large) // 2 :]
+        big = np.flatnonzero(found == 255)
+        found[big] = count[np.searchsorted(place, at[big])]
+    return found
+
+
+#: What a bucket of triples tells: sums for a range of words, for contexts of two words, and counts of counts.
+_WORDS, _CONTEXTS, _TOTALS = 0, 1, 2
+_SUMS = "kind int, bucket int, keys binary, counts binary"
+
+
+def _write_triples(path: str, ranges: list[int], buckets: int):
+    """Stores a bucket's pairs and triples, and tells contexts and followers what it knows of them."""
+    size = ranges[-1]
+
+    def finish(bucket: int, pair: np.ndarray, before: np.ndarray, count: np.ndarray) -> pa.RecordBatch:
+        pair, before, count = _summed(pair, before, count)
+        first = np.flatnonzero(np.concatenate([[True], pair[1:] != pair[:-1]]))
+        keys, raw = pair[first], np.add.reduceat(count, first)
+        last = (keys // np.uint64(size + 2)).astype(np.int64)
+        # words before a pair; a pair that opens a text has none and keeps its count
+        left = np.where(last == size, raw, np.diff(np.append(first, len(pair))))
         put_file(f"{path}/pairs-{bucket}", keys.astype("<u8"))
-        put_file(f"{path}/pair-counts-{bucket}", np.minimum(counts, 255).astype(np.uint8))
-        large = np.flatnonzero(counts >= 255)
-        put_file(f"{path}/pair-large-{bucket}", np.stack([large, counts[large]]).astype("<i8"))
+        _put_counts(f"{path}/pair-raw-{bucket}", raw)
+        _put_counts(f"{path}/pair-left-{bucket}", left)
+        whole = before <= size
+        hashed = _triple_hash(pair[whole], before[whole])
+        order = np.argsort(hashed)
+        put_file(f"{path}/triples-high-{bucket}", (hashed[order] >> np.uint64(8)).astype("<u4"))
+        put_file(f"{path}/triples-low-{bucket}", (hashed[order] & np.uint64(255)).astype(np.uint8))
+        _put_counts(f"{path}/triple-counts-{bucket}", count[whole][order])
         rows = []
 
-        def tell(ids: np.ndarray, sums: list[np.ndarray]) -> None:
-            part = np.searchsorted(ranges[:-1], ids, "right") - 1
+        def tell(kind: int, part: np.ndarray, ids: np.ndarray, sums: list[np.ndarray]) -> None:
             edge = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]])) if len(part) else np.zeros(0, np.int64)
-            for x, y in zip(edge.tolist(), np.append(edge[1:], len(part)).tolist(), strict=True):
-                rows.append((int(part[x]), pack(ids[x:y]), planes(np.concatenate([s[x:y] for s in sums]))))
+            for x, y in zip(edge.tolist(), np.append(edge[1:], len(part)).tolist(), strict=False):
+                rows.append((kind, int(part[x]), pack(ids[x:y]), planes(np.concatenate([s[x:y] for s in sums]))))
 
         # pairs stand by context
-        context = (keys // np.uint64(size)).astype(np.int64)
-        first = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(keys) else np.zeros(0, np.int64)
-        seen = [counts, counts == 1, counts == 2, counts > 2]
-        tell(context[first], [np.add.reduceat(x, first, dtype=np.int64) for x in seen] if len(keys) else [counts] * 4)
-        tell(*(lambda ids, n: (ids, [n]))(*np.unique((keys % np.uint64(size)).astype(np.int64), return_counts=True)))
-        rows.append((-1, pack(keys[:0]), planes(np.array([(counts == k).sum() for k in range(1, 5)]))))
-        return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int32(), pa.binary(), pa.binary()), strict=True)], names=["bucket", "keys", "counts"])
+        own = np.flatnonzero(np.concatenate([[True], last[1:] != last[:-1]]))
+        in_range = lambda ids: np.searchsorted(ranges[:-1], ids, "right") - 1
+        tell(_WORDS, in_range(last[own]), last[own], [np.add.reduceat(x, own, dtype=np.int64) for x in (left, left == 1, left == 2, left > 2)])
+        ids, n = np.unique((keys % np.uint64(size + 2)).astype(np.int64), return_counts=True)
+        tell(_WORDS, in_range(ids), ids, [n])
+        # contexts of two words, for triples seen twice and more
+        some = np.flatnonzero(whole & (count > 1))
+        context = _key(before[some], (pair[some] // np.uint64(size + 2)).astype(np.int64), size)
+        part = _pair_bucket(context, buckets)
+        order = np.lexsort((context, part))
+        context, part, c = context[order], part[order], count[some][order]
+        own = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(c) else np.zeros(0, np.int64)
+        if len(own):
+            tell(_CONTEXTS, part[own], context[own], [np.add.reduceat(x, own, dtype=np.int64) for x in (c, c == 2, c > 2)])
+        of = lambda x: [int((x == k).sum()) for k in range(1, 5)]
+        rows.append((_TOTALS, 0, pack(keys[:0]), planes(np.array([*of(count[whole]), *of(left)]))))
+        return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int32(), pa.int32(), pa.binary(), pa.binary()), strict=True)], names=["kind", "bucket", "keys", "counts"])
 
     return finish
 
 
+def _reduce_triples(finish):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        here, parts = None, []
+        for batch in batches:
+            for b, k, c in values(batch, "bucket", "keys", "counts"):
+                if b != here:
+                    if parts:
+                        yield finish(here, *(np.concatenate(x) for x in zip(*parts, strict=True)))
+                    here, parts = b, []
+                both = unplanes(c)
+                parts.append((unpack(k), both[: len(both) // 2], both[len(both) // 2 :]))
+        if parts:
+            yield finish(here, *(np.concatenate(x) for x in zip(*parts, strict=True)))
+
+    return run
+
+
+def _write_two(path: str):
+    """Sums of contexts of two words, by the bucket of the pair."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        here, keys, sums = None, [], []
+
+        def close() -> pa.RecordBatch:
+            k, s = merge(keys, sums)
+            put_file(f"{path}/two-{here}", k.astype("<u8"))
+            put_file(f"{path}/two-sums-{here}", s.astype("<i8"))
+            return pa.RecordBatch.from_arrays([pa.array([len(k)], pa.int64())], names=["n"])
+
+        for batch in batches:
+            for b, k, c in values(batch, "bucket", "keys", "counts"):
+                if b != here:
+                    if keys:
+                        yield close()
+                    here, keys, sums = b, [], []
+                keys.append(unpack(k))
+                sums.append(unplanes(c).reshape(3, -1).T)
+        if keys:
+            yield close()
+
+    return run
+
+
 def _write_contexts(path: str, ranges: list[int]):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         here, sums = None, None
@@ -253,7 +396,7 @@ def _write_contexts(path: str, ranges: list[int]):
 def fit(train: DataFrame, path: str | None = None) -> Model:
     """Counts the column `text` of all rows and leaves the model's arrays at `path` in the shared folder."""
     spark = train.sparkSession
-    path = path or scratch(spark, "bigrams")
+    path = path or scratch(spark, "trigrams")
     buckets = partitions(spark)
     texts = train.select("text")
     sent = texts.mapInArrow(_gather(_word_counts, lambda k: range_bucket(k, buckets)), _PACKED)
@@ -262,74 +405,105 @@ def fit(train: DataFrame, path: str | None = None) -> Model:
     first = [0]
     for b in range(buckets):
         first.append(first[-1] + sizes.get(b, 0))
-    if first[-1] >= 1 << 32:
+    if first[-1] >= (1 << 32) - 2:
         raise ValueError("pairs of word numbers need more than 64 bits")
     words = Words(path, buckets, first)
-
-    def pairs(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        context, number, _ = _pairs(words, data, offsets)
-        return np.unique(_key(context, number, first[-1] + 1), return_counts=True)
-
     # ranges of numbers without empty ones; the number after the last word's, the start of texts, is in the last
     ranges = sorted(set(first)) if first[-1] else [0, 0]
-    sent = texts.mapInArrow(_gather(pairs, lambda k: _pair_bucket(k, buckets)), _PACKED)
-    told_at = scratch(spark, "bigram-sums")
-    _dealt(sent).mapInArrow(_reduce(_write_pairs(path, ranges)), _PACKED).write.option("compression", "zstd").parquet(told_at)
-    told = spark.read.schema(_PACKED).parquet(told_at)
-    pair_counts = np.sum([np.zeros(4, np.int64), *(unplanes(r["counts"]) for r in told.filter("bucket = -1").select("counts").collect())], axis=0)
-    sums = _dealt(told.filter("bucket >= 0")).mapInArrow(_write_contexts(path, ranges), "seen long, more long, k int")
+    sent = texts.mapInArrow(_gather_triples(words, buckets), _PACKED)
+    told = stored(_dealt(sent).mapInArrow(_reduce_triples(_write_triples(path, ranges, buckets)), _SUMS), "trigram-sums")
+    totals = np.sum([np.zeros(8, np.int64), *(unplanes(r["counts"]) for r in told.filter(F.col("kind") == _TOTALS).select("counts").collect())], axis=0)
+    _dealt(told.filter(F.col("kind") == _CONTEXTS)).mapInArrow(_write_two(path), "n long").agg(F.sum("n")).collect()
+    sums = _dealt(told.filter(F.col("kind") == _WORDS)).mapInArrow(_write_contexts(path, ranges), "seen long, more long, k int")
     seen = {r["k"]: (r["seen"], r["more"]) for r in sums.groupBy("k").agg(F.sum("seen").alias("seen"), F.sum("more").alias("more")).collect()}
+    release(told)
     seen = {k: seen.get(k, (0, 0)) for k in range(4)}
     word_counts = [seen[k][0] for k in range(4)]
-    return Model(path, buckets, first, ranges, sum(r["total"] for r in made), discounts([int(x) for x in pair_counts]), discounts(word_counts), [seen[0][1], word_counts[0], word_counts[1], seen[1][1]])
+    return Model(path, buckets, first, ranges, sum(r["total"] for r in made), discounts([int(x) for x in totals[:4]]), discounts([int(x) for x in totals[4:]]), discounts(word_counts), [seen[0][1], word_counts[0], word_counts[1], seen[1][1]])
 
 
-def _pair_count(model: Model, keys: np.ndarray) -> np.ndarray:
-    """Counts of pairs in any order, 0 for those unseen."""
-    out = np.zeros(len(keys), np.int64)
-    bucket = _pair_bucket(keys, model.buckets)
+def _by_pair_bucket(model: Model, keys: np.ndarray, bucket: np.ndarray):
+    """(bucket, places) of the keys of each bucket, sorted by key."""
     order = np.lexsort((keys, bucket))
     edges = np.searchsorted(bucket[order], np.arange(model.buckets + 1))
     for b in np.flatnonzero(np.diff(edges)).tolist():
-        here = order[edges[b] : edges[b + 1]]
-        try:
-            stored = map_file(f"{model.path}/pairs-{b}", "<u8")
-        except FileNotFoundError:  # no training pair fell into this bucket
-            continue
-        at = search(stored, keys[here])
-        found = np.where(at < 0, 0, map_file(f"{model.path}/pair-counts-{b}", "u1")[np.maximum(at, 0)])
-        large = map_file(f"{model.path}/pair-large-{b}", "<i8")
-        if len(large):
-            place, count = large[: len(large) // 2], large[len(large) // 2 :]
-            big = np.flatnonzero(found == 255)
-            found = found.astype(np.int64)
-            found[big] = count[np.searchsorted(place, at[big])]
-        out[here] = found
+        yield b, order[edges[b] : edges[b + 1]]
+
+
+def _mapped(path: str, dtype: str) -> np.ndarray:
+    try:
+        return map_file(path, dtype)
+    except FileNotFoundError:  # nothing of the training texts fell into this bucket
+        return np.zeros(0, dtype)
+
+
+def _pairs(model: Model, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of pairs in any order: how often they came, how many words came before, and sums (counts, twos, more) of their triples seen twice and more."""
+    raw, left, sums = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64), np.zeros((len(keys), 3), np.int64)
+    for b, here in _by_pair_bucket(model, keys, _pair_bucket(keys, model.buckets)):
+        at = search(_mapped(f"{model.path}/pairs-{b}", "<u8"), keys[here])
+        if (at >= 0).any():
+            raw[here] = _get_counts(f"{model.path}/pair-raw-{b}", at)
+            left[here] = _get_counts(f"{model.path}/pair-left-{b}", at)
+        more = here[raw[here] > 1]
+        at = search(_mapped(f"{model.path}/two-{b}", "<u8"), keys[more])
+        if (at >= 0).any():
+            sums[more[at >= 0]] = map_file(f"{model.path}/two-sums-{b}", "<i8").reshape(-1, 3)[at[at >= 0]]
+    return raw, left, sums
+
+
+def _triple_counts(model: Model, pair: np.ndarray, before: np.ndarray) -> np.ndarray:
+    """Counts of triples in any order, 0 for those unseen."""
+    out = np.zeros(len(pair), np.int64)
+    hashed = _triple_hash(pair, before)
+    for b, here in _by_pair_bucket(model, hashed, _pair_bucket(pair, model.buckets)):
+        high, low = _mapped(f"{model.path}/triples-high-{b}", "<u4"), _mapped(f"{model.path}/triples-low-{b}", "u1")
+        h, l = (hashed[here] >> np.uint64(8)).astype(np.uint32), (hashed[here] & np.uint64(255)).astype(np.uint8)
+        spot = np.searchsorted(high, h)
+        at = np.full(len(here), -1, np.int64)
+        # equal upper bits stand together; their lower ones rise
+        open_ = np.flatnonzero(spot < len(high))
+        while len(open_):
+            open_ = open_[high[spot[open_]] == h[open_]]
+            hit = low[spot[open_]] == l[open_]
+            at[open_[hit]] = spot[open_[hit]]
+            open_ = open_[~hit]
+            spot[open_] += 1
+            open_ = open_[spot[open_] < len(high)]
+        if (at >= 0).any():
+            out[here] = _get_counts(f"{model.path}/triple-counts-{b}", at)
     return out
 
 
-def log10_words(model: Model, context: np.ndarray, number: np.ndarray) -> np.ndarray:
-    """log10 P(word | context) for numbers; -1 is an unknown word."""
+def log10_words(model: Model, second: np.ndarray, last: np.ndarray, number: np.ndarray) -> np.ndarray:
+    """log10 P(word | two words before it) for the numbers of `_triples`, tokens in their order; -1 is an unknown word."""
     if not model.size:
         return np.zeros(len(number))
-    d, e = np.array(model.pair_discounts), np.array(model.word_discounts)
-    ids, where = np.unique(np.concatenate([context, number]), return_inverse=True)
+    f, d, e = (np.array(x) for x in (model.triple_discounts, model.pair_discounts, model.word_discounts))
+    ids, where = np.unique(np.concatenate([last, number]), return_inverse=True)
     known = _dense(model.path, "contexts", model.ranges, ids, 5)
-    told, follows = known[where[: len(context)]], known[where[len(context) :], 4]
+    told, follows = known[where[: len(last)]], known[where[len(last) :], 4]
     pairs, one, two, more = model.followers
     share = float(e[1] * one + e[2] * two + e[3] * more) / pairs
-    low = np.maximum(follows - e[np.minimum(follows, 3)], 0) / pairs + share / (model.size + 1)
-    total = told[:, 0]
-    out = low
-    has = np.flatnonzero(total > 0)
-    if len(has):
-        both = np.flatnonzero((total > 0) & (number >= 0))
-        count = np.zeros(len(number), np.int64)
-        count[both] = _pair_count(model, _key(context[both], number[both], model.size + 1))
-        t, c = told[has], count[has]
-        high = np.maximum(c - d[np.minimum(c, 3)], 0) / t[:, 0]
-        kept = (t[:, 1:4] * d[1:]).sum(1) / t[:, 0]
-        out[has] = high + kept * low[has]
+    out = np.maximum(follows - e[np.minimum(follows, 3)], 0) / pairs + share / (model.size + 1)
+    both = np.flatnonzero((last >= 0) & (number >= 0))
+    key = _key(last[both], number[both], model.size)
+    distinct, back = np.unique(key, return_inverse=True)
+    raw, left, sums = np.zeros(len(number), np.int64), np.zeros(len(number), np.int64), np.zeros((len(number), 3), np.int64)
+    raw[both], left[both], sums[both] = (x[back] for x in _pairs(model, distinct))
+    has = np.flatnonzero(told[:, 0] > 0)
+    total, n = told[has, 0], left[has]
+    out[has] = np.maximum(n - d[np.minimum(n, 3)], 0) / total + (told[has, 1:4] * d[1:]).sum(1) / total * out[has]
+    # the context of two words is the pair of the token before
+    has = np.flatnonzero(second <= model.size)
+    has = has[raw[has - 1] > 0]
+    counts = np.zeros(len(number), np.int64)
+    asked = has[(number[has] >= 0) & (left[has] > 0)]
+    counts[asked] = _triple_counts(model, _key(last[asked], number[asked], model.size), second[asked])
+    total, told = raw[has - 1], sums[has - 1]
+    once = total - told[:, 0]
+    kept = (f[1] * once + f[2] * told[:, 1] + f[3] * told[:, 2]) / total
+    out[has] = np.maximum(counts[has] - f[np.minimum(counts[has], 3)], 0) / total + kept * out[has]
     return np.log10(out)
 
 
@@ -338,12 +512,12 @@ def _score(model: Model):
         words = Words(model.path, model.buckets, model.first)
         n, v = model.total, model.size
         for rows, data, offsets in chunks(batches, "text", 1 << 20):
-            context, number, first = _pairs(words, data, offsets)
+            second, last, number, first = _triples(words, data, offsets)
             ids, where = np.unique(number, return_inverse=True)
             count = words.count(ids)[where]
             total = lambda x: np.add.reduceat(x, first[:-1])  # noqa: E731, B023
             base = total(np.log10((count + 0.1) / (n + 0.1 * (v + 1))))
-            score = total(log10_words(model, context, number))
+            score = total(log10_words(model, second, last, number))
             size = np.diff(first)
             get = lambda c: rows.column(rows.schema.get_field_index(c))  # noqa: E731, B023
             yield pa.RecordBatch.from_arrays(

@@ -333,28 +333,55 @@ def test_kneser_ney_against_brute_force(spark):
     uni = Counter(w for t in train for w in t)
     n, v = sum(uni.values()), len(uni)
     pairs = Counter(x for t in train for x in zip(["<s>", *t], t))
+    triples = Counter(x for t in train for x in zip(["<s>", *t], t, t[1:]))
+    left = {x: k if x[0] == "<s>" else len({u for u, v_, w in triples if (v_, w) == x}) for x, k in pairs.items()}
     of = lambda c: [sum(1 for x in c.values() if x == k) for k in range(1, 5)]
     follows = Counter(w for _, w in pairs)
-    d, e = ngram.discounts(of(pairs)), ngram.discounts(of(follows))
+    f, d, e = ngram.discounts(of(triples)), ngram.discounts(of(left)), ngram.discounts(of(follows))
     total = sum(follows.values())
     share = sum(e[min(c, 3)] for c in follows.values()) / total
-    low = lambda w: max(follows[w] - e[min(follows[w], 3)], 0) / total + share / (v + 1)
+    one = lambda w: max(follows[w] - e[min(follows[w], 3)], 0) / total + share / (v + 1)
+
+    def level(counts, k, d_, low):
+        m = sum(counts)
+        return max(k - d_[min(k, 3)], 0) / m + sum(d_[min(x, 3)] for x in counts) / m * low if m else low
+
+    def two(c, w):
+        return level([k for x, k in left.items() if x[0] == c], left.get((c, w), 0), d, one(w))
+
     for i, t in enumerate(tok):
         base = sum(math.log10((uni[w] + 0.1) / (n + 0.1 * (v + 1))) for w in t)
-        s = 0.0
-        for c, w in zip(["<s>", *t], t):
-            out = {x: k for x, k in pairs.items() if x[0] == c}
-            if out:
-                m = sum(out.values())
-                k = pairs[c, w]
-                s += math.log10(max(k - d[min(k, 3)], 0) / m + sum(d[min(x, 3)] for x in out.values()) / m * low(w))
-            else:
-                s += math.log10(low(w))
+        s = math.log10(two("<s>", t[0]))
+        for u, c, w in zip(["<s>", *t], t, t[1:]):
+            s += math.log10(level([k for x, k in triples.items() if x[:2] == (u, c)], triples[u, c, w], f, two(c, w)))
         r = got[i]
         assert (r["n_tokens"], r["train_tokens"], r["n_known"]) == (len(t), n, sum(w in uni for w in t))
         assert np.isclose(r["base_score"], base) and np.isclose(r["score"], s)
 
 
+def test_kneser_ney_sums_to_one(spark):
+    """After any two words, also unseen ones, the known words and one unknown word share all probability."""
+    texts = ["a b c a b d", "a b c", "b c a", "c c c c a b", "", "a b c a b d"] * 3
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    model = ngram.fit(df)
+    words_ = ngram.Words(model.path, model.buckets, model.first)
+    size = model.size
+    for context in ("a b", "b c", "c c", "d a", "d d"):
+        second, last, number, _ = ngram._triples(words_, np.frombuffer(context.encode(), np.uint8), np.array([0, 3]))
+        total = 0.0
+        for w in [*range(size), -1]:
+            number[2] = w
+            total += 10.0 ** ngram.log10_words(model, second, last, number)[2]
+        assert np.isclose(total, 1.0), context
+
+
+def test_kneser_ney_of_odd_rows(spark, none):
+    assert ngram.fit_and_score(none).count() == 0
+    df = spark.createDataFrame([(None, "a b"), (None, None), (-1, ""), (-1, "a b c " * 9000), (4, "x" * 70000 + " a b")], "doc_id long, text string")
+    got = rows(ngram.fit_and_score(df))
+    assert len(got) == 5 and sorted(r["n_tokens"] for r in got) == [1, 1, 3, 4, 27001]
+
+
 def test_pipeline_stages_keep_clean_documents(spark, sf):
     import corpus_pipeline as p
 
