@@ -77,7 +77,7 @@ def op_url(spark, sf):
     return table(spark, sf, "pages").select("page_id", F.coalesce(F.try_parse_url("url", F.lit("HOST")), F.lit("")).alias("host"))
 
 
-@query("SELECT doc_id, w AS word, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, ' ')) AS w FROM documents WHERE doc_id < 100) GROUP BY ALL HAVING count(*) > 3")
+@query("SELECT doc_id, w AS word, count(*) AS n FROM (SELECT doc_id, unnest(string_split(text, ' ')) AS w FROM documents) GROUP BY ALL HAVING count(*) > 3")
 def op_map(spark, sf):
     # texts move once; both aggregates then stay in the document's partition
     d = table(spark, sf, "documents").select("doc_id", "text").repartition("doc_id").select("doc_id", F.explode(F.split("text", " ")).alias("word")).groupBy("doc_id", "word").agg(F.count("*").alias("n"))

@@ -151,7 +151,7 @@ def _mapped(spark, sf):
     return align.map_pixels(every.withColumn("map", F.struct(*(v.cast("double").alias(k) for k, v in zip(_MAPS, values, strict=True)))), 8)
 
 
-_MAPPED = ", m AS (SELECT t AS tile_id, CAST(x AS INT) AS x, CAST(y AS INT) AS y, (0.8e0 + t % 5 * 0.05e0) * x + (t % 3 * 0.1e0) * y + t % 4 * 0.3e0 AS pu, -(t % 3 * 0.1e0) * x + (0.9e0 - t % 2 * 0.1e0) * y + t % 7 * 0.2e0 AS pv FROM range(40) tt(t), range(8) tx(x), range(8) ty(y)), i AS (SELECT *, pu BETWEEN 0 AND 7 AND pv BETWEEN 0 AND 7 AS inside FROM m)"
+_MAPPED = ", m AS (SELECT t AS tile_id, CAST(x AS INT) AS x, CAST(y AS INT) AS y, (0.8e0 + t % 5 * 0.05e0) * x + (t % 3 * 0.1e0) * y + t % 4 * 0.3e0 AS pu, -(t % 3 * 0.1e0) * x + (0.9e0 - t % 2 * 0.1e0) * y + t % 7 * 0.2e0 AS pv FROM (SELECT DISTINCT tile_id AS t FROM optical) tt(t), range(8) tx(x), range(8) ty(y)), i AS (SELECT *, pu BETWEEN 0 AND 7 AND pv BETWEEN 0 AND 7 AS inside FROM m)"
 _BILINEAR = _MAPPED + """, b AS (SELECT i.tile_id, x, y, sum(greatest(0, 1 - abs(pu - u)) * greatest(0, 1 - abs(pv - v)) * value) AS value FROM i JOIN optical o ON o.tile_id = i.tile_id AND o.band = 0 AND abs(pu - u) < 1 AND abs(pv - v) < 1 WHERE inside GROUP BY ALL)
 SELECT tile_id, x, y, inside, round(coalesce(value, 0) + 3e-8, 5) AS value FROM i LEFT JOIN b USING (tile_id, x, y)"""
 

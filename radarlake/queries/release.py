@@ -74,7 +74,7 @@ def m8_meta_json(spark, sf):
     return _doc_samples(spark, sf).select("doc_id", F.to_json(F.struct("key", "split", "bytes")).alias("meta"))
 
 
-@query(f"WITH {_DOCS}, r AS (SELECT key, row_number() OVER (PARTITION BY split ORDER BY md5('7' || key)) AS place, split FROM d) SELECT key, split, CAST(place AS INT) AS place FROM r WHERE place <= 50")
+@query(f"WITH {_DOCS}, r AS (SELECT key, row_number() OVER (PARTITION BY split ORDER BY md5('7' || key)) AS place, split FROM d) SELECT key, split, CAST(place AS INT) AS place FROM r")
 def m8_shuffle(spark, sf):
     return release.shuffled(_doc_samples(spark, sf).select("key", "split"), 7).select("key", "split", "place")
 
