@@ -125,3 +125,30 @@ def validity(df: DataFrame, keys: list[str], max_rms: float, min_inside: float)
     """Patches whose corners fit and whose pixels lie inside the tile: (rms, inside share, valid)."""
     a = df.groupBy(*keys).agg(F.max("rms").alias("rms"), F.avg(F.col("inside").cast("int")).alias("inside"))
     return a.withColumn("valid", (F.col("rms") <= max_rms) & (F.col("inside") >= min_inside))
+
+
+def inside_share(mapped: DataFrame, keys: list[str], width: int, height: int) -> DataFrame:
+    """Share of a patch's pixels that lie inside the tile."""
+    return mapped.groupBy(*keys).agg(F.avg(_inside(width, height).cast("int")).alias("inside"))
+
+
+def three_four(points: list[Point]) -> Column:
+    """Distance at the fourth corner between the map of three corners and that of all four."""
+    x, y = points[3][0], points[3][1]
+    return bound({"t": fit(points[:3]), "f": fit(points)}, lambda m: F.sqrt(_squared(apply(m["t"], x, y), apply(m["f"], x, y))))
+
+
+def _squared(a: tuple[Column, Column], b: tuple[Column, Column]) -> Column:
+    return (a[0] - b[0]) * (a[0] - b[0]) + (a[1] - b[1]) * (a[1] - b[1])
+
+
+def warp_reverse(patches: DataFrame, cells: DataFrame, keys: list[str], size: int, width: int, height: int) -> DataFrame:
+    """Baseline: the radar image on the optical grid, by the inverse map; what this does to its statistics is the reason against it."""
+    back = patches.withColumn("map", invert(F.col("map"))).filter("map is not null")
+    return warp_join(map_pixels(back, size), cells, keys, width, height)
+
+
+def stretch_offset(mapped: DataFrame, keys: list[str], size: int, width: int, height: int) -> DataFrame:
+    """Baseline without alignment, the tile stretched over the patch: mean distance in tile pixels from where the map puts a pixel."""
+    u, v = F.col("x") * ((width - 1) / (size - 1)), F.col("y") * ((height - 1) / (size - 1))
+    return mapped.groupBy(*keys).agg(F.avg(F.sqrt(_squared((F.col("pu"), F.col("pv")), (u, v)))).alias("offset"))

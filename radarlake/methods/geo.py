@@ -9,6 +9,7 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -172,6 +173,23 @@ def rdoppler_to_ecef(sensor: np.ndarray, velocity: np.ndarray, rng: np.ndarray,
     raise AssertionError
 
 
+def rdoppler(df: DataFrame, h0: float = 0.0, rounds: int = 5) -> DataFrame:
+    """Rows (sensor, velocity, start: arrays of three; rng, cos_cone) with the point `at` they image on the surface of height h0, and the residual in metres."""
+
+    def run(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            vec = lambda n: b.column(b.schema.get_field_index(n)).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(-1, 3)  # noqa: E731, B023
+            one = lambda n: b.column(b.schema.get_field_index(n)).to_numpy(zero_copy_only=False)  # noqa: E731, B023
+            p, rest = rdoppler_to_ecef(vec("sensor"), vec("velocity"), one("rng"), one("cos_cone"), vec("start"), h0, rounds)
+            at = pa.ListArray.from_arrays(pa.array(np.arange(len(p) + 1, dtype=np.int32) * 3), pa.array(p.ravel()))
+            yield pa.RecordBatch.from_arrays([*b.columns, at, pa.array(rest)], names=[*b.schema.names, "at", "residual"])
+
+    schema = ", ".join(f"`{c}` {t}" for c, t in df.dtypes)
+    return df.mapInArrow(run, f"{schema}, at array<double>, residual double")
+
+
 def metres_apart(a: Vec, b: Vec) -> Column:
     return F.sqrt(sum(((x - y) * (x - y) for x, y in zip(a, b, strict=True)), F.lit(0.0)))
 

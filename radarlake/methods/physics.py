@@ -81,3 +81,93 @@ def diversity(parts: DataFrame) -> DataFrame:
     """Variation of the amplitude over the sub-apertures of each cell, averaged by scene."""
     a = parts.withColumn("a", F.sqrt(intensity())).groupBy("scene_id", "r", "c").agg(F.try_divide(F.stddev_pop("a"), F.avg("a")).alias("cv"))
     return a.groupBy("scene_id").agg(F.avg("cv").alias("cv"))
+
+
+def separability(cells: DataFrame, label: str, kinds: tuple[str, ...] = ("amplitude", "intensity", "db", "phase")) -> DataFrame:
+    """For each representation the variance between the means of the classes over the variance within them."""
+    wide = cells.select(label, F.explode(F.create_map(*(x for k in kinds for x in (F.lit(k), represent(k))))).alias("kind", "x")).filter("x is not null")
+    by = wide.groupBy("kind", label).agg(F.count("*").alias("n"), F.avg("x").alias("m"), F.var_pop("x").alias("v"))
+    total = by.groupBy("kind").agg((F.sum(F.col("n") * F.col("m")) / F.sum("n")).alias("mean"))
+    j = by.join(F.broadcast(total), "kind")  # a row a representation
+    between = F.sum(F.col("n") * (F.col("m") - F.col("mean")) * (F.col("m") - F.col("mean")))
+    return j.groupBy("kind").agg(F.try_divide(between, F.sum(F.col("n") * F.col("v"))).alias("separability"))
+
+
+def colorize(parts: DataFrame) -> DataFrame:
+    """Amplitudes of three sub-apertures as red, green and blue, 0 to 255 of the scene's largest."""
+    a = parts.withColumn("a", F.sqrt(intensity()))
+    wide = a.groupBy("scene_id", "r", "c").pivot("part", [0, 1, 2]).agg(F.first("a")).toDF("scene_id", "r", "c", "a0", "a1", "a2")
+    top = wide.groupBy("scene_id").agg(F.max(F.greatest("a0", "a1", "a2")).alias("top"))
+    grey = lambda k: F.floor(F.coalesce(F.try_divide(k, "top"), F.lit(0.0)) * 255 + 0.5).cast("int")
+    return wide.join(top, "scene_id").select("scene_id", "r", "c", grey("a0").alias("red"), grey("a1").alias("green"), grey("a2").alias("blue"))
+
+
+def superres_pairs(cells: DataFrame, scenes: DataFrame, factor: int = 2) -> tuple[DataFrame, DataFrame]:
+    """(low, full): images with the central 1 / factor of the azimuth spectrum alone, and the images they come from."""
+    from radarlake.methods import spectrum
+
+    sizes = scenes.withColumn("native_az_m", F.lit(spectrum.TARGET_M / factor)).withColumn("native_rg_m", F.lit(spectrum.TARGET_M))
+    return spectrum.resample(cells, sizes), cells
+
+
+def superres_zeropad(low: DataFrame, scenes: DataFrame, factor: int = 2) -> DataFrame:
+    """Baseline: the low image brought back to its first size by zero-padding the spectrum."""
+    from radarlake.methods import spectrum
+
+    n = F.greatest(F.lit(1), F.floor(F.col("n_rows") / factor + 0.5).cast("int"))
+    sizes = scenes.withColumn("native_az_m", spectrum.TARGET_M * F.col("n_rows") / n).withColumn("n_rows", n).withColumn("native_rg_m", F.lit(spectrum.TARGET_M))
+    return spectrum.resample(low, sizes)
+
+
+def homogeneity(cells: DataFrame, size: int, looks: float = 1.0, slack: float = 0.25) -> DataFrame:
+    """Tiles whose intensity varies as speckle of that many looks does, or more: `homogeneous` or `scatterer`."""
+    t = cells.withColumn("i", intensity()).groupBy("scene_id", F.floor(F.col("r") / size).cast("int").alias("tr"), F.floor(F.col("c") / size).cast("int").alias("tc"))
+    cv = t.agg(F.count("*").alias("n"), F.try_divide(F.stddev_pop("i"), F.avg("i")).alias("cv"))
+    return cv.withColumn("kind", F.when(F.col("cv") <= (1 + slack) / looks**0.5, "homogeneous").otherwise("scatterer"))
+
+
+def by_incidence(df: DataFrame, angle: str, value: str, width: int = 10) -> DataFrame:
+    """Mean and variance of a value in bins of the incidence angle."""
+    return df.groupBy((F.floor(F.col(angle) / width) * width).cast("int").alias("from_deg")).agg(F.count("*").alias("n"), F.avg(value).alias("mean"), F.var_samp(value).alias("variance"))
+
+
+def incidence_slope(df: DataFrame, angle: str, value: str) -> DataFrame:
+    """Slope, intercept and fit of a value over the angle."""
+    y, x = F.col(value), F.col(angle)
+    return df.agg(F.regr_slope(y, x).alias("slope"), F.regr_intercept(y, x).alias("intercept"), F.regr_r2(y, x).alias("r2"))
+
+
+def disagreement(df: DataFrame, optical: str, radar: str) -> DataFrame:
+    """How often each category of the caption meets each class of the radar signal, with the share of its category."""
+    from pyspark.sql import Window
+
+    n = df.groupBy(optical, radar).agg(F.count("*").alias("n"))
+    return n.withColumn("share", F.col("n") / F.sum("n").over(Window.partitionBy(optical)))
+
+
+def masks(cells: DataFrame, share: float = 0.25, run: int = 2) -> DataFrame:
+    """Cells in shadow: at least `run` neighbours in range below a share of the scene's mean intensity. Gaps between columns end a run."""
+    from pyspark.sql import Window
+
+    i = cells.select("scene_id", "r", "c", intensity().alias("i"))
+    mean = i.groupBy("scene_id").agg(F.avg("i").alias("m"))
+    low = i.join(mean, "scene_id").filter(F.col("i") < share * F.col("m"))
+    # neighbouring low cells have one difference between column and rank
+    line = Window.partitionBy("scene_id", "r")
+    runs = low.withColumn("g", F.col("c") - F.row_number().over(line.orderBy("c")))
+    return runs.withColumn("length", F.count("*").over(Window.partitionBy("scene_id", "r", "g")).cast("int")).filter(F.col("length") >= run).select("scene_id", "r", "c", "length")
+
+
+def coarse_detected(cells: DataFrame, k: int) -> DataFrame:
+    """Baseline of a coarse product: intensity in means of k by k cells, without phase."""
+    t = cells.groupBy("scene_id", F.floor(F.col("r") / k).cast("int").alias("r"), F.floor(F.col("c") / k).cast("int").alias("c"))
+    return t.agg(F.avg(intensity()).alias("intensity"), F.count("*").alias("looks"))
+
+
+def coarse_loss(cells: DataFrame, k: int, spacing_m: float, incidence_deg: float) -> DataFrame:
+    """What the coarse product loses: the share of the intensity's variation, and its ground spacing."""
+    import math
+
+    fine = cells.groupBy("scene_id").agg(F.sum(intensity() * intensity()).alias("e"))
+    kept = coarse_detected(cells, k).groupBy("scene_id").agg(F.sum(F.col("looks") * F.col("intensity") * F.col("intensity")).alias("e2"))
+    return fine.join(kept, "scene_id").select("scene_id", (1 - F.try_divide("e2", "e")).alias("lost"), F.lit(k * spacing_m / math.sin(math.radians(incidence_deg))).alias("ground_m"))

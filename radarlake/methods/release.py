@@ -131,3 +131,17 @@ def contamination(train: DataFrame, test: DataFrame, n: int = 8, key_: str = "do
     asked = runs(test, item)
     met = runs(train, key_).join(F.broadcast(asked) if size <= SENT_BYTES else asked, ["a", "b"])
     return met.groupBy(key_, item).agg(F.count("*").alias("shared"))
+
+
+def reconstruct(samples: DataFrame, source, key_: str, size: int, width: int, height: int, transform: str = "stored", points=None) -> DataFrame:
+    """Optical pixels of samples on the radar grid, made on read: tiles from the source, the map stored or fitted anew from corners, a warp.
+
+    `samples` has the key, `tile_id` and, for `stored`, `map`; `points` are corner correspondences of a row, for `refit`.
+    """
+    from radarlake.methods import align
+
+    if transform not in ("stored", "refit"):
+        raise ValueError(f"{transform}: the transform is stored or refit")
+    mapped = samples if transform == "stored" else samples.withColumn("map", align.fit(points))
+    wanted = mapped.select(key_, "tile_id", "map")
+    return align.warp_join(align.map_pixels(wanted, size), source.tiles(wanted), [key_], width, height)

@@ -36,3 +36,14 @@ def audit(df: DataFrame, **limits) -> DataFrame:
 def by_environment(df: DataFrame, environment: Column, values: list[str], key: str = "continent") -> DataFrame:
     """Counts by key and environment, a column per environment."""
     return df.withColumn("environment", environment).groupBy(key).pivot("environment", values).count().na.fill(0, values)
+
+
+def temporal(df: DataFrame, place: str, date: str, key: str, max_gap_days: int) -> DataFrame:
+    """Stacks of one place: its passes by date, numbered anew after a gap of more than so many days; with the days since the pass before."""
+    from pyspark.sql import Window
+
+    order = Window.partitionBy(place).orderBy(date, key)
+    gap = F.datediff(F.col(date), F.lag(date).over(order))
+    opened = df.withColumn("gap", gap).withColumn("_new", (F.col("gap").isNull() | (F.col("gap") > max_gap_days)).cast("int"))
+    stacked = opened.withColumn("stack", F.sum("_new").over(order.rowsBetween(Window.unboundedPreceding, 0)))
+    return stacked.withColumn("layer", F.row_number().over(Window.partitionBy(place, "stack").orderBy(date, key))).drop("_new")

@@ -88,13 +88,3 @@ def m10_subap_sum(spark, sf):
     """The sub-apertures of a scene, added up: the scene."""
     p = physics.subapertures(scene_cells(spark, sf), scenes(spark)).groupBy("scene_id", "r", "c").agg(F.sum("re").alias("re"), F.sum("im").alias("im"))
     return p.filter(F.hypot("re", "im") > 1e-6).select("scene_id", "r", "c", _R("re", 4).alias("re"), _R("im", 4).alias("im"))
-
-
-@query()
-def m10_subap(spark, sf):
-    return physics.subapertures(scene_cells(spark, sf), scenes(spark))
-
-
-@query()
-def m10_diversity(spark, sf):
-    return physics.diversity(physics.subapertures(scene_cells(spark, sf), scenes(spark)))

@@ -8,7 +8,7 @@ from importlib import import_module
 from pyspark.sql import DataFrame, SparkSession
 
 Query = Callable[[SparkSession, str], DataFrame]
-MODULES = ("selection", "resampling", "geometry", "optical", "captions", "release", "physics", "relational", "functions", "catalogue", "streams")
+MODULES = ("selection", "resampling", "geometry", "optical", "captions", "release", "physics", "relational", "functions", "catalogue", "streams", "studies", "generation")
 _queries: dict[str, Query] = {}
 _oracles: dict[str, str] = {}
 
