@@ -10,11 +10,14 @@ from __future__ import annotations
 
 import io
 import os
+import random
 import tarfile
 import uuid
 from collections.abc import Iterator
 from dataclasses import dataclass
 
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, InputPartition, WriterCommitMessage
 from pyspark.sql.types import StructType
 
@@ -92,6 +95,42 @@ class _Writer(DataSourceWriter):
                 os.remove(m.part)
 
 
+def read_shuffled(spark: SparkSession, folder: str, seed: int, buffer: int = 1024) -> DataFrame:
+    """Samples of all shards in a shuffled order without sorting: shards are dealt out by a seeded hash of their name, and each task
+    lets samples pass through a buffer from which a seeded draw picks the next one. Every sample comes once.
+    """
+    from pyspark.sql import functions as F
+
+    names = spark.createDataFrame([(os.path.join(folder, n),) for n in sorted(os.listdir(folder)) if n.endswith(".tar")], "path string")
+    parts = max(1, min(names.count(), int(spark.conf.get("spark.sql.shuffle.partitions"))))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        reader, held = _Reader(folder, None), []
+        kind = pa.map_(pa.string(), pa.binary())
+
+        def batch(rows: list) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array([k for k, _ in rows], pa.string()), pa.array([list(m.items()) for _, m in rows], kind)], names=["key", "members"])
+
+        draw = None
+        for b in batches:
+            for path in b.column(b.schema.names.index("path")).to_pylist():
+                draw = draw or random.Random(f"{seed}-{os.path.basename(path)}")
+                for sample in reader.read(_File(path)):
+                    held.append(sample)
+                    if len(held) >= buffer:
+                        k = draw.randrange(len(held))
+                        held[k], held[-1] = held[-1], held[k]
+                        yield batch([held.pop()])
+        if held:
+            draw.shuffle(held)
+            for a in range(0, len(held), 64):
+                yield batch(held[a : a + 64])
+
+    order = F.md5(F.concat(F.lit(f"{seed}-"), F.element_at(F.split("path", "/"), -1)))
+    dealt = names.withColumn("h", order).repartition(parts, "h").sortWithinPartitions("h")
+    return dealt.select("path").mapInArrow(run, SCHEMA)
+
+
 class TarShards(DataSource):
     """Options: `path`, and `members`, a comma list of the members to read."""
 

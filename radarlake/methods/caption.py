@@ -84,6 +84,13 @@ def clean(text: Column) -> Column:
     return normalize(strip_hedges(strip_colors(text)))
 
 
+def clean_with(df: DataFrame, model: Callable[[list[str]], list[str]], text: str = "text") -> DataFrame:
+    """The rules, then a model that rewrites batches of texts; what it returns is held to the rules once more. Nulls stay null."""
+    ruled = df.withColumn(text, clean(F.col(text)))
+    made = generate_with(ruled, model, text, "_made")
+    return made.withColumn(text, F.when(F.col(text).isNotNull(), clean(F.col("_made")))).drop("_made")
+
+
 def _hits(text: Column, words: tuple[str, ...]) -> Column:
     return F.regexp_count(F.lower(text), F.lit(rf"\b(?:{_any(words)})s?\b")) if words else F.lit(0)
 

@@ -73,7 +73,7 @@ def subapertures(cells: DataFrame, scenes: DataFrame, parts: int = 3, axis: int
         return pa.concat_tables(out)
 
     kind = dict(cells.dtypes)["scene_id"]
-    joined = cells.join(F.broadcast(scenes.select("scene_id", "n_rows", "n_cols")), "scene_id")
+    joined = cells.join(scenes.select("scene_id", "n_rows", "n_cols"), "scene_id")
     return joined.groupBy("scene_id").applyInArrow(run, f"scene_id {kind}, part int, r int, c int, re double, im double")
 
 

@@ -52,11 +52,19 @@ def split_balanced(df: DataFrame, by: str, ratios: tuple[float, ...] = (0.8, 0.1
 
 
 def split_stratified(df: DataFrame, by: str, stratum: str, ratios: tuple[float, ...] = (0.8, 0.1, 0.1)) -> DataFrame:
-    """Passes of each stratum in the order of their hash, split at the ratios of their number."""
-    passes = df.select(by, stratum).distinct()
-    order = Window.partitionBy(stratum).orderBy(F.md5(F.col(by).cast("string")), by)
-    rank = (F.row_number().over(order) - 1) / F.count("*").over(Window.partitionBy(stratum))
-    return passes.withColumn("split", split_name(rank, ratios))
+    """Passes of each stratum in the order of their hash, split at the ratios of their number.
+
+    Ranks are taken inside ranges of the hash and moved by the stratum's ranges before, so that a large stratum lies in no single task.
+    """
+    h = F.md5(F.col(by).cast("string"))
+    passes = df.select(by, stratum).distinct().withColumn("_h", h).withColumn("_part", F.substring("_h", 1, 2))
+    local = passes.withColumn("_in", F.row_number().over(Window.partitionBy(stratum, "_part").orderBy("_h", by)) - 1)
+    # at most 256 rows a stratum
+    before = Window.partitionBy("_s").orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)
+    totals = passes.groupBy(F.col(stratum).alias("_s"), F.col("_part").alias("_p")).agg(F.count("*").alias("_n"))
+    offsets = totals.select("_s", "_p", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_off"), F.sum("_n").over(Window.partitionBy("_s")).alias("_all"))
+    joined = local.join(offsets, local[stratum].eqNullSafe(offsets["_s"]) & (local["_part"] == offsets["_p"]))
+    return joined.withColumn("split", split_name((F.col("_in") + F.col("_off")) / F.col("_all"), ratios)).select(by, stratum, "split")
 
 
 def split_random(df: DataFrame, *unique: str, ratios: tuple[float, ...] = (0.8, 0.1, 0.1)) -> DataFrame:

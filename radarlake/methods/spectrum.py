@@ -76,14 +76,14 @@ def _local(cells: DataFrame, planned: DataFrame) -> DataFrame:
         return _cells(t["scene_id"][0].as_py(), t["scene_id"].type, y)
 
     kind = dict(cells.dtypes)["scene_id"]
-    joined = cells.join(F.broadcast(planned.select("scene_id", "n_rows", "n_cols", "m_rows", "m_cols")), "scene_id")
+    joined = cells.join(planned.select("scene_id", "n_rows", "n_cols", "m_rows", "m_cols"), "scene_id")
     return joined.groupBy("scene_id").applyInArrow(run, f"scene_id {kind}, r int, c int, re double, im double")
 
 
 def _separable(cells: DataFrame, planned: DataFrame, block: int) -> DataFrame:
     """Each row on its own, then blocks of columns; a task holds a row, or a block of columns."""
     kind = dict(cells.dtypes)["scene_id"]
-    sizes = F.broadcast(planned.select("scene_id", "n_rows", "n_cols", "m_rows", "m_cols"))
+    sizes = planned.select("scene_id", "n_rows", "n_cols", "m_rows", "m_cols")
 
     def rows(t: pa.Table) -> pa.Table:
         y = resample_axis(_image(pa.table({**{k: t[k] for k in ("c", "re", "im")}, "z": np.zeros(len(t), np.int32)}), 1, t["n_cols"][0].as_py(), "z"), t["m_cols"][0].as_py(), 1)
@@ -133,19 +133,22 @@ def _kernel(cells: DataFrame, planned: DataFrame) -> DataFrame:
 def resample(cells: DataFrame, scenes: DataFrame, target: float = TARGET_M, strategy: str = "auto", block: int = 512) -> DataFrame:
     """Images (scene_id, r, c, re, im) at the target spacing; scenes that have it already pass unchanged.
 
-    `auto` looks at the largest scene of the catalogue.
+    `auto` decides scene by scene: `local` while a task can hold it, else `separable`.
     """
     planned = plan(scenes, target)
-    if strategy == "auto":
-        largest = planned.agg(F.max(F.greatest(F.col("n_rows"), F.col("m_rows")).cast("long") * F.greatest("n_cols", "m_cols")).alias("n")).first()["n"]
-        strategy = "local" if 3 * 16 * (largest or 0) <= TASK_BYTES else "separable"
     if strategy == "kernel":
         return _kernel(cells, planned)
-    same = planned.filter("direction = 'identity'").select("scene_id")
-    other = planned.filter("direction <> 'identity'")
-    work = cells.join(F.broadcast(other.select("scene_id")), "scene_id", "left_semi")
-    done = _local(work, other) if strategy == "local" else _separable(work, other, block)
-    return done.unionByName(cells.join(F.broadcast(same), "scene_id", "left_semi").select(done.columns))
+    cost = 3 * 16 * F.greatest("n_rows", "m_rows").cast("long") * F.greatest("n_cols", "m_cols")
+    way = F.when(F.col("direction") == "identity", "same").otherwise(F.when(cost <= TASK_BYTES, "local").otherwise("separable") if strategy == "auto" else F.lit(strategy))
+    ways = planned.withColumn("way", way)
+    of = lambda w: ways.filter(F.col("way") == w)
+    mine = lambda w: cells.join(of(w).select("scene_id"), "scene_id", "left_semi")
+    out = mine("same").select("scene_id", "r", "c", "re", "im")
+    if strategy in ("auto", "local"):
+        out = out.unionByName(_local(mine("local"), of("local")))
+    if strategy in ("auto", "separable"):
+        out = out.unionByName(_separable(mine("separable"), of("separable"), block))
+    return out
 
 
 def dft(cells: DataFrame, scenes: DataFrame) -> DataFrame:
@@ -156,7 +159,7 @@ def dft(cells: DataFrame, scenes: DataFrame) -> DataFrame:
         return _cells(t["scene_id"][0].as_py(), t["scene_id"].type, np.fft.fftshift(np.fft.fft2(_image(t, n, m))), -(n // 2), -(m // 2)).rename_columns(["scene_id", "fr", "fc", "re", "im"])
 
     kind = dict(cells.dtypes)["scene_id"]
-    return cells.join(F.broadcast(scenes.select("scene_id", "n_rows", "n_cols")), "scene_id").groupBy("scene_id").applyInArrow(run, f"scene_id {kind}, fr int, fc int, re double, im double")
+    return cells.join(scenes.select("scene_id", "n_rows", "n_cols"), "scene_id").groupBy("scene_id").applyInArrow(run, f"scene_id {kind}, fr int, fc int, re double, im double")
 
 
 def resample_1d(df: DataFrame, n: int, m: int, at: str = "t", value: str = "x") -> DataFrame:
@@ -171,31 +174,50 @@ def resample_1d(df: DataFrame, n: int, m: int, at: str = "t", value: str = "x")
     return df.groupBy("key").applyInArrow(run, f"key {dict(df.dtypes)['key']}, t int, x double")
 
 
-def resample_spatial(cells: DataFrame, scenes: DataFrame, method: str, target: float = TARGET_M) -> DataFrame:
-    """Baselines on pixels: `nearest`, `bilinear`, `box`, and `detected` (intensity in box means, no phase)."""
-    planned = plan(scenes, target).select("scene_id", "n_rows", "n_cols", "m_rows", "m_cols")
+def _takers(method: str, n: Column, m: Column, at: Column) -> Column:
+    """The output samples (to, w) of one axis that take from input sample `at`, from the sizes alone.
 
-    def axis(n: str, m: str, to: str, at: str) -> DataFrame:
-        t = planned.select("scene_id", F.col(n).alias("n"), F.col(m).alias("m"), F.explode(F.sequence(F.lit(0), F.col(m) - 1)).alias(to))
-        at_ = F.col(to) * F.col("n") / F.col("m")
-        last = F.col("n") - 1
+    Output i lies at a = i n / m of the input. The outputs near an input are a range of
+    numbers, which is filtered by the very rule, so that no table of samples is needed.
+    """
+    last = n - 1
+    low = F.greatest(F.lit(0), F.floor((at - 2) * m / n))
+    # the last sample also stands for all places beyond it
+    high = F.least(m - 1, F.when(at == last, m - 1).otherwise(F.ceil((at + 2) * m / n)))
+    near = F.transform(F.sequence(low.cast("int"), high.cast("int")), lambda i: F.struct(i.alias("to"), (i * n / m).alias("a")))
+
+    def weighed(s: Column) -> Column:
+        a = s["a"]
         if method == "nearest":
-            return t.select("scene_id", to, F.least(F.floor(at_ + 0.5), last).cast("int").alias(at), F.lit(1.0).alias("w"))
-        if method == "bilinear":
-            low = F.floor(at_)
-            both = F.array(F.struct(low.alias("p"), (1 - (at_ - low)).alias("w")), F.struct(F.least(low + 1, last).alias("p"), (at_ - low).alias("w")))
-            return t.select("scene_id", to, F.explode(both).alias("s")).select("scene_id", to, F.col("s.p").cast("int").alias(at), "s.w")
-        low, high = F.floor(at_), F.greatest(F.floor(at_), F.ceil((F.col(to) + 1) * F.col("n") / F.col("m")) - 1)
-        p = t.select("scene_id", to, F.explode(F.sequence(low, F.least(high, last))).alias(at), (1.0 / (F.least(high, last) - low + 1)).alias("w"))
-        return p.select("scene_id", to, F.col(at).cast("int").alias(at), "w")
+            w = F.when(F.least(F.floor(a + 0.5), last) == at, 1.0)
+        elif method == "bilinear":
+            whole = F.floor(a)
+            takes = (whole == at) | (F.least(whole + 1, last) == at)
+            w = F.when(takes, F.when(whole == at, 1 - (a - whole)).otherwise(0.0) + F.when(F.least(whole + 1, last) == at, a - whole).otherwise(0.0))
+        else:
+            first, end = F.floor(a), F.least(F.greatest(F.floor(a), F.ceil((s["to"] + 1) * n / m) - 1), last)
+            w = F.when((at >= first) & (at <= end), 1.0 / (end - first + 1))
+        return F.struct(s["to"].alias("to"), w.alias("w"))
+
+    wide = near
+    if method == "box":
+        # a box may be wider than two samples: it begins at most its width before the sample
+        low = F.greatest(F.lit(0), F.floor(at * m / n) - 1)
+        high = F.least(m - 1, F.ceil((at + 1) * m / n) + 1)
+        wide = F.transform(F.sequence(low.cast("int"), high.cast("int")), lambda i: F.struct(i.alias("to"), (i * n / m).alias("a")))
+    return F.filter(F.transform(wide, weighed), lambda s: s["w"].isNotNull())
 
+
+def resample_spatial(cells: DataFrame, scenes: DataFrame, method: str, target: float = TARGET_M) -> DataFrame:
+    """Baselines on pixels: `nearest`, `bilinear`, `box`, and `detected` (intensity in box means, no phase)."""
+    sizes = plan(scenes, target).select("scene_id", "n_rows", "n_cols", "m_rows", "m_cols")
     if method == "detected":
         cells, method = cells.select("scene_id", "r", "c", (F.col("re") ** 2 + F.col("im") ** 2).alias("re"), F.lit(0.0).alias("im")), "box"
-    rows = axis("n_rows", "m_rows", "i", "r").withColumnRenamed("w", "wr")
-    cols = axis("n_cols", "m_cols", "j", "c").withColumnRenamed("w", "wc")
-    w = F.col("wr") * F.col("wc")
-    mixed = cells.join(F.broadcast(rows), ["scene_id", "r"]).join(F.broadcast(cols), ["scene_id", "c"])
-    return mixed.groupBy("scene_id", "i", "j").agg(F.sum(F.col("re") * w).alias("re"), F.sum(F.col("im") * w).alias("im")).select("scene_id", F.col("i").alias("r"), F.col("j").alias("c"), "re", "im")
+    placed = cells.join(sizes, "scene_id")
+    one = placed.select("*", F.explode(_takers(method, F.col("n_rows"), F.col("m_rows"), F.col("r"))).alias("p"))
+    both = one.select("*", F.explode(_takers(method, F.col("n_cols"), F.col("m_cols"), F.col("c"))).alias("q"))
+    w = F.col("p.w") * F.col("q.w")
+    return both.groupBy("scene_id", F.col("p.to").alias("r"), F.col("q.to").alias("c")).agg(F.sum(F.col("re") * w).alias("re"), F.sum(F.col("im") * w).alias("im"))
 
 
 def energy(cells: DataFrame, resampled: DataFrame, scenes: DataFrame, target: float = TARGET_M) -> DataFrame:

@@ -46,10 +46,10 @@ def patches(spark: SparkSession, sf_dir: str, spec: Spec = Spec()) -> DataFrame:
     sizes = scenes(spark)
     planned = spectrum.plan(sizes, spec.target_m).select("scene_id", "m_rows", "m_cols", "direction", "eff_az_m", "eff_rg_m")
     image = spectrum.resample(scene_cells(spark, sf_dir), sizes, spec.target_m, spec.strategy)
-    tiles = tiling.explode_cells(image.join(F.broadcast(planned), "scene_id"), spec.size, spec.stride, F.col("m_rows"), F.col("m_cols"))
+    tiles = tiling.explode_cells(image.join(planned, "scene_id"), spec.size, spec.stride, F.col("m_rows"), F.col("m_cols"))
     kept = tiling.select(tiles, spec.size, spec.min_valid)
     points = corners(spec.size, spec.tile_pixels)
-    mapped = kept.join(F.broadcast(planned), "scene_id").withColumn("map", align.fit(points))
+    mapped = kept.join(planned, "scene_id").withColumn("map", align.fit(points))
     rms, _ = align.residuals(F.col("map"), points)
     return mapped.withColumn("rms", rms).withColumn("key", release.key("scene_id", "tile_r", "tile_c"))
 

@@ -338,3 +338,27 @@ def m5_mosaic(spark, sf):
     cell = F.explode(F.sequence(F.lit(0), F.lit(15))).alias("p")
     px = cover.select("z", "x", "y", "key", "b", cell).select("z", "x", "y", F.floor(C("p") / 4).alias("v"), (C("p") % 4).alias("u"), (C("key") * 100 + C("b") * 10 + F.floor(C("p") / 4) + C("p") % 4).cast("double").alias("value"))
     return pairing.mosaic(cover.select("key", "z", "x", "y"), px, "key", 4).select("key", C("v").cast("long").alias("v"), C("u").cast("long").alias("u"), "value")
+
+
+@query(with_views("patches", ", g AS (SELECT patch_id, sqrt(re * re + im * im) AS a, min(sqrt(re * re + im * im)) OVER w AS lo, max(sqrt(re * re + im * im)) OVER w AS hi FROM patches WINDOW w AS (PARTITION BY patch_id)) SELECT patch_id, CAST(8 AS INT) AS cols, CAST(8 AS INT) AS rows, CAST(sum(CAST(floor((a - lo) / (hi - lo) * 255 + 0.5 - 1e-9) AS INT)) AS BIGINT) AS grey FROM g GROUP BY 1"))
+def m4_png(spark, sf):
+    """Previews as PNG members, read back."""
+    from radarlake.io import encode
+    from radarlake.methods import tiling
+
+    grey = tiling.preview(vec_patches(spark, sf), "minmax", "patch_id")
+    rows = grey.groupBy("patch_id").agg(F.transform(F.sort_array(F.collect_list(F.struct("r", "c", "grey"))), lambda s: s["grey"]).alias("pixels"))
+    back = rows.select("patch_id", encode.from_png(encode.to_png(C("pixels"), F.lit(8))).alias("i"))
+    return back.select("patch_id", "i.cols", "i.rows", F.aggregate("i.pixels", F.lit(0).cast("long"), lambda s, x: s + x).alias("grey"))
+
+
+def _upper(texts: list[str]) -> list[str]:
+    """Stand-in for a model that rewrites captions."""
+    return [t.replace(" and ", " with ") for t in texts]
+
+
+@query("SELECT sample_id, upper(substr(t, 1, 1)) || substr(t, 2) || '.' AS text FROM (SELECT p_partkey AS sample_id, regexp_replace(trim(regexp_replace(regexp_replace(p_name, '\\b(red|blue)\\b', '', 'g'), '\\s+', ' ', 'g')), '^$', 'plain') || ' with more' AS t FROM part)")
+def m7_clean_model(spark, sf):
+    """The rules and a stand-in model as the second step."""
+    p = table(spark, sf, "part").select(C("p_partkey").alias("sample_id"), F.regexp_replace(F.trim(F.regexp_replace(F.regexp_replace("p_name", r"\b(red|blue)\b", ""), r"\s+", " ")), "^$", "plain").alias("text"))
+    return caption.clean_with(p.withColumn("text", F.concat("text", F.lit(" and more"))), _upper)
