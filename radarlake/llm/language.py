@@ -31,7 +31,7 @@ PER_LANGUAGE = 1500
 #: Bytes of a word, with its space, up to which words of equal length are summed side by side.
 SHORT = 32
 ROUNDS, SMOOTHING = 3, 0.05
-CACHE = 1 << 18
+CACHE = 1 << 19
 
 
 class Pieces:

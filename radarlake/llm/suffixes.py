@@ -48,7 +48,7 @@ SAMPLE, COMMON_LEAST, COMMON_SHARE = 64, 16, 1e-4
 #: Keys, or bytes of segments, that a task gathers before it sends them.
 HELD, HELD_BYTES = 1 << 20, 1 << 23
 #: Segments that one suffix sort holds, about; buckets for each partition.
-SORTED, BUCKETS = 1 << 15, 2
+SORTED, BUCKETS = 1 << 15, 4
 #: Starts that one step looks at; a start's place in a step takes so many bits.
 STEP, PLACE_BITS = 1 << 20, 21
 
@@ -376,12 +376,22 @@ _MARKS = "doc_id long, key long, mark long"
 _ALL = -1
 
 
+def _hashes(text: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """`span_hashes` of short spans with rising starts, a step of the text at a time."""
+    out = np.zeros(len(start), np.uint64)
+    step = start // STEP
+    for a in np.flatnonzero(np.concatenate([[True], step[1:] != step[:-1]])).tolist() if len(start) else []:
+        b = int(np.searchsorted(step, step[a], "right"))
+        low, high = int(start[a]), int(end[a:b].max())
+        out[a:b] = span_hashes(prefix_hashes(text[low:high]), start[a:b] - low, end[a:b] - low)
+    return out
+
+
 def meet_segments(text: np.ndarray, size: np.ndarray, place: np.ndarray, docs: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Keys, ids and marks (a bit per start, or all) of segments whose strings a smaller id holds too."""
     at = np.cumsum(size) - size
-    prefix = prefix_hashes(text)
     single = place < 0
-    whole = span_hashes(prefix, at, at + size)
+    whole = _hashes(text, at, at + size)
     keys = np.where(single, mix(whole ^ np.uint64(0x5851F42D4C957F2D)), mix(whole + np.maximum(place, 0).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)))
     order, first = equal_groups(text, at, size, keys, docs)
     lowest = docs[order[np.maximum.accumulate(np.where(first, np.arange(len(order)), 0))]]
@@ -391,7 +401,10 @@ def meet_segments(text: np.ndarray, size: np.ndarray, place: np.ndarray, docs: n
     one = order[first]
     one = one[~single[one]]
     begin = at[one] + place[one]
-    anchor = span_hashes(prefix, begin, begin + ANCHOR)
+    # `one` stands by key: its bytes are hashed in the order of their places
+    by = np.argsort(begin)
+    one, begin = one[by], begin[by]
+    anchor = _hashes(text, begin, begin + ANCHOR)
     by = np.argsort(anchor, kind="stable")
     one, anchor = one[by], anchor[by]
     same = np.zeros(len(one), bool)

@@ -16,7 +16,7 @@ from functools import lru_cache
 
 import numpy as np
 
-from radarlake.llm.common import HashIndex, same_bytes, string_hashes
+from radarlake.llm.common import HashIndex, prefix_hashes, same_bytes, span_hashes
 
 #: Distinct pre-tokens that a worker keeps before it starts anew.
 CACHE_SIZE = 1 << 19
@@ -120,7 +120,7 @@ class Encoder:
         if self.lower:
             code = _LOWER[code]
         a, b = self._cut(code, at)
-        hashed = string_hashes(code, a, b)
+        hashed = span_hashes(prefix_hashes(code), a, b)
         found = self.index.find(hashed)
         if (found < 0).any():
             new, where = np.unique(hashed[found < 0], return_index=True)

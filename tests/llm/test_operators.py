@@ -445,3 +445,46 @@ def test_step_groups_are_balanced(spark):
         assert sorted(groups) == list(range(len(groups)))
         assert all(groups[g] == 2048 for g in range(len(groups) - 1)) and 0 < groups[len(groups) - 1] <= 2048
     assert packing.pack(df.limit(0), queries.vocabulary("byte_bpe_50k.json"), 0).count() == 0
+
+
+def equal_hash_pair():
+    """Two texts of 1,024 letters whose polynomial hashes modulo 2**64 are equal for any odd base: a Thue-Morse word and its mirror."""
+    bits = [bin(i).count("1") & 1 for i in range(1024)]
+    return "".join("ab"[b] for b in bits), "".join("ba"[b] for b in bits)
+
+
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_token_ids_where_hashes_lie(name):
+    from radarlake.llm import common
+
+    one, two = (x.encode() for x in equal_hash_pair())
+    data, at = np.frombuffer(one + two, np.uint8), np.array([0, 1024, 2048])
+    lying = common.span_hashes(common.prefix_hashes(data), at[:-1], at[1:])
+    assert lying[0] == lying[1]
+    told = common.string_hashes(data, at[:-1], at[1:])
+    assert told[0] != told[1]
+    encode = Encoder(queries.vocabulary(name))
+    for _ in range(2):
+        ids, rows_ = encode.chunk(data, at)
+        for k, text in enumerate((one, two)):
+            assert ids[rows_[k] : rows_[k + 1]].tolist() == encode.whole(text.decode()).tolist()
+
+
+def test_string_hashes_do_not_depend_on_place(monkeypatch):
+    from radarlake.llm import common
+
+    rng = np.random.default_rng(4)
+    data = rng.choice(np.frombuffer(b"ab ", np.uint8), 5000)
+    start, end, _, low = common.words(data, np.array([0, len(data)]))
+    whole = common.string_hashes(low, start, end)
+    raw = [bytes(low[a:b]) for a, b in zip(start, end)]
+    known = {}
+    for w, h in zip(raw, whole.tolist()):
+        assert known.setdefault(w, h) == h
+    assert len(set(known.values())) == len(known)
+    monkeypatch.setattr(common, "HASH_BLOCK", 97)
+    assert np.array_equal(common.string_hashes(low, start, end), whole)
+    assert len(common.string_hashes(low, start[:0], end[:0])) == 0
+    long_ = np.frombuffer(b"q" * 40000 + b" " + b"q" * 40000 + b" " + b"q" * 40001, np.uint8)
+    h = common.word_hashes(long_, np.array([0, len(long_)]))[0]
+    assert h[0] == h[1] != h[2]
