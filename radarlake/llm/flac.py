@@ -4,11 +4,14 @@ Two decoders share the format. `decode_stream` reads any stream bit by bit (all
 subframe kinds, 4 to 32 bits, stereo decorrelation, wasted bits, escaped partitions).
 `decode_many` takes all frames of many streams at once, one numpy lane a frame, for
 mono streams of 8-bit samples whose seek table names every frame, as `encode_many`
-writes them; other streams go to the first. Every frame's header and footer checksum
+writes them; other streams, legal ones with escaped or wide residual codes among them, go
+to the first. Every frame's header and footer checksum
 and the stream's MD5 are verified; a mismatch raises ValueError.
 
 As media columns of texts: UTF-8 bytes, zero bytes up to a positive multiple of 64,
-are 8-bit samples (byte minus 128). Null text is empty text: 64 zero bytes.
+are 8-bit samples (byte minus 128). Null text is empty text: 64 zero bytes. Null and
+repeated ids are rows like any other. What is stored is a table of media columns in the
+shared folder; `write_pcm` writes its samples as blocks with offsets to seek by.
 """
 
 from __future__ import annotations
@@ -22,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from radarlake.llm.common import binary_array, chunks
+from radarlake.llm.common import binary_array, chunks, partitions, stored
 
 BLOCK = 512
 RATE = 8000
@@ -410,13 +413,29 @@ def _signed(x: np.ndarray, n) -> np.ndarray:
     return x - (x >> (np.asarray(n) - 1) << np.asarray(n))
 
 
+class _OtherProfile(ValueError):
+    """A legal stream that is not as `encode_many` writes them."""
+
+
 def decode_many(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Bytes (samples plus 128) of many mono 8-bit streams and their offsets, everything verified."""
     raw = data.tobytes()
-    streams = [Stream(raw[a:b]) for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
-    if any(s.channels != 1 or s.bits != 8 or not s.whole() for s in streams):
-        rows = [(decode_stream(raw[a:b])[0] + 128).astype(np.uint8) for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
+    cuts = list(zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True))
+    streams = [Stream(raw[a:b]) for a, b in cuts]
+    try:
+        return _decode_lanes(raw, data, offsets, streams)
+    except _OtherProfile:
+        rows = []
+        for s, (a, b) in zip(streams, cuts, strict=True):
+            if s.channels != 1 or s.bits != 8:
+                raise ValueError("only mono streams of 8 bits are bytes; decode_stream reads others") from None
+            rows.append((decode_stream(raw[a:b])[0] + 128).astype(np.uint8))
         return np.concatenate([np.zeros(0, np.uint8), *rows]), np.concatenate([[0], np.cumsum([len(x) for x in rows])]).astype(np.int64)
+
+
+def _decode_lanes(raw: bytes, data: np.ndarray, offsets: np.ndarray, streams: list[Stream]) -> tuple[np.ndarray, np.ndarray]:
+    if any(s.channels != 1 or s.bits != 8 or not s.whole() for s in streams):
+        raise _OtherProfile("another kind of stream")
     if not streams:
         return np.zeros(0, np.uint8), np.zeros(1, np.int64)
     out_at = np.concatenate([[0], np.cumsum([s.samples for s in streams])]).astype(np.int64)
@@ -435,13 +454,13 @@ def decode_many(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.n
     plain = (data[start] == 0xFF) & (data[start + 1] == 0xF8) & (data[start + 2] == 0x70) & (data[start + 3] == 0x02)
     head = 5 + more + 2
     if not plain.all():
-        raise ValueError("a frame header does not fit its seek table")
+        raise _OtherProfile("a frame header does not fit its seek table")
     size = (data[start + head - 2].astype(np.int64) << 8 | data[start + head - 1]) + 1
     if (size != n).any() or (_crc_lanes(data, start, head, _CRC8, 8) != data[start + head]).any():
         raise ValueError("a frame header fails its checksum")
     kind = data[start + head + 1] >> 1
     if (data[start + head + 1] & 0x81).any():
-        raise ValueError("a subframe header is out of this profile")
+        raise _OtherProfile("a subframe header is out of this profile")
     body = start + head + 2
     out = np.zeros(int(out_at[-1]), np.uint8)
     for k in (0, 1):
@@ -484,7 +503,7 @@ def _residual_lanes(bits: _Lanes, at: np.ndarray, n: np.ndarray, kind: np.ndarra
         q[j, here] = _signed(bits.read(at[here], p), p)
         at[here] += p
     if bits.read(at, 2).any():
-        raise ValueError("a residual code out of this profile")
+        raise _OtherProfile("a residual code out of this profile")
     parts = n >> bits.read(at + 2, 4)
     at += 6
     k = np.zeros(len(n), np.int64)
@@ -498,7 +517,7 @@ def _residual_lanes(bits: _Lanes, at: np.ndarray, n: np.ndarray, kind: np.ndarra
             k[fresh] = bits.read(at[fresh], 4)
             at[fresh] += 4
             if (k[fresh] == 15).any():
-                raise ValueError("an escaped partition out of this profile")
+                raise _OtherProfile("an escaped partition out of this profile")
         if i < deep:
             lanes = np.flatnonzero(order[:m] <= i)
             u, at[lanes] = bits.rice(at[lanes], k[lanes])
@@ -585,11 +604,23 @@ def pcm_blocks(media: DataFrame, block: int = 4096) -> DataFrame:
     return media.select("doc_id", "media").mapInArrow(run, "doc_id long, sample_offset long, samples long, pcm binary")
 
 
-def round_trip(docs: DataFrame) -> DataFrame:
-    """Texts as media and back: sizes, digests and features per document."""
-    return features(encode(docs))
+def write_pcm(media: DataFrame, path: str, block: int = 4096) -> str:
+    """Writes the blocks of media rows to Parquet files sorted by document and offset, so that a reader opens the row groups of its samples alone."""
+    blocks = pcm_blocks(media, block)
+    parts = partitions(media.sparkSession)
+    blocks.repartitionByRange(parts, "doc_id", "sample_offset").sortWithinPartitions("doc_id", "sample_offset").write.mode("overwrite").option("compression", "zstd").parquet(path)
+    return path
 
 
 def seek(blocks: DataFrame, doc_id: int, first: int, count: int) -> DataFrame:
-    """The blocks of a document that hold the samples [first, first + count)."""
-    return blocks.filter((F.col("doc_id") == doc_id) & (F.col("sample_offset") < first + count) & (F.col("sample_offset") + F.col("samples") > first))
+    """The samples [first, first + count) of a document, as parts (sample_offset, pcm) of its blocks in any order; the condition is pushed to the files' statistics."""
+    last = first + count
+    held = blocks.filter((F.col("doc_id") == doc_id) & (F.col("sample_offset") < last) & (F.col("sample_offset") + F.col("samples") > first))
+    begin = F.greatest(F.lit(first), F.col("sample_offset"))
+    end = F.least(F.lit(last), F.col("sample_offset") + F.col("samples"))
+    return held.select("doc_id", begin.alias("sample_offset"), F.substring("pcm", (begin - F.col("sample_offset") + 1).cast("int"), (end - begin).cast("int")).alias("pcm"))
+
+
+def round_trip(docs: DataFrame) -> DataFrame:
+    """Texts stored as media and read back: sizes, digests and features per document."""
+    return features(stored(encode(docs), "media"))

@@ -10,6 +10,7 @@ from collections import Counter
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from radarlake.llm import decontaminate, flac, language, near_dup, ngram, oracles, packing, pii, queries, suffixes, token_orc, warc
 from radarlake.llm.tokens import Encoder
@@ -488,3 +489,151 @@ def test_string_hashes_do_not_depend_on_place(monkeypatch):
     long_ = np.frombuffer(b"q" * 40000 + b" " + b"q" * 40000 + b" " + b"q" * 40001, np.uint8)
     h = common.word_hashes(long_, np.array([0, len(long_)]))[0]
     assert h[0] == h[1] != h[2]
+
+
+def test_flac_reads_other_legal_streams():
+    """A frame with an escaped residual partition, which the lanes don't read, among streams as they are written."""
+    rng = np.random.default_rng(6)
+    payload = rng.integers(0, 256, 64).astype(np.uint8)
+    media, at = flac.encode_many(np.concatenate([payload, payload]), np.array([0, 64, 128]))
+    raw = media.tobytes()
+    one = raw[: at[1]]
+    bits = [0, *map(int, "001000"), 0]  # a fixed predictor of order 0
+    bits += [0, 0, *[0] * 4, *[1] * 4, *map(int, f"{8:05b}")]  # Rice codes of 4 bits, one partition, escaped, 8 bits a value
+    for v in payload.tolist():
+        bits += map(int, f"{(v - 128) & 255:08b}")
+    bits += [0] * (-len(bits) % 8)
+    head = bytes([0xFF, 0xF8, 0x70, 0x02, 0, 0, 63])
+    body = head + bytes([flac._crc(head, flac._CRC8, 8)]) + bytes(int("".join(map(str, bits[i : i + 8])), 2) for i in range(0, len(bits), 8))
+    frame = body + flac._crc(body, flac._CRC16, 16).to_bytes(2, "big")
+    other = one[: flac.Stream(one).frames] + frame
+    both = np.frombuffer(other + raw[at[1] :], np.uint8)
+    out, rows_ = flac.decode_many(both, np.array([0, len(other), len(both)]))
+    assert rows_.tolist() == [0, 64, 128] and np.array_equal(out, np.concatenate([payload, payload]))
+    broken = bytearray(other)
+    broken[-5] ^= 1
+    with pytest.raises(ValueError):
+        flac.decode_many(np.frombuffer(bytes(broken), np.uint8), np.array([0, len(broken)]))
+
+
+def test_flac_blocks_are_seekable(spark, tmp_path):
+    big = "".join(chr(32 + (i * i) % 90) for i in range(1 << 18)) * 5  # over a chunk of text
+    df = spark.createDataFrame([(1, "abc"), (2, big), (None, "no id"), (3, None)], "doc_id long, text string")
+    path = flac.write_pcm(flac.encode(df), f"file://{tmp_path}/pcm", block=1000)
+    blocks = spark.read.parquet(path)
+    for first, count in ((0, 1), (999, 2), (123456, 70000), (len(big) - 1, 5)):
+        got = b"".join(bytes(r["pcm"]) for r in sorted(flac.seek(blocks, 2, first, count).collect(), key=lambda r: r["sample_offset"]))
+        want = big.encode() + bytes(-len(big) % 64)
+        assert bytes(b ^ 0x80 for b in got) == want[first : first + count]
+    got = {r["doc_id"]: r for r in rows(flac.round_trip(df))}
+    assert got[2]["payload_sha256"] == hashlib.sha256(big.encode() + bytes(-len(big) % 64)).hexdigest() and got[None]["n_bytes"] == 5 and got[3]["payload_bytes"] == 64
+
+
+def test_orc_lookup_prunes(spark, docs, tmp_path):
+    """Ids read back by id, over the whole folder and where statistics and Bloom filters leave nothing."""
+    path = queries.vocabulary("word_bpe_49k.json")
+    df = spark.createDataFrame([(i, f"text number {i} " * (i % 7)) for i in range(0, 4000, 2)], "doc_id long, text string")
+    folder = token_orc.write(df, f"file://{tmp_path}/orc", path, 2, shards=4)
+    encode = Encoder(path)
+    for i in (0, 998, 3998):
+        (r,) = token_orc.lookup(spark, folder, F.col("doc_id") == i).collect()
+        assert r["ids"] == [*encode.whole(f"text number {i} " * (i % 7)).tolist(), 2]
+    assert token_orc.lookup(spark, folder, F.col("doc_id") == 999).count() == 0
+    plan = token_orc.lookup(spark, folder, F.col("doc_id") == 998)._jdf.queryExecution().executedPlan().toString()
+    assert "EqualTo(doc_id,998)" in plan
+    assert sum(1 for _ in token_orc.lookup(spark, folder, F.col("doc_id").between(100, 198)).collect()) == 50
+    assert token_orc.round_trip(df.limit(0), path, 2).count() == 0
+
+
+def test_long_texts_cross_every_chunk(spark):
+    """A text beyond all chunk limits: token ids, packing, n-grams, near copies, passages and repeats are those of the whole text."""
+    words_ = [f"w{i * 7919 % 600011}" for i in range(420_000)]
+    big = " ".join(words_)
+    near = " ".join([*words_[:-50], *("changed" for _ in range(50))])
+    df = spark.createDataFrame([(1, big), (2, near), (3, big), (4, "short text"), (5, None)], "doc_id long, text string")
+    path = queries.vocabulary("byte_bpe_50k.json")
+    whole = [*Encoder(path).whole(big).tolist(), 0]
+    pieces = sorted((r["start"], r["length"], r["ids_crc32"], r["doc_tokens"]) for r in rows(packing.pack(df.filter("doc_id = 1"), path, 0)))
+    assert [p[0] for p in pieces] == [sum(p[1] for p in pieces[:k]) for k in range(len(pieces))] and sum(p[1] for p in pieces) == len(whole) == pieces[0][3]
+    assert all(c == zlib.crc32(np.array(whole[s : s + n], "<u4").tobytes()) for s, n, c, _ in pieces)
+    groups = {r["doc_id"]: r["component_id"] for r in rows(near_dup.groups(df))}
+    assert groups == {1: 1, 2: 1, 3: 1, 4: 4, 5: 5}
+    gone = {r["doc_id"]: r["n_removed"] for r in rows(suffixes.remove_repeats(df))}
+    assert gone[1] == gone[4] == gone[5] == 0 and gone[3] == len(big.encode()) and 0 < gone[2] < len(near)
+    item = " ".join(words_[300_000:300_030])
+    tests_ = spark.createDataFrame([(9, item)], "item_id long, text string")
+    found = {(r["doc_id"], r["place"]) for r in rows(decontaminate.find(df, tests_))}
+    assert found == {(1, 300_000), (2, 300_000), (3, 300_000)}
+    scored = {r["doc_id"]: r for r in rows(ngram.fit_and_score(df))}
+    assert scored[1]["n_tokens"] == 420_001 and scored[1]["score"] == pytest.approx(scored[3]["score"])
+
+
+def test_near_duplicates_of_odd_rows(spark, none):
+    assert near_dup.groups(none).count() == 0 and near_dup.keep_one(none).count() == 0
+    base = [f"t{i}" for i in range(60)]
+    a, b, c = " ".join(base), " ".join([*base[:-1], "end"]), " ".join(f"z{i}" for i in range(60))
+    rows_ = [(1, a, 1), (1, a, 2), (2, b, 3), (2, c, 4), (7, c, 5), (None, b, 6), (None, "alone only here", 7), (None, None, 8), (9, "", 9), (-3, "alone only here", 10)]
+    df = spark.createDataFrame(rows_, "doc_id long, text string, row_a int")
+    got = sorted((str(r["doc_id"]), str(r["component_id"]), r["kept"]) for r in rows(near_dup.groups(df)))
+    assert got == sorted([("1", "1", True), ("1", "1", True), ("2", "1", False), ("2", "2", True), ("7", "2", False), ("None", "1", False), ("None", "-3", False), ("None", "None", True), ("9", "9", True), ("-3", "-3", True)])
+    kept = near_dup.keep_one(df)
+    assert kept.columns == df.columns and {r["row_a"] for r in kept.collect()} in ({1, 4, 8, 9, 10}, {2, 4, 8, 9, 10})
+
+
+def test_large_groups_of_near_copies_stay_whole(spark, monkeypatch):
+    """A chain and a clump of near copies in blocks and stars of a few members: one component each."""
+    monkeypatch.setattr(near_dup, "BLOCK", 7)
+    monkeypatch.setattr(near_dup, "STAR", 5)
+    base = [f"c{i}" for i in range(200)]
+    chain = [" ".join([*base[k * 8 :], *(f"n{i}" for i in range(k * 8))]) for k in range(20)]
+    rng = np.random.default_rng(8)
+    clump = []
+    for k in range(60):
+        w = [f"d{i}" for i in range(150)]
+        w[int(rng.integers(150))] = f"only{k}"
+        clump.append(" ".join(w))
+    df = spark.createDataFrame(list(enumerate([*chain, *clump])), "doc_id long, text string")
+    got = {r["doc_id"]: r["component_id"] for r in rows(near_dup.groups(df, n=3, percent=85))}
+    sets = [{tuple(t.split()[i : i + 3]) for i in range(len(t.split()) - 2)} for t in [*chain, *clump]]
+    want = {}
+    for i in range(80):
+        want[i] = i
+    for _ in range(80):
+        for i, j in itertools.combinations(range(80), 2):
+            both = len(sets[i] & sets[j])
+            if 100 * both >= 85 * (len(sets[i]) + len(sets[j]) - both):
+                want[i] = want[j] = min(want[i], want[j])
+    assert got == want
+
+
+def test_banding_recall():
+    """Pairs just above the threshold of both queries: the share that no band joins."""
+    rng = np.random.default_rng(9)
+    for percent in (80, 85):
+        missed = 0
+        for _ in range(300):
+            common = rng.integers(0, 1 << 63, 4 * percent, dtype=np.uint64)
+            other = rng.integers(0, 1 << 63, 2 * (400 - 4 * percent), dtype=np.uint64)
+            half = len(other) // 2
+            sets = np.concatenate([np.sort(np.concatenate([common, other[:half]])), np.sort(np.concatenate([common, other[half:][:0]]))])
+            at = np.array([0, len(common) + half, len(sets)])
+            x = near_dup.signatures(sets, at, near_dup.BANDS * near_dup.ROWS).reshape(2, near_dup.BANDS, near_dup.ROWS)
+            missed += not (x[0] == x[1]).all(1).any()
+        assert missed <= 1
+
+
+def test_spanning_links_are_exact():
+    rng = np.random.default_rng(10)
+    sets = [np.unique(rng.choice(np.arange(1, 60, dtype=np.uint64), rng.integers(20, 40))) for _ in range(40)]
+    node = np.arange(40)
+    own = np.concatenate([np.ones(40, bool), np.zeros(40, bool)])
+    a, b = near_dup.spanning([*sets, *sets], np.concatenate([node, node]), np.concatenate([node, node]), own, 60)
+    alike = lambda x, y: 100 * len(np.intersect1d(sets[x], sets[y])) >= 60 * len(np.union1d(sets[x], sets[y]))
+    assert all(alike(x, y) for x, y in zip(a, b)) and len(a) < 40
+    def parts(links):
+        root = list(range(40))
+        for _ in range(40):
+            for x, y in links:
+                root[x] = root[y] = min(root[x], root[y])
+        return root
+    assert parts(list(zip(a, b))) == parts([(x, y) for x in range(40) for y in range(x) if alike(x, y)])
