@@ -13,7 +13,7 @@ Scoring maps those arrays. P(w | u v) = (c(uvw) - D(c(uvw))) / c(uv) + g(uv) P(w
 where P(w | v) does the same with numbers of words before a pair in place of counts (a pair
 that opens a text keeps its count), over P(w) by numbers of contexts, over a uniform share
 for all words and one unknown word; D are the three modified discounts of each level. No
-count is cut off. Triples are told apart by 40 bits of a hash within a bucket, pairs exactly.
+count is cut off. Pairs and triples are told apart by 40 bits of a hash within a bucket.
 
 Words are lower-cased (A-Z) and end at ASCII white space; each text, null and empty ones
 too, ends with one end token. Repeated rows count as often as they come, null ids as any
@@ -31,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from radarlake.llm.common import chunks, mix, partitions, release, scratch, stored, word_hashes
-from radarlake.llm.packed import map_file, merge, pack, planes, put_file, range_bucket, search, unpack, unplanes, values
+from radarlake.llm.packed import map_bundle, map_file, merge, pack, planes, put_bundle, put_file, range_bucket, search, unpack, unplanes, values
 
 #: The hash of the end token; words hash to it no more often than to each other.
 END = np.uint64(0x5DEECE66D1234567)
@@ -171,9 +171,63 @@ def _pair_bucket(keys: np.ndarray, buckets: int) -> np.ndarray:
     return (mix(keys + np.uint64(1)) % np.uint64(buckets)).astype(np.int64)
 
 
-def _triple_hash(pair: np.ndarray, before: np.ndarray) -> np.ndarray:
-    """40 bits for a pair and the word before it."""
-    return mix(pair * np.uint64(0xD6E8FEB86659FD93) + before.astype(np.uint64)) >> np.uint64(24)
+def _hash40(pair: np.ndarray, before: np.ndarray | int = -1) -> np.ndarray:
+    """40 bits for a pair, or for a pair and the word before it."""
+    return mix(pair * np.uint64(0xD6E8FEB86659FD93) + np.asarray(before, np.int64).astype(np.uint64)) >> np.uint64(24)
+
+
+def _keys(hashed: np.ndarray) -> dict[str, np.ndarray]:
+    """Sorted 40-bit keys: their upper bits and their lower ones."""
+    return {"high": (hashed >> np.uint64(8)).astype("<u4"), "low": (hashed & np.uint64(255)).astype(np.uint8)}
+
+
+def _find(table: dict[str, np.ndarray], hashed: np.ndarray) -> np.ndarray:
+    """Places of keys, -1 for those that aren't there."""
+    at = np.full(len(hashed), -1, np.int64)
+    if not table:
+        return at
+    high, low = table["high"], table["low"]
+    h, rest = (hashed >> np.uint64(8)).astype(np.uint32), (hashed & np.uint64(255)).astype(np.uint8)
+    spot = np.searchsorted(high, h)
+    # equal upper bits stand together; their lower ones rise
+    open_ = np.flatnonzero(spot < len(high))
+    while len(open_):
+        open_ = open_[high[spot[open_]] == h[open_]]
+        hit = low[spot[open_]] == rest[open_]
+        at[open_[hit]] = spot[open_[hit]]
+        open_ = open_[~hit]
+        spot[open_] += 1
+        open_ = open_[spot[open_] < len(high)]
+    return at
+
+
+def _counts(name: str, counts: np.ndarray) -> dict[str, np.ndarray]:
+    """Counts as bytes, and places and values of those from 255 on."""
+    large = np.flatnonzero(counts >= 255)
+    return {name: np.minimum(counts, 255).astype(np.uint8), f"{name}_place": large.astype("<i8"), f"{name}_value": counts[large].astype("<i8")}
+
+
+def _get_counts(table: dict[str, np.ndarray], name: str, at: np.ndarray) -> np.ndarray:
+    found = table[name][at].astype(np.int64)
+    if len(table[f"{name}_place"]):
+        big = np.flatnonzero(found == 255)
+        found[big] = table[f"{name}_value"][np.searchsorted(table[f"{name}_place"], at[big])]
+    return found
+
+
+def _few(counts: np.ndarray) -> dict[str, np.ndarray]:
+    """Counts that mostly are one: places and values of the others."""
+    some = np.flatnonzero(counts != 1)
+    return {"at": some.astype("<u4"), **_counts("n", counts[some])}
+
+
+def _get_few(table: dict[str, np.ndarray], at: np.ndarray) -> np.ndarray:
+    out = np.ones(len(at), np.int64)
+    if len(some := table["at"]):
+        spot = np.minimum(np.searchsorted(some, at.astype(np.uint32)), len(some) - 1)
+        hit = np.flatnonzero(some[spot] == at)
+        out[hit] = _get_counts(table, "n", spot[hit])
+    return out
 
 
 def _summed(pair: np.ndarray, before: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -251,24 +305,6 @@ def _write_words(path: str):
     return finish
 
 
-def _put_counts(path: str, counts: np.ndarray) -> None:
-    """Counts as bytes, and places and values of those from 255 on."""
-    put_file(path, np.minimum(counts, 255).astype(np.uint8))
-    large = np.flatnonzero(counts >= 255)
-    put_file(f"{path}-large", np.stack([large, counts[large]]).astype("<i8"))
-
-
-def _get_counts(path: str, at: np.ndarray) -> np.ndarray:
-    """Counts at the given places, 0 for -1."""
-    found = np.where(at < 0, 0, map_file(path, "u1")[np.maximum(at, 0)]).astype(np.int64)
-    large = map_file(f"{path}-large", "<i8")
-    if len(large):
-        place, count = large[: len(large) // 2], large[len(large) // 2 :]
-        big = np.flatnonzero(found == 255)
-        found[big] = count[np.searchsorted(place, at[big])]
-    return found
-
-
 #: What a bucket of triples tells: sums for a range of words, for contexts of two words, and counts of counts.
 _WORDS, _CONTEXTS, _TOTALS = 0, 1, 2
 _SUMS = "kind int, bucket int, keys binary, counts binary"
@@ -285,15 +321,14 @@ def _write_triples(path: str, ranges: list[int], buckets: int):
         last = (keys // np.uint64(size + 2)).astype(np.int64)
         # words before a pair; a pair that opens a text has none and keeps its count
         left = np.where(last == size, raw, np.diff(np.append(first, len(pair))))
-        put_file(f"{path}/pairs-{bucket}", keys.astype("<u8"))
-        _put_counts(f"{path}/pair-raw-{bucket}", raw)
-        _put_counts(f"{path}/pair-left-{bucket}", left)
+        hashed = _hash40(keys)
+        order = np.argsort(hashed)
+        put_bundle(f"{path}/pairs-{bucket}", **_keys(hashed[order]), **_counts("raw", raw[order]), **_counts("left", left[order]))
         whole = before <= size
-        hashed = _triple_hash(pair[whole], before[whole])
+        hashed = _hash40(pair[whole], before[whole])
         order = np.argsort(hashed)
-        put_file(f"{path}/triples-high-{bucket}", (hashed[order] >> np.uint64(8)).astype("<u4"))
-        put_file(f"{path}/triples-low-{bucket}", (hashed[order] & np.uint64(255)).astype(np.uint8))
-        _put_counts(f"{path}/triple-counts-{bucket}", count[whole][order])
+        put_bundle(f"{path}/triples-{bucket}", **_keys(hashed[order]), **_few(count[whole][order]))
+        del hashed, order
         rows = []
 
         def tell(kind: int, part: np.ndarray, ids: np.ndarray, sums: list[np.ndarray]) -> None:
@@ -348,8 +383,10 @@ def _write_two(path: str):
 
         def close() -> pa.RecordBatch:
             k, s = merge(keys, sums)
-            put_file(f"{path}/two-{here}", k.astype("<u8"))
-            put_file(f"{path}/two-sums-{here}", s.astype("<i8"))
+            hashed = _hash40(k)
+            order = np.argsort(hashed)
+            sums_ = [x for j in range(3) for x in _counts(f"s{j}", s[order, j]).items()]
+            put_bundle(f"{path}/two-{here}", **_keys(hashed[order]), **dict(sums_))
             return pa.RecordBatch.from_arrays([pa.array([len(k)], pa.int64())], names=["n"])
 
         for batch in batches:
@@ -397,7 +434,8 @@ def fit(train: DataFrame, path: str | None = None) -> Model:
     """Counts the column `text` of all rows and leaves the model's arrays at `path` in the shared folder."""
     spark = train.sparkSession
     path = path or scratch(spark, "trigrams")
-    buckets = partitions(spark)
+    # two buckets a partition: a task holds one at a time
+    buckets = 2 * partitions(spark)
     texts = train.select("text")
     sent = texts.mapInArrow(_gather(_word_counts, lambda k: range_bucket(k, buckets)), _PACKED)
     made = _dealt(sent).mapInArrow(_reduce(_write_words(path)), "bucket int, n long, total long").collect()  # a row a bucket
@@ -422,56 +460,46 @@ def fit(train: DataFrame, path: str | None = None) -> Model:
     return Model(path, buckets, first, ranges, sum(r["total"] for r in made), discounts([int(x) for x in totals[:4]]), discounts([int(x) for x in totals[4:]]), discounts(word_counts), [seen[0][1], word_counts[0], word_counts[1], seen[1][1]])
 
 
-def _by_pair_bucket(model: Model, keys: np.ndarray, bucket: np.ndarray):
-    """(bucket, places) of the keys of each bucket, sorted by key."""
-    order = np.lexsort((keys, bucket))
+def _by_bucket_of(model: Model, pair: np.ndarray, hashed: np.ndarray):
+    """(bucket, places) of the keys of each bucket, sorted by their hash."""
+    bucket = _pair_bucket(pair, model.buckets)
+    order = np.argsort(bucket.astype(np.uint64) << np.uint64(40) | hashed)
     edges = np.searchsorted(bucket[order], np.arange(model.buckets + 1))
     for b in np.flatnonzero(np.diff(edges)).tolist():
         yield b, order[edges[b] : edges[b + 1]]
 
 
-def _mapped(path: str, dtype: str) -> np.ndarray:
-    try:
-        return map_file(path, dtype)
-    except FileNotFoundError:  # nothing of the training texts fell into this bucket
-        return np.zeros(0, dtype)
-
-
 def _pairs(model: Model, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Of pairs in any order: how often they came, how many words came before, and sums (counts, twos, more) of their triples seen twice and more."""
     raw, left, sums = np.zeros(len(keys), np.int64), np.zeros(len(keys), np.int64), np.zeros((len(keys), 3), np.int64)
-    for b, here in _by_pair_bucket(model, keys, _pair_bucket(keys, model.buckets)):
-        at = search(_mapped(f"{model.path}/pairs-{b}", "<u8"), keys[here])
-        if (at >= 0).any():
-            raw[here] = _get_counts(f"{model.path}/pair-raw-{b}", at)
-            left[here] = _get_counts(f"{model.path}/pair-left-{b}", at)
+    hashed = _hash40(keys)
+    for b, here in _by_bucket_of(model, keys, hashed):
+        table = map_bundle(f"{model.path}/pairs-{b}")
+        at = _find(table, hashed[here])
+        here, at = here[at >= 0], at[at >= 0]
+        if not len(at):
+            continue
+        raw[here], left[here] = _get_counts(table, "raw", at), _get_counts(table, "left", at)
         more = here[raw[here] > 1]
-        at = search(_mapped(f"{model.path}/two-{b}", "<u8"), keys[more])
-        if (at >= 0).any():
-            sums[more[at >= 0]] = map_file(f"{model.path}/two-sums-{b}", "<i8").reshape(-1, 3)[at[at >= 0]]
+        table = map_bundle(f"{model.path}/two-{b}")
+        at = _find(table, hashed[more])
+        more, at = more[at >= 0], at[at >= 0]
+        if len(at):
+            for j in range(3):
+                sums[more, j] = _get_counts(table, f"s{j}", at)
     return raw, left, sums
 
 
 def _triple_counts(model: Model, pair: np.ndarray, before: np.ndarray) -> np.ndarray:
     """Counts of triples in any order, 0 for those unseen."""
     out = np.zeros(len(pair), np.int64)
-    hashed = _triple_hash(pair, before)
-    for b, here in _by_pair_bucket(model, hashed, _pair_bucket(pair, model.buckets)):
-        high, low = _mapped(f"{model.path}/triples-high-{b}", "<u4"), _mapped(f"{model.path}/triples-low-{b}", "u1")
-        h, l = (hashed[here] >> np.uint64(8)).astype(np.uint32), (hashed[here] & np.uint64(255)).astype(np.uint8)
-        spot = np.searchsorted(high, h)
-        at = np.full(len(here), -1, np.int64)
-        # equal upper bits stand together; their lower ones rise
-        open_ = np.flatnonzero(spot < len(high))
-        while len(open_):
-            open_ = open_[high[spot[open_]] == h[open_]]
-            hit = low[spot[open_]] == l[open_]
-            at[open_[hit]] = spot[open_[hit]]
-            open_ = open_[~hit]
-            spot[open_] += 1
-            open_ = open_[spot[open_] < len(high)]
-        if (at >= 0).any():
-            out[here] = _get_counts(f"{model.path}/triple-counts-{b}", at)
+    hashed = _hash40(pair, before)
+    for b, here in _by_bucket_of(model, pair, hashed):
+        table = map_bundle(f"{model.path}/triples-{b}")
+        at = _find(table, hashed[here])
+        here, at = here[at >= 0], at[at >= 0]
+        if len(at):
+            out[here] = _get_few(table, at)
     return out
 
 
@@ -511,7 +539,7 @@ def _score(model: Model):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = Words(model.path, model.buckets, model.first)
         n, v = model.total, model.size
-        for rows, data, offsets in chunks(batches, "text", 1 << 20):
+        for rows, data, offsets in chunks(batches, "text"):
             second, last, number, first = _triples(words, data, offsets)
             ids, where = np.unique(number, return_inverse=True)
             count = words.count(ids)[where]

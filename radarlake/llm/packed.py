@@ -7,6 +7,7 @@ planes that hold anything.
 
 from __future__ import annotations
 
+import json
 import os
 import tempfile
 import uuid
@@ -73,7 +74,31 @@ def put_file(path: str, data: np.ndarray) -> None:
     where.move(part, inner)
 
 
-@lru_cache(maxsize=4096)
+def put_bundle(path: str, **arrays: np.ndarray) -> None:
+    """Several arrays as one file, each from a multiple of eight bytes on, after a list of them."""
+    listed, at, parts = {}, 0, []
+    for name, a in arrays.items():
+        raw = np.ascontiguousarray(a).view(np.uint8).reshape(-1)
+        listed[name] = (a.dtype.str, at, len(raw))
+        parts += [raw, np.zeros(-len(raw) % 8, np.uint8)]
+        at += len(raw) + -len(raw) % 8
+    head = json.dumps(listed).encode()
+    head += b" " * (-len(head) % 8)
+    put_file(path, np.concatenate([np.frombuffer(len(head).to_bytes(8, "little") + head, np.uint8), *parts]))
+
+
+@lru_cache(maxsize=1 << 13)
+def map_bundle(path: str) -> dict[str, np.ndarray]:
+    """The arrays of a file of `put_bundle` as views of its memory map; none where there is no such file."""
+    try:
+        raw = map_file(path, "u1")
+    except FileNotFoundError:
+        return {}
+    n = 8 + int.from_bytes(raw[:8].tobytes(), "little")
+    return {name: raw[n + at : n + at + size].view(kind) for name, (kind, at, size) in json.loads(raw[8:n].tobytes()).items()}
+
+
+@lru_cache(maxsize=1 << 13)
 def map_file(path: str, dtype: str) -> np.ndarray:
     """A file of the shared folder as a memory map; one that isn't on a mounted disk is fetched once by the worker."""
     from pyarrow import fs
