@@ -11,7 +11,8 @@ as many positions as the longest piece has bytes when scored.
 Fitting takes at most about `per_language` documents of each language, chosen by a hash
 of their id; all else covers all rows. A null or empty text, or one without a letter,
 is `und` with score 0, and so is every text if there is nothing to learn from. Null and
-repeated ids are rows like any other, and all columns of a table stay as they are.
+repeated ids are rows like any other (a null id isn't held out), and all columns of a table
+stay as they are.
 """
 
 from __future__ import annotations
@@ -306,7 +307,7 @@ def predict(docs: DataFrame, path: str, model: dict[str, np.ndarray]) -> DataFra
 
 def keep(docs: DataFrame, path: str, least: float = 0.5) -> DataFrame:
     """The rows with a language at `least` or more, fitted on the rows that aren't held out; their columns stay as they are."""
-    model = fit(docs.filter(~held_out(F.col("doc_id"))).select("doc_id", "text", "lang"), path)
+    model = fit(docs.filter(~F.coalesce(held_out(F.col("doc_id")), F.lit(False))).select("doc_id", "text", "lang"), path)
     (told,) = unused(docs, "told")
     found = docs.select("*", language(docs, path, model).alias(told))
     return found.filter((F.col(told)["lang_pred"] != "und") & (F.col(told)["score"] >= least)).select(*named(docs))
@@ -320,5 +321,5 @@ def held_out(doc_id: Column) -> Column:
 def classify(docs: DataFrame, path: str) -> DataFrame:
     """Learns from the documents that aren't held out and predicts all."""
     given = docs.select("doc_id", "text", "lang")
-    model = fit(given.filter(~held_out(F.col("doc_id"))), path)
-    return given.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), language(given, path, model).alias("told")).select("doc_id", "held_out", "told.*")
+    model = fit(given.filter(~F.coalesce(held_out(F.col("doc_id")), F.lit(False))), path)
+    return given.select("doc_id", F.coalesce(held_out(F.col("doc_id")), F.lit(False)).alias("held_out"), language(given, path, model).alias("told")).select("doc_id", "held_out", "told.*")

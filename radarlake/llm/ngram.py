@@ -569,7 +569,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
 
 def fit_and_score(docs: DataFrame) -> DataFrame:
     """Learns from the documents that aren't held out and scores all."""
-    flagged = docs.withColumn("held_out", held_out(F.col("doc_id")))
+    flagged = docs.select("doc_id", "text").withColumn("held_out", F.coalesce(held_out(F.col("doc_id")), F.lit(False)))
     return score(flagged, fit(flagged.filter("not held_out")))
 
 

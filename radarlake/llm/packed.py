@@ -104,12 +104,14 @@ def map_file(path: str, dtype: str) -> np.ndarray:
     from pyarrow import fs
 
     where, inner = fs.FileSystem.from_uri(path)
-    if where.type_name != "local":
-        inner, local = os.path.join(tempfile.mkdtemp(), "part"), inner
-        with where.open_input_stream(local) as source, open(inner, "wb") as f:
-            while block := source.read(1 << 22):
-                f.write(block)
-    return np.memmap(inner, dtype, "r") if os.path.getsize(inner) else np.zeros(0, dtype)
+    if where.type_name == "local":
+        return np.memmap(inner, dtype, "r") if os.path.getsize(inner) else np.zeros(0, dtype)
+    # the copy has no name, so it goes with the worker
+    with where.open_input_stream(inner) as source, tempfile.TemporaryFile() as f:
+        while block := source.read(1 << 22):
+            f.write(block)
+        f.flush()
+        return np.memmap(f, dtype, "r") if f.tell() else np.zeros(0, dtype)
 
 
 def search(keys: np.ndarray, wanted: np.ndarray) -> np.ndarray:

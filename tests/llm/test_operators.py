@@ -637,3 +637,113 @@ def test_spanning_links_are_exact():
                 root[x] = root[y] = min(root[x], root[y])
         return root
     assert parts(list(zip(a, b))) == parts([(x, y) for x in range(40) for y in range(x) if alike(x, y)])
+
+
+def shingles(text, n):
+    w = [x for x in "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "").replace("\x0b", " ").replace("\x0c", " ").split(" ")]
+    w = [y for x in w for y in x.replace("\t", " ").replace("\n", " ").replace("\r", " ").split(" ") if y]
+    return {tuple(w[i : i + n]) for i in range(len(w) - n + 1)} if len(w) >= n else ({tuple(w)} if w else set())
+
+
+@pytest.fixture(scope="module")
+def small_corpus(spark, tmp_path_factory):
+    """The given small tables with rows that each stage must drop or change."""
+    import shutil
+
+    folder = tmp_path_factory.mktemp("corpus")
+    source = "/root/testdata/sf0.001"
+    bench = spark.read.parquet(f"{source}/benchmark.parquet").orderBy("item_id").first()["text"]
+    docs = spark.read.parquet(f"{source}/documents.parquet")
+    kept = docs.collect()
+    clean = next(r for r in kept if r["lang"] == "en" and len(r["text"].split()) > 120)
+    words_ = clean["text"].split()
+    planted = [
+        (9001, None, "en", "s", 0), (9002, "", "en", "s", 0), (9003, "1234 !!", None, "s", 7), (9004, clean["text"], "en", "s", 1), (9005, " ".join([*words_[:-2], "two", "changed"]), "en", "s", 1),
+        (9006, "the words before it are in english " + bench + " and the words after it too", "en", "s", 1),
+        (9007, " ".join(reversed(words_)) + " write to jane.doe@example.org or call +1 (555) 123-4567 about it", "en", "s", 1), (9004, clean["text"], "en", "s", 1),
+    ]
+    spark.createDataFrame(planted, docs.schema).unionByName(docs).write.parquet(f"{folder}/documents.parquet")
+    shutil.copy(f"{source}/benchmark.parquet", folder)
+    return str(folder), clean["doc_id"]
+
+
+def test_pipeline_against_brute_force(spark, small_corpus):
+    import corpus_pipeline as p
+
+    folder, clean = small_corpus
+    docs = spark.read.parquet(f"{folder}/documents.parquet")
+    key = lambda r: (r["doc_id"], r["text"], r["lang"], r["source"], r["n_chars"])
+    given = [key(r) for r in docs.collect()]
+
+    told = p.identified(spark, docs, folder)
+    kept = [key(r) for r in told.collect()]
+    assert sorted(map(str, kept)) == sorted(str(r) for r in given if r[1] and any(c.isalpha() for c in r[1])) and told.columns == docs.columns
+
+    told = p.stored(told, "a")
+    sets = [shingles(r[1], 5) for r in kept]
+    root = list(range(len(kept)))
+    for _ in range(4):
+        for i, j in itertools.combinations(range(len(kept)), 2):
+            both = len(sets[i] & sets[j])
+            if both and 100 * both >= 80 * (len(sets[i]) + len(sets[j]) - both):
+                root[i] = root[j] = min(root[i], root[j])
+    group = lambda i: i if root[i] == i else group(root[i])
+    first = {}
+    for i, r in enumerate(kept):
+        first[group(i)] = min(first.get(group(i), (1 << 62,)), r[:1])
+    one = {v[0] for v in first.values()}
+    told = p.distinct_texts(spark, told, folder)
+    kept2 = [key(r) for r in told.collect()]
+    assert sorted(r[0] for r in kept2) == sorted(one) and {9004, 9005}.isdisjoint(one) and clean in one
+
+    told = p.stored(told, "b")
+    items = [t.split() for (t,) in spark.read.parquet(f"{folder}/benchmark.parquet").select(F.lower("text")).collect()]
+    def holds(text):
+        w = text.lower().split()
+        return any(sum(w[a + k] == x for k, x in enumerate(item) if 0 <= a + k < len(w)) >= 0.8 * len(item) for item in items for a in range(-len(item) // 5, len(w)))
+    told = p.decontaminated(spark, told, folder)
+    kept3 = [key(r) for r in told.collect()]
+    assert sorted(r[0] for r in kept3) == sorted(r[0] for r in kept2 if not holds(r[1])) and 9006 not in {r[0] for r in kept3}
+
+    told = p.stored(told, "c")
+    spans = {r["doc_id"]: r["spans"] for r in pii.digest(told).collect()}
+    told = p.redacted(spark, told, folder)
+    for r in told.collect():
+        before = next(x for x in kept3 if x[0] == r["doc_id"])[1]
+        cut = sorted(((int(b), -int(e), k) for k, b, e in (s.split(":") for s in spans[r["doc_id"]].split(",") if s)))
+        out, at = "", 0
+        for b, e, k in cut:
+            if b >= at:
+                out += before[at:b] + f"[{k}]"
+            at = max(at, -e)
+        assert r["text"] == out + before[at:] and r["n_chars"] == len(r["text"])
+        if r["doc_id"] == 9007:
+            assert "[email]" in r["text"] and "[phone]" in r["text"] and "jane" not in r["text"]
+
+    final = {r["doc_id"]: r["text"] for r in told.collect()}
+    encode = Encoder(queries.vocabulary("byte_bpe_50k.json"))
+    whole = {d: [*encode.whole(t).tolist(), 0] for d, t in final.items()}
+    for made in (p.packed(spark, told, folder), p.run(spark, folder)):
+        seen = {}
+        for r in sorted(made.collect(), key=lambda r: (r["doc_id"], r["start"])):
+            ids = whole[r["doc_id"]]
+            assert r["start"] == seen.get(r["doc_id"], 0) and r["doc_tokens"] == len(ids)
+            assert r["ids_crc32"] == zlib.crc32(np.array(ids[r["start"] : r["start"] + r["length"]], "<u4").tobytes())
+            seen[r["doc_id"]] = r["start"] + r["length"]
+        assert seen == {d: len(x) for d, x in whole.items()}
+
+
+def test_pipeline_stages_of_odd_rows(spark, sf):
+    import corpus_pipeline as p
+
+    schema = "doc_id long, text string, lang string, source string, n_chars long, lang_pred string, row_a long, held boolean"
+    rows_ = [(None, "the cat sat on the mat and looked at the house", "en", None, None, "x", 1, True), (1, None, None, None, None, None, None, None), (1, "", "de", "s", 0, "y", 2, False), (1, "das haus und der garten von dem alten könig im wald", "de", "s", 3, "z", 3, None)]
+    df = spark.createDataFrame(rows_ * 40, schema)
+    for name, stage in p.STAGES:
+        empty = stage(spark, df.limit(0), sf)
+        assert empty.count() == 0
+        made = stage(spark, df, sf)
+        if name != "packing":
+            assert made.columns == df.columns and empty.columns == df.columns
+        made.count()
+    assert p.distinct_texts(spark, df, sf).count() == 4 and p.redacted(spark, df, sf).count() == 160
