@@ -30,13 +30,15 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from radarlake.llm.common import chunks, mix, partitions, release, scratch, stored, word_hashes
+from radarlake.llm.common import chunks, mix, partitions, release, scratch, stored, tidy, word_hashes
 from radarlake.llm.packed import map_bundle, map_file, merge, pack, planes, put_bundle, put_file, range_bucket, search, unpack, unplanes, values
 
 #: The hash of the end token; words hash to it no more often than to each other.
 END = np.uint64(0x5DEECE66D1234567)
 #: Distinct keys that a task gathers before it sends them.
 HELD = 1 << 20
+#: Tokens whose triples a task gathers before it sends them.
+HELD_TRIPLES = 1 << 19
 
 
 def tokens(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -231,11 +233,9 @@ def _get_few(table: dict[str, np.ndarray], at: np.ndarray) -> np.ndarray:
 
 
 def _summed(pair: np.ndarray, before: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct triples by pair and word before, with summed counts."""
-    order = np.lexsort((before, pair))
-    pair, before, count = pair[order], before[order], count[order]
+    """Distinct triples with summed counts, of triples in the order of pair and word before."""
     first = np.flatnonzero(np.concatenate([[True], (pair[1:] != pair[:-1]) | (before[1:] != before[:-1])])) if len(pair) else np.zeros(0, np.int64)
-    return pair[first], before[first], np.add.reduceat(count, first) if len(first) else count
+    return pair[first], before[first], np.add.reduceat(count, first, dtype=np.int64) if len(first) else count
 
 
 def _gather_triples(words: Words, buckets: int):
@@ -244,10 +244,11 @@ def _gather_triples(words: Words, buckets: int):
         size = words.first[-1]
 
         def flush() -> pa.RecordBatch:
-            pair = np.concatenate(pairs)
-            pair, before, count = _summed(pair, np.concatenate(befores), np.ones(len(pair), np.int64))
+            pair, before = np.concatenate(pairs), np.concatenate(befores)
             pairs.clear()
             befores.clear()
+            order = np.lexsort((before, pair))
+            pair, before, count = _summed(pair[order], before[order], np.ones(len(pair), np.int32))
             b = _pair_bucket(pair, buckets)
             order = np.argsort(b, kind="stable")
             b, pair, before, count = b[order], pair[order], before[order], count[order]
@@ -263,7 +264,7 @@ def _gather_triples(words: Words, buckets: int):
             pairs.append(_key(last, number, size))
             befores.append(second)
             held += len(second)
-            if held > HELD:
+            if held > HELD_TRIPLES:
                 yield flush()
                 held = 0
         if held:
@@ -361,16 +362,26 @@ def _write_triples(path: str, ranges: list[int], buckets: int):
 def _reduce_triples(finish):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         here, parts = None, []
+
+        def closed() -> pa.RecordBatch:
+            columns = [np.concatenate(x) for x in zip(*parts, strict=True)]
+            parts.clear()
+            order = np.lexsort((columns[1], columns[0]))
+            columns = [c[order] for c in columns]
+            del order
+            return finish(here, *columns)
+
         for batch in batches:
             for b, k, c in values(batch, "bucket", "keys", "counts"):
                 if b != here:
                     if parts:
-                        yield finish(here, *(np.concatenate(x) for x in zip(*parts, strict=True)))
-                    here, parts = b, []
+                        yield closed()
+                    here = b
                 both = unplanes(c)
-                parts.append((unpack(k), both[: len(both) // 2], both[len(both) // 2 :]))
+                parts.append((unpack(k), both[: len(both) // 2].astype(np.uint32), both[len(both) // 2 :].astype(np.int32)))
         if parts:
-            yield finish(here, *(np.concatenate(x) for x in zip(*parts, strict=True)))
+            yield closed()
+        tidy()
 
     return run
 
@@ -399,6 +410,7 @@ def _write_two(path: str):
                 sums.append(unplanes(c).reshape(3, -1).T)
         if keys:
             yield close()
+        tidy()
 
     return run
 
@@ -539,7 +551,7 @@ def _score(model: Model):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = Words(model.path, model.buckets, model.first)
         n, v = model.total, model.size
-        for rows, data, offsets in chunks(batches, "text"):
+        for rows, data, offsets in chunks(batches, "text", 1 << 20):
             second, last, number, first = _triples(words, data, offsets)
             ids, where = np.unique(number, return_inverse=True)
             count = words.count(ids)[where]

@@ -91,7 +91,7 @@ def put_bundle(path: str, **arrays: np.ndarray) -> None:
 def map_bundle(path: str) -> dict[str, np.ndarray]:
     """The arrays of a file of `put_bundle` as views of its memory map; none where there is no such file."""
     try:
-        raw = map_file(path, "u1")
+        raw = np.asarray(map_file(path, "u1"))
     except FileNotFoundError:
         return {}
     n = 8 + int.from_bytes(raw[:8].tobytes(), "little")

@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from radarlake.llm.common import HashIndex, chunks, gather, mix, partitions, prefix_hashes, same_bytes, span_hashes
+from radarlake.llm.common import HashIndex, chunks, gather, mix, partitions, prefix_hashes, same_bytes, span_hashes, tidy
 from radarlake.llm.common import _powers as powers
 from radarlake.llm.packed import pack, planes, unpack, unplanes, values
 
@@ -304,6 +304,7 @@ def _meet_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
                 asks.append(np.full(len(keys[-1]), kind == 0))
     if (made := meet()) is not None:
         yield made
+    tidy()
 
 
 # --- step 2: segments under shared anchors ----------------------------------------
@@ -481,6 +482,7 @@ def _meet_segments(length: int):
                     rows.append(x)
         if (made := meet()) is not None:
             yield made
+        tidy()
 
     return run
 
