@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from radarlake import registry
 from radarlake.methods import caption
 from radarlake.methods.lexicon import COLORS, HEDGES, PART_CATEGORIES, PROMPTS
 from radarlake.registry import query
-from radarlake.standins import captions, table, with_views
+from radarlake.standins import SQL, captions, table, with_views
 
 _R = lambda c, n=6: (F.round(c, n) + 0.0)
 _C = "|".join(sorted(COLORS, key=lambda w: (-len(w), w)))
@@ -136,3 +137,35 @@ def m7_diversity(spark, sf):
 @query(with_views("captions", _WORDS + ", c AS (SELECT variant, word, count(*) AS k FROM w GROUP BY ALL), r AS (SELECT *, row_number() OVER (PARTITION BY variant ORDER BY k DESC, word) AS rank FROM c) SELECT variant, word, k, CAST(rank AS INT) AS rank FROM r WHERE rank <= 20"))
 def m7_topwords(spark, sf):
     return caption.top_words(captions(spark, sf), 20)
+
+
+# --- the same over whole texts ----------------------------------------------------
+
+
+def _whole(spark, sf):
+    return table(spark, sf, "documents").select(F.col("doc_id").alias("sample_id"), F.lit("WHOLE").alias("variant"), "text")
+
+
+def _over_texts(name: str) -> str:
+    """A query's SQL with whole documents in place of captions."""
+    return registry.known()[name].replace(SQL["captions"], "SELECT doc_id AS sample_id, 'WHOLE' AS variant, text FROM documents")
+
+
+@query(_over_texts("m7_vocab"))
+def m7_vocab_texts(spark, sf):
+    return caption.vocabulary(_whole(spark, sf))
+
+
+@query(_over_texts("m7_dup"))
+def m7_dup_texts(spark, sf):
+    return caption.duplicates(_whole(spark, sf)).withColumn("dup_extra", _R("dup_extra")).withColumn("dup_member", _R("dup_member"))
+
+
+@query(_over_texts("m7_topwords"))
+def m7_topwords_texts(spark, sf):
+    return caption.top_words(_whole(spark, sf), 20)
+
+
+@query(r"SELECT 'WHOLE' AS variant, count(*) AS n, round(avg(len(regexp_split_to_array(regexp_replace(text, '^\s+|\s+$', '', 'g'), '\s+'))), 6) AS mean_words FROM documents")
+def m7_stats_texts(spark, sf):
+    return caption.stats(_whole(spark, sf)).withColumn("mean_words", _R("mean_words"))

@@ -4,12 +4,13 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from radarlake.methods import align, caption, evaluate, geo, pairing, physics, release, select
+from radarlake import registry
+from radarlake.methods import align, caption, evaluate, geo, pairing, physics, raster, release, select
 from radarlake.methods.lexicon import PART_CATEGORIES
 from radarlake.queries.captions import _BEST
 from radarlake.queries.optical import _BILINEAR, _MAPPED, _MAPS, _P, _corners, _mapped
 from radarlake.registry import query
-from radarlake.standins import acquisitions, captions, optical_tiles, samples_fact, scene_cells, scenes, table, vec_patches, with_views
+from radarlake.standins import COLS, ROWS, acquisitions, captions, optical_tiles, samples_fact, scene_cells, scenes, table, vec_patches, with_views
 
 _R = lambda c, n=6: (F.round(c, n) + 0.0)
 C = F.col
@@ -362,3 +363,32 @@ def m7_clean_model(spark, sf):
     """The rules and a stand-in model as the second step."""
     p = table(spark, sf, "part").select(C("p_partkey").alias("sample_id"), F.regexp_replace(F.trim(F.regexp_replace(F.regexp_replace("p_name", r"\b(red|blue)\b", ""), r"\s+", " ")), "^$", "plain").alias("text"))
     return caption.clean_with(p.withColumn("text", F.concat("text", F.lit(" and more"))), _upper)
+
+
+# --- packed layouts ---------------------------------------------------------------
+
+_KNOWN = registry.known()
+
+
+@query(_KNOWN["m2_local"])
+def m2_packed(spark, sf):
+    """The images of `m2_local` by way of packed strips and blocks, in doubles."""
+    sizes = scenes(spark).filter("scene_id <> 'view'")
+    cells = scene_cells(spark, sf).filter("scene_id <> 'view'")
+    strips = raster.pack(cells, sizes, 7, None, "<c16")
+    y = raster.unpack(raster.resample(strips, sizes, block=16, dtype="<c16"), "<c16")
+    return y.select("scene_id", "r", "c", _R("re", 5).alias("re"), _R("im", 5).alias("im"))
+
+
+@query(_KNOWN["m4_blocks"])
+def m4_packed(spark, sf):
+    """The patches of `m4_blocks` from packed blocks."""
+    sizes = scenes(spark)
+    blocks = raster.pack(scene_cells(spark, sf), sizes, 4, 4, "<c16")
+    p = raster.patches(blocks, F.lit(ROWS), F.lit(COLS), 4, "<c16")
+    # the key goes along as the scene, so that cells of one image keep their patch
+    tagged = p.withColumn("scene_id", F.concat_ws("|", "scene_id", "tile_r", "tile_c")).select("scene_id", "r0", "c0", "rows", "cols", "payload")
+    c = raster.unpack(tagged, "<c16").filter(F.hypot("re", "im") > 0)
+    part = lambda k: F.element_at(F.split("scene_id", "[|]"), k)
+    tile_r, tile_c = part(2).cast("long"), part(3).cast("long")
+    return c.select(part(1).alias("scene_id"), tile_r.cast("int").alias("tile_r"), tile_c.cast("int").alias("tile_c"), (C("r") - tile_r * 4).cast("int").alias("y"), (C("c") - tile_c * 4).cast("int").alias("x"), _R("re", 4).alias("re"))

@@ -28,6 +28,11 @@ def query(sql: str | None = None, name: str | None = None) -> Callable[[Query],
     return add
 
 
+def known() -> dict[str, str]:
+    """The SQL that modules loaded so far have registered."""
+    return dict(_oracles)
+
+
 def _load() -> None:
     for m in MODULES:
         import_module(f"radarlake.queries.{m}")
