@@ -38,12 +38,20 @@ def _covers(spark, sf):
 
 
 
-@query()
+def _cover_sql(z: int) -> str:
+    n = 1 << z
+    x = lambda lon: f"CAST(floor(({lon} + 180e0) / 360e0 * {n}) AS BIGINT) % {n}"
+    y = lambda lat: _TY.format(lat=lat, n=n)
+    return f""", b AS (SELECT scene_id, {x('(CASE WHEN lon0 - 0.02e0 < -180 THEN lon0 - 0.02e0 + 360 ELSE lon0 - 0.02e0 END)')} AS x0, {x('(lon0 + 0.03e0)')} AS x1, {y('(lat0 + 0.06e0)')} AS y0, {y('(lat0 + 0.01e0)')} AS y1 FROM acq),
+xs AS (SELECT scene_id, y0, y1, unnest(CASE WHEN x0 <= x1 THEN range(x0, x1 + 1) ELSE list_concat(range(x0, {n}), range(0, x1 + 1)) END) AS x FROM b), cover AS (SELECT scene_id, x, unnest(range(y0, y1 + 1)) AS y FROM xs)"""
+
+
+@query(with_views("acq", _cover_sql(12) + " SELECT scene_id, x, y FROM cover"))
 def m5_cover(spark, sf):
     return _covers(spark, sf).select("scene_id", "x", "y")
 
 
-@query()
+@query(with_views("acq", _cover_sql(12) + " SELECT CAST(12 AS INT) AS z, x, y, count(*) AS patches FROM cover GROUP BY x, y"))
 def m5_requests(spark, sf):
     return pairing.requests(_covers(spark, sf))
 

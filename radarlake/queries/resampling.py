@@ -162,7 +162,7 @@ _measure("a2_rmse", "rmse", "sqrt(sum((a.re - coalesce(b.re, 0)) ** 2 + (a.im -
 _measure("a2_coherence", "coherence", "sqrt(sum(a.re * b.re + a.im * b.im) ** 2 + sum(a.im * b.re - a.re * b.im) ** 2) / sqrt(sum(a.re ** 2 + a.im ** 2) * sum(b.re ** 2 + b.im ** 2))")
 
 
-@query()
+@query(with_views("scenes", "SELECT scene_id, true AS exact FROM scenes"))
 def a2_round_trip(spark, sf):
     """Largest difference after going up to twice the samples and back."""
     cells = scene_cells(spark, sf)
