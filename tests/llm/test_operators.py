@@ -747,3 +747,37 @@ def test_pipeline_stages_of_odd_rows(spark, sf):
             assert made.columns == df.columns and empty.columns == df.columns
         made.count()
     assert p.distinct_texts(spark, df, sf).count() == 4 and p.redacted(spark, df, sf).count() == 160
+
+
+def test_token_files_and_packing_of_odd_rows(spark):
+    """Null and repeated ids, null and empty texts, a column that has a name of the output."""
+    rows_ = [(None, "first text", 1), (3, None, 2), (3, "again", 3), (3, "again", 4), (-7, "", 5), (9, "é ü £ ½", 6)]
+    df = spark.createDataFrame(rows_, "doc_id long, text string, start int")
+    path = queries.vocabulary("word_bpe_49k.json")
+    encode = Encoder(path)
+    want = Counter((d, zlib.crc32(np.array([*encode.whole(t or "").tolist(), 2], "<u4").tobytes())) for d, t, _ in rows_)
+    got = rows(token_orc.round_trip(df, path, 2))
+    assert Counter((r["doc_id"], r["ids_crc32"]) for r in got) == want
+    starts = sorted((r["start"], r["n_tokens"]) for r in got)
+    assert [s for s, _ in starts] == [sum(n for _, n in starts[:k]) for k in range(len(starts))]
+    order = [r["doc_id"] for r in sorted(got, key=lambda r: r["start"])]
+    assert order == sorted(order, key=lambda d: (d is not None, d or 0))
+    path = queries.vocabulary("byte_bpe_50k.json")
+    pieces = rows(packing.pack(df, path, 0))
+    whole = Counter()
+    for d, t, _ in rows_:
+        whole[d] += len(Encoder(path).whole(t or "")) + 1
+    made = Counter()
+    for r in pieces:
+        made[r["doc_id"]] += r["length"]
+    assert made == whole
+
+
+def test_personal_data_of_odd_rows(spark, none):
+    long_ = "x " * 100_000 + "jane@example.org" + " y" * 100_000
+    df = spark.createDataFrame([(None, "a@b.co", 1), (1, None, 2), (1, "", 3), (1, long_, 4)], "doc_id long, text string, spans int")
+    got = sorted((str(r["doc_id"]), r["n_email"], r["spans"]) for r in rows(pii.digest(df)))
+    assert got == [("1", 0, ""), ("1", 0, ""), ("1", 1, "email:200000:200016"), ("None", 1, "email:0:6")]
+    kept = pii.redact(df)
+    assert kept.columns == df.columns and {r["text"] for r in kept.collect()} == {"[email]", None, "", long_.replace("jane@example.org", "[email]")}
+    assert pii.digest(none).count() == 0
