@@ -117,8 +117,8 @@ def _dealt(df: DataFrame) -> DataFrame:
 class Words:
     """The mapped word arrays: numbers and counts of hashes."""
 
-    def __init__(self, path: str, buckets: int, first: list[int]):
-        self.path, self.buckets, self.first = path, buckets, first
+    def __init__(self, path: str, first: list[int]):
+        self.path, self.buckets, self.first = path, len(first) - 1, first
 
     def number(self, hashed: np.ndarray) -> np.ndarray:
         """Numbers of sorted distinct hashes, -1 for unknown words."""
@@ -306,6 +306,8 @@ def _write_words(path: str):
     return finish
 
 
+#: Buckets of pairs whose contexts of two words go together.
+TOGETHER = 4
 #: What a bucket of triples tells: sums for a range of words, for contexts of two words, and counts of counts.
 _WORDS, _CONTEXTS, _TOTALS = 0, 1, 2
 _SUMS = "kind int, bucket int, keys binary, counts binary"
@@ -346,7 +348,7 @@ def _write_triples(path: str, ranges: list[int], buckets: int):
         # contexts of two words, for triples seen twice and more
         some = np.flatnonzero(whole & (count > 1))
         context = _key(before[some], (pair[some] // np.uint64(size + 2)).astype(np.int64), size)
-        part = _pair_bucket(context, buckets)
+        part = _pair_bucket(context, buckets) // TOGETHER
         order = np.lexsort((context, part))
         context, part, c = context[order], part[order], count[some][order]
         own = np.flatnonzero(np.concatenate([[True], context[1:] != context[:-1]])) if len(c) else np.zeros(0, np.int64)
@@ -386,18 +388,20 @@ def _reduce_triples(finish):
     return run
 
 
-def _write_two(path: str):
-    """Sums of contexts of two words, by the bucket of the pair."""
+def _write_two(path: str, buckets: int):
+    """Sums of contexts of two words, by the bucket of the pair; what comes holds a few buckets."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         here, keys, sums = None, [], []
 
         def close() -> pa.RecordBatch:
             k, s = merge(keys, sums)
-            hashed = _hash40(k)
-            order = np.argsort(hashed)
-            sums_ = [x for j in range(3) for x in _counts(f"s{j}", s[order, j]).items()]
-            put_bundle(f"{path}/two-{here}", **_keys(hashed[order]), **dict(sums_))
+            hashed, part = _hash40(k), _pair_bucket(k, buckets)
+            for b in np.unique(part).tolist():
+                mine = np.flatnonzero(part == b)
+                mine = mine[np.argsort(hashed[mine])]
+                columns = dict(x for j in range(3) for x in _counts(f"s{j}", s[mine, j]).items())
+                put_bundle(f"{path}/two-{b}", **_keys(hashed[mine]), **columns)
             return pa.RecordBatch.from_arrays([pa.array([len(k)], pa.int64())], names=["n"])
 
         for batch in batches:
@@ -446,24 +450,24 @@ def fit(train: DataFrame, path: str | None = None) -> Model:
     """Counts the column `text` of all rows and leaves the model's arrays at `path` in the shared folder."""
     spark = train.sparkSession
     path = path or scratch(spark, "trigrams")
-    # two buckets a partition: a task holds one at a time
-    buckets = 2 * partitions(spark)
+    # a task holds one bucket of triples at a time; words are fewer
+    buckets, word_buckets = 2 * partitions(spark), max(1, partitions(spark) // 2)
     texts = train.select("text")
-    sent = texts.mapInArrow(_gather(_word_counts, lambda k: range_bucket(k, buckets)), _PACKED)
+    sent = texts.mapInArrow(_gather(_word_counts, lambda k: range_bucket(k, word_buckets)), _PACKED)
     made = _dealt(sent).mapInArrow(_reduce(_write_words(path)), "bucket int, n long, total long").collect()  # a row a bucket
     sizes = {r["bucket"]: r["n"] for r in made}
     first = [0]
-    for b in range(buckets):
+    for b in range(word_buckets):
         first.append(first[-1] + sizes.get(b, 0))
     if first[-1] >= (1 << 32) - 2:
         raise ValueError("pairs of word numbers need more than 64 bits")
-    words = Words(path, buckets, first)
+    words = Words(path, first)
     # ranges of numbers without empty ones; the number after the last word's, the start of texts, is in the last
     ranges = sorted(set(first)) if first[-1] else [0, 0]
     sent = texts.mapInArrow(_gather_triples(words, buckets), _PACKED)
     told = stored(_dealt(sent).mapInArrow(_reduce_triples(_write_triples(path, ranges, buckets)), _SUMS), "trigram-sums")
     totals = np.sum([np.zeros(8, np.int64), *(unplanes(r["counts"]) for r in told.filter(F.col("kind") == _TOTALS).select("counts").collect())], axis=0)
-    _dealt(told.filter(F.col("kind") == _CONTEXTS)).mapInArrow(_write_two(path), "n long").agg(F.sum("n")).collect()
+    _dealt(told.filter(F.col("kind") == _CONTEXTS)).mapInArrow(_write_two(path, buckets), "n long").agg(F.sum("n")).collect()
     sums = _dealt(told.filter(F.col("kind") == _WORDS)).mapInArrow(_write_contexts(path, ranges), "seen long, more long, k int")
     seen = {r["k"]: (r["seen"], r["more"]) for r in sums.groupBy("k").agg(F.sum("seen").alias("seen"), F.sum("more").alias("more")).collect()}
     release(told)
@@ -549,7 +553,7 @@ def log10_words(model: Model, second: np.ndarray, last: np.ndarray, number: np.n
 
 def _score(model: Model):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = Words(model.path, model.buckets, model.first)
+        words = Words(model.path, model.first)
         n, v = model.total, model.size
         for rows, data, offsets in chunks(batches, "text", 1 << 20):
             second, last, number, first = _triples(words, data, offsets)

@@ -365,7 +365,7 @@ def test_kneser_ney_sums_to_one(spark):
     texts = ["a b c a b d", "a b c", "b c a", "c c c c a b", "", "a b c a b d"] * 3
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     model = ngram.fit(df)
-    words_ = ngram.Words(model.path, model.buckets, model.first)
+    words_ = ngram.Words(model.path, model.first)
     size = model.size
     for context in ("a b", "b c", "c c", "d a", "d d"):
         second, last, number, _ = ngram._triples(words_, np.frombuffer(context.encode(), np.uint8), np.array([0, 3]))
