@@ -153,3 +153,16 @@ def reconstruct(samples: DataFrame, source, key_: str, size: int, width: int, he
     mapped = samples if transform == "stored" else samples.withColumn("map", align.fit(points))
     wanted = mapped.select(key_, "tile_id", "map")
     return align.warp_join(align.map_pixels(wanted, size), source.tiles(wanted), [key_], width, height)
+
+
+def assemble(samples: DataFrame, meta: list[str], payload: str = "payload", pixels: str = "pixels", cols: str = "cols") -> DataFrame:
+    """Sample records (key, members) as shards hold them: the complex array's bytes, a grey preview as PNG, and the columns `meta` as XML and as JSON.
+
+    A sample without a part has no member of that name.
+    """
+    from radarlake.io.encode import to_png
+
+    about = F.struct(*meta)
+    members = {"complex.bin": F.col(payload), "preview.png": to_png(F.col(pixels), F.col(cols)), "meta.xml": F.to_xml(about, {"rowTag": "sample"}).cast("binary"), "meta.json": F.to_json(about).cast("binary")}
+    parts = F.array(*(F.struct(F.lit(k).alias("name"), v.alias("data")) for k, v in members.items()))
+    return samples.select("key", F.map_from_entries(F.filter(parts, lambda m: m["data"].isNotNull())).alias("members"))

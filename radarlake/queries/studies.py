@@ -392,3 +392,22 @@ def m4_packed(spark, sf):
     part = lambda k: F.element_at(F.split("scene_id", "[|]"), k)
     tile_r, tile_c = part(2).cast("long"), part(3).cast("long")
     return c.select(part(1).alias("scene_id"), tile_r.cast("int").alias("tile_r"), tile_c.cast("int").alias("tile_c"), (C("r") - tile_r * 4).cast("int").alias("y"), (C("c") - tile_c * 4).cast("int").alias("x"), _R("re", 4).alias("re"))
+
+
+def assembled(spark, sf):
+    """Records of all vector patches."""
+    from radarlake.methods import tiling
+
+    v = vec_patches(spark, sf)
+    cells = v.select(C("patch_id").alias("scene_id"), "r", "c", "re", "im")
+    sizes = v.groupBy(C("patch_id").alias("scene_id")).agg((F.max("r") + 1).alias("n_rows"), (F.max("c") + 1).alias("n_cols"), F.first("label").alias("label"))
+    grey = tiling.preview(v, "minmax", "patch_id").groupBy(C("patch_id").alias("scene_id")).agg(F.transform(F.sort_array(F.collect_list(F.struct("r", "c", "grey"))), lambda s: s["grey"]).alias("pixels"))
+    packed = raster.pack(cells, sizes, 8, 8).select("scene_id", "payload", "cols")
+    return release.assemble(packed.join(grey, "scene_id").join(sizes.select("scene_id", "label"), "scene_id").withColumn("key", release.key("scene_id")), ["scene_id", "label"])
+
+
+@query("SELECT md5(CAST(vec_id AS VARCHAR)) AS key, 4 AS members, 512 AS complex_bytes, '{\"scene_id\":' || vec_id || ',\"label\":' || label || '}' AS json, CAST(label AS BIGINT) AS xml_label FROM embeddings")
+def m8_assemble(spark, sf):
+    m = assembled(spark, sf)
+    xml = F.xpath_long(C("members")["meta.xml"].cast("string"), F.lit("sample/label"))
+    return m.select("key", F.size("members").alias("members"), F.length(C("members")["complex.bin"]).alias("complex_bytes"), C("members")["meta.json"].cast("string").alias("json"), xml.alias("xml_label"))

@@ -237,3 +237,20 @@ def test_model_cleaner_keeps_nulls(spark):
     df = spark.createDataFrame([(1, "a red port  , near the sea"), (2, None)], "k int, text string")
     got = {r["k"]: r["text"] for r in caption.clean_with(df, lambda texts: [t.upper() for t in texts]).collect()}
     assert got[2] is None and got[1].startswith("A PORT, NEAR THE SEA")
+
+
+def test_assembled_samples_go_through_shards(spark, sf, tmp_path):
+    from radarlake.queries.studies import assembled
+
+    spark.dataSource.register(tarshard.TarShards)
+    want = {r["key"]: r["members"] for r in assembled(spark, sf).collect()}
+    assembled(spark, sf).coalesce(2).write.format("tarshard").mode("append").save(str(tmp_path))
+    got = {r["key"]: r["members"] for r in spark.read.format("tarshard").load(str(tmp_path)).collect()}
+    assert got == want and len(got) == 500
+    e = {r["vec_id"]: r["embedding"] for r in spark.read.parquet(f"{sf}/embeddings.parquet").collect()}
+    from hashlib import md5
+
+    for i in sorted(e)[::100]:
+        x = np.frombuffer(bytes(got[md5(str(i).encode()).hexdigest()]["complex.bin"]), "<c8")
+        assert np.allclose(x.real, e[i]) and np.allclose(x.imag, np.roll(e[i], -32))
+        assert encode.unpng(bytes(got[md5(str(i).encode()).hexdigest()]["preview.png"])).shape == (8, 8)
