@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from radarlake import registry
 from radarlake.methods import align, caption, evaluate, geo, pairing, physics, raster, release, select
 from radarlake.methods.lexicon import PART_CATEGORIES
+from radarlake.queries import geometry, resampling  # noqa: F401  they register SQL that is looked up below
 from radarlake.queries.captions import _BEST
 from radarlake.queries.optical import _BILINEAR, _MAPPED, _MAPS, _P, _corners, _mapped
 from radarlake.registry import query
