@@ -21,7 +21,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from radarlake.llm.common import chunks, stored
@@ -30,6 +30,8 @@ from radarlake.llm.tokens import encoder, with_end
 TIERS = (64, 128, 256, 512, 1024)
 #: Tokens of one step group.
 STEP_TOKENS = 1 << 16
+#: Rows of 20 bytes that are sent to all workers.
+SENT_ROWS = 1 << 20
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, tier int, nth long"
 
 
@@ -159,17 +161,14 @@ def pack(docs: DataFrame, tokenizer: str, end: int, tiers: tuple[int, ...] = TIE
 def balanced(pieces: DataFrame, step_tokens: int = STEP_TOKENS) -> DataFrame:
     """Pieces with `step_group`, a tier's group of windows with `step_tokens` in all: `nth` windows of a task come after those of the tasks before it.
 
-    A tier's windows all hold the same number of tokens; the table of offsets has a row a task and tier.
+    A tier's windows all hold the same number of tokens. The table of offsets has a row a task and tier and goes to all workers up to SENT_ROWS.
     """
-    spark = pieces.sparkSession
     task = F.shiftright("sequence_id", 33)
-    counts = pieces.groupBy(task.alias("task"), "tier").agg((F.max("nth") + 1).alias("n")).collect()
-    offsets, seen = [], dict.fromkeys({r["tier"] for r in counts}, 0)
-    for r in sorted(counts, key=lambda r: r["task"]):
-        offsets.append((r["task"], r["tier"], seen[r["tier"]]))
-        seen[r["tier"]] += r["n"]
-    table = F.broadcast(spark.createDataFrame(offsets, "task long, tier int, first long"))
-    placed = pieces.withColumn("task", task).join(table, ["task", "tier"])
+    counts = pieces.groupBy(task.alias("task"), "tier").agg((F.max("nth") + 1).alias("n"))
+    before = Window.partitionBy("tier").orderBy("task").rowsBetween(Window.unboundedPreceding, -1)
+    table = stored(counts.select("task", "tier", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("first")), "offsets")
+    small = table.count() <= SENT_ROWS
+    placed = pieces.withColumn("task", task).join(F.broadcast(table) if small else table, ["task", "tier"])
     group = F.floor((F.col("first") + F.col("nth")) * F.col("tier") / step_tokens).cast("long")
     return placed.select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "tier", group.alias("step_group"))
 
