@@ -47,8 +47,8 @@ ANCHOR = 18
 SAMPLE, COMMON_LEAST, COMMON_SHARE = 64, 16, 1e-4
 #: Keys, or bytes of segments, that a task gathers before it sends them.
 HELD, HELD_BYTES = 1 << 20, 1 << 23
-#: Segments that one suffix sort holds, about; buckets for each partition.
-SORTED, BUCKETS = 1 << 15, 4
+#: Segments that one suffix sort holds, about; buckets of anchors and of segments for each partition.
+SORTED, ANCHOR_BUCKETS, SEGMENT_BUCKETS = 1 << 15, 2, 4
 #: Starts that one step looks at; a start's place in a step takes so many bits.
 STEP, PLACE_BITS = 1 << 20, 21
 
@@ -556,7 +556,6 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, with_text: bool = Fals
         raise ValueError(f"the length must be over {ANCHOR} and at most {ANCHOR + 62}")
     spark = docs.sparkSession
     parts = partitions(spark)
-    buckets = BUCKETS * parts
     texts = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     shared = spark.sparkContext.broadcast(_common(texts, length))
     deal = lambda df: df.repartition(parts, "bucket").sortWithinPartitions("bucket")
@@ -568,9 +567,9 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, with_text: bool = Fals
     known = texts.repartition(parts, "doc_id").join(copies, "doc_id", "left").select("doc_id", "text", F.coalesce(F.array_contains("copies", F.xxhash64("text")), F.lit(False)).alias("copy"))
 
     takes = known.filter("not copy")
-    met = deal(takes.select("doc_id", "text").mapInArrow(_send_anchors(buckets, length, shared), _SENT)).mapInArrow(_meet_anchors, _TOLD)
+    met = deal(takes.select("doc_id", "text").mapInArrow(_send_anchors(ANCHOR_BUCKETS * parts, length, shared), _SENT)).mapInArrow(_meet_anchors, _TOLD)
     told = met.groupBy("doc_id").agg(F.collect_list("key").alias("told"))
-    sent = takes.join(told, "doc_id", "left").select("doc_id", "text", "told").mapInArrow(_send_segments(buckets, length, shared), _SEGMENT)
+    sent = takes.join(told, "doc_id", "left").select("doc_id", "text", "told").mapInArrow(_send_segments(SEGMENT_BUCKETS * parts, length, shared), _SEGMENT)
     marked = deal(sent).mapInArrow(_meet_segments(length), _MARKS)
     back = marked.groupBy("doc_id").agg(F.collect_list(F.struct("key", "mark")).alias("told"))
     final = known.join(back, "doc_id", "left").select("doc_id", "text", "told", "copy")
