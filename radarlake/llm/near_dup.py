@@ -13,7 +13,7 @@ sets are one node. Nodes that share a band are candidates:
 
 Every link is confirmed on the full shingle sets, and the components of the links are the
 groups. No step returns more rows than it has members, apart from the blocks of a bucket
-that more than BLOCK members outside its main component share.
+that more than BLOCK members, or BLOCK_SHINGLES shingles, outside its main component share.
 
 Null and empty texts, and texts without words, have the empty set and stand alone; with
 fewer words than a shingle has, the whole text is one shingle. Rows that repeat a doc_id
@@ -34,8 +34,8 @@ from pyspark.sql import functions as F
 from radarlake.llm.common import chunks, grams, mix, named, partitions, release, stored, unused, word_hashes
 
 BANDS, ROWS = 32, 5
-#: Members of a bucket in one block; a group compares two blocks.
-BLOCK = 2048
+#: Members of a bucket in one block, and shingles of their sets, about; a group compares two blocks.
+BLOCK, BLOCK_SHINGLES = 2048, 1 << 21
 #: Members that one leader's text is read for at once.
 STAR = 1024
 
@@ -248,11 +248,14 @@ def _exact(n: int, percent: int):
 
 
 def _labelled(places: DataFrame, found: DataFrame) -> DataFrame:
-    """(bucket, node, component, apart, blocks) of the buckets with several components; apart: outside the bucket's main one."""
-    labelled = places.join(found, places["node"] == found["id"], "left").select("bucket", "node", F.coalesce("component", "node").alias("component"))
-    parts = labelled.groupBy("bucket", "component").agg(F.count("*").alias("k"))
-    main = parts.groupBy("bucket").agg(F.max_by("component", F.struct("k", "component")).alias("main"), F.count("*").alias("parts"), F.sum("k").alias("n"), F.max("k").alias("most")).filter("parts > 1")
-    return labelled.join(main, "bucket").select("bucket", "node", "component", (F.col("component") != F.col("main")).alias("apart"), F.ceil((F.col("n") - F.col("most")) / BLOCK).cast("int").alias("i_blocks"), F.ceil(F.col("n") / BLOCK).cast("int").alias("j_blocks"))
+    """(bucket, node, component, apart, blocks) of the buckets (bucket, node, n_shingles) with several components; apart: outside the bucket's main one."""
+    labelled = places.join(found, places["node"] == found["id"], "left").select("bucket", "node", "n_shingles", F.coalesce("component", "node").alias("component"))
+    parts = labelled.groupBy("bucket", "component").agg(F.count("*").alias("k"), F.sum("n_shingles").alias("z"))
+    largest = F.struct("k", "component", "z")
+    main = parts.groupBy("bucket").agg(F.max(largest).alias("main"), F.count("*").alias("parts"), F.sum("k").alias("n"), F.sum("z").alias("all")).filter("parts > 1")
+    blocks = lambda n, z: F.greatest(F.ceil(n / BLOCK), F.ceil(z / BLOCK_SHINGLES)).cast("int")
+    sizes = main.select("bucket", "main.component", blocks(F.col("n") - F.col("main.k"), F.col("all") - F.col("main.z")).alias("i_blocks"), blocks(F.col("n"), F.col("all")).alias("j_blocks")).withColumnRenamed("component", "main")
+    return labelled.join(sizes, "bucket").select("bucket", "node", "component", (F.col("component") != F.col("main")).alias("apart"), "i_blocks", "j_blocks")
 
 
 def _dealt(rows: DataFrame, *more: str) -> DataFrame:
@@ -265,11 +268,11 @@ def _dealt(rows: DataFrame, *more: str) -> DataFrame:
 
 
 def links(nodes: DataFrame, docs: DataFrame, n: int, percent: int, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """Confirmed links (a, b) that connect all nodes (node, row_a, row_b, bands, sketch) whose sets reach the threshold.
+    """Confirmed links (a, b) that connect all nodes (node, row_a, row_b, n_shingles, bands, sketch) whose sets reach the threshold.
 
     `docs` holds the texts of the nodes' rows. A pair within a component needs no check.
     """
-    members = nodes.select("node", F.explode("bands").alias("bucket"))
+    members = nodes.select("node", "n_shingles", F.explode("bands").alias("bucket"))
     # buckets with the same members count once
     seen = [F.bit_xor(F.xxhash64("node", F.lit(k))).alias(f"x{k}") for k in range(2)]
     buckets = members.groupBy("bucket").agg(F.min("node").alias("leader"), F.count("*").alias("n"), *seen).filter("n > 1")
@@ -291,9 +294,9 @@ def links(nodes: DataFrame, docs: DataFrame, n: int, percent: int, bands: int =
     found = stored(components(first), "components")
     share, size = percent / 100, bands * rows
     least = int(share * size - 6 * (share * (1 - share) * size) ** 0.5)
-    open_ = stored(_labelled(places.filter("n > 2").select("bucket", "node"), found), "open")
+    open_ = stored(_labelled(places.filter("n > 2").select("bucket", "node", "n_shingles"), found), "open")
     sketched = _dealt(open_.join(nodes.select("node", "sketch"), "node"), "sketch").mapInArrow(_sketched(least), "bucket long, node long").distinct()
-    near = stored(_labelled(sketched, found), "near")
+    near = stored(_labelled(sketched.join(nodes.select("node", "n_shingles"), "node"), found), "near")
     second = stored(_dealt(near.join(texts, "node"), "text").mapInArrow(_exact(n, percent), "a long, b long").distinct(), "links")
     release(places, texts, open_, near, found)
     return first.unionByName(second)
@@ -333,7 +336,7 @@ def groups(docs: DataFrame, n: int = 5, percent: int = 80, bands: int = BANDS, r
     same = signed.filter("n_shingles > 0").groupBy("print_a", "print_b").agg(F.min(who).alias("first"), F.count("*").alias("n"))
     same = stored(same.withColumn("node", F.monotonically_increasing_id()), "sets")
     one = same.select("node", F.col("first.row_a").alias("row_a"), F.col("first.row_b").alias("row_b"))
-    nodes = stored(signed.select("row_a", "row_b", "bands", "sketch").join(one, ["row_a", "row_b"]).dropDuplicates(["node"]), "nodes")
+    nodes = stored(signed.select("row_a", "row_b", "n_shingles", "bands", "sketch").join(one, ["row_a", "row_b"]).dropDuplicates(["node"]), "nodes")
     found = components(links(nodes, docs, n, percent, bands, rows))
     linked = found.join(same.select("node", "first"), F.col("id") == F.col("node")).select("node", "component", "first")
     heads = linked.groupBy("component").agg(F.min("first").alias("head"))

@@ -580,9 +580,11 @@ def test_near_duplicates_of_odd_rows(spark, none):
     assert kept.columns == df.columns and {r["row_a"] for r in kept.collect()} in ({1, 4, 8, 9, 10}, {2, 4, 8, 9, 10})
 
 
-def test_large_groups_of_near_copies_stay_whole(spark, monkeypatch):
+@pytest.mark.parametrize(("members", "shingles_"), [(7, 1 << 21), (2048, 900)])
+def test_large_groups_of_near_copies_stay_whole(spark, monkeypatch, members, shingles_):
     """A chain and a clump of near copies in blocks and stars of a few members: one component each."""
-    monkeypatch.setattr(near_dup, "BLOCK", 7)
+    monkeypatch.setattr(near_dup, "BLOCK", members)
+    monkeypatch.setattr(near_dup, "BLOCK_SHINGLES", shingles_)
     monkeypatch.setattr(near_dup, "STAR", 5)
     base = [f"c{i}" for i in range(200)]
     chain = [" ".join([*base[k * 8 :], *(f"n{i}" for i in range(k * 8))]) for k in range(20)]
