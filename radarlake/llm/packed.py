@@ -87,7 +87,7 @@ def put_bundle(path: str, **arrays: np.ndarray) -> None:
     put_file(path, np.concatenate([np.frombuffer(len(head).to_bytes(8, "little") + head, np.uint8), *parts]))
 
 
-@lru_cache(maxsize=1 << 13)
+@lru_cache(maxsize=1 << 15)
 def map_bundle(path: str) -> dict[str, np.ndarray]:
     """The arrays of a file of `put_bundle` as views of its memory map; none where there is no such file."""
     try:
@@ -98,7 +98,7 @@ def map_bundle(path: str) -> dict[str, np.ndarray]:
     return {name: raw[n + at : n + at + size].view(kind) for name, (kind, at, size) in json.loads(raw[8:n].tobytes()).items()}
 
 
-@lru_cache(maxsize=1 << 13)
+@lru_cache(maxsize=1 << 15)
 def map_file(path: str, dtype: str) -> np.ndarray:
     """A file of the shared folder as a memory map; one that isn't on a mounted disk is fetched once by the worker."""
     from pyarrow import fs
