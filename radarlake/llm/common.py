@@ -275,7 +275,7 @@ class HashIndex:
 
     def __init__(self, capacity: int):
         self.capacity = capacity
-        self.keys = np.zeros(1 << (4 * capacity - 1).bit_length(), np.uint64)
+        self.keys = np.zeros(1 << (2 * capacity - 1).bit_length(), np.uint64)
         self.place = np.zeros(len(self.keys), np.int32)
         self.size = 0
 
