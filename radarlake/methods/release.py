@@ -120,24 +120,27 @@ SENT_BYTES = 16 << 20
 def contamination(train: DataFrame, test: DataFrame, n: int = 8, key_: str = "doc_id", item: str = "item_id") -> DataFrame:
     """Pairs of texts and test items that share a run of n words, and how many distinct ones.
 
-    A run goes by two 64-bit hashes of its words. Null and shorter texts have no run.
+    A run goes by a 64-bit hash that is chained over its words. Null and shorter texts have no run.
     """
     from radarlake.methods.caption import tokens
     from radarlake.methods.geo import bound
 
     def runs(df: DataFrame, k: str) -> DataFrame:
-        def hashed(s: Column) -> Column:
-            places = F.sequence(F.lit(1), F.size(s["w"]) - n + 1)
-            run = lambda i: bound({"r": F.slice(s["w"], i, F.lit(n))}, lambda q: F.struct(F.xxhash64(q["r"]).alias("a"), F.xxhash64(F.lit(1), q["r"]).alias("b")))
-            return F.when(F.size(s["w"]) >= n, F.transform(places, run))
-
-        # the words are split once, not at each place
-        made = bound({"w": tokens(F.lower("text"))}, hashed)
-        return df.select(k, F.explode(F.array_distinct(made)).alias("h")).select(k, "h.a", "h.b")
+        def chained(s: Column) -> Column:
+            # whole arrays, moved by a word and hashed pairwise: work grows with the words, not with places times words
+            m = F.size(s["h"]) - n + 1
+            made = F.slice(s["h"], 1, m)
+            for j in range(1, n):
+                made = F.zip_with(made, F.slice(s["h"], F.lit(j + 1), m), lambda a, b: F.xxhash64(a, b))
+            return F.when(m > 0, F.array_distinct(made))
+
+        # the words are split and hashed once
+        hashed = bound({"h": F.transform(tokens(F.lower("text")), lambda w: F.xxhash64(w))}, chained)
+        return df.select(k, F.explode(hashed).alias("h"))
 
     size = test.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("n")).first()["n"]
     asked = runs(test, item)
-    met = runs(train, key_).join(F.broadcast(asked) if size <= SENT_BYTES else asked, ["a", "b"])
+    met = runs(train, key_).join(F.broadcast(asked) if size <= SENT_BYTES else asked, "h")
     return met.groupBy(key_, item).agg(F.count("*").alias("shared"))
 
 
