@@ -18,14 +18,18 @@ VARIANTS = ("SHORT", "MID", "LONG")
 Vocabulary = dict[str, tuple[tuple[str, ...], tuple[str, ...]]]
 
 
-def tokens(text: Column) -> Column:
-    """Words between white space."""
-    return F.split(F.trim(F.regexp_replace(text, r"^\s+|\s+$", "")), r"\s+")
+#: The signs that white space is made of.
+SPACES = " \t\n\x0b\f\r"
 
 
-def first_words(text: Column, n: Column) -> Column:
-    """Stand-in captioner: the first n words."""
-    return F.array_join(F.slice(tokens(text), F.lit(1), n.cast("int")), " ")
+def tokens(text: Column, most: int | None = None) -> Column:
+    """Words between white space; with `most`, what follows that many words is one last value."""
+    return F.split(F.btrim(text, F.lit(SPACES)), r"\s+", -1 if most is None else most + 1)
+
+
+def first_words(text: Column, n: Column, most: int | None = None) -> Column:
+    """Stand-in captioner: the first n words, n at most `most`, so that the rest of the text is not split."""
+    return F.array_join(F.slice(tokens(text, most), F.lit(1), n.cast("int")), " ")
 
 
 def generate(df: DataFrame, model: Callable[[Column, str], Column], variants: tuple[str, ...] = VARIANTS, text: str = "text") -> DataFrame:

@@ -86,7 +86,7 @@ def captions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     lengths = {"SHORT": (12, 7), "MID": (20, 13), "LONG": (27, 23)}
     docs = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("sample_id"), "text")
-    return caption.long(caption.generate(docs, lambda text, variant: caption.first_words(text, F.lit(lengths[variant][0]) + F.col("sample_id") % lengths[variant][1])))
+    return caption.long(caption.generate(docs, lambda text, variant: caption.first_words(text, F.lit(lengths[variant][0]) + F.col("sample_id") % lengths[variant][1], sum(lengths[variant]) - 1)))
 
 
 #: DuckDB text of the views.
