@@ -8,8 +8,8 @@ item's words agree at one place.
 
 Items of up to SHORT words also get the masks of every so many positions, one more than
 the words that `overlap` lets differ: however those lie, one of the masks misses them all, so
-no short item is lost. Over longer ones the fixed masks leave a hit in all of the patterns
-that the tests draw.
+no short item is lost. Over longer ones the fixed masks are measured, not proved: the tests
+draw patterns of replaced words and ask for 99.5 % of them.
 
 The test items are the stated query set: they go to the workers in blocks of proven
 size, one pass over the documents a block. Words are split at ASCII white space, lower-cased (A-Z).
