@@ -101,7 +101,10 @@ def warp(mapped: DataFrame, image: str, width: int, height: int, method: str = "
 
 
 def warp_join(mapped: DataFrame, cells: DataFrame, keys: list[str], width: int, height: int, method: str = "bilinear") -> DataFrame:
-    """The same over long images (tile_id, v, u, value): each inside pixel meets up to four cells and adds them up."""
+    """The same over long images (tile_id, v, u, value): each inside pixel meets up to four cells and adds them up.
+
+    Pixels are made from few rows, so that Spark takes them for small and would broadcast them; hence the hints.
+    """
     if method == "nearest":
         near = F.array(F.struct(F.floor(F.col("pu") + 0.5).cast("int").alias("u"), F.floor(F.col("pv") + 0.5).cast("int").alias("v"), F.lit(1.0).alias("w")))
     else:
@@ -111,8 +114,8 @@ def warp_join(mapped: DataFrame, cells: DataFrame, keys: list[str], width: int,
         near = F.array(corner(0, 0, (1 - a) * (1 - b)), corner(1, 0, a * (1 - b)), corner(0, 1, (1 - a) * b), corner(1, 1, a * b))
     some = mapped.withColumn("inside", _inside(width, height))
     spread = some.filter("inside").select(*keys, "x", "y", "tile_id", F.explode(near).alias("s")).select(*keys, "x", "y", "tile_id", "s.u", "s.v", "s.w")
-    summed = spread.join(cells.select("tile_id", "u", "v", "value"), ["tile_id", "u", "v"]).groupBy(*keys, "x", "y").agg(F.sum(F.col("w") * F.col("value")).alias("value"))
-    out = some.select(*keys, "x", "y", "inside").join(summed, [*keys, "x", "y"], "left")
+    summed = spread.join(cells.select("tile_id", "u", "v", "value").hint("merge"), ["tile_id", "u", "v"]).groupBy(*keys, "x", "y").agg(F.sum(F.col("w") * F.col("value")).alias("value"))
+    out = some.select(*keys, "x", "y", "inside").join(summed.hint("merge"), [*keys, "x", "y"], "left")
     return out.withColumn("value", F.coalesce("value", F.lit(0.0)))
 
 
