@@ -1,9 +1,12 @@
 """What grows with the input: what is broadcast, and odd inputs of the queries changed for it."""
 
+from datetime import datetime, timedelta
+
 import pytest
+from pyspark.sql import functions as F
 
 from radarlake import registry
-from test_whole import _against_twin
+from test_whole import _against_twin, _same, _whole
 
 
 def _children(node):
@@ -31,3 +34,17 @@ def test_pixels_are_not_broadcast(spark, sf, name):
     tiles = spark.read.parquet(f"{sf}/embeddings.parquet").count()
     assert _most_broadcast(registry.queries()[name](spark, sf)) <= tiles
     _against_twin(spark, sf, name)
+
+
+def test_range_of_seconds_rounds(spark, tmp_path):
+    """A time counts to its nearest second, halves to the even one, so 0.4 s and 3600.6 s lie over an hour apart."""
+    begin, at = datetime(2024, 1, 1), [0.4, 3600.6, 8000.5, 11601.5, 20000.0, 23600.4]
+    rows = [(i, begin + timedelta(seconds=s), 1, "click", float(2**i), "{}") for i, s in enumerate(at)]
+    spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string").write.parquet(f"{tmp_path}/events.parquet")
+    got = dict(registry.queries()["op_win_range"](spark, str(tmp_path)).collect())
+    import duckdb
+
+    db = duckdb.connect()
+    db.sql(f"create view events as select * from '{tmp_path}/events.parquet/*.parquet'")
+    assert got == dict(db.sql(registry.oracles()["op_win_range"]).fetchall())
+    assert got == {0: 1.0, 1: 2.0, 2: 4.0, 3: 8.0, 4: 16.0, 5: 48.0}
