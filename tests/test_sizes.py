@@ -29,7 +29,7 @@ def _most_broadcast(df):
     return most
 
 
-@pytest.mark.parametrize("name", ["m6_warp_join", "m6_warp", "m8_reconstruct", "b_reverse"])
+@pytest.mark.parametrize("name", ["m6_warp_join", "m6_warp", "m8_reconstruct", "b_reverse", "a6_refit"])
 def test_pixels_are_not_broadcast(spark, sf, name):
     tiles = spark.read.parquet(f"{sf}/embeddings.parquet").count()
     assert _most_broadcast(registry.queries()[name](spark, sf)) <= tiles
