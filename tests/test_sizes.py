@@ -89,3 +89,15 @@ def test_closest_makes_no_pairs(spark, sf, tmp_path):
             most = max(most, node.metrics().get("numOutputRows").get().value())
         rest += _children(node)
     assert most <= n
+
+
+def _reads(spark, sf, name, tables):
+    """The twin's rows, from files of these tables."""
+    df = registry.queries()[name](spark, sf)
+    assert {f.rsplit("/", 1)[1] for f in df.inputFiles()} == {f"{t}.parquet" for t in tables}
+    _against_twin(spark, sf, name)
+
+
+@pytest.mark.parametrize("name", ["m2_provenance"])
+def test_scenes_come_from_events(spark, sf, name):
+    _reads(spark, sf, name, ["events"])
