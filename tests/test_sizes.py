@@ -98,6 +98,6 @@ def _reads(spark, sf, name, tables):
     _against_twin(spark, sf, name)
 
 
-@pytest.mark.parametrize("name", ["m2_provenance"])
+@pytest.mark.parametrize("name", ["m2_provenance", "m3_grid"])
 def test_scenes_come_from_events(spark, sf, name):
     _reads(spark, sf, name, ["events"])
