@@ -101,3 +101,8 @@ def _reads(spark, sf, name, tables):
 @pytest.mark.parametrize("name", ["m2_provenance", "m3_grid"])
 def test_scenes_come_from_events(spark, sf, name):
     _reads(spark, sf, name, ["events"])
+
+
+def test_mosaic_comes_from_tiles(spark, sf):
+    _reads(spark, sf, "m5_mosaic", ["embeddings"])
+    assert _most_broadcast(registry.queries()["m5_mosaic"](spark, sf)) <= spark.read.parquet(f"{sf}/embeddings.parquet").count()
