@@ -106,3 +106,7 @@ def test_scenes_come_from_events(spark, sf, name):
 def test_mosaic_comes_from_tiles(spark, sf):
     _reads(spark, sf, "m5_mosaic", ["embeddings"])
     assert _most_broadcast(registry.queries()["m5_mosaic"](spark, sf)) <= spark.read.parquet(f"{sf}/embeddings.parquet").count()
+
+
+def test_prompts_go_with_documents(spark, sf):
+    _reads(spark, sf, "m7_prompts", ["documents"])
