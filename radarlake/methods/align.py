@@ -81,8 +81,9 @@ def map_pixels(df: DataFrame, size: int, a: str = "map") -> DataFrame:
     return px.withColumn("pu", u).withColumn("pv", v)
 
 
-def _inside(width: int, height: int) -> Column:
-    return F.col("pu").between(0, width - 1) & F.col("pv").between(0, height - 1)
+def _inside(width: int, height: int, u: Column | None = None, v: Column | None = None) -> Column:
+    u, v = F.col("pu") if u is None else u, F.col("pv") if v is None else v
+    return u.between(0, width - 1) & v.between(0, height - 1)
 
 
 def warp(mapped: DataFrame, image: str, width: int, height: int, method: str = "bilinear") -> DataFrame:
@@ -119,6 +120,46 @@ def warp_join(mapped: DataFrame, cells: DataFrame, keys: list[str], width: int,
     return out.withColumn("value", F.coalesce("value", F.lit(0.0)))
 
 
+def images(cells: DataFrame, width: int, height: int) -> DataFrame:
+    """Long images (tile_id, v, u, value) as a row a tile with `image`, an array of rows; cells that occur again add up, absent ones are null."""
+    n = width * height
+    within = cells.filter(F.col("u").between(0, width - 1) & F.col("v").between(0, height - 1))
+    summed = within.groupBy("tile_id", (F.col("v") * width + F.col("u")).cast("int").alias("p")).agg(F.sum("value").alias("value"))
+    listed = summed.groupBy("tile_id").agg(F.sort_array(F.collect_list(F.struct("p", "value"))).alias("cells"))
+    filled = bound({"m": F.map_from_entries("cells")}, lambda b: F.transform(F.sequence(F.lit(0), F.lit(n - 1)), lambda p: F.try_element_at(b["m"], p)))
+    flat = F.when(F.size("cells") == n, F.transform("cells", lambda s: s["value"])).otherwise(filled)
+    rows = bound({"f": flat}, lambda b: F.transform(F.sequence(F.lit(0), F.lit(height - 1)), lambda v: F.slice(b["f"], v * width + 1, F.lit(width))))
+    return listed.select("tile_id", rows.alias("image"))
+
+
+def warp_rows(patches: DataFrame, size: int, width: int, height: int, image: str = "image", a: str = "map") -> DataFrame:
+    """Bilinear warp inside a row: `image` gives way to `pixels`, an array of (x, y, inside, value) line by line.
+
+    The values are those of `warp_join`, but pixels and their corners never become rows.
+    """
+
+    def pixels(b: Column) -> Column:
+        at = F.transform(F.sequence(F.lit(0), F.lit(size * size - 1)), lambda p: F.struct((p % size).alias("x"), F.floor(p / size).cast("int").alias("y")))
+        return F.transform(F.transform(F.transform(at, lambda s: placed(b["map"], s)), near), lambda s: valued(b["image"], s))
+
+    def placed(m: Column, s: Column) -> Column:
+        u, v = apply(m, s["x"], s["y"])
+        return F.struct(s["x"].alias("x"), s["y"].alias("y"), u.alias("pu"), v.alias("pv"))
+
+    def near(s: Column) -> Column:
+        inside = _inside(width, height, s["pu"], s["pv"])
+        corner = lambda k, n: F.when(inside, F.least(F.floor(s[k]), F.lit(n - 2))).cast("int")
+        return F.struct(s["x"].alias("x"), s["y"].alias("y"), inside.alias("inside"), s["pu"].alias("pu"), s["pv"].alias("pv"), corner("pu", width).alias("i"), corner("pv", height).alias("j"))
+
+    def valued(rows: Column, s: Column) -> Column:
+        a, b = s["pu"] - s["i"], s["pv"] - s["j"]
+        cell = lambda di, dj, w: F.coalesce(w * F.get(F.get(rows, s["j"] + dj), s["i"] + di), F.lit(0.0))
+        total = cell(0, 0, (1 - a) * (1 - b)) + cell(1, 0, a * (1 - b)) + cell(0, 1, (1 - a) * b) + cell(1, 1, a * b)
+        return F.struct(s["x"].alias("x"), s["y"].alias("y"), s["inside"].alias("inside"), F.when(s["inside"], total).otherwise(0.0).alias("value"))
+
+    return patches.withColumn("pixels", bound({"map": F.col(a), "image": F.col(image)}, pixels)).drop(image)
+
+
 def project_layer(patches: DataFrame, layer: DataFrame, keys: list[str], size: int, width: int, height: int, method: str = "nearest") -> DataFrame:
     """Another layer or label map on a patch's grid, by the stored map."""
     return warp_join(map_pixels(patches, size), layer, keys, width, height, method)

@@ -151,11 +151,27 @@ def reconstruct(samples: DataFrame, source, key_: str, size: int, width: int, he
     """
     from radarlake.methods import align
 
+    wanted = _wanted(samples, key_, transform, points)
+    return align.warp_join(align.map_pixels(wanted, size), source.tiles(wanted), [key_], width, height)
+
+
+def reconstruct_rows(samples: DataFrame, source, key_: str, size: int, width: int, height: int, transform: str = "stored", points=None) -> DataFrame:
+    """The same with a row a sample, its pixels in an array `pixels` (x, y, inside, value): a map meets its tile's image, and no pixel is exchanged."""
+    from radarlake.methods import align
+
+    wanted = _wanted(samples, key_, transform, points)
+    met = wanted.join(align.images(source.tiles(wanted), width, height), "tile_id", "left")
+    return align.warp_rows(met, size, width, height).select(key_, "tile_id", "pixels")
+
+
+def _wanted(samples: DataFrame, key_: str, transform: str, points) -> DataFrame:
+    """Samples with the map to use."""
+    from radarlake.methods import align
+
     if transform not in ("stored", "refit"):
         raise ValueError(f"{transform}: the transform is stored or refit")
     mapped = samples if transform == "stored" else samples.withColumn("map", align.fit(points))
-    wanted = mapped.select(key_, "tile_id", "map")
-    return align.warp_join(align.map_pixels(wanted, size), source.tiles(wanted), [key_], width, height)
+    return mapped.select(key_, "tile_id", "map")
 
 
 def assemble(samples: DataFrame, meta: list[str], payload: str = "payload", pixels: str = "pixels", cols: str = "cols") -> DataFrame:

@@ -110,3 +110,58 @@ def test_mosaic_comes_from_tiles(spark, sf):
 
 def test_prompts_go_with_documents(spark, sf):
     _reads(spark, sf, "m7_prompts", ["documents"])
+
+
+def test_refit_makes_no_corner_rows(spark, sf):
+    """Pixels and their four corners stay in the patch's row: no step makes more rows than the three bands have cells."""
+    df = registry.queries()["a6_refit"](spark, sf)
+    tiles = spark.read.parquet(f"{sf}/embeddings.parquet").count()
+    assert df.collect() == [(64 * tiles, 0)]
+    most, rest = 0, [df._jdf.queryExecution().executedPlan()]
+    while rest:
+        node = rest.pop()
+        if node.metrics().contains("numOutputRows"):
+            most = max(most, node.metrics().get("numOutputRows").get().value())
+        rest += _children(node)
+    assert most <= 3 * 64 * tiles
+
+
+@pytest.mark.parametrize("transform", ["stored", "refit"])
+def test_reconstruction_in_rows(spark, transform):
+    """The pixels of the long form: whole tiles, some with cells that are absent, null, doubled or outside, a tile without cells, a map that is none, two samples of a tile."""
+    import random
+
+    from radarlake.methods import align, release
+
+    draw = random.Random(3)
+    cells = [(t, v, u, draw.uniform(0, 255)) for t in range(6) for v in range(4) for u in range(5) if t < 3 or draw.random() < 0.6]
+    cells += [(4, 1, 2, 7.0), (4, 1, 2, 9.0), (5, 0, 0, None), (5, 4, 0, 50.0), (5, 0, 5, 60.0), (5, -1, 2, 70.0)]
+    maps = [(k, k % 7, (0.5 + k % 3 * 0.1, k % 4 * 0.1, k % 5 * 0.3, -(k % 3) * 0.1, 0.4 + k % 2 * 0.1, k % 6 * 0.2)) for k in range(14)]
+    maps += [(14, 1, None), (15, 2, (1.0, 0.0, 0.0, 0.0, 1.0, 0.0)), (16, 0, (1e300, 0.0, 0.0, 0.0, 1.0, 0.0))]
+    samples = spark.createDataFrame(maps, "key long, tile_id long, map struct<" + ", ".join(f"{f}: double" for f in align.FIELDS) + ">")
+    table = spark.createDataFrame(cells, "tile_id long, v int, u int, value double")
+
+    class Source:
+        def tiles(self, wanted):
+            return table
+
+    at = lambda x, y: (F.lit(x), F.lit(y), *align.apply(F.col("map"), F.lit(x), F.lit(y)))
+    points = [at(x, y) for x, y in ((0.0, 0.0), (5.0, 0.0), (0.0, 5.0))]
+    long = release.reconstruct(samples, Source(), "key", 6, 5, 4, transform, points)
+    rows = release.reconstruct_rows(samples, Source(), "key", 6, 5, 4, transform, points)
+    got = {tuple(r[:4]): r[4] for r in rows.select("key", F.inline("pixels")).collect()}
+    want = {tuple(r[:4]): r[4] for r in long.select("key", "x", "y", "inside", "value").collect()}
+    assert len(got) == 36 * len(maps) and got == pytest.approx(want, abs=1e-9)
+    assert sum(v > 0 for v in got.values()) > 100
+
+
+def test_refit_counts_what_differs(spark, sf, monkeypatch):
+    """Maps fitted a quarter of a pixel off: as many pixels apart as the long form has."""
+    from radarlake.methods import align, release
+    from radarlake.queries import studies
+
+    fit = align.fit
+    monkeypatch.setattr(align, "fit", lambda points: fit([(x, y, u + 0.25, v) for x, y, u, v in points]))
+    long = [{r[:3]: r[3:] for r in map(tuple, studies._reconstructed(spark, sf, t, release.reconstruct).select("key", "x", "y", "inside", "value").collect())} for t in ("stored", "refit")]
+    want = sum(i and long[1][k][0] and abs(x - long[1][k][1]) > 1e-4 for k, (i, x) in long[0].items())
+    assert registry.queries()["a6_refit"](spark, sf).collect() == [(len(long[0]), want)] and want > 1000
